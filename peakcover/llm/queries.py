@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from .decontaminate import op8_decontaminate
+from .line_dedup import op10_line_dedup
 from .minhash import op3_minhash
 from .packing import op1_packing
 from .toxicity import op9_toxicity
 from .warc import op2_warc
 from .wavelet import op4_wavelet
 
-QUERIES = {f.__name__: f for f in (op1_packing, op2_warc, op3_minhash, op4_wavelet, op8_decontaminate, op9_toxicity)}
+QUERIES = {f.__name__: f for f in (op1_packing, op2_warc, op3_minhash, op4_wavelet, op8_decontaminate, op9_toxicity, op10_line_dedup)}
 
 ORACLE_SQL: dict[str, str] = {}
