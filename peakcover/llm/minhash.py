@@ -4,11 +4,11 @@ Two permutations make all coordinates of a signature: the first deals the shingl
 second, circularly shifted by one place for each coordinate, ranks them.  Coordinates are banded; documents
 that share a band bucket are candidates, and a link stands only if the full shingle sets say so.
 
-Copies (equal sets) form one class first, so a band bucket holds different sets only.  In a bucket, one
-pivot is verified against all other members; members of one component need no further pair.  Where buckets
-still span several components, the next pivots follow, until the pairs between different components are few
-and all are verified.  No link between different sets of a bucket is lost, and no group is expanded into all
-of its pairs while its pivots link it.
+Copies (equal sets) form one class first, so a band bucket holds different sets only.  One pivot of each
+bucket is verified against all other members, which joins most groups of near copies.  Buckets that still span
+several components are settled as wholes, large ones by pairs of blocks: members of different components are
+compared, unless their distances to the pivot (the Jaccard distance is a metric) or their sizes rule a link
+out.  No link between different sets of a bucket is lost, and no pair leaves a task unless it is a link.
 
 Defined cases: texts without words (null, empty) have no shingles and link with nothing; texts below
 ``width`` words are one shingle; rows with a null id are returned with a null component and kept; rows that
@@ -27,7 +27,7 @@ from .components import connected
 WIDTH = 5
 PERCENT = 85
 BANDS, ROWS = 24, 5
-FEW_PAIRS = 50_000
+SMALL, BLOCK = 512, 400
 WORD_SEED = 0x51ED
 
 
@@ -100,8 +100,19 @@ def signatures(docs: DataFrame, id_col: str, text: str, width: int = WIDTH, band
     return common.extend_rows(source, added, compute, ["body"]).drop("body")
 
 
-def verified(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """The pairs (a, b) whose sets overlap enough, by their full sets."""
+def overlap(p, q) -> int:
+    """The size of the intersection of two sorted sets."""
+    import numpy as np
+
+    if len(p) < len(q):
+        p, q = q, p
+    at = np.searchsorted(p, q)
+    at[at == len(p)] = 0
+    return int((p[at] == q).sum())
+
+
+def scored(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """The pairs (a, b) with their Jaccard distance d and whether they are linked, by their full sets."""
     wide = pairs.join(sets.select(F.col("rep").alias("b"), F.col("set").alias("set_b")), "b").join(sets.select(F.col("rep").alias("a"), F.col("set").alias("set_a")), "a")
 
     def check(batches):
@@ -110,51 +121,90 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataF
 
         for batch in batches:
             a, b, x, y = (batch.column(i) for i in range(4))
-            keep = []
+            away, linked = [], []
             for i in range(batch.num_rows):
                 p, q = np.frombuffer(x[i].as_buffer(), dtype=np.uint64), np.frombuffer(y[i].as_buffer(), dtype=np.uint64)
-                both = len(p) + len(q) - len(np.union1d(p, q))
-                keep.append(100 * both >= percent * (len(p) + len(q) - both))
-            yield pa.RecordBatch.from_arrays([a, b], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                both = overlap(p, q)
+                union = len(p) + len(q) - both
+                away.append(1 - both / union)
+                linked.append(100 * both >= percent * union)
+            yield pa.RecordBatch.from_arrays([a, b, pa.array(away, pa.float64()), pa.array(linked, pa.bool_())], names=["a", "b", "d", "linked"])
 
-    return wide.select("a", "b", "set_a", "set_b").mapInArrow(check, "a long, b long")
+    return wide.select("a", "b", "set_a", "set_b").mapInArrow(check, "a long, b long, d double, linked boolean")
+
+
+def settle(frame, percent: int = PERCENT):
+    """Links that join different components among one bucket's members, or between two blocks of them.
+
+    Jaccard distance is a metric, so two members whose distances to the pivot differ by more than a link allows
+    need no comparison; nor do members that a link has joined meanwhile, or whose sizes rule a link out.
+    """
+    import numpy as np
+    import pandas as pd
+
+    frame = frame.sort_values(["d", "rep"])
+    reps, n, away, comp, block = (frame[c].to_numpy() for c in ("rep", "n", "d", "comp", "block"))
+    two = frame["left"].iloc[0] != frame["right"].iloc[0]
+    sets = [np.frombuffer(x, dtype=np.uint64) for x in frame["set"]]
+    top: dict[int, int] = {}
+
+    def find(i: int) -> int:
+        while top.setdefault(i, i) != i:
+            top[i] = top[top[i]]
+            i = top[i]
+        return i
+
+    reach = 1 - percent / 100 + 1e-9
+    ends = np.searchsorted(away, away + reach, side="right")
+    out = []
+    for i in range(len(reps)):
+        j = np.arange(i + 1, ends[i])
+        near = 100 * np.minimum(n[j], n[i]) >= percent * np.maximum(n[j], n[i])
+        if two:
+            near &= block[j] != block[i]
+        for j in j[near & (comp[j] != comp[i])].tolist():
+            p, q = find(int(comp[i])), find(int(comp[j]))
+            if p == q:
+                continue
+            both = overlap(sets[i], sets[j])
+            if 100 * both >= percent * (len(sets[i]) + len(sets[j]) - both):
+                top[max(p, q)] = min(p, q)
+                out.append((int(reps[i]), int(reps[j])))
+    return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
 
 
 def link_classes(classes: DataFrame, docs: DataFrame, id_col: str, text: str, width: int, percent: int) -> DataFrame:
     """Components (node, comp) of the classes (rep, n, bands) that have a link."""
-    spark = classes.sparkSession
     buckets = classes.select("rep", "n", F.explode("bands").alias("key"))
-    pivots = buckets.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("p"), F.count("*").alias("m")).where("m > 1").select("key", "p")
-    # the pivot's own row stays out: after the first round all its pairs are done
-    members = common.staged(buckets.join(pivots, "key").where("rep <> p.rep").select("key", "rep", "n", F.col("p.rep").alias("pivot"), F.col("p.n").alias("pivot_n")), "minhash-members")
-    near = f"100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)"
-    needed = members.select("rep").union(members.select("pivot")).distinct()
+    pivots = buckets.groupBy("key").agg(F.min("rep").alias("pivot"), F.count("*").alias("m")).where("m > 1")
+    members = common.staged(buckets.join(pivots, "key").select("key", "rep", "n", "pivot", "m"), "minhash-members")
+    needed = members.select("rep").distinct()
 
     def to_sets():
         return lambda texts: ([shingle_set(t, width).tobytes() for t in texts],)
 
     source = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text).alias("body")).join(needed, "rep")
     sets = common.staged(common.extend_rows(source, [("set", T.BinaryType())], to_sets, ["body"]).drop("body"), "minhash-sets")
-    links = common.staged(verified(members.where(near).select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct(), sets, percent), "minhash-links")
-    members = members.select("key", "rep", "n")
-    while True:
-        comps = common.staged(connected(links), "minhash-comps")
-        held = members.join(comps.select(F.col("node").alias("rep"), "comp"), "rep", "left").select("key", "rep", "n", F.coalesce("comp", "rep").alias("comp"))
-        per = held.groupBy("key", "comp").agg(F.count("*").alias("m"), F.min(F.struct("rep", "n", "comp")).alias("p"))
-        open_keys = per.groupBy("key").agg(F.count("*").alias("parts"), F.sum("m").alias("all"), F.sum(F.col("m") * F.col("m")).alias("same"), F.min("p").alias("p")).where("parts > 1")
-        open_keys = common.staged(open_keys, "minhash-open")
-        pairs, rows = open_keys.agg(F.sum((F.col("all") * F.col("all") - F.col("same")) / 2), F.sum("all")).first()
-        if not pairs:
-            return comps
-        members = common.staged(held.join(open_keys.select("key", "p"), "key"), "minhash-members")
-        if pairs <= max(FEW_PAIRS, 4 * rows):
-            other = members.select("key", F.col("rep").alias("b"), F.col("n").alias("pivot_n"), F.col("comp").alias("other"))
-            todo = members.join(other, "key").where("rep < b AND comp <> other").where(near).select(F.col("rep").alias("a"), "b").distinct()
-            links = common.staged(links.union(verified(todo, sets, percent)), "minhash-links")
-            return common.staged(connected(links), "minhash-comps")
-        todo = members.where("rep <> p.rep AND comp <> p.comp").withColumn("pivot_n", F.col("p.n")).where(near).select(F.col("p.rep").alias("a"), F.col("rep").alias("b")).distinct()
-        links = common.staged(links.union(verified(todo, sets, percent)), "minhash-links")
-        members = common.staged(members.where("rep <> p.rep").select("key", "rep", "n"), "minhash-members")
+    pairs = members.where("rep <> pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
+    stars = common.staged(scored(pairs, sets, percent), "minhash-stars")
+    links = stars.where("linked").select("a", "b")
+    comps = common.staged(connected(links), "minhash-comps")
+    held = members.join(stars.select(F.col("a").alias("pivot"), F.col("b").alias("rep"), "d"), ["pivot", "rep"], "left").join(comps.select(F.col("node").alias("rep"), "comp"), "rep", "left")
+    held = common.staged(held.select("key", "rep", "n", "m", F.expr("if(rep = pivot, 0D, d)").alias("d"), F.coalesce("comp", "rep").alias("comp")), "minhash-held")
+    split = held.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key")
+    still = held.join(split, "key")
+    # a member of a small bucket stays only if one of another component is near enough in distance to the pivot
+    reach = f"{1 - percent / 100 + 1e-9}D"
+    near = f"OVER (PARTITION BY key ORDER BY d RANGE BETWEEN {reach} PRECEDING AND {reach} FOLLOWING)"
+    small = still.where(f"m <= {SMALL}").withColumn("low", F.expr(f"min(comp) {near}")).withColumn("high", F.expr(f"max(comp) {near}")).where("low <> high").drop("low", "high")
+    still = common.staged(small.unionByName(still.where(f"m > {SMALL}")), "minhash-open")
+    # of buckets with the same members one is enough
+    alike = still.groupBy("key").agg(F.sum(F.expr("cast(xxhash64(rep) as decimal(38,0))")).alias("mark"), F.count("*").alias("left_m"))
+    once = alike.groupBy("mark", "left_m").agg(F.min("key").alias("key"))
+    parted = still.join(once, "key").withColumn("blocks", F.expr(f"cast(ceil(left_m / {BLOCK}D) as int)")).withColumn("block", F.expr("cast(pmod(xxhash64(rep, 3), blocks) as int)"))
+    dealt = parted.withColumn("other", F.expr("explode(sequence(0, blocks - 1))")).select("key", "rep", "n", "d", "comp", "block", F.least("block", "other").alias("left"), F.greatest("block", "other").alias("right"))
+    settled = dealt.join(sets, "rep").groupBy("key", "left", "right").applyInPandas(lambda frame: settle(frame, percent), "a long, b long")
+    return common.staged(connected(links.union(settled)), "minhash-comps")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = WIDTH, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
