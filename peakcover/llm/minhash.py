@@ -183,7 +183,7 @@ def link_classes(classes: DataFrame, docs: DataFrame, id_col: str, text: str, wi
     def to_sets():
         return lambda texts: ([shingle_set(t, width).tobytes() for t in texts],)
 
-    source = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text).alias("body")).join(needed, "rep")
+    source = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text).alias("body")).join(needed.hint("merge"), "rep")  # grows with the corpus: never broadcast
     sets = common.staged(common.extend_rows(source, [("set", T.BinaryType())], to_sets, ["body"]).drop("body"), "minhash-sets")
     pairs = members.where("rep <> pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
     stars = common.staged(scored(pairs, sets, percent), "minhash-stars")
@@ -224,7 +224,7 @@ def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """The rows of ``docs`` that are kept, with their own columns; of rows with one id all stay or go."""
     id_col = options.get("id_col", "doc_id")
     gone = near_duplicates(docs, **options).where("NOT kept").select(F.col("doc_id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    return docs.join(gone.hint("merge"), id_col, "left_anti").select(*docs.columns)  # grows with the corpus
 
 
 def op3_minhash(spark, sf_dir: str) -> DataFrame:
