@@ -27,9 +27,9 @@ def to_dual(points: DataFrame, radius: float, coords: list[str] | None = None, p
 
 
 def shifted_grids(side: float, delta: float, dim: int, mode: str = "thin") -> list[tuple[int, tuple[float, ...]]]:
-    """(grid, shift vector): with ``paper`` steps of delta/sqrt(dim) an axis, with ``thin`` half as many, evenly spaced."""
+    """(grid, shift vector): with ``paper`` steps of delta/sqrt(dim) an axis, with ``thin`` half as many, evenly spaced, with ``one`` none."""
     per = side * math.sqrt(dim) / delta
-    count = max(1, math.ceil(round(per if mode == "paper" else per / 2, 9)))
+    count = 1 if mode == "one" else max(1, math.ceil(round(per if mode == "paper" else per / 2, 9)))
     return list(enumerate(tuple(side * z / count for z in v) for v in itertools.product(range(count), repeat=dim)))
 
 
@@ -51,14 +51,8 @@ def ball_cells(balls: DataFrame, grids: list, side: float, dim: int) -> DataFram
 
 
 def uniform(seed: int, g: Column, k: list[Column], j: Column, salt: int = 0) -> Column:
-    """A number in [0, 1) that depends on its keys alone; integer arithmetic that any SQL engine repeats."""
-    p = MODULUS
-    h = (F.lit(seed) * 48271 + g + 1 + salt * 7919) % p
-    for i, c in enumerate(k):
-        h = (h * 48271 + c + 1000003 * (i + 1)) % p if i == 0 else (h * h + 48271 * h + c + 1000003 * (i + 1)) % p
-    h = (h * h + 69621 * h + j + 7) % p
-    h = (h * h + 48271 * h + 11) % p
-    return ((h * 69621) % p) / F.lit(float(p))
+    """A number in [0, 1) that depends on its keys alone, whichever task asks."""
+    return F.pmod(F.xxhash64(F.lit(seed), g, *k, j, F.lit(salt)), F.lit(MODULUS)) / F.lit(float(MODULUS))
 
 
 def sphere_samples(cells: DataFrame, t: int, side: float, dim: int, sampler: str = "equispaced", seed: int = 0) -> DataFrame:

@@ -141,3 +141,16 @@ def static_ball(points: DataFrame, radius: float, eps: float = 0.4, dim: int = 2
     depths = colour_depth(balls, p, color) if color else pruned_depth(balls, p) if prune else sample_depth(balls, p)
     best = true_depth(deepest(depths, p, k), balls, p, color=color)
     return best.withColumns({f"q{i}": F.col(f"q{i}") * radius for i in range(p.dim)})
+
+
+def own_cell_depth(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
+    """Sample depths in the cells that hold a point, for dimensions where a ball meets too many cells to list.
+
+    Samples and balls meet by the unit cells of their first two coordinates.
+    """
+    grids = G.with_grids(balls.select(*(f"c{i}" for i in range(p.dim))), p.grids)
+    cells = grids.withColumns({f"k{i}": F.floor((F.col(f"c{i}") - F.col(f"s{i}")) / p.side).cast("long") for i in range(p.dim)}).select(*p.cell, *(f"s{i}" for i in range(p.dim))).distinct()
+    samples = G.sphere_samples(cells, p.samples, p.side, p.dim, p.sampler, p.seed).select(*p.cell, "j", *(f"q{i}" for i in range(p.dim)))
+    met = G.within_join(samples, balls.select(*(f"c{i}" for i in range(p.dim)), weight), 1.0, ("q0", "q1"), ("c0", "c1"))
+    away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
+    return met.where(away <= 1 + G.TOL).groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))

@@ -343,3 +343,335 @@ def ball_colored_ordered(spark, d):
 def depth_at_points(spark, d):
     points = V.part_pts(spark, d)
     return G.depth_at(points.select(F.col("id").alias("q_id"), "x", "y"), points, RADIUS).select("q_id", "depth")
+
+
+# -- coloured disks --------------------------------------------------------------------------------------------
+
+from ..operators import colored_disk, union_arcs  # noqa: E402
+
+COLOURS_SQL = disk_sql(S["part_pts"], RADIUS, "count(DISTINCT p.color)")
+KINDS_SQL = disk_sql(S["part_pts"], RADIUS, "count(DISTINCT p.kind)")
+
+
+def depth_only(df):
+    return df.select(F.col("depth").cast("long").alias("depth"))
+
+
+@query(COLOURS_SQL)
+def colored_circles(spark, d):
+    return depth_only(union_arcs.coloured_by_circles(V.part_pts(spark, d), RADIUS))
+
+
+@query(COLOURS_SQL)
+def colored_arc_sweep(spark, d):
+    return depth_only(union_arcs.coloured_arc_sweep(V.part_pts(spark, d), RADIUS))
+
+
+@query(KINDS_SQL)
+def colored_arc_sweep_kinds(spark, d):
+    return depth_only(union_arcs.coloured_arc_sweep(V.part_pts(spark, d), RADIUS, "kind"))
+
+
+@query(COLOURS_SQL)
+def colored_crossings(spark, d):
+    return depth_only(union_arcs.coloured_by_crossings(V.part_pts(spark, d), RADIUS))
+
+
+for _engine in ("sweep", "slab", "trapezoid"):
+    named(f"colored_{_engine}", lambda spark, d, e=_engine: depth_only(colored_disk.output_sensitive(V.part_pts(spark, d), RADIUS, engine=e)), COLOURS_SQL)
+
+
+@query(COLOURS_SQL)
+def colored_paper_grids(spark, d):
+    return depth_only(colored_disk.output_sensitive(V.part_pts(spark, d), RADIUS, mode="paper"))
+
+
+@query(disk_sql(S["event_pts"], 120, "count(DISTINCT p.color)").replace("SELECT DISTINCT x, y FROM c)", "SELECT x, y FROM c)"))
+def colored_trajectories(spark, d):
+    return depth_only(colored_disk.output_sensitive(V.event_pts(spark, d), 120))
+
+
+@query(f"SELECT 'exact' AS branch, depth FROM ({COLOURS_SQL})")
+def colored_sampled_exact_branch(spark, d):
+    return colored_disk.sampled(V.part_pts(spark, d), RADIUS, 0.5, branch="exact").select("branch", "depth")
+
+
+@query("SELECT 'sample' AS branch, true AS within, true AS above_kept")
+def colored_sampled_sample_branch(spark, d):
+    """The sampled branch keeps (1 - eps) of the optimum, and never reports less than what it kept."""
+    points = V.event_pts(spark, d)
+    best = colored_disk.output_sensitive(points, 120).first()["depth"]
+    return colored_disk.sampled(points, 120, 0.5, 1.0, branch="sample").select("branch", (F.col("depth") >= 0.5 * best).alias("within"), (F.col("depth") >= F.col("depth_kept")).alias("above_kept"))
+
+
+UNIT_GRIDS = ", ".join(f"({g}, {s[0]!r}::DOUBLE, {s[1]!r}::DOUBLE)" for g, s in G.shifted_grids(1.0, 0.25, 2))
+CORNERS_SQL = f"""WITH b AS (SELECT DISTINCT CAST(x AS DOUBLE) / {RADIUS} AS c0, CAST(y AS DOUBLE) / {RADIUS} AS c1, color FROM ({S['part_pts']})),
+    r AS (SELECT * FROM b, (VALUES {UNIT_GRIDS}) AS t(g, s0, s1)),
+    k AS (SELECT *, unnest(range(CAST(floor(c0 - s0 - 1) AS BIGINT), CAST(floor(c0 - s0 + 1) AS BIGINT) + 2)) AS k0 FROM r),
+    l AS (SELECT *, unnest(range(CAST(floor(c1 - s1 - 1) AS BIGINT), CAST(floor(c1 - s1 + 1) AS BIGINT) + 2)) AS k1 FROM k)
+    SELECT CAST(g AS INTEGER) AS g, CAST(max(n) AS BIGINT) AS best FROM (SELECT g, k0, k1, count(DISTINCT color) AS n FROM l WHERE pow(s0 + k0 - c0, 2) + pow(s1 + k1 - c1, 2) <= 1 + 1e-9 GROUP BY g, k0, k1) GROUP BY g"""
+
+
+@query(CORNERS_SQL)
+def corner_estimate(spark, d):
+    return colored_disk.corner_depth(V.part_pts(spark, d), RADIUS).groupBy("g").agg(F.max("depth").alias("best"))
+
+
+FILTER_SQL = CORNERS_SQL.split("SELECT CAST(g AS INTEGER)")[0] + """, m AS (SELECT DISTINCT g, k0 - u AS k0, k1 - v AS k1, c0, c1, color FROM l, (VALUES (0, 0), (0, 1), (1, 0), (1, 1)) AS t(u, v) WHERE pow(s0 + k0 - c0, 2) + pow(s1 + k1 - c1, 2) <= 1 + 1e-9 AND k0 - u BETWEEN floor(c0 - s0 - 1) AND floor(c0 - s0 + 1) AND k1 - v BETWEEN floor(c1 - s1 - 1) AND floor(c1 - s1 + 1))
+    SELECT CAST(g AS INTEGER) AS g, count(*) AS disks, CAST(max(n) AS BIGINT) AS most_colors FROM (SELECT g, k0, k1, count(DISTINCT color) OVER (PARTITION BY g, k0, k1) AS n FROM m) GROUP BY g"""
+
+
+@query(FILTER_SQL)
+def colored_corner_filter(spark, d):
+    disks = colored_disk.corner_disks(V.part_pts(spark, d), RADIUS)
+    per = disks.groupBy("g").agg(F.count("*").alias("disks"))
+    return per.join(colored_disk.cell_colours(disks).groupBy("g").agg(F.max("colors").alias("most_colors")), "g")
+
+
+ARCS_SQL = f"""WITH d AS MATERIALIZED (SELECT CAST(x AS DOUBLE) AS x, CAST(y AS DOUBLE) AS y, color, min(id) AS id FROM ({S['part_pts']}) GROUP BY 1, 2, 3),
+    n AS (SELECT a.id, atan2(b.y - a.y, b.x - a.x) AS mid, acos(least(1.0, sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) / {2 * RADIUS})) AS half FROM d AS a JOIN d AS b ON a.color = b.color AND a.id <> b.id AND (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) <= {4 * RADIUS * RADIUS}),
+    s AS (SELECT id, ((mid - half) + 4 * pi()) % (2 * pi()) AS lo, half FROM n),
+    t AS (SELECT id, lo, least(lo + 2 * half, 2 * pi()) AS hi FROM s UNION ALL SELECT id, 0.0, lo + 2 * half - 2 * pi() FROM s WHERE lo + 2 * half > 2 * pi() UNION ALL SELECT id, 2 * pi(), 2 * pi() FROM d),
+    w AS (SELECT id, lo, coalesce(max(hi) OVER (PARTITION BY id ORDER BY lo, hi ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0) AS reach FROM t)
+    SELECT color, count(*) AS arcs FROM w JOIN d USING (id) WHERE lo - reach > 1e-9 GROUP BY color"""
+
+
+@query(ARCS_SQL)
+def union_arc_count(spark, d):
+    return union_arcs.union_arcs(union_arcs.disks_of(V.part_pts(spark, d)), RADIUS).groupBy(F.col("hue").alias("color")).agg(F.count("*").alias("arcs"))
+
+
+# -- updates and streams ---------------------------------------------------------------------------------------
+
+from ..functions import measures  # noqa: E402
+from ..operators import dynamic, sampling  # noqa: E402
+from ..streaming import ball_stream  # noqa: E402
+
+EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES, EVERY = 120, 0.45, 8, 500
+LOG_SQL = S["update_log"].replace("ts, value, 1 AS sign", f"(epoch_us(ts) - epoch_us(TIMESTAMP '{V.FIRST_EVENT_DAY}')) / 60000000.0 AS x, value AS y, 1 AS sign").replace("ts, value, -1", f"(epoch_us(ts) - epoch_us(TIMESTAMP '{V.FIRST_EVENT_DAY}')) / 60000000.0, value, -1")
+event_plan = ball.plan(EVENT_EPS, samples=EVENT_SAMPLES)
+
+
+@query()
+def dynamic_epochs(spark, d):
+    return dynamic.assign_epochs(V.update_log(spark, d))
+
+
+MID = f"SELECT CAST(x AS DOUBLE) AS x, CAST(y AS DOUBLE) AS y, sign AS w FROM ({LOG_SQL}) WHERE round <= (SELECT count(*) FROM events)"
+
+
+@query(f"SELECT g, max(depth) AS recorded, count(*) AS samples_hit FROM ({sampled_sql(MID, EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES)}) WHERE depth <> 0 GROUP BY g")
+def dynamic_final_depth(spark, d):
+    """Sample depths after half of the rounds."""
+    log = V.update_log(spark, d)
+    half = V.table(spark, d, "events").count()
+    return best_per_grid(dynamic.depth_after(log, half, EVENT_RADIUS, event_plan))
+
+
+STANDING = f"SELECT r.round AS color, i.x, i.y FROM (SELECT round FROM ({LOG_SQL}) WHERE round % {EVERY} = 0) AS r JOIN (SELECT id, any_value(x) AS x, any_value(y) AS y, min(round) FILTER (sign = 1) AS born, max(round) FILTER (sign = -1) AS died FROM ({LOG_SQL}) GROUP BY id) AS i ON i.born <= r.round AND i.died > r.round"
+ROUNDS_SQL = f"SELECT r.round, coalesce(depth, 0) AS depth FROM (SELECT CAST(round AS BIGINT) AS round FROM ({LOG_SQL}) WHERE round % {EVERY} = 0) AS r LEFT JOIN (SELECT color, max(depth) AS depth FROM ({sampled_sql(STANDING, EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES, 'count(*)').replace('GROUP BY g, k0, k1, j', 'GROUP BY g, k0, k1, j, color').replace('AS j, CAST', 'AS j, color, CAST')}) GROUP BY color) ON color = r.round"
+
+
+@query(ROUNDS_SQL)
+def dynamic_round_best(spark, d):
+    """The answer after every round, shown for every 500th."""
+    return dynamic.round_best(V.update_log(spark, d), EVENT_RADIUS, event_plan).where(f"round % {EVERY} = 0").select("round", "depth")
+
+
+@query(ROUNDS_SQL)
+def dynamic_recompute(spark, d):
+    log = V.update_log(spark, d)
+    rounds = range(EVERY, 2 * V.table(spark, d, "events").count() + 1, EVERY)
+    return dynamic.recompute(log, list(rounds), EVENT_RADIUS, event_plan)
+
+
+@query()
+def dynamic_replay_epochs(spark, d):
+    return dynamic.replay(V.update_log(spark, d), EVENT_RADIUS, event_plan).groupBy("epoch").agg(F.count("*").alias("rounds"), F.max("depth").alias("depth"))
+
+
+@query(f"SELECT g, max(depth) AS recorded, count(*) AS samples_hit FROM ({sampled_sql(MID, EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES)}) WHERE depth <> 0 GROUP BY g")
+def stream_final_depth(spark, d):
+    log = V.update_log(spark, d)
+    half = V.table(spark, d, "events").count()
+    return best_per_grid(ball_stream.replayed(log.where(F.col("round") <= half), EVENT_RADIUS, event_plan))
+
+
+def timed_events(spark, d, color):
+    return V.table(spark, d, "events").select(F.col("ts").cast("timestamp").alias("ts"), F.col(color).alias("color"))
+
+
+@query("SELECT epoch_us(w) AS start_us, event_type AS color, count(*) AS n FROM (SELECT event_type, unnest(generate_series(time_bucket(INTERVAL 12 HOURS, ts) - INTERVAL 36 HOURS, time_bucket(INTERVAL 12 HOURS, ts), INTERVAL 12 HOURS)) AS w FROM events) GROUP BY 1, 2")
+def hotspot_sliding(spark, d):
+    return ball_stream.sliding_hotspots(timed_events(spark, d, "event_type")).select(F.unix_micros("start").alias("start_us"), "color", "n")
+
+
+@query("WITH o AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOURS THEN 0 ELSE 1 END AS fresh FROM events), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM o) SELECT user_id AS color, epoch_us(min(ts)) AS start_us, count(*) AS n FROM s GROUP BY user_id, k")
+def event_sessions(spark, d):
+    return ball_stream.sessions(timed_events(spark, d, "user_id")).select("color", F.unix_micros("start").alias("start_us"), "n")
+
+
+@query("SELECT r_name, n_name, count(*) AS customers, CAST(sum(CAST(round(c_acctbal) AS BIGINT)) AS BIGINT) AS x FROM customer JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)")
+def hotspot_rollup(spark, d):
+    """Customers rolled up from nations to regions to all."""
+    names = V.table(spark, d, "nation").join(F.broadcast(V.table(spark, d, "region")), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_nationkey").alias("color"), "n_name", "r_name")
+    return V.cust_pts(spark, d).join(F.broadcast(names), "color").rollup("r_name", "n_name").agg(F.count("*").alias("customers"), F.sum("x").alias("x"))
+
+
+@query(f"SELECT q.r AS round, (SELECT b.depth FROM ({ROUNDS_SQL}) AS b WHERE b.round <= q.r ORDER BY b.round DESC LIMIT 1) AS depth FROM range(777, (SELECT 2 * count(*) FROM events), 777) AS q(r) WHERE q.r >= {EVERY}")
+def asof_best(spark, d):
+    answers = dynamic_round_best(spark, d)
+    top = 2 * V.table(spark, d, "events").count()
+    asked = spark.range(777, top, 777).select(F.col("id").alias("round")).where(f"round >= {EVERY}")
+    return ball_stream.as_of(answers, asked).select("round", F.col("depth").cast("long").alias("depth"))
+
+
+# -- other dimensions, samplers and measures -------------------------------------------------------------------
+
+
+@query("WITH p AS (SELECT CAST(embedding[1] AS DOUBLE) / 0.05::DOUBLE AS x FROM embeddings), q AS (SELECT max(n) AS best FROM (SELECT a.x, count(*) AS n FROM p AS a JOIN p AS b ON b.x BETWEEN a.x AND a.x + 2 GROUP BY a.x)) SELECT true AS within, true AS below FROM q")
+def ball_static_d1(spark, d):
+    """In one dimension both sphere points are samples; the factor against the best interval, and never above it."""
+    points = V.emb_pts(spark, d, 1)
+    best = interval.best_interval(points.select(F.get("pos", F.lit(0)).alias("pos"), "w"), 0.1).select(F.col("weight").alias("best"))
+    found = ball.static_ball(points, 0.05, 0.4, 1, pos="pos", samples=2)
+    return found.crossJoin(F.broadcast(best)).select((F.col("depth") * 2 >= F.col("best")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
+
+
+@query("SELECT true AS within, true AS below")
+def ball_static_d3(spark, d):
+    """In space: no less than a third of the best ball around a point, and never above the true depth."""
+    points = V.emb_pts(spark, d, 3)
+    p = ball.plan(0.45, 3, samples=8, mode="one")
+    balls = G.to_dual(points, 0.3, None, "pos", 3)
+    best = ball.true_depth(ball.deepest(ball.sample_depth(balls, p), p), balls, p)
+    around = balls.select("id", F.col("c0").alias("a0"), F.col("c1").alias("a1"), F.col("c2").alias("a2"))
+    near = G.within_join(around, balls.select("c0", "c1", "c2"), 1.0, ("a0", "a1"), ("c0", "c1")).where("pow(a0 - c0, 2) + pow(a1 - c1, 2) + pow(a2 - c2, 2) <= 1")
+    top = near.groupBy("id").agg(F.count("*").alias("n")).agg(F.max("n").alias("top"))
+    return best.crossJoin(F.broadcast(top)).select((F.col("depth") * 3 >= F.col("top")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
+
+
+def high_ball(spark, d, dim: int, radius: float):
+    """Many dimensions: samples of the cells that hold points, in one grid."""
+    balls = G.to_dual(V.emb_pts(spark, d, dim), radius, None, "pos", dim)
+    p = ball.plan(0.45, dim, samples=4, mode="one")
+    best = ball.deepest(ball.own_cell_depth(balls, p), p)
+    return ball.true_depth(best, balls, p).select((F.col("recorded") <= F.col("depth")).alias("below"))
+
+
+named("ball_static_d5", lambda spark, d: high_ball(spark, d, 5, 0.4), "SELECT true AS below")
+named("ball_static_d8", lambda spark, d: high_ball(spark, d, 8, 0.5), "SELECT true AS below")
+
+
+@query(f"SELECT CAST(0.317 * 0.9 AS DOUBLE) <= 1 AS within, true AS below FROM ({disk_sql(S['part_pts'], RADIUS)})")
+def ball_static_uniform(spark, d):
+    """Random samples: within the factor of the exact optimum, recorded never above the true depth."""
+    points = V.part_pts(spark, d)
+    best = exact_disk.exact_disk(points, RADIUS).select(F.col("depth").alias("best"))
+    found = ball.static_ball(points, RADIUS, EPS, samples=32, sampler="uniform", seed=3)
+    return found.crossJoin(F.broadcast(best)).select((F.col("depth") >= 0.317 * 0.9 * F.col("best")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
+
+
+@query("SELECT true AS within, true AS above_kept")
+def object_sample_ball(spark, d):
+    points = V.part_pts(spark, d)
+    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
+    return sampling.object_sample(points, RADIUS, 0.5, best, 1.0).select((F.col("depth") >= 0.5 * best).alias("within"), (F.col("depth") <= best).alias("above_kept"))
+
+
+@query("SELECT true AS within")
+def morton_sample_ball(spark, d):
+    points = V.part_pts(spark, d)
+    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
+    return sampling.morton_sample(points, RADIUS, 3).select((F.col("depth") >= 0.4 * best).alias("within"))
+
+
+PART_BALLS = f"SELECT id, CAST(x AS DOUBLE) / {RADIUS} AS c0, CAST(y AS DOUBLE) / {RADIUS} AS c1 FROM ({S['part_pts']})"
+_side = 2 * EPS / 2**0.5
+THIN_GRIDS = ", ".join(f"({g}, {s[0]!r}::DOUBLE, {s[1]!r}::DOUBLE)" for g, s in G.shifted_grids(_side, EPS**2, 2))
+
+
+@query(f"SELECT id, CAST(sum(CASE WHEN pow(c0 - s0 - (floor((c0 - s0) / {_side!r}::DOUBLE) + 0.5) * {_side!r}::DOUBLE, 2) + pow(c1 - s1 - (floor((c1 - s1) / {_side!r}::DOUBLE) + 0.5) * {_side!r}::DOUBLE, 2) <= {EPS**4!r}::DOUBLE * (1 + 1e-9) THEN 1 ELSE 0 END) AS BIGINT) AS n FROM ({PART_BALLS}), (VALUES {THIN_GRIDS}) AS t(g, s0, s1) GROUP BY id")
+def grid_cells_near(spark, d):
+    return measures.near_coverage(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
+
+
+CELLS_SQL = PART_SAMPLES[: PART_SAMPLES.index("    q AS (")].rstrip().rstrip(",")
+
+
+@query(CELLS_SQL + f" SELECT CAST(9 AS BIGINT) AS grids, CAST(max(n) AS BIGINT) AS most_cells, CAST({(int(-(-2 // _side)) + 1) ** 2} AS BIGINT) AS bound, CAST(sum(n) AS BIGINT) AS cells FROM (SELECT id, g, count(*) AS n FROM m GROUP BY id, g)")
+def touch_counts(spark, d):
+    return measures.touch_counts(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
+
+
+@query(CELLS_SQL + f" SELECT CAST(coalesce(g, -1) AS INTEGER) AS g, count(*) AS cells, CAST(count(*) * {SAMPLES} AS BIGINT) AS samples FROM (SELECT DISTINCT g, k0, k1 FROM m) GROUP BY ROLLUP (g)")
+def method_stats(spark, d):
+    return measures.method_stats(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
+
+
+@query(f"SELECT g, CAST(sum(depth) AS BIGINT) AS by_samples, CAST(sum(depth) AS BIGINT) AS by_balls FROM ({PART_SAMPLES}) GROUP BY g")
+def game_identity(spark, d):
+    return measures.game_check(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
+
+
+@query()
+def cap_fraction_table(spark, d):
+    rows = [(e, k, G.cap_fraction(e, k)) for e in (0.1, 0.25, 0.4) for k in (2, 3, 5)]
+    return spark.createDataFrame(rows, "eps double, dim int, factor double")
+
+
+@query("SELECT true AS linear, true AS by_optimum")
+def pair_crossings_bound(spark, d):
+    """Two colours' boundaries cross at most 6 times the disks of both; in all at most 24 n times the optimum."""
+    points = V.part_pts(spark, d)
+    disks = union_arcs.disks_of(points)
+    pairs = measures.pair_crossings(union_arcs.arc_crossings(points, RADIUS), disks)
+    best = colored_disk.output_sensitive(points, RADIUS).first()["depth"]
+    n = disks.count()
+    return pairs.agg(F.bool_and(F.col("crossings") <= 6 * F.col("disks")).alias("linear"), (F.sum("crossings") <= 24 * n * best).alias("by_optimum"))
+
+
+@query(f"SELECT g, most_colors <= 4 * (SELECT depth FROM ({COLOURS_SQL})) AS within FROM ({FILTER_SQL})")
+def cell_color_bound(spark, d):
+    """No filtered cell has more than four times the optimum's colours."""
+    points = V.part_pts(spark, d)
+    best = colored_disk.output_sensitive(points, RADIUS).select(F.col("depth").alias("best"))
+    per = colored_disk.cell_colours(colored_disk.corner_disks(points, RADIUS)).groupBy("g").agg(F.max("colors").alias("n"))
+    return per.crossJoin(F.broadcast(best)).select("g", (F.col("n") <= 4 * F.col("best")).alias("within"))
+
+
+@query()
+def sampled_size(spark, d):
+    """(lam, expected, kept): disks of the kept colours against lam n."""
+    points = V.event_pts(spark, d)
+    n = points.count()
+    rows = None
+    for lam in (0.25, 0.5, 0.75):
+        one = colored_disk.keep_colours(points, lam).agg(F.lit(lam).alias("lam"), F.lit(lam * n).alias("expected"), F.count("*").alias("kept"))
+        rows = one if rows is None else rows.union(one)
+    return rows
+
+
+@query()
+def epoch_work(spark, d):
+    return dynamic.epoch_stats(V.update_log(spark, d), EVENT_RADIUS, event_plan)
+
+
+@query()
+def eps_sweep(spark, d):
+    """For each eps: the sure factor of even samples, recorded and true depth, and the exact optimum."""
+    points = V.part_pts(spark, d)
+    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
+    rows = []
+    for eps in (0.2, 0.3, 0.4):
+        p = ball.plan(eps, samples=SAMPLES)
+        r = ball.static_ball(points, RADIUS, eps, samples=SAMPLES).first()
+        rows.append((eps, len(p.grids), p.factor, int(r["recorded"]), int(r["depth"]), int(best), r["depth"] / best, r["depth"] >= p.factor * best))
+    return spark.createDataFrame(rows, "eps double, grids int, factor double, recorded long, depth long, optimum long, ratio double, within boolean")
+
+
+@query("SELECT * FROM (VALUES (CAST(25 AS BIGINT), CAST(6 AS BIGINT), CAST(5 AS BIGINT), CAST(100 AS BIGINT), CAST(50 AS BIGINT))) AS t(n, m, oracle_calls, interval_points, enclosing_points)")
+def reduction_sizes(spark, d):
+    a = V.sequence_of(spark, d, "customer")
+    s = convolution.reduction_stats(a.count(), 6)
+    return a.agg(F.count("*").alias("n"), *(F.lit(v).cast("long").alias(k) for k, v in (("m", 6), *s.items())))

@@ -24,7 +24,7 @@ SQL = {
     "doc_signed": "SELECT CAST(n_chars AS BIGINT) AS pos, CAST(quality - 2 * toxic AS BIGINT) AS w FROM documents JOIN labels USING (doc_id)",
     "seq_a": "SELECT CAST(n_nationkey AS INTEGER) AS i, CAST(coalesce(sum(CAST(round(100 * c_acctbal) AS BIGINT)), 0) AS BIGINT) AS v FROM nation LEFT JOIN customer ON c_nationkey = n_nationkey GROUP BY 1",
     "seq_b": "SELECT CAST(n_nationkey AS INTEGER) AS i, CAST(coalesce(sum(CAST(round(100 * s_acctbal) AS BIGINT)), 0) AS BIGINT) AS v FROM nation LEFT JOIN supplier ON s_nationkey = n_nationkey GROUP BY 1",
-    "update_log": f"SELECT row_number() OVER (ORDER BY at, op, id) AS round, * FROM (SELECT epoch_us(ts) AS at, 'insert' AS op, event_id AS id, ts, value, 1 AS sign FROM events UNION ALL SELECT epoch_us(ts) + {EVENT_LIFE_DAYS} * 86400000000, 'delete', event_id, ts, value, -1 FROM events)",
+    "update_log": f"SELECT row_number() OVER (ORDER BY t_us, op, id) AS round, * FROM (SELECT epoch_us(ts) AS t_us, 'insert' AS op, event_id AS id, ts, value, 1 AS sign FROM events UNION ALL SELECT epoch_us(ts) + {EVENT_LIFE_DAYS} * 86400000000, 'delete', event_id, ts, value, -1 FROM events)",
 }
 for _name in ("a", "b"):
     SQL[f"seq_{_name}_c"] = f"SELECT i, v - (SELECT CAST(round(avg(v)) AS BIGINT) FROM ({SQL[f'seq_{_name}']})) AS v FROM ({SQL[f'seq_{_name}']})"
