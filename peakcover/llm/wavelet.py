@@ -131,21 +131,25 @@ class WaveletMatrix:
 
 def dump_shard(keys: list, sizes: list[int], matrix: WaveletMatrix) -> bytes:
     import numpy as np
+    import zstandard
 
-    sections = [zlib.compress(json.dumps(keys).encode(), 1), zlib.compress(np.array(sizes, dtype="<u8").tobytes(), 1)] + [zlib.compress(p.tobytes(), 1) for p in matrix.planes]
+    pack = zstandard.ZstdCompressor(level=1).compress
+    sections = [pack(json.dumps(keys).encode()), pack(np.array(sizes, dtype="<u8").tobytes())] + [pack(p.tobytes()) for p in matrix.planes]
     head = json.dumps({"n": matrix.n, "zeros": matrix.zeros, "sections": [len(s) for s in sections]}).encode()
     return MAGIC + struct.pack("<I", len(head)) + head + b"".join(sections)
 
 
 def load_shard(raw: bytes) -> tuple[list, list[int], WaveletMatrix]:
     import numpy as np
+    import zstandard
 
     if raw[:8] != MAGIC:
         raise ValueError("not a wavelet shard")
+    unpack = zstandard.ZstdDecompressor().decompress
     size = struct.unpack_from("<I", raw, 8)[0]
     head, at, parts = json.loads(raw[12 : 12 + size]), 12 + size, []
     for n in head["sections"]:
-        parts.append(zlib.decompress(raw[at : at + n]))
+        parts.append(unpack(raw[at : at + n]))
         at += n
     matrix = WaveletMatrix(head["n"], [np.frombuffer(p, dtype=np.uint8) for p in parts[2:]], head["zeros"])
     return json.loads(parts[0]), np.frombuffer(parts[1], dtype="<u8").astype(int).tolist(), matrix
