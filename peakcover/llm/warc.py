@@ -29,7 +29,7 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 ARCHIVE_BYTES = 256 << 20
 MIN_PAYLOAD = 0
 CHUNK = 1 << 20
-READ = T.StructType.fromDDL("page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary")
+READ = T.StructType([T.StructField("page_id", T.LongType()), T.StructField("url", T.StringType()), T.StructField("record_type", T.StringType()), T.StructField("payload_bytes", T.LongType()), T.StructField("payload_digest", T.StringType()), T.StructField("refers_to", T.LongType()), T.StructField("payload", T.BinaryType())])
 
 
 def base32_sha1(raw: bytes) -> str:
