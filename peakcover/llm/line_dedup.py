@@ -1,10 +1,11 @@
 """Line dedup by content-defined line chunks, in DataFrame operations only.
 
-A rolling hash over the hashes of two neighbouring lines says where a chunk ends, so chunks realign after an
-insertion; a line of ``solo_bytes`` or more is a chunk by itself, and a chunk has ``most_lines`` lines at
-most.  A chunk's heads and tails of two or more lines count as well as the whole, so a passage is also found
-where its ends share a chunk with other text.  Such units that occur twice or more anywhere are compared byte
-by byte (grouped by their text); the first occurrence by (id, line) stays, the lines of the others go.
+A rolling hash over the hashes of two neighbouring lines starts a chunk where it is smaller than the rolling
+hashes before and after it, so chunks realign after an insertion and hold two lines at least; they hold
+``most_lines`` at most.  A chunk's heads and tails of two or more lines count as well as the whole, so a passage
+is also found where its ends share a chunk with other text, and so does every line of ``solo_bytes`` or more.
+Such units that occur twice or more anywhere are compared byte by byte (grouped by their text); the first
+occurrence by (id, line) stays, the lines of the others go.
 
 Only hashes move until a unit is known to repeat; the texts move once, to meet their documents' candidates.
 
@@ -21,7 +22,6 @@ from pyspark.sql import functions as F
 
 from . import common
 
-DIVISOR = 2
 SOLO_BYTES = 120
 MOST_LINES = 16
 UNIT_BYTES = 40
@@ -32,21 +32,22 @@ def let(name: str, value: str, body: str) -> str:
     return f"element_at(transform(array({value}), {name} -> {body}), 1)"
 
 
-def units_of(text: str = "body", divisor: int = DIVISOR, solo_bytes: int = SOLO_BYTES, most_lines: int = MOST_LINES, unit_bytes: int = UNIT_BYTES) -> str:
-    """SQL for a text's units: array of (h, i: first line from 0, n: lines)."""
-    cut = f"q.hs[i].solo OR q.hs[i - 1].solo OR pmod(xxhash64(if(i > 1, q.hs[i - 2].h, 0L), q.hs[i - 1].h), {divisor}) = 0"
-    starts = f"filter(sequence(0, size(q.hs) - 1), i -> i = 0 OR {cut})"
-    # where the rolling hash leaves more than most_lines lines, further starts are counted from the chunk's own
-    filled = f"flatten(transform(p.starts, (s, k) -> sequence(s, if(k + 1 < size(p.starts), p.starts[k + 1], size(p.hs)) - 1, {most_lines})))"
+def units_of(text: str = "body", solo_bytes: int = SOLO_BYTES, most_lines: int = MOST_LINES, unit_bytes: int = UNIT_BYTES) -> str:
+    """SQL for a text's units: array of (h, i: first line from 0, n: lines, b: bytes)."""
+    rolling = "transform(q.hs, (z, i) -> xxhash64(if(i > 0, q.hs[i - 1].h, 0L), z.h))"
+    starts = "filter(sequence(0, size(p.rs) - 1), i -> i = 0 OR (i > 1 AND i < size(p.rs) - 1 AND p.rs[i] < p.rs[i - 1] AND p.rs[i] < p.rs[i + 1]))"
+    # where no boundary comes for most_lines lines, further ones are counted from the chunk's own start
+    filled = f"flatten(transform(o.starts, (s, k) -> sequence(s, if(k + 1 < size(o.starts), o.starts[k + 1], size(o.hs)) - 1, {most_lines})))"
     unit = "named_struct('h', xxhash64(transform(slice(c.hs, {i} + 1, {n}), z -> z.h)), 'i', {i}, 'n', {n}, 'b', aggregate(slice(c.hs, {i} + 1, {n}), 0, (t, z) -> t + z.b))"
     heads = f"transform(sequence(2, w.n), j -> {unit.format(i='w.s', n='j')})"
     tails = f"transform(sequence(1, w.n - 2), j -> {unit.format(i='w.s + j', n='w.n - j')})"
-    one = f"array({unit.format(i='w.s', n='1')})"
-    of_chunk = f"CASE WHEN w.n > 2 THEN concat({heads}, {tails}) WHEN w.n = 2 THEN {heads} WHEN c.hs[w.s].solo THEN {one} ELSE slice({one}, 1, 0) END"
+    longs = f"transform(filter(sequence(w.s, w.s + w.n - 1), i -> c.hs[i].solo), i -> {unit.format(i='i', n='1')})"
+    of_chunk = f"CASE WHEN w.n > 2 THEN concat({heads}, {tails}, {longs}) WHEN w.n = 2 THEN concat({heads}, {longs}) ELSE {longs} END"
     chunks = "transform(c.at, (s, k) -> named_struct('s', s, 'n', if(k + 1 < size(c.at), c.at[k + 1], size(c.hs)) - s))"
     lines = f"transform(split({text}, '\\n', -1), l -> named_struct('h', xxhash64(l), 'solo', octet_length(l) >= {solo_bytes}, 'b', octet_length(trim(l))))"
-    found = let("q", f"named_struct('hs', {lines})", let("p", f"named_struct('hs', q.hs, 'starts', {starts})", let("c", f"named_struct('hs', p.hs, 'at', {filled})", f"flatten(transform({chunks}, w -> {of_chunk}))")))
-    return f"filter({found}, u -> u.b >= {unit_bytes})"
+    found = let("c", f"named_struct('hs', o.hs, 'at', {filled})", f"flatten(transform({chunks}, w -> {of_chunk}))")
+    found = let("p", f"named_struct('hs', q.hs, 'rs', {rolling})", let("o", f"named_struct('hs', p.hs, 'starts', {starts})", found))
+    return f"filter({let('q', f'named_struct({chr(39)}hs{chr(39)}, {lines})', found)}, u -> u.b >= {unit_bytes})"
 
 
 def kept_text(text: str, gone: str) -> str:

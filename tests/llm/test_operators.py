@@ -1,0 +1,392 @@
+import base64
+import collections
+import hashlib
+import io
+import random
+import re
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from peakcover.llm import common, decontaminate, line_dedup, minhash, packing, pseudonyms, toxicity, url_templates, vector_graph, warc, wavelet
+from peakcover.llm.components import connected
+
+DOCS = "doc_id long, text string, source string, n_words string, score string"
+
+
+def docs(spark, texts, start=0):
+    """Documents with extra columns whose names clash with added ones."""
+    return spark.createDataFrame([(i + start, t, "s", "x", "y") for i, t in enumerate(texts)], DOCS)
+
+
+def odd_docs(spark):
+    """Nulls, empty and very long texts, repeated rows, a null id."""
+    long = " ".join(f"w{i % 977}" for i in range(30_000))
+    rows = [(1, None, None, None, None), (2, "", "s", "x", "y"), (3, long, "s", "x", "y"), (4, "one two three", "s", "x", "y"), (4, "one two three", "s", "x", "y"), (None, "one two three", "s", "x", "y"), (5, " \n\t ", "s", "x", "y")]
+    return spark.createDataFrame(rows, DOCS)
+
+
+def ids_of(text):
+    from tokenizers import Tokenizer
+
+    return common.worker_cache("test", lambda: Tokenizer.from_file(common.bpe_paths()[0])).encode(text or "", add_special_tokens=False).ids
+
+
+TEXTS = ["Hello world, hello!", "", None, "naïve café – “quotes” … 日本語 <|endoftext|> 🙂", "x" * 4000 + " tail", "tabs\tand\nlines\r\n", " odd\u0085space​"]
+
+
+def test_encoder_equals_the_tokenizer(spark):
+    encode = common.token_encoder(*common.bpe_paths())
+    for t in TEXTS:
+        assert not t or encode(t) == ids_of(t)
+
+
+@pytest.mark.parametrize("window", [16, 64])
+def test_packing_holds_each_id_once(spark, window):
+    rng = random.Random(1)
+    texts = TEXTS + [" ".join(rng.choice("alpha beta gamma delta eps zeta".split()) for _ in range(rng.randrange(1, 90))) for _ in range(60)]
+    rows = packing.pack(docs(spark, texts).coalesce(2), window=window, shard_tokens=900, with_ids=True).collect()
+    per, seqs = collections.defaultdict(list), collections.defaultdict(list)
+    for r in rows:
+        per[r["doc_id"]].append(r)
+        seqs[r["sequence_id"]].append(r)
+        assert r["ids_crc32"] == zlib.crc32(bytes(r["ids"]))
+    for i, t in enumerate(texts):
+        want = ids_of(t) + [1]
+        pieces = sorted(per[i], key=lambda r: r["start"])
+        assert np.frombuffer(b"".join(bytes(p["ids"]) for p in pieces), "<u4").tolist() == want
+        assert all(p["doc_tokens"] == len(want) for p in pieces)
+    for s in seqs.values():
+        s.sort(key=lambda r: r["offset"])
+        total = sum(r["length"] for r in s)
+        assert [r["offset"] for r in s] == [sum(x["length"] for x in s[:k]) for k in range(len(s))]
+        assert total <= window and (total == window or total & (total - 1) == 0)
+    assert packing.padding_share(packing.pack(docs(spark, texts), window=window), window).first()["padding"] == 0
+
+
+def test_packing_prefers_lexical_neighbours():
+    items = [np.array(x, np.uint32) for x in ([1, 2, 3, 4] * 3, [9, 9, 8, 7], [1, 2, 3, 5], [7, 8, 9, 6])]
+    shard = packing.Shard(items)
+    shard.unused[0] = False
+    assert shard.best(0)[0] == 2
+    shard.unused[2] = False
+    assert 2 not in shard.best(0)
+
+
+def test_odd_rows_pack_and_encode(spark):
+    pieces = packing.pack(odd_docs(spark)).where("doc_id IS NULL").collect()
+    assert sum(r["length"] for r in pieces) == pieces[0]["doc_tokens"] == len(ids_of("one two three")) + 1
+    assert packing.pack(docs(spark, ["a"]).limit(0)).count() == 0
+    got = wavelet.read_shards(wavelet.write_shards(odd_docs(spark), common.fresh_path(spark, "w"))).collect()
+    assert len(got) == 7 and min(got, key=lambda r: r["start"])["doc_id"] is None
+    assert wavelet.read_shards(wavelet.write_shards(docs(spark, ["a"]).limit(0), common.fresh_path(spark, "w"))).count() == 0
+
+
+def test_wavelet_round_trip(spark):
+    order = list(range(len(TEXTS)))
+    random.Random(2).shuffle(order)
+    source = spark.createDataFrame([(i, TEXTS[i]) for i in order], "doc_id long, text string")
+    rows = wavelet.read_shards(wavelet.write_shards(source, common.fresh_path(spark, "w"), shard_tokens=50), with_ids=True).orderBy("doc_id").collect()
+    start = 0
+    for r, t in zip(rows, TEXTS):
+        want = ids_of(t) + [0]
+        assert (r["start"], r["n_tokens"]) == (start, len(want)) and np.frombuffer(bytes(r["ids"]), "<u4").tolist() == want
+        start += len(want)
+
+
+@pytest.mark.parametrize("n,levels", [(1, 1), (700, 5), (5000, 9)])
+def test_wavelet_queries(n, levels):
+    v = np.random.default_rng(n).integers(0, 1 << levels, n).astype(np.uint16)
+    m = wavelet.load_shard(wavelet.dump_shard(["k"], [n], wavelet.WaveletMatrix.build(v, levels)))[2]
+    assert (m.values() == v).all()
+    for i in range(0, n, max(1, n // 40)):
+        assert m.access(i) == v[i] and m.rank(int(v[i]), i) == (v[:i] == v[i]).sum()
+    for value in set(v[:5].tolist()):
+        places = np.flatnonzero(v == value)
+        assert [m.select(value, k) for k in range(min(4, len(places)))] == places[:4].tolist()
+        assert m.count(value, n // 4, n // 2) == (v[n // 4 : n // 2] == value).sum() and m.select(value, len(places)) == -1
+    assert m.count(1 << levels, 0, n) == 0
+
+
+def test_warc_round_trip(spark):
+    pages = spark.createDataFrame([(5, "http://a/", "<p>é</p>"), (3, "http://b/\r\nX: y", "<p>é</p>"), (9, None, None), (8, "u", ""), (7, "u", "z\r\n\r\n" * 50_000), (None, "n", "<p>é</p>")], "page_id long, url string, html string")
+    out = {r["page_id"]: r for r in warc.read_archives(warc.write_archives(pages, common.fresh_path(spark, "warc"))).collect()}
+    digest = lambda t: base64.b32encode(hashlib.sha1(t.encode()).digest()).decode()
+    assert [(out[i]["record_type"], out[i]["refers_to"]) for i in (3, 5, 8, 9, 7, None)] == [("response", None), ("revisit", 3), ("response", None), ("revisit", 8), ("response", None), ("revisit", 3)]
+    assert out[5]["payload_digest"] == digest("<p>é</p>") and out[5]["payload_bytes"] == len("<p>é</p>".encode()) and out[9]["payload_bytes"] == 0
+    assert bytes(out[7]["payload"]).decode() == "z\r\n\r\n" * 50_000 and out[9]["url"] is None
+    assert warc.read_archives(warc.write_archives(pages.limit(0), common.fresh_path(spark, "warc"))).count() == 0
+
+
+def test_warc_reader_checks_what_it_reads():
+    good = warc.record(1, "u", b"payload", None, False)
+    assert [len(list(warc.members(io.BytesIO(good * 3))))] == [3]
+    raw = zlib.decompress(good, 31)
+    for bad in (raw.replace(b"payload", b"pAyload"), raw[:-1], raw.replace(b"Content-Length: ", b"Content-Length: 1", 1)):
+        with pytest.raises(ValueError):
+            warc.parse(bad)
+    with pytest.raises(ValueError):
+        list(warc.members(io.BytesIO(good[:-12])))
+
+
+def word_sets(texts, width=5):
+    out = {}
+    for i, t in texts.items():
+        w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        out[i] = {tuple(w[k : k + width]) for k in range(len(w) - width + 1)} if len(w) >= width else ({tuple(w)} if w else set())
+    return out
+
+
+def brute_components(sets, percent=85):
+    top = {i: i for i in sets}
+
+    def find(i):
+        while top[i] != i:
+            i = top[i]
+        return i
+
+    for a in sets:
+        for b in sets:
+            if a < b and sets[a] and sets[b]:
+                both = len(sets[a] & sets[b])
+                if 100 * both >= percent * len(sets[a] | sets[b]):
+                    x, y = find(a), find(b)
+                    top[max(x, y)] = min(x, y)
+    return {i: find(i) for i in sets}
+
+
+def test_minhash_equals_brute_force(spark):
+    rng = random.Random(4)
+    texts = {}
+    for g in range(6):
+        base = [f"g{g}w{rng.randrange(400)}" for _ in range(rng.choice((30, 120, 300)))]
+        for _ in range(25):
+            copy = list(base)
+            for _ in range(rng.choice((0, 0, 1, 2, 4, 8, 20))):
+                copy[rng.randrange(len(copy))] = f"n{rng.randrange(10**6)}"
+            texts[len(texts)] = " ".join(copy)
+    texts |= {200: "", 201: None, 202: "a b", 203: "A  B", 204: "a b c"}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in minhash.near_duplicates(df).collect()}
+    sets = word_sets(texts)
+    assert {i: r["component_id"] for i, r in got.items()} == brute_components(sets)
+    assert {i: r["n_shingles"] for i, r in got.items()} == {i: len(s) for i, s in sets.items()}
+    assert all(r["kept"] == (r["doc_id"] == r["component_id"]) for r in got.values())
+
+
+def test_large_buckets_are_settled_by_blocks(spark, monkeypatch):
+    monkeypatch.setattr(minhash, "BLOCK", 7)
+    monkeypatch.setattr(minhash, "SMALL", 5)
+    test_minhash_equals_brute_force(spark)
+
+
+def test_minhash_odd_rows(spark):
+    rows = minhash.near_duplicates(odd_docs(spark)).collect()
+    assert len(rows) == 7 and [r["component_id"] for r in rows if r["doc_id"] is None] == [None] and all(r["kept"] for r in rows)
+    assert minhash.near_duplicates(docs(spark, ["a"]).limit(0)).count() == 0
+    assert minhash.drop_near_duplicates(odd_docs(spark)).count() == 7
+
+
+def test_components(spark):
+    rng = random.Random(0)
+    edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(1000, 1060)]
+    top = {}
+
+    def find(i):
+        while top.setdefault(i, i) != i:
+            i = top[i]
+        return i
+
+    for a, b in edges:
+        x, y = find(a), find(b)
+        top[max(x, y)] = min(x, y)
+    got = {r["node"]: r["comp"] for r in connected(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert all(got.get(i, i) == find(i) for i in top)
+
+
+def test_decontamination_forms_agree(spark):
+    rng = random.Random(3)
+    words = [f"w{i}" for i in range(60)]
+    items = [(i, " ".join(rng.choice(words) for _ in range(n))) for i, n in enumerate((0, 1, 5, 13, 14, 40))] + [(None, "only nulls here"), (3, None)]
+    texts = [" ".join(rng.choice(words) for _ in range(rng.randrange(60))) for _ in range(30)] + [f"pre {items[k][1].upper()}! post" for k in (2, 3, 4, 5)] + [None, "", "ONLY-nulls_here"]
+    d, b = docs(spark, texts), spark.createDataFrame(items, "item_id int, text string")
+    one = {r["doc_id"]: r for r in decontaminate.scan_documents(d, b).collect()}
+    two = {r["doc_id"]: r for r in decontaminate.scan_documents(d, b, broadcast_bytes=0).collect()}
+    windows = [(str(i) if i is not None else "null", w) for i, t in items for w in decontaminate.windows_of(decontaminate.words_of(t), 13)]
+    for i, t in enumerate(texts):
+        w = decontaminate.words_of(t)
+        hit, found = set(), set()
+        for item, q in windows:
+            for k in range(len(w) - len(q) + 1):
+                if tuple(w[k : k + len(q)]) == q:
+                    hit |= set(range(k, k + len(q)))
+                    found.add(item)
+        assert (one[i]["n_words"], one[i]["n_hit"], one[i]["item_ids"]) == (len(w), len(hit), sorted(found))
+        assert (two[i]["n_words"], two[i]["n_hit"], two[i]["item_ids"], two[i]["spans"]) == (len(w), len(hit), sorted(found), one[i]["spans"])
+    kept = decontaminate.drop_contaminated(d, b)
+    assert kept.columns == d.columns and 33 not in {r["doc_id"] for r in kept.collect()}
+    cut = {r["doc_id"]: r["text"] for r in decontaminate.cut_spans(d, b).collect()}
+    assert cut[33].startswith("pre ") and cut[33].endswith("! post") and "W" not in cut[33]
+    assert decontaminate.scan_documents(odd_docs(spark), b.limit(0)).agg(F.sum("n_hit")).first()[0] == 0
+
+
+def test_toxicity_learns_and_handles_odd_rows(spark):
+    rng = random.Random(5)
+    plain = [f"{a}{b}" for a in ("lor", "ips", "dol", "sit", "ame") for b in ("em", "um", "or", "at", "is", "ol")]
+    bad = ["horribleness", "wretchedfool", "despicabler"]
+    rows, labels = [], []
+    for i in range(600):
+        toxic = i % 3 == 0
+        words = [rng.choice(plain) for _ in range(40)]
+        for _ in range(4 if toxic else 0):
+            words[rng.randrange(40)] = rng.choice(bad)
+        rows.append((i, " ".join(words)))
+        labels.append((i, int(toxic)))
+    d, l = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int")
+    model = toxicity.fit(d, l)
+    out = toxicity.score(d, model).join(l, "doc_id").where(toxicity.held_out(F.col("doc_id"))).collect()
+    assert sum((r["score"] >= 0.5) == (r["toxic"] == 1) for r in out) >= 0.97 * len(out)
+    mis = spark.createDataFrame([(1, " ".join(plain[:20] + ["horriblenes", "wretchedfoool", "despicable", "horribleneses"]))], "doc_id long, text string")
+    clean = spark.createDataFrame([(1, " ".join(plain[:24]))], "doc_id long, text string")
+    assert toxicity.score(mis, model).first()["score"] > 5 * toxicity.score(clean, model).first()["score"]
+    odd = toxicity.score(odd_docs(spark), model).collect()
+    assert len(odd) == 7 and all(0 <= r["score"] <= 1 for r in odd)
+    assert toxicity.score(odd_docs(spark), toxicity.fit(d, l.limit(0))).first()["score"] == 0.0
+    assert toxicity.drop_toxic(d, l).columns == d.columns
+    assert {r["h"] for r in d.select(toxicity.held_out(F.col("doc_id")).alias("h"), (F.col("doc_id") % 1).alias("z")).collect()} == {True, False}
+
+
+def test_line_dedup_removes_shared_passages_and_nothing_else(spark):
+    rng = random.Random(6)
+    line = lambda: " ".join(f"w{rng.randrange(10**6)}" for _ in range(rng.randrange(6, 12)))
+    passage, texts = [line() for _ in range(12)], []
+    for k in range(20):
+        own = [line() for _ in range(8)]
+        texts.append("\n".join(own[:4] + (passage if k % 2 else []) + own[4:]))
+    out = {r["doc_id"]: r for r in line_dedup.dedup_lines(docs(spark, texts)).collect()}
+    for k in range(20):
+        lines = out[k]["text"].split("\n")
+        left = sum(x in lines for x in passage)
+        own = [x for x in texts[k].split("\n") if x not in passage]
+        assert [x for x in lines if x not in passage] == own  # other lines stay, in order
+        assert left == 12 if k == 1 else left <= (3 if k % 2 else 0)
+        assert out[k]["n_lines"] - out[k]["n_removed"] == len(lines)
+    again = line_dedup.dedup_lines(docs(spark, ["\n".join(passage)] * 2, 50)).orderBy("doc_id").collect()
+    assert again[0]["text"] == "\n".join(passage) and again[1]["text"] == ""
+
+
+def test_line_dedup_odd_rows(spark):
+    d = odd_docs(spark)
+    out = line_dedup.dedup_lines(d)
+    before = collections.Counter((r["doc_id"], r["text"]) for r in d.collect())
+    assert collections.Counter((r["doc_id"], r["text"]) for r in out.collect()) == before
+    assert line_dedup.dedup_lines(d.limit(0)).count() == 0
+
+
+def test_line_dedup_keeps_what_differs_in_bytes(spark, monkeypatch):
+    """With a hash that collides for all lines, the byte comparison keeps every line."""
+    whole = line_dedup.units_of
+
+    def clashing(*args, **options):
+        return whole(*args, **options).replace("'h', xxhash64(transform(", "'h', 7L + 0 * xxhash64(transform(")
+
+    monkeypatch.setattr(line_dedup, "units_of", clashing)
+    texts = ["\n".join(f"document {k} line {i} has some words of its own" for i in range(6)) for k in range(3)]
+    assert {r["text"] for r in line_dedup.dedup_lines(docs(spark, texts)).collect()} == set(texts)
+
+
+def luhn(digits):
+    return sum(d if i % 2 == 0 else (d * 2 - 9 if d > 4 else d * 2) for i, d in enumerate(int(c) for c in reversed(digits))) % 10 == 0
+
+
+def test_pseudonyms_keep_formats_and_links(spark):
+    card, iban = "4041894974608795", "DE89370400440532013000"
+    texts = [f"pay {card} to a.bc42@mail8.example.com", f"({card[:4]}-{card[4:8]}-{card[8:12]}-{card[12:]}) at 42.144.35.254", "call +1 (988) 555-2485 on 2001-02-28 or 28.02.2001", f"{iban} ssn 123-45-6789", "not 4041894974608796, 999.1.1.1, 2001-02-30 or 12-34"]
+    out = [r["text"] for r in pseudonyms.pseudonymise(docs(spark, texts)).orderBy("doc_id").collect()]
+    got = re.search(r"pay (\d{16}) to ([a-z]\.[a-z]{2}\d{2})@mail8\.example\.com", out[0])
+    assert got and luhn(got[1]) and got[1] != card
+    assert re.search(r"\((\d{4})-(\d{4})-(\d{4})-(\d{4})\) at (\d+\.){3}\d+$", out[1])
+    phone = re.search(r"call \+1 \((\d{3})\) (\d{3})-(\d{4}) on (\d{4})-(\d\d)-(\d\d) or (\d\d)\.(\d\d)\.(\d{4})", out[2])
+    assert phone and phone.groups()[3:6] == (phone[9], phone[8], phone[7]) and "988" not in phone[1]
+    code = re.search(r"DE\d{20}", out[3])[0]
+    assert int(code[4:] + "1314" + code[2:4]) % 97 == 1
+    area = re.search(r"ssn (\d{3})-(\d{2})-(\d{4})", out[3])
+    assert area and area[1] not in ("000", "666") and area[1] < "900" and area[2] != "00" and area[3] != "0000"
+    assert out[4] == texts[4]
+    again = pseudonyms.pseudonymise(docs(spark, [texts[0]])).first()["text"]
+    assert again == out[0] and pseudonyms.pseudonymise(docs(spark, [texts[0]]), key="other").first()["text"] != out[0]
+
+
+def test_pseudonyms_are_a_bijection(spark):
+    ips = spark.range(4000).select(F.format_string("10.%d.%d.7", F.expr("cast(id div 256 as int)"), F.expr("cast(id % 256 as int)")).alias("text"))
+    assert pseudonyms.pseudonymise(ips).select("text").distinct().count() == 4000
+    days = spark.range(3000).select(F.date_format(F.expr("date_add(date'1990-01-01', cast(id as int))"), "yyyy-MM-dd").alias("text"))
+    out = pseudonyms.pseudonymise(days)
+    assert out.select("text").distinct().count() == 3000 and out.where("to_date(text) IS NULL").count() == 0
+
+
+def test_pseudonyms_odd_rows(spark):
+    d = odd_docs(spark)
+    out = pseudonyms.pseudonymise(d)
+    assert collections.Counter(r["text"] for r in out.collect()) == collections.Counter(r["text"] for r in d.collect())
+
+
+def test_url_rules_and_templates(spark):
+    rows = [(1, None), (2, "no scheme"), (3, "HTTP://Ex.ORG/a"), (4, "http://a.example.org/es/1"), (5, "http://example.org/en/19"), (6, "http://x.com/fr/1?q"), (7, "http://x.com/de"), (8, "http://notorg/a"), (9, "http://a.org#x/y"), (10, "http://a.org?/es/")]
+    got = {r["page_id"]: r for r in url_templates.judge(spark.createDataFrame(rows, "page_id long, url string")).collect()}
+    assert [(got[i]["host"], got[i]["path"], got[i]["rule"]) for i in range(1, 11)] == [("", "", None), ("", "", None), ("ex.org", "/a", "org/"), ("a.example.org", "/es/1", "example.org/es/"), ("example.org", "/en/19", "example.org/en/1"), ("x.com", "/fr/1", "com/fr/"), ("x.com", "/de", None), ("notorg", "/a", None), ("a.org", "", None), ("a.org", "", None)]
+    assert [got[i]["verdict"] for i in (3, 4, 5, 6)] == ["allow", "block", "block", "allow"]
+
+
+def test_url_templates_merge_and_reject(spark):
+    urls = [(i, f"http://h.net/{kind}/{name}/{i}") for i, (kind, name) in enumerate((k, f"n{j}") for k, n in (("good", 40), ("spam", 40)) for j in range(n))]
+    labels = spark.createDataFrame([(i, u.split("/")[3] == "spam") for i, u in urls if i % 2], "page_id long, bad boolean")
+    out = url_templates.judge(spark.createDataFrame(urls, "page_id long, url string"), (), labels).collect()
+    assert all((r["verdict"] == "block") == ("/spam/" in r["url"]) for r in out)
+    assert {r["template"] for r in out} == {"/good/n#/#", "/spam/n#/#"}
+
+
+def vectors(spark, seed=0):
+    rng = np.random.default_rng(seed)
+    rows = []
+    for label in range(3):
+        centre = rng.normal(size=16)
+        for k in range(120):
+            v = centre + rng.normal(size=16) * 0.25 if k < 60 else rng.normal(size=16)
+            rows.append((len(rows), [float(x) for x in v.astype(np.float32)], label))
+    rows += [(1000 + i, rows[i][1], rows[i][2]) for i in range(5)]
+    rows += [(2000, None, 1), (2001, [0.0] * 16, 1), (2002, [float("nan")] * 16, 1), (2003, [float("inf")] + [1.0] * 15, 1), (2004, rows[0][1], None), (2005, [None] + [1.0] * 15, 0), (2006, [], 0)]
+    return rows, spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+
+
+@pytest.mark.parametrize("most", [1500, 40])
+def test_vector_graph_equals_brute_force(spark, most):
+    rows, df = vectors(spark)
+    good = {i: (np.array(v, float), l) for i, v, l in rows if l is not None and v and None not in v and np.isfinite(v).all() and any(v)}
+    links = {i: {j for j in good if j != i and good[j][1] == good[i][1] and good[i][0] @ good[j][0] / np.linalg.norm(good[i][0]) / np.linalg.norm(good[j][0]) >= 0.93} for i in good}
+    top = {i: i for i, _, _ in rows}
+    for _ in range(12):
+        for i in links:
+            for j in links[i]:
+                top[i] = top[j] = min(top[i], top[j])
+    out = {r["vec_id"]: r for r in vector_graph.near_duplicates(df, most=most).collect()}
+    assert {i: r["n_links"] for i, r in out.items()} == {i: len(links.get(i, ())) for i, _, _ in rows}
+    assert {i: r["component_id"] for i, r in out.items()} == top
+    assert vector_graph.recall(df, vector_graph.near_duplicates(df), every=7).first()["recall"] == 1.0
+
+
+def test_vector_graph_empty(spark):
+    _, df = vectors(spark)
+    assert vector_graph.near_duplicates(df.limit(0)).count() == 0
+    assert vector_graph.near_duplicates(df.where("vec_id >= 2000")).where("n_links > 0").count() == 0
+
+
+def test_robust_prune_keeps_the_nearest():
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(50, 8))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    lists = vector_graph.build_lists(x, 6)
+    near = x @ x.T - 3 * np.eye(50)
+    assert all(near[i].argmax() in lists[i] for i in range(50))
