@@ -29,10 +29,10 @@ from .components import connected
 
 COSINE = 0.93
 SAMPLE = 4096
-MEAN_SHARD = 600
+MEAN_SHARD = 200
 MOST_BLOCK = 1500
 OVERLAP = 3
-DEGREE, ALPHA, BEAM = 32, 1.2, 24
+DEGREE, ALPHA, BEAM = 32, 1.2, 32
 SLACK = 0.04
 
 
@@ -98,14 +98,13 @@ def range_search(queries, vectors, lists, medoid: int, cosine: float = COSINE, s
     opened = np.zeros((q, n), dtype=bool)
     score[:, medoid] = queries @ vectors[medoid]
     rows = np.arange(q)
-    for _ in range(n):
+    for step in range(min(n, beam)):
+        # the nearest seen node that is not open yet; queries that have reached their range wait for the expansion
         todo = np.where(opened, -np.inf, score)
         best = todo.argmax(axis=1)
         value = todo[rows, best]
-        # the greedy beam: a node is opened while fewer than ``beam`` seen nodes are nearer, or while it is in range
-        floor = np.partition(score, -min(beam, n), axis=1)[:, -min(beam, n)]
-        active = np.flatnonzero((value > -np.inf) & ((value >= floor) | (value >= cosine - slack)))
-        if not len(active) or ((value[active] >= cosine - slack).all() and _ > beam):
+        active = np.flatnonzero((value > -np.inf) & (value < cosine - slack))
+        if not len(active):
             break
         at = best[active]
         opened[active, at] = True
