@@ -5,6 +5,7 @@ from __future__ import annotations
 from .decontaminate import op8_decontaminate
 from .line_dedup import op10_line_dedup
 from .minhash import op3_minhash
+from .oracles import ORACLE_SQL
 from .packing import op1_packing
 from .pseudonyms import op6_pseudonyms
 from .toxicity import op9_toxicity
@@ -15,4 +16,4 @@ from .wavelet import op4_wavelet
 
 QUERIES = {f.__name__: f for f in (op1_packing, op2_warc, op3_minhash, op4_wavelet, op5_url_templates, op6_pseudonyms, op7_vector_graph, op8_decontaminate, op9_toxicity, op10_line_dedup)}
 
-ORACLE_SQL: dict[str, str] = {}
+__all__ = ["ORACLE_SQL", "QUERIES"]
