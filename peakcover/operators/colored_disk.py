@@ -16,6 +16,7 @@ from ..functions import geometry as G
 from .cell_kernels import KERNELS
 
 SIDE, DELTA = 1.0, 0.25
+PROBES = 12
 CELL = ["g", "k0", "k1"]
 
 
@@ -56,8 +57,6 @@ def output_sensitive(points: DataFrame, radius: float, color: str = "color", eng
     if known is None:
         known = best_corner(points, radius, color)
     disks = staged(corner_disks(points, radius, color, mode), "corner-disks")
-    if prune:
-        disks = disks.join(cell_colours(disks).where(F.col("colors") >= max(1, known)).select(*CELL), CELL, "left_semi")
 
     def solve(frame):
         import numpy as np
@@ -67,8 +66,16 @@ def output_sensitive(points: DataFrame, radius: float, color: str = "color", eng
         depth, x, y = kernel(frame["c0"].to_numpy(), frame["c1"].to_numpy(), hue)
         return pd.DataFrame({"depth": [depth], "x": [x * radius], "y": [y * radius]})
 
-    found = disks.groupBy(*CELL).applyInPandas(solve, "depth long, x double, y double")
-    return found.orderBy(F.desc("depth"), "x", "y").limit(1).select("x", "y", "depth")
+    solved = lambda rows: rows.groupBy(*CELL).applyInPandas(solve, "depth long, x double, y double").orderBy(F.desc("depth"), "x", "y").limit(1).select("x", "y", "depth")
+    if not prune:
+        return solved(disks)
+    # the most coloured cells first: what they reach rules out every cell that has no more colours
+    colours = staged(cell_colours(disks), "cell-colours")
+    top = colours.where(F.col("colors") >= max(1, known)).orderBy(F.desc("colors"), *CELL).limit(PROBES)
+    first = staged(solved(disks.join(F.broadcast(top.select(*CELL)), CELL, "left_semi")), "first-cells")
+    reached = (first.agg(F.max("depth")).first()[0]) or 0
+    rest = colours.where(F.col("colors") > max(reached, known - 1)).join(F.broadcast(top.select(*CELL)), CELL, "left_anti").select(*CELL)
+    return first.union(solved(disks.join(rest, CELL, "left_semi"))).orderBy(F.desc("depth"), "x", "y").limit(1)
 
 
 def keep_colours(points: DataFrame, rate: float, color: str = "color", seed: int = 0) -> DataFrame:
