@@ -4,8 +4,8 @@ A rolling hash over the hashes of two neighbouring lines starts a chunk where it
 hashes before and after it, so chunks realign after an insertion and hold two lines at least; they hold
 ``most_lines`` at most.  A chunk's heads and tails of two or more lines count as well as the whole, so a passage
 is also found where its ends share a chunk with other text, and so does every line of ``solo_bytes`` or more.
-Such units that occur twice or more anywhere are compared byte by byte (grouped by their text); the first
-occurrence by (id, line) stays, the lines of the others go.
+Such units that occur twice or more anywhere are compared byte by byte (their lines' texts under each line
+hash, and their line hashes under each unit hash); the first occurrence by (id, line) stays, the lines of the others go.
 
 Only hashes move until a unit is known to repeat; the texts move once, to meet their documents' candidates.
 
@@ -32,13 +32,18 @@ def let(name: str, value: str, body: str) -> str:
     return f"element_at(transform(array({value}), {name} -> {body}), 1)"
 
 
+def sequence_hash(hashes: str) -> str:
+    """SQL for the hash of a unit from its lines' hashes."""
+    return f"xxhash64({hashes})"
+
+
 def units_of(text: str = "body", solo_bytes: int = SOLO_BYTES, most_lines: int = MOST_LINES, unit_bytes: int = UNIT_BYTES) -> str:
     """SQL for a text's units: array of (h, i: first line from 0, n: lines, b: bytes)."""
     rolling = "transform(q.hs, (z, i) -> xxhash64(if(i > 0, q.hs[i - 1].h, 0L), z.h))"
     starts = "filter(sequence(0, size(p.rs) - 1), i -> i = 0 OR (i > 1 AND i < size(p.rs) - 1 AND p.rs[i] < p.rs[i - 1] AND p.rs[i] < p.rs[i + 1]))"
     # where no boundary comes for most_lines lines, further ones are counted from the chunk's own start
     filled = f"flatten(transform(o.starts, (s, k) -> sequence(s, if(k + 1 < size(o.starts), o.starts[k + 1], size(o.hs)) - 1, {most_lines})))"
-    unit = "named_struct('h', xxhash64(transform(slice(c.hs, {i} + 1, {n}), z -> z.h)), 'i', {i}, 'n', {n}, 'b', aggregate(slice(c.hs, {i} + 1, {n}), 0, (t, z) -> t + z.b))"
+    unit = "named_struct('h', " + sequence_hash("transform(slice(c.hs, {i} + 1, {n}), z -> z.h)") + ", 'i', {i}, 'n', {n}, 'b', aggregate(slice(c.hs, {i} + 1, {n}), 0, (t, z) -> t + z.b))"
     heads = f"transform(sequence(2, w.n), j -> {unit.format(i='w.s', n='j')})"
     tails = f"transform(sequence(1, w.n - 2), j -> {unit.format(i='w.s + j', n='w.n - j')})"
     longs = f"transform(filter(sequence(w.s, w.s + w.n - 1), i -> c.hs[i].solo), i -> {unit.format(i='i', n='1')})"
@@ -59,21 +64,26 @@ def kept_text(text: str, gone: str) -> str:
 
 def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
     """All rows of ``docs`` with ``__gone``: the (i, n) of their repeated units that are not the first occurrence."""
-    spark = docs.sparkSession
-    ids = docs.schema[id_col].dataType
     units = docs.where(F.col(id_col).isNotNull() & F.col(text).isNotNull()).select(F.col(id_col).alias("__id"), F.expr(f"explode({units_of(f'`{text}`', **sizes)})").alias("u")).select("__id", "u.h", "u.i", "u.n")
     repeated = units.groupBy("h").agg(F.min(F.struct("__id", "i")).alias("first"), F.count("*").alias("c")).where("c > 1").select("h", "first")
     hits = units.join(repeated, "h").groupBy("__id").agg(F.collect_list(F.struct("h", "i", "n", F.expr("__id = first.__id AND i = first.i").alias("stays"))).alias("__hits"))
-    own = "xxhash64(transform(slice(v.l, x.i + 1, x.n), z -> xxhash64(z))) = x.h"
+    own = sequence_hash("transform(slice(v.l, x.i + 1, x.n), z -> xxhash64(z))") + " = x.h"
     checked = let("v", f"named_struct('l', split(`{text}`, '\\n', -1))", f"filter(__hits, x -> x.i + x.n <= size(v.l) AND {own})")
     met = docs.join(hits.withColumnRenamed("__id", id_col), id_col, "left").select(*docs.columns, F.expr(f"CASE WHEN size(__hits) > 0 THEN {checked} END").alias("__hits"))
     met = common.staged(met, "line-dedup")
-    bodies = let("v", f"named_struct('l', split(`{text}`, '\\n', -1))", "transform(__hits, x -> named_struct('h', x.h, 'bytes', array_join(slice(v.l, x.i + 1, x.n), '\\n')))")
-    compared = met.where("size(__hits) > 0").select(F.expr(f"explode({bodies})").alias("b")).select("b.h", "b.bytes").groupBy("h", "bytes").agg(F.count("*").alias("c"))
-    differing = common.staged(compared.groupBy("h").agg(F.count("*").alias("texts")).where("texts > 1").select("h"), "line-dedup-differing")
-    if not differing.isEmpty():
-        rows = met.where("size(__hits) > 0").select(F.col(id_col).alias("__id"), F.explode("__hits").alias("x")).select("__id", F.col("x.h").alias("h"))
-        unsafe = rows.join(differing, "h").groupBy("__id").agg(F.collect_set("h").alias("__unsafe")).withColumnRenamed("__id", id_col)
+    hit = met.where("size(__hits) > 0")
+    split_lines = f"named_struct('l', split(`{text}`, '\\n', -1))"
+    # a unit is its sequence of line hashes, and a line hash is one text: both are checked, so a line moves once
+    covered = let("v", split_lines, "transform(array_distinct(flatten(transform(__hits, x -> sequence(x.i, x.i + x.n - 1)))), i -> v.l[i])")
+    lines = hit.select(F.explode(F.expr(covered)).alias("bytes")).groupBy(F.xxhash64("bytes").alias("line"), "bytes").agg(F.count("*").alias("c"))
+    odd_lines = common.staged(lines.groupBy("line").agg(F.count("*").alias("texts")).where("texts > 1").select("line"), "line-dedup-lines")
+    sequences = let("v", split_lines, "transform(__hits, x -> named_struct('h', x.h, 'seq', transform(slice(v.l, x.i + 1, x.n), z -> xxhash64(z))))")
+    seqs = hit.select(F.explode(F.expr(sequences)).alias("b")).select("b.h", "b.seq").groupBy("h", "seq").agg(F.count("*").alias("c"))
+    odd_units = common.staged(seqs.groupBy("h").agg(F.count("*").alias("texts")).where("texts > 1").select("h"), "line-dedup-units")
+    if not (odd_lines.isEmpty() and odd_units.isEmpty()):
+        through = seqs.select("h", F.explode("seq").alias("line")).join(odd_lines, "line").select("h")
+        rows = hit.select(F.col(id_col).alias("__id"), F.explode("__hits").alias("x")).select("__id", F.col("x.h").alias("h"))
+        unsafe = rows.join(odd_units.union(through).distinct(), "h").groupBy("__id").agg(F.collect_set("h").alias("__unsafe")).withColumnRenamed("__id", id_col)
         met = met.join(unsafe, id_col, "left").withColumn("__hits", F.expr("filter(__hits, x -> __unsafe IS NULL OR NOT array_contains(__unsafe, x.h))")).drop("__unsafe")
     return met.select(*docs.columns, F.expr("transform(filter(__hits, x -> NOT x.stays), x -> named_struct('i', x.i, 'n', x.n))").alias("__gone"))
 

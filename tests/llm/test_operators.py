@@ -287,12 +287,7 @@ def test_line_dedup_odd_rows(spark):
 
 def test_line_dedup_keeps_what_differs_in_bytes(spark, monkeypatch):
     """With a hash that collides for all lines, the byte comparison keeps every line."""
-    whole = line_dedup.units_of
-
-    def clashing(*args, **options):
-        return whole(*args, **options).replace("'h', xxhash64(transform(", "'h', 7L + 0 * xxhash64(transform(")
-
-    monkeypatch.setattr(line_dedup, "units_of", clashing)
+    monkeypatch.setattr(line_dedup, "sequence_hash", lambda a: f"7L + 0 * xxhash64({a})")
     texts = ["\n".join(f"document {k} line {i} has some words of its own" for i in range(6)) for k in range(3)]
     assert {r["text"] for r in line_dedup.dedup_lines(docs(spark, texts)).collect()} == set(texts)
 
