@@ -1 +1 @@
-
+"""Shared geometry and measures."""

@@ -1 +1 @@
-
+"""Placement methods and their baselines."""

@@ -1 +1 @@
-
+"""Workloads and staging."""

@@ -1 +1 @@
-
+"""Views over the given tables, readers and writers."""

@@ -1 +1 @@
-
+"""Placement over streams."""
