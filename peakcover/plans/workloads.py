@@ -675,3 +675,28 @@ def reduction_sizes(spark, d):
     a = V.sequence_of(spark, d, "customer")
     s = convolution.reduction_stats(a.count(), 6)
     return a.agg(F.count("*").alias("n"), *(F.lit(v).cast("long").alias(k) for k, v in (("m", 6), *s.items())))
+
+
+@query(disk_sql(S["doc_pts"], 20, "count(DISTINCT p.color)"))
+def colored_facilities(spark, d):
+    """Variety of sources around a document size and line count."""
+    return depth_only(union_arcs.coloured_arc_sweep(V.doc_pts(spark, d), 20))
+
+
+@query(disk_sql(S["cust_pts"], 300, "count(DISTINCT p.color)"))
+def colored_customers(spark, d):
+    return depth_only(union_arcs.coloured_arc_sweep(V.cust_pts(spark, d), 300))
+
+
+@query()
+def output_sensitivity(spark, d):
+    """(colours, disks, optimum, crossings, bound): crossings of boundaries against disks times optimum."""
+    points = V.part_pts(spark, d)
+    rows = []
+    for name in ("kind", "color"):
+        disks = union_arcs.disks_of(points, name)
+        best = colored_disk.output_sensitive(points, RADIUS, name).first()["depth"]
+        n = disks.count()
+        k = union_arcs.arc_crossings(points, RADIUS, name).count()
+        rows.append((name, n, int(best), k, k <= 24 * n * best))
+    return spark.createDataFrame(rows, "colours string, disks long, optimum long, crossings long, bound boolean")

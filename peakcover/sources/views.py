@@ -20,6 +20,7 @@ SQL = {
     "event_pts": f"SELECT event_id AS id, (epoch_us(ts) - epoch_us(TIMESTAMP '{FIRST_EVENT_DAY}')) / 60000000.0 AS x, value AS y, CAST(1 AS BIGINT) AS w, user_id AS color FROM events",
     "order_days": f"SELECT CAST(date_diff('day', DATE '{FIRST_ORDER_DAY}', CAST(o_orderdate AS DATE)) AS BIGINT) AS pos, CAST(round(100 * o_totalprice) AS BIGINT) AS w FROM orders",
     "event_ticks": "SELECT epoch_us(ts) AS pos FROM events",
+    "doc_pts": "SELECT doc_id AS id, n_chars / 10.0::DOUBLE AS x, 10.0::DOUBLE * (length(text) - length(replace(text, chr(10), ''))) AS y, CAST(1 AS BIGINT) AS w, source AS color FROM documents",
     "doc_len": "SELECT CAST(n_chars AS BIGINT) AS pos FROM documents",
     "doc_signed": "SELECT CAST(n_chars AS BIGINT) AS pos, CAST(quality - 2 * toxic AS BIGINT) AS w FROM documents JOIN labels USING (doc_id)",
     "seq_a": "SELECT CAST(n_nationkey AS INTEGER) AS i, CAST(coalesce(sum(CAST(round(100 * c_acctbal) AS BIGINT)), 0) AS BIGINT) AS v FROM nation LEFT JOIN customer ON c_nationkey = n_nationkey GROUP BY 1",

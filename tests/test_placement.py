@@ -222,3 +222,24 @@ def test_plans_have_no_cartesian_product(spark, data):
         assert "CartesianProduct" not in text and "BroadcastNestedLoopJoin" not in text
     scan = ball.sample_depth(G.to_dual(p, 40, ["x", "y"]), ball.plan(0.4, samples=16))._jdf.queryExecution().toString()
     assert "p_name" not in scan.split("== Physical Plan ==")[1]
+
+
+def test_sql_names(spark):
+    from peakcover.functions.sql_names import register
+
+    register(spark)
+    assert spark.sql("SELECT peak_cell(2.5D, 0D, 1D) AS c, peak_near(0D, 0D, 3D, 4D, 5D) AS n, round(peak_cap(0.25D), 3) AS f").first()[:] == (2, True, 0.383)
+    cells = {tuple(r) for r in spark.sql("SELECT * FROM peak_ball_cells(0.3D, 0.6D, 0D, 0D, 0.5D)").collect()}
+    ball_row = spark.createDataFrame([(0, 0.3, 0.6, 1)], "id long, c0 double, c1 double, w long")
+    assert cells == {(r["k0"], r["k1"]) for r in G.ball_cells(ball_row, [(0, (0.0, 0.0))], 0.5, 2).collect()}
+
+
+def test_points_from_files(spark, data, tmp_path):
+    p = V.part_pts(spark, data).select("id", "x", "y", "w", "color")
+    V.write_answers(p, str(tmp_path / "p"), "color")
+    p.write.option("header", True).csv(str(tmp_path / "c"))
+    p.write.json(str(tmp_path / "j"))
+    best = exact_disk.exact_disk(p, 40).first()["depth"]
+    for form, where in (("parquet", "p"), ("csv", "c"), ("json", "j")):
+        schema = "id long, x long, y long, w long, color string"
+        assert exact_disk.exact_disk(V.read_points(spark, str(tmp_path / where), form, schema), 40).first()["depth"] == best
