@@ -49,6 +49,19 @@ def worker_cache(key: object, make: Callable[[], object]) -> object:
     return kept[key]
 
 
+def give_back() -> None:
+    """Return freed memory of a worker to the system, as workers stay for later tasks."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except OSError:
+        pass
+
+
 def open_store(uri: str):
     """(pyarrow file system, path) for a URI of the shared folder, on the driver or an executor."""
     from pyarrow import fs
@@ -77,12 +90,16 @@ def extend_rows(df: DataFrame, added: list[tuple[str, T.DataType]], compute: Cal
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = compute()
-        for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
-                got = work(*(part.column(i).to_pylist() for i in where))
-                cols = [part.column(i) for i in keep] + [pa.array(v, type=t) for v, t in zip(got, arrow)]
-                yield pa.RecordBatch.from_arrays(cols, names=labels)
+        try:
+            for batch in batches:
+                for at in range(0, batch.num_rows, 512):
+                    part = batch.slice(at, 512)
+                    got = work(*(part.column(i).to_pylist() for i in where))
+                    cols = [part.column(i) for i in keep] + [pa.array(v, type=t) for v, t in zip(got, arrow)]
+                    yield pa.RecordBatch.from_arrays(cols, names=labels)
+        finally:
+            del work
+            give_back()
 
     return df.mapInArrow(run, schema)
 
@@ -108,9 +125,9 @@ def token_encoder(json_path: str, ranks_path: str | None = None) -> Callable[[st
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        slow = Tokenizer.from_file(json_path)
         if ranks_path is None:
-            return lambda text: slow.encode(text, add_special_tokens=False).ids
+            whole = Tokenizer.from_file(json_path)
+            return lambda text: whole.encode(text, add_special_tokens=False).ids
         import base64
 
         import public_tokenizers as P
@@ -119,11 +136,14 @@ def token_encoder(json_path: str, ranks_path: str | None = None) -> Callable[[st
         with open(ranks_path, "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         fast = tiktoken.Encoding("ranks", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
-        odd = re.compile(PLAIN_TEXT)
+        del ranks
+        odd, slow = re.compile(PLAIN_TEXT), []
 
         def encode(text: str) -> list[int]:
             if odd.search(text):
-                return slow.encode(text, add_special_tokens=False).ids
+                if not slow:  # many tasks never need it
+                    slow.append(Tokenizer.from_file(json_path))
+                return slow[0].encode(text, add_special_tokens=False).ids
             return fast.encode_ordinary(text)
 
         return encode

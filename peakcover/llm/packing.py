@@ -186,6 +186,8 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", window: in
                         block, size = [], 0
         if block:
             yield packed(block)
+        del block
+        common.give_back()
 
     return docs.select(id_col, text).mapInArrow(run, schema)
 

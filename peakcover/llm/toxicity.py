@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 from collections import Counter
 
 from pyspark.sql import DataFrame
@@ -37,20 +38,35 @@ MIN_DOCS = 8
 COMMON = 1e-3
 NEUTRAL = 30.0
 GRAMS = (3, 4, 5)
-CACHE = 200_000
+CACHE = 60_000
 
 
 def words_of(text: str | None) -> list[str]:
     return re.findall(r"\w+", text.lower()) if text else []
 
 
-def grams_of(word: str, buckets: int = BUCKETS) -> list[int]:
-    """Hashed n-grams of ``<word>``, the whole of it included."""
-    raw = f"<{word[:64]}>"
-    found = {raw}
-    for n in GRAMS:
-        found.update(raw[i : i + n] for i in range(len(raw) - n + 1))
-    return [zlib.crc32(g.encode("utf-8", "surrogatepass")) % buckets for g in sorted(found)]
+def gram_table(words: list[str], buckets: int = BUCKETS):
+    """(word number, bucket) of every hashed n-gram of ``<word>`` in UTF-8, and of every whole word."""
+    import numpy as np
+
+    raw = [f"<{w[:64]}>".encode("utf-8", "surrogatepass") for w in words]
+    sizes = np.fromiter(map(len, raw), dtype=np.int64, count=len(raw))
+    owner, ends = np.repeat(np.arange(len(raw)), sizes), np.repeat(np.cumsum(sizes), sizes)
+    letters = np.frombuffer(b"".join(raw), dtype=np.uint8).astype(np.uint64)
+    owners, grams = [np.arange(len(raw))], [np.fromiter((zlib.crc32(w) % buckets for w in raw), dtype=np.int64, count=len(raw))]
+    with np.errstate(over="ignore"):
+        for n in GRAMS:
+            m = len(letters) - n + 1
+            if m <= 0:
+                continue
+            h = np.full(m, n, dtype=np.uint64)
+            for j in range(n):
+                h = (h ^ letters[j : j + m]) * np.uint64(0x9E3779B97F4A7C15)
+                h ^= h >> np.uint64(29)
+            whole = np.arange(n, m + n) <= ends[:m]
+            owners.append(owner[:m][whole])
+            grams.append((h[whole] % np.uint64(buckets)).astype(np.int64))
+    return np.concatenate(owners), np.concatenate(grams)
 
 
 class Segments:
@@ -73,8 +89,8 @@ class Segments:
         return out
 
 
-def train(bags: list[list[tuple[str, int]]], labels, weights, seed: int = 7, dim: int = DIM, epochs: int | None = None, buckets: int = BUCKETS) -> dict:
-    """The trained model, folded to one number for each n-gram bucket (its pull towards toxic) and a bias."""
+def train(bags: list[tuple[str, list[int]]], labels, weights, seed: int = 7, dim: int = DIM, epochs: int | None = None, buckets: int = BUCKETS) -> dict:
+    """The trained model (from each document's distinct words, joined by spaces, and their counts), folded to one number for each n-gram bucket (its pull towards toxic) and a bias."""
     import numpy as np
 
     y, w = np.asarray(labels, dtype=np.int64), np.asarray(weights, dtype=np.float32)
@@ -83,27 +99,29 @@ def train(bags: list[list[tuple[str, int]]], labels, weights, seed: int = 7, dim
         return {"pull": np.zeros(buckets, dtype=np.float32), "bias": 0.0, "constant": share, "common": {}}
     vocabulary: dict[str, int] = {}
     doc, word, part = [], [], []
-    spread, said = Counter(t for bag in bags for t, _ in bag), Counter()
-    for bag in bags:
-        said.update(dict(bag))
+    # plain arrays all through: the driver holds a few numbers for each entry, not objects
+    spread, said = Counter(), Counter()
+    for joined, counts in bags:
+        for t, c in zip(joined.split(), counts):
+            spread[t] += 1
+            said[t] += c
     mass = max(1, said.total())
     common_words = {t: COMMON / (COMMON + c / mass) for t, c in said.items() if c >= 1e-5 * mass}
-    for d, bag in enumerate(bags):
-        total = sum(common_words.get(t, 1.0) for t, _ in bag) + NEUTRAL
-        for t, _ in bag:
-            if spread[t] < MIN_DOCS:
-                continue
-            doc.append(d)
-            word.append(vocabulary.setdefault(t, len(vocabulary)))
-            part.append(common_words.get(t, 1.0) / total)
-    of, gram, share = [], [], []
-    for t, v in vocabulary.items():
-        got = grams_of(t, buckets)
-        of += [v] * len(got)
-        gram += got
-        share += [1 / len(got)] * len(got)
-    doc, word, part = np.array(doc, np.int32), np.array(word, np.int32), np.array(part, np.float32)
-    of, gram, share = np.array(of, np.int32), np.array(gram, np.int32), np.array(share, np.float32)
+    del said
+    doc, word, part = array("i"), array("i"), array("f")
+    for d, (joined, _) in enumerate(bags):
+        found = joined.split()
+        total = sum(common_words.get(t, 1.0) for t in found) + NEUTRAL
+        for t in found:
+            if spread[t] >= MIN_DOCS:
+                doc.append(d)
+                word.append(vocabulary.setdefault(t, len(vocabulary)))
+                part.append(common_words.get(t, 1.0) / total)
+    del spread
+    of, gram = (x.astype(np.int32) for x in gram_table(list(vocabulary), buckets))
+    share = (1 / np.bincount(of, minlength=len(vocabulary)))[of].astype(np.float32)
+    doc, word = (np.frombuffer(x, dtype=np.int32) for x in (doc, word))
+    part = np.frombuffer(part, dtype=np.float32)
     n, v = len(bags), len(vocabulary)
     to_words, to_docs = Segments(of, gram, share, v), Segments(doc, word, part, n)
     from_docs, from_words = Segments(word, doc, part, v), Segments(gram, of, share, buckets)
@@ -127,24 +145,33 @@ def train(bags: list[list[tuple[str, int]]], labels, weights, seed: int = 7, dim
     return {"pull": (params[0] @ way * GAIN).astype(np.float32), "bias": float(params[2][0, 1] - params[2][0, 0]), "constant": None, "common": common_words}
 
 
-def score_text(text: str | None, model: dict, cache: dict[str, tuple[float, float]]) -> float:
+def score_texts(texts: list[str | None], model: dict, cache: dict[str, tuple[float, float]]) -> list[float]:
+    """Scores of a batch; words that the cache lacks are hashed together."""
     import math
 
+    import numpy as np
+
     if model["constant"] is not None:
-        return model["constant"]
-    pull, often, total, mass = model["pull"], model["common"], 0.0, 0.0
-    for t in sorted(set(words_of(text))):
-        got = cache.get(t)
-        if got is None:
-            if len(cache) >= CACHE:
-                cache.clear()
-            at = grams_of(t, len(pull))
+        return [model["constant"]] * len(texts)
+    pull, often = model["pull"], model["common"]
+    found = [set(words_of(t)) for t in texts]
+    if len(cache) > CACHE:
+        cache.clear()
+    fresh = list(set().union(*found) - cache.keys())
+    for at in range(0, len(fresh), 20_000):
+        part = fresh[at : at + 20_000]
+        of, gram = gram_table(part, len(pull))
+        means = np.bincount(of, weights=pull[gram], minlength=len(part)) / np.bincount(of, minlength=len(part))
+        for t, m in zip(part, means.tolist()):
             weight = often.get(t, 1.0)
-            got = cache[t] = (weight, weight * float(sum(pull[at].tolist()) / len(at)))
-        mass += got[0]
-        total += got[1]
-    z = model["bias"] + total / (mass + NEUTRAL)
-    return 1 / (1 + math.exp(-max(-60.0, min(60.0, z))))
+            cache[t] = (weight, weight * m)
+    out = []
+    for words in found:
+        pairs = [cache[t] for t in words]
+        # exact sums: the order of a set does not matter
+        z = model["bias"] + math.fsum(p[1] for p in pairs) / (math.fsum(p[0] for p in pairs) + NEUTRAL)
+        out.append(1 / (1 + math.exp(-max(-60.0, min(60.0, z)))))
+    return out
 
 
 def held_out(doc_id) -> F.Column:
@@ -175,7 +202,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
     rows = picked.mapInPandas(bags, "id long, y int, words string, counts array<int>").collect()
     rows = sorted(rows, key=lambda r: (r["id"], r["words"]))
     weight = {y: sizes[y] / quota[y] for y in (0, 1) if quota[y]}
-    return train([list(zip(r["words"].split(" "), r["counts"])) if r["words"] else [] for r in rows], [r["y"] for r in rows], [weight[r["y"]] for r in rows])
+    return train([(r["words"], r["counts"]) for r in rows], [r["y"] for r in rows], [weight[r["y"]] for r in rows])
 
 
 def score(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
@@ -187,7 +214,7 @@ def score(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
         found = shared.value
 
         def work(texts):
-            scores = [score_text(t, found, cache) for t in texts]
+            scores = score_texts(texts, found, cache)
             return scores, [int(s >= 0.5) for s in scores]
 
         return work
