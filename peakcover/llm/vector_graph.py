@@ -9,6 +9,10 @@ blocks are united; then every vector searches each block of its shards: greedily
 the united graph, and on reaching its range, through all neighbours inside a slightly wider range.  What is
 found is verified by the cosine in double precision.  A pair that meets in several blocks counts in the first.
 
+Pairs that share no shard are compared in cells, the parts of the space around few, coarser centroids.  A vector
+can have a link in a cell only if the plane between that cell and its own is no farther than the angle of the
+cosine; it is sent to those cells alone, and all products of two cells' vectors are taken, so none is lost.
+
 Blocks return for each vector the number of its links, and only the links that join components: the
 components a block's own links leave, as a star for each.  No pair list exists.
 
@@ -31,6 +35,7 @@ COSINE = 0.93
 SAMPLE = 4096
 MEAN_SHARD = 200
 MOST_BLOCK = 1500
+MEAN_CELL = 1500
 OVERLAP = 3
 DEGREE, ALPHA, BEAM = 32, 1.2, 32
 SLACK = 0.04
@@ -171,18 +176,31 @@ def fit_centroids(classes: DataFrame, sample: int = SAMPLE, mean_shard: int = ME
     return {k: sorted(v) for k, v in out.items()}
 
 
-def assign(classes: DataFrame, centroids: dict, overlap: int = OVERLAP) -> DataFrame:
-    """One row for each class and shard it belongs to: label, rep, copies, v (unit), shards (ascending), shard."""
-    shared = classes.sparkSession.sparkContext.broadcast(centroids)  # SAMPLE / 4 centroids a label at most
+def cells_in_reach(x, centroids, cosine: float = COSINE):
+    """(own cell of each unit vector, table of the cells that can hold a vector within ``cosine`` of it)."""
+    import numpy as np
+
+    scores = x @ centroids.T
+    own = scores.argmax(axis=1)
+    if cosine < 0:
+        return own, np.ones(scores.shape, dtype=bool)
+    # the bisecting planes pass through the origin, so the sine of the angle to one is the margin over the gap
+    gaps = np.linalg.norm(centroids[:, None] - centroids[None], axis=2)
+    return own, scores[np.arange(len(x)), own][:, None] - scores <= math.sqrt(max(0.0, 1 - cosine * cosine)) * gaps[own] + 1e-9
+
+
+def assign(classes: DataFrame, centroids: dict, coarse: dict, overlap: int = OVERLAP, cosine: float = COSINE) -> DataFrame:
+    """One row for each class: label, rep, copies, v (unit), shards (ascending), cell, reach (cells, none where all share a shard)."""
+    shared = classes.sparkSession.sparkContext.broadcast((centroids, coarse))  # SAMPLE / 4 centroids a label at most
 
     def deal(frames):
         import numpy as np
 
-        found = {k: np.array(v) for k, v in shared.value.items()}
+        found, wide = ({k: np.array(v) for k, v in c.items()} for c in shared.value)
         for f in frames:
             if not len(f):
                 continue
-            units, shards = [None] * len(f), [None] * len(f)
+            units, shards, cells, reach = [None] * len(f), [None] * len(f), [0] * len(f), [[]] * len(f)
             labels = f["label"].to_numpy()
             for name in set(labels):
                 at = np.flatnonzero(labels == name)
@@ -194,16 +212,73 @@ def assign(classes: DataFrame, centroids: dict, overlap: int = OVERLAP) -> DataF
                 near = np.zeros((len(x), 1), int) if c is None else np.argsort(-(x @ c.T), axis=1, kind="stable")[:, :overlap]
                 for i, u, s in zip(at.tolist(), x, near.tolist()):
                     units[i], shards[i] = u, sorted(s)
-            yield f[["label", "rep", "copies"]].assign(v=units, shards=shards)
+                if c is None or len(c) <= overlap:
+                    continue
+                own, near = cells_in_reach(x, wide[name], cosine)
+                for i, o, row in zip(at.tolist(), own.tolist(), near):
+                    cells[i], reach[i] = o, np.flatnonzero(row).tolist()
+            yield f[["label", "rep", "copies"]].assign(v=units, shards=shards, cell=cells, reach=reach)
+
+    return classes.select("label", "rep", "copies", "v").mapInPandas(deal, "label string, rep long, copies long, v array<double>, shards array<int>, cell int, reach array<int>")
+
+
+def apart(dealt: DataFrame, cosine: float, overlap: int, most: int) -> DataFrame:
+    """Links between vectors that share no shard, in the form of the shards' own: a, b, others."""
+    dealt = dealt.where("size(reach) > 0")
+    cells = dealt.groupBy("label", "cell").agg(F.expr(f"cast(ceil(count(*) / {most}D) as int)").alias("blocks"))
+    own = dealt.join(F.broadcast(cells), ["label", "cell"]).withColumn("own", F.expr("cell * 1048576L + pmod(xxhash64(rep), blocks)"))
+    asked = own.select("label", "own", "rep", "copies", "v", "shards", F.explode("reach").alias("cell")).join(F.broadcast(cells), ["label", "cell"])
+    # a link's two ends reach each other's cells, so they meet in the group of their two blocks, once
+    asked = asked.withColumn("to", F.expr("explode(transform(sequence(0, blocks - 1), b -> cell * 1048576L + b))"))
+    pairs = asked.select("label", F.expr("least(own, to) AS low"), F.expr("greatest(own, to) AS high"), "own", "rep", "copies", "v", "shards")
+
+    def compare(key, frame):
+        import numpy as np
+        import pandas as pd
 
-    return classes.select("label", "rep", "copies", "v").mapInPandas(deal, "label string, rep long, copies long, v array<double>, shards array<int>")
+        low, high = int(key[1]), int(key[2])
+        frame = frame.sort_values("rep")
+        ids, copies = frame["rep"].to_numpy(), frame["copies"].to_numpy()
+        left, right = np.flatnonzero(frame["own"] == low), np.flatnonzero(frame["own"] == high)
+        sums, comp, joined = np.zeros(len(ids), dtype=np.int64), np.arange(len(ids)), []
+        if len(left) and len(right):
+            v = np.stack(frame["v"].to_numpy())
+            shards = np.array([list(s) for s in frame["shards"]])
+            y = v[right].astype(np.float32)
+            for at in range(0, len(left), 256):
+                rows = left[at : at + 256]
+                near = v[rows].astype(np.float32) @ y.T >= cosine - 1e-3  # verified in double below
+                a, b = np.nonzero(near)
+                a, b = rows[a], right[b]
+                if low == high:
+                    a, b = a[a < b], b[a < b]
+                exact = np.concatenate([np.einsum("ad,ad->a", v[a[i : i + 65536]], v[b[i : i + 65536]]) for i in range(0, len(a), 65536)] or [np.zeros(0)])
+                a, b = a[exact >= cosine], b[exact >= cosine]
+                shares = np.zeros(len(a), dtype=bool)
+                for i in range(overlap):
+                    for j in range(overlap):
+                        shares |= shards[a, i] == shards[b, j]
+                a, b = a[~shares], b[~shares]
+                sums += np.bincount(a, weights=copies[b], minlength=len(ids)).astype(np.int64) + np.bincount(b, weights=copies[a], minlength=len(ids)).astype(np.int64)
+                starters, starts = np.unique(a, return_index=True)
+                for i, others in zip(starters, np.split(b, starts[1:])):
+                    tops, first = np.unique(comp[others], return_index=True)
+                    fresh = tops != comp[i]
+                    if fresh.any():
+                        joined += [(int(ids[i]), int(ids[j])) for j in others[first[fresh]]]
+                        comp[np.isin(comp, tops)] = comp[i]
+        some = np.flatnonzero(sums)
+        out = [(int(ids[i]), None, int(sums[i])) for i in some] + [(i, j, 0) for i, j in joined]
+        return pd.DataFrame(out, columns=["a", "b", "others"]).astype({"a": "int64", "b": "Int64", "others": "int64"})
+
+    return pairs.groupBy("label", "low", "high").applyInPandas(compare, "a long, b long, others long")
 
 
 def links(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", cosine: float = COSINE, overlap: int = OVERLAP, most: int = MOST_BLOCK) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(classes: rep, copies; counts: rep, others; edges: a, b that span the links' components)."""
     classes = common.staged(prepared(vectors, id_col, vector, label), "vector-classes")
-    dealt = common.staged(assign(classes, fit_centroids(classes), overlap), "vector-shards")
-    members = dealt.withColumn("shard", F.explode("shards"))
+    dealt = common.staged(assign(classes, fit_centroids(classes), fit_centroids(classes, mean_shard=MEAN_CELL), overlap, float(cosine)), "vector-shards")
+    members = dealt.drop("cell", "reach").withColumn("shard", F.explode("shards"))
     sizes = members.groupBy("label", "shard").agg(F.count("*").alias("size")).withColumn("blocks", F.expr(f"cast(ceil(size / {most}D) as int)"))
     # the table of shards is as small as the centroids that are broadcast
     placed = members.join(F.broadcast(sizes.select("label", "shard", "blocks")), ["label", "shard"]).withColumn("block", F.expr("cast(pmod(xxhash64(rep), blocks) as int)"))
@@ -305,7 +380,7 @@ def links(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding",
     asking = asking.select("label", "shard", F.col("to").alias("block"), F.col("block").alias("block_from"), "rep", "copies", "v", "shards")
     keys = ["label", "shard", "block", "block_from"]
     across = asking.groupBy(*keys).cogroup(targets.select(*keys, "rep", "copies", "v", "shards", "near").groupBy(*keys)).applyInPandas(search_across, shape)
-    found = common.staged(found.union(across), "vector-links")
+    found = common.staged(found.union(across).union(apart(dealt, threshold, overlap, most)), "vector-links")
     counts = found.where("b IS NULL").groupBy(F.col("a").alias("rep")).agg(F.sum("others").alias("others"))
     return classes, counts, found.where("b IS NOT NULL").select("a", "b")
 

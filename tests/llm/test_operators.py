@@ -372,6 +372,16 @@ def test_vector_graph_equals_brute_force(spark, most):
     assert vector_graph.recall(df, vector_graph.near_duplicates(df), every=7).first()["recall"] == 1.0
 
 
+@pytest.mark.parametrize("most", [1500, 300])
+def test_vector_graph_links_a_dense_group_of_many_shards(spark, most):
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.normal(size=64) + rng.normal(size=(2500, 64)) * 0.2, rng.normal(size=(500, 64))])
+    df = spark.createDataFrame([(i, v, 0) for i, v in enumerate(x.tolist())], "vec_id long, embedding array<double>, label int")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    out = vector_graph.near_duplicates(df, most=most).orderBy("vec_id").collect()
+    assert [r["n_links"] for r in out] == ((unit @ unit.T >= 0.93).sum(axis=1) - 1).tolist()
+
+
 def test_vector_graph_empty(spark):
     _, df = vectors(spark)
     assert vector_graph.near_duplicates(df.limit(0)).count() == 0
