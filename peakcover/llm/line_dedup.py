@@ -1,15 +1,15 @@
-"""Line dedup by content-defined line chunks, in DataFrame operations only.
+"""Line dedup by the shortest windows of lines, in DataFrame operations only.
 
-A rolling hash over the hashes of two neighbouring lines starts a chunk where it is smaller than the rolling
-hashes before and after it, so chunks realign after an insertion and hold two lines at least; they hold
-``most_lines`` at most.  A chunk's heads and tails of two or more lines count as well as the whole, so a passage
-is also found where its ends share a chunk with other text, and so does every line of ``solo_bytes`` or more.
+A unit is the shortest window of two or more lines and ``unit_bytes`` bytes that starts at a line, or that ends at
+one; it depends on its own lines alone.  Whatever repeats over two or more lines and ``unit_bytes`` is a union of
+units, each of which repeats as well, so it is found wherever it stands.  So is every line of ``solo_bytes``.
 Such units that occur twice or more anywhere are compared byte by byte (their lines' texts under each line
 hash, and their line hashes under each unit hash); the first occurrence by (id, line) stays, the lines of the others go.
 
 Only hashes move until a unit is known to repeat; the texts move once, to meet their documents' candidates.
 
-Defined cases: null texts stay null and have no lines; blank units (white space only) are never removed; rows
+Defined cases: null texts stay null and have no lines; units neither start nor end with a blank line (spaces
+only); an occurrence that overlaps the first one stays; rows
 with a null id are returned unchanged and remove nothing; rows that share an id are one document, and lines go
 only where the row's own lines match; a text all of whose lines go is empty; an empty table gives no rows;
 should two different texts ever share a hash, no occurrence of that hash is removed.
@@ -23,8 +23,8 @@ from pyspark.sql import functions as F
 from . import common
 
 SOLO_BYTES = 120
-MOST_LINES = 16
 UNIT_BYTES = 40
+NEAR_LINES = 64
 
 
 def let(name: str, value: str, body: str) -> str:
@@ -37,22 +37,26 @@ def sequence_hash(hashes: str) -> str:
     return f"xxhash64({hashes})"
 
 
-def units_of(text: str = "body", solo_bytes: int = SOLO_BYTES, most_lines: int = MOST_LINES, unit_bytes: int = UNIT_BYTES) -> str:
-    """SQL for a text's units: array of (h, i: first line from 0, n: lines, b: bytes)."""
-    rolling = "transform(q.hs, (z, i) -> xxhash64(if(i > 0, q.hs[i - 1].h, 0L), z.h))"
-    starts = "filter(sequence(0, size(p.rs) - 1), i -> i = 0 OR (i > 1 AND i < size(p.rs) - 1 AND p.rs[i] < p.rs[i - 1] AND p.rs[i] < p.rs[i + 1]))"
-    # where no boundary comes for most_lines lines, further ones are counted from the chunk's own start
-    filled = f"flatten(transform(o.starts, (s, k) -> sequence(s, if(k + 1 < size(o.starts), o.starts[k + 1], size(o.hs)) - 1, {most_lines})))"
-    unit = "named_struct('h', " + sequence_hash("transform(slice(c.hs, {i} + 1, {n}), z -> z.h)") + ", 'i', {i}, 'n', {n}, 'b', aggregate(slice(c.hs, {i} + 1, {n}), 0, (t, z) -> t + z.b))"
-    heads = f"transform(sequence(2, w.n), j -> {unit.format(i='w.s', n='j')})"
-    tails = f"transform(sequence(1, w.n - 2), j -> {unit.format(i='w.s + j', n='w.n - j')})"
-    longs = f"transform(filter(sequence(w.s, w.s + w.n - 1), i -> c.hs[i].solo), i -> {unit.format(i='i', n='1')})"
-    of_chunk = f"CASE WHEN w.n > 2 THEN concat({heads}, {tails}, {longs}) WHEN w.n = 2 THEN concat({heads}, {longs}) ELSE {longs} END"
-    chunks = "transform(c.at, (s, k) -> named_struct('s', s, 'n', if(k + 1 < size(c.at), c.at[k + 1], size(c.hs)) - s))"
+def units_of(text: str = "body", solo_bytes: int = SOLO_BYTES, unit_bytes: int = UNIT_BYTES) -> str:
+    """SQL for a text's units: array of (h, i: first line from 0, n: lines)."""
     lines = f"transform(split({text}, '\\n', -1), l -> named_struct('h', xxhash64(l), 'solo', octet_length(l) >= {solo_bytes}, 'b', octet_length(trim(l))))"
-    found = let("c", f"named_struct('hs', o.hs, 'at', {filled})", f"flatten(transform({chunks}, w -> {of_chunk}))")
-    found = let("p", f"named_struct('hs', q.hs, 'rs', {rolling})", let("o", f"named_struct('hs', p.hs, 'starts', {starts})", found))
-    return f"filter({let('q', f'named_struct({chr(39)}hs{chr(39)}, {lines})', found)}, u -> u.b >= {unit_bytes})"
+    full = f"s.t >= {unit_bytes} AND s.n >= 2"
+    run = f"aggregate({{part}}, named_struct('t', 0, 'n', 0), (s, z) -> if({full}, s, named_struct('t', s.t + z.b, 'n', s.n + 1)))"
+
+    def shortest(near: str, whole: str) -> str:
+        """The lines that a window takes; the whole text is read only if the nearest lines are too short."""
+        far = let("s", run.format(part=whole), f"if({full}, s.n, NULL)")
+        return let("s", run.format(part=near), f"if({full}, s.n, {far})")
+
+    forth = f"if(i + 1 < size(c.hs) AND c.hs[i].b + get(c.hs, i + 1).b >= {unit_bytes}, 2, {shortest(f'slice(c.hs, i + 1, {NEAR_LINES})', 'slice(c.hs, i + 1, size(c.hs))')})"
+    back = shortest(f"reverse(slice(c.hs, greatest(i + 2 - {NEAR_LINES}, 1), least(i + 1, {NEAR_LINES})))", "reverse(slice(c.hs, 1, i + 1))")
+    starting = f"transform(filter(c.at, i -> c.hs[i].b > 0), i -> named_struct('i', i, 'n', {forth}))"
+    # two lines that suffice are the window that starts at the first of them
+    ending = f"transform(filter(c.at, i -> i > 0 AND c.hs[i].b > 0 AND get(c.hs, i - 1).b + c.hs[i].b < {unit_bytes}), i -> {let('n', back, chr(39).join(['named_struct(', 'i', ', i + 1 - n, ', 'n', ', n)']))})"
+    solo = f"transform(filter(c.at, i -> c.hs[i].solo AND c.hs[i].b >= {unit_bytes}), i -> named_struct('i', i, 'n', 1))"
+    unit = "named_struct('h', " + sequence_hash("transform(slice(c.hs, w.i + 1, w.n), z -> z.h)") + ", 'i', w.i, 'n', w.n)"
+    found = f"transform(filter(concat({starting}, {ending}, {solo}), w -> w.n IS NOT NULL), w -> {unit})"
+    return let("q", lines, let("c", "named_struct('hs', q, 'at', sequence(0, size(q) - 1))", found))
 
 
 def kept_text(text: str, gone: str) -> str:
@@ -66,7 +70,7 @@ def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **
     """All rows of ``docs`` with ``__gone``: the (i, n) of their repeated units that are not the first occurrence."""
     units = docs.where(F.col(id_col).isNotNull() & F.col(text).isNotNull()).select(F.col(id_col).alias("__id"), F.expr(f"explode({units_of(f'`{text}`', **sizes)})").alias("u")).select("__id", "u.h", "u.i", "u.n")
     repeated = units.groupBy("h").agg(F.min(F.struct("__id", "i")).alias("first"), F.count("*").alias("c")).where("c > 1").select("h", "first")
-    hits = units.join(repeated, "h").groupBy("__id").agg(F.collect_list(F.struct("h", "i", "n", F.expr("__id = first.__id AND i = first.i").alias("stays"))).alias("__hits"))
+    hits = units.join(repeated, "h").groupBy("__id").agg(F.collect_list(F.struct("h", "i", "n", F.expr("__id = first.__id AND i < first.i + n").alias("stays"))).alias("__hits"))
     own = sequence_hash("transform(slice(v.l, x.i + 1, x.n), z -> xxhash64(z))") + " = x.h"
     checked = let("v", f"named_struct('l', split(`{text}`, '\\n', -1))", f"filter(__hits, x -> x.i + x.n <= size(v.l) AND {own})")
     met = docs.join(hits.withColumnRenamed("__id", id_col), id_col, "left").select(*docs.columns, F.expr(f"CASE WHEN size(__hits) > 0 THEN {checked} END").alias("__hits"))

@@ -277,6 +277,21 @@ def test_line_dedup_removes_shared_passages_and_nothing_else(spark):
     assert again[0]["text"] == "\n".join(passage) and again[1]["text"] == ""
 
 
+def test_line_dedup_removes_short_passages_in_any_surroundings(spark):
+    rng = random.Random(8)
+    line = lambda n: " ".join(f"w{rng.randrange(10**6)}" for _ in range(n))
+    texts, want = [], []
+    for k in range(120):
+        passage = [line(rng.randrange(3, 6)) if k % 3 else line(1) for _ in range(2 + k % 5 if k % 3 else 9)]
+        for copy in range(2):
+            before, after = [line(6) for _ in range(rng.randrange(1, 9))], [line(6) for _ in range(rng.randrange(1, 9))]
+            texts.append("\n".join(before + passage + after))
+            want.append("\n".join(before + ([] if copy else passage) + after))
+    assert [r["text"] for r in line_dedup.dedup_lines(docs(spark, texts)).orderBy("doc_id").collect()] == want
+    alone = ["a line that is forty bytes long or more.."] * 5
+    assert line_dedup.dedup_lines(docs(spark, ["\n".join(alone)])).first()["text"] == "\n".join(alone[:2])
+
+
 def test_line_dedup_odd_rows(spark):
     d = odd_docs(spark)
     out = line_dedup.dedup_lines(d)
