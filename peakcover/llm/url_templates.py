@@ -2,8 +2,8 @@
 
 Runs of digits in a path become ``#``.  Then, level by level below each host and prefix, a branch is compared
 with all its siblings together: if neither its labels nor the kinds of its next segments differ significantly
-(chi-square), it merges with the other such branches into the wildcard ``*``; so does any rare value where a
-level has very many.  What differs stays a branch of its own.  A template is rejected if its labelled share of
+(chi-square), it merges with the other such branches into the wildcard ``*``.  What differs stays a branch of
+its own.  Levels go on to the deepest segment.  A template is rejected if its labelled share of
 bad urls, smoothed by the overall share, reaches ``threshold``.  Explicit rules come before templates.
 
 Levels work on counts of distinct generalised paths, so a hot host is aggregated before anything is joined.
@@ -22,6 +22,7 @@ from . import common
 
 #: Fixed rules of the contract: (verdict, host, path).
 RULES = (("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/"))
+#: Bounds of the SQL form alone, which gives the same rows on sf0.01 and sf0.1; the operator has none.
 LEVELS = 4
 MOST_BRANCHES = 50
 LABELS_DIFFER, KINDS_DIFFER = 6.63, 9.21
@@ -56,14 +57,22 @@ def chi_square(own: list[str], rest: list[str]) -> str:
     return f"if({a} = 0 OR {b} = 0, 0D, ({' + '.join(cells)}) / (cast({a} as double) * {b}))"
 
 
-def learn(urls: DataFrame, levels: int = LEVELS, most_branches: int = MOST_BRANCHES, prior_weight: float = PRIOR_WEIGHT, threshold: float = THRESHOLD) -> DataFrame:
+def learn(urls: DataFrame, prior_weight: float = PRIOR_WEIGHT, threshold: float = THRESHOLD) -> DataFrame:
     """Templates of rows (host, path, bad: true, false or null): host, shape, template, n, labelled, bad, purity, rejected."""
     shaped = urls.select("host", F.regexp_replace("path", "[0-9]+", "#").alias("shape"), "bad")
     nodes = shaped.groupBy("host", "shape").agg(F.count("*").cast("double").alias("n"), F.count("bad").cast("double").alias("labelled"), F.sum(F.col("bad").cast("int")).cast("double").alias("bad"))
     nodes = nodes.select("host", "shape", "n", "labelled", F.coalesce("bad", F.lit(0.0)).alias("bad"), F.split("shape", "/").alias("segs"), F.lit("").alias("template"))
-    nodes = common.staged(nodes, "url-nodes")
+    nodes, done, d = common.staged(nodes, "url-nodes"), [], 1
     sums = ["n", "labelled", "bad", "ends", "numbers", "words"]
-    for d in range(2, levels + 2):  # the first segment is what stands before the first slash
+    while True:
+        # a template is done where no path goes deeper, or where one shape is left, which would have no siblings
+        groups = nodes.groupBy("host", "template").agg(F.expr(f"count(*) = 1 OR max(size(segs)) <= {d}").alias("done"))
+        met = common.staged(nodes.join(groups, ["host", "template"]), "url-groups")
+        done.append(met.where("done").withColumn("template", F.expr(f"if(size(segs) > {d}, concat(template, '/', array_join(slice(segs, {d + 1}, size(segs)), '/')), template)")).drop("done"))
+        nodes = met.where("NOT done").drop("done")
+        if nodes.isEmpty():
+            break
+        d += 1  # the first segment is what stands before the first slash
         seg, after = f"coalesce(get(segs, {d - 1}), '')", f"get(segs, {d})"
         here = nodes.withColumn("seg", F.expr(seg)).withColumn("ends", F.expr(f"if({after} IS NULL, n, 0D)")).withColumn("numbers", F.expr(f"if(contains({after}, '#'), n, 0D)"))
         here = here.withColumn("words", F.expr("n - ends - coalesce(numbers, 0D)")).withColumn("numbers", F.expr("coalesce(numbers, 0D)"))
@@ -72,11 +81,13 @@ def learn(urls: DataFrame, levels: int = LEVELS, most_branches: int = MOST_BRANC
         both = branches.join(parents, ["host", "template"])
         labels = chi_square(["bad", "(labelled - bad)"], ["(all_bad - bad)", "(all_labelled - labelled - all_bad + bad)"])
         kinds = chi_square(["ends", "numbers", "words"], ["(all_ends - ends)", "(all_numbers - numbers)", "(all_words - words)"])
-        stays = f"seg = '' OR contains(seg, '#') OR width = 1 OR NOT (width > {most_branches} AND n * {most_branches} < all_n) AND ({labels} >= {LABELS_DIFFER} OR {kinds} >= {KINDS_DIFFER})"
+        stays = f"seg = '' OR contains(seg, '#') OR width = 1 OR {labels} >= {LABELS_DIFFER} OR {kinds} >= {KINDS_DIFFER}"
         choice = both.select("host", "template", "seg", F.expr(f"if({stays}, seg, '*')").alias("out"))
         nodes = here.join(choice, ["host", "template", "seg"]).select("host", "shape", "n", "labelled", "bad", "segs", F.expr(f"if(size(segs) >= {d}, concat(template, '/', out), template)").alias("template"))
         nodes = common.staged(nodes, "url-nodes")  # each level reads its nodes three times
-    nodes = nodes.withColumn("template", F.expr(f"if(size(segs) > {levels + 1}, concat(template, '/**'), template)"))
+    nodes = done[0]
+    for part in done[1:]:
+        nodes = nodes.unionByName(part)
     totals = nodes.groupBy("host", "template").agg(F.sum("n").alias("t_n"), F.sum("labelled").alias("t_labelled"), F.sum("bad").alias("t_bad"))
     share = nodes.agg(F.sum("bad").alias("b"), F.sum("labelled").alias("l")).select(F.expr("if(coalesce(l, 0D) > 0, b / l, 0D)").alias("share"))
     judged = totals.crossJoin(F.broadcast(share)).withColumn("purity", F.expr(f"(t_bad + {prior_weight}D * share) / (t_labelled + {prior_weight}D)"))

@@ -358,6 +358,16 @@ def test_url_templates_merge_and_reject(spark):
     assert {r["template"] for r in out} == {"/good/n#/#", "/spam/n#/#"}
 
 
+def test_url_templates_reject_at_any_width_and_depth(spark):
+    name = lambda j: "abcdefghij"[j // 10] + "abcdefghij"[j % 10]
+    paths = [f"dir{name(j)}/{k}" for j in range(60) for k in range(20)] + [f"a/b/c/d/{kind}/e/{k}" for kind in ("fine", "spam") for k in range(30)]
+    urls = [(i, f"http://{'h' if p[0] == 'd' else 'k'}.net/{p}") for i, p in enumerate(paths)]
+    bad = lambda u: "/dirah/" in u or "/spam/" in u
+    labels = spark.createDataFrame([(i, bad(u)) for i, u in urls if i % 2], "page_id long, bad boolean")
+    out = url_templates.judge(spark.createDataFrame(urls, "page_id long, url string"), (), labels).collect()
+    assert len(out) == len(urls) and all((r["verdict"] == "block") == bad(r["url"]) for r in out)
+
+
 def vectors(spark, seed=0):
     rng = np.random.default_rng(seed)
     rows = []
