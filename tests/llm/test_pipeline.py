@@ -15,5 +15,12 @@ def test_pipeline_stages(spark):
     assert pieces.select("doc_id").distinct().count() == counts[-1]
 
 
+def test_pipeline_drops_near_copies_of_four_fifths(spark):
+    words = [f"w{i}" for i in range(200)]
+    near = ["other" + w if i in (30, 70, 110, 150) else w for i, w in enumerate(words)]  # 176 of 216 shingles
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(near))], "doc_id long, text string")
+    assert [r["doc_id"] for r in dict(corpus_pipeline.STAGES)["minhash"](spark, docs, "").collect()] == [1]
+
+
 def test_every_operator_has_a_query():
     assert [sorted(int(q[2:].split("_")[0]) for q in queries.QUERIES)] == [list(range(1, 11))]
