@@ -472,10 +472,16 @@ STANDING = f"SELECT r.round AS color, i.x, i.y FROM (SELECT round FROM ({LOG_SQL
 ROUNDS_SQL = f"SELECT r.round, coalesce(depth, 0) AS depth FROM (SELECT CAST(round AS BIGINT) AS round FROM ({LOG_SQL}) WHERE round % {EVERY} = 0) AS r LEFT JOIN (SELECT color, max(depth) AS depth FROM ({sampled_sql(STANDING, EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES, 'count(*)').replace('GROUP BY g, k0, k1, j', 'GROUP BY g, k0, k1, j, color').replace('AS j, CAST', 'AS j, color, CAST')}) GROUP BY color) ON color = r.round"
 
 
+@query()
+def dynamic_round_all(spark, d):
+    """The answer after every round."""
+    return dynamic.round_best(V.update_log(spark, d), EVENT_RADIUS, event_plan).select("round", "depth")
+
+
 @query(ROUNDS_SQL)
 def dynamic_round_best(spark, d):
-    """The answer after every round, shown for every 500th."""
-    return dynamic.round_best(V.update_log(spark, d), EVENT_RADIUS, event_plan).where(f"round % {EVERY} = 0").select("round", "depth")
+    """The rounds of ``dynamic_round_all`` that brute-force SQL can check: every 500th."""
+    return dynamic_round_all(spark, d).where(f"round % {EVERY} = 0")
 
 
 @query(ROUNDS_SQL)
@@ -526,6 +532,13 @@ def asof_best(spark, d):
     return ball_stream.as_of(answers, asked).select("round", F.col("depth").cast("long").alias("depth"))
 
 
+@query()
+def asof_all(spark, d):
+    """The newest of all answers at every 777th round; ``asof_best`` knows every 500th answer only."""
+    asked = spark.range(777, 2 * V.table(spark, d, "events").count(), 777).select(F.col("id").alias("round"))
+    return ball_stream.as_of(dynamic_round_all(spark, d), asked).select("round", F.col("depth").cast("long").alias("depth"))
+
+
 # -- other dimensions, samplers and measures -------------------------------------------------------------------
 
 

@@ -243,3 +243,17 @@ def test_points_from_files(spark, data, tmp_path):
     for form, where in (("parquet", "p"), ("csv", "c"), ("json", "j")):
         schema = "id long, x long, y long, w long, color string"
         assert exact_disk.exact_disk(V.read_points(spark, str(tmp_path / where), form, schema), 40).first()["depth"] == best
+
+
+def test_round_queries_give_every_round(spark):
+    from peakcover.plans import workloads
+    from peakcover.sources import views
+
+    d = "/root/testdata/sf0.001"
+    total = 2 * spark.read.parquet(f"{d}/events.parquet").count()
+    got = {r["round"]: r["depth"] for r in workloads.dynamic_round_all(spark, d).collect()}
+    assert sorted(got) == list(range(1, total + 1))
+    some = list(range(1, total + 1, 37))
+    again = dynamic.recompute(views.update_log(spark, d), some, workloads.EVENT_RADIUS, workloads.event_plan)
+    assert {r["round"]: r["depth"] for r in again.collect()} == {r: got[r] for r in some}
+    assert {r["round"]: r["depth"] for r in workloads.asof_all(spark, d).collect()} == {r: got[r] for r in range(777, total, 777)}
