@@ -38,7 +38,8 @@ MIN_DOCS = 8
 COMMON = 1e-3
 NEUTRAL = 30.0
 GRAMS = (3, 4, 5)
-CACHE = 60_000
+CACHE, CACHED_CHARS = 60_000, 64
+BATCH_WORDS, BATCH_CHARS = 20_000, 1 << 20
 
 
 def words_of(text: str | None) -> list[str]:
@@ -49,7 +50,7 @@ def gram_table(words: list[str], buckets: int = BUCKETS):
     """(word number, bucket) of every hashed n-gram of ``<word>`` in UTF-8, and of every whole word."""
     import numpy as np
 
-    raw = [f"<{w[:64]}>".encode("utf-8", "surrogatepass") for w in words]
+    raw = [f"<{w}>".encode("utf-8", "surrogatepass") for w in words]
     sizes = np.fromiter(map(len, raw), dtype=np.int64, count=len(raw))
     owner, ends = np.repeat(np.arange(len(raw)), sizes), np.repeat(np.cumsum(sizes), sizes)
     letters = np.frombuffer(b"".join(raw), dtype=np.uint8).astype(np.uint64)
@@ -145,6 +146,19 @@ def train(bags: list[tuple[str, list[int]]], labels, weights, seed: int = 7, dim
     return {"pull": (params[0] @ way * GAIN).astype(np.float32), "bias": float(params[2][0, 1] - params[2][0, 0]), "constant": None, "common": common_words}
 
 
+def batches(words: list[str]):
+    """The words in lists that are hashed at once, of bounded number and length; a longer word comes alone."""
+    part, chars = [], 0
+    for w in words:
+        if part and (len(part) >= BATCH_WORDS or chars + len(w) > BATCH_CHARS):
+            yield part
+            part, chars = [], 0
+        part.append(w)
+        chars += len(w)
+    if part:
+        yield part
+
+
 def score_texts(texts: list[str | None], model: dict, cache: dict[str, tuple[float, float]]) -> list[float]:
     """Scores of a batch; words that the cache lacks are hashed together."""
     import math
@@ -157,17 +171,16 @@ def score_texts(texts: list[str | None], model: dict, cache: dict[str, tuple[flo
     found = [set(words_of(t)) for t in texts]
     if len(cache) > CACHE:
         cache.clear()
-    fresh = list(set().union(*found) - cache.keys())
-    for at in range(0, len(fresh), 20_000):
-        part = fresh[at : at + 20_000]
+    fresh, long_words = list(set().union(*found) - cache.keys()), {}
+    for part in batches(fresh):
         of, gram = gram_table(part, len(pull))
         means = np.bincount(of, weights=pull[gram], minlength=len(part)) / np.bincount(of, minlength=len(part))
         for t, m in zip(part, means.tolist()):
             weight = often.get(t, 1.0)
-            cache[t] = (weight, weight * m)
+            (cache if len(t) <= CACHED_CHARS else long_words)[t] = (weight, weight * m)
     out = []
     for words in found:
-        pairs = [cache[t] for t in words]
+        pairs = [cache.get(t) or long_words[t] for t in words]
         # exact sums: the order of a set does not matter
         z = model["bias"] + math.fsum(p[1] for p in pairs) / (math.fsum(p[0] for p in pairs) + NEUTRAL)
         out.append(1 / (1 + math.exp(-max(-60.0, min(60.0, z)))))

@@ -258,6 +258,18 @@ def test_toxicity_learns_and_handles_odd_rows(spark):
     assert {r["h"] for r in d.select(toxicity.held_out(F.col("doc_id")).alias("h"), (F.col("doc_id") % 1).alias("z")).collect()} == {True, False}
 
 
+def test_toxicity_reads_words_to_their_end(monkeypatch):
+    word = "".join(random.Random(2).choices("abcdefgh", k=300))
+    of, grams = toxicity.gram_table([word, word[:200]], 1 << 16)
+    assert np.bincount(of).tolist() == [1 + sum(302 - n + 1 for n in (3, 4, 5)), 1 + sum(202 - n + 1 for n in (3, 4, 5))]
+    model = {"pull": np.random.default_rng(1).normal(size=1 << 16).astype(np.float32), "bias": 0.0, "constant": None, "common": {}}
+    texts = [word, word[:200], word + " short words", None]
+    scores = toxicity.score_texts(texts, model, {})
+    assert scores[0] != scores[1]
+    monkeypatch.setattr(toxicity, "BATCH_CHARS", 7)
+    assert toxicity.score_texts(texts, model, {}) == scores
+
+
 def test_line_dedup_removes_shared_passages_and_nothing_else(spark):
     rng = random.Random(6)
     line = lambda: " ".join(f"w{rng.randrange(10**6)}" for _ in range(rng.randrange(6, 12)))
