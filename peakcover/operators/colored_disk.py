@@ -1,8 +1,12 @@
 """Coloured disks in the plane over shifted unit grids: output-sensitive exact, and (1 - eps) by sampling colours.
 
 Every disk goes to the cells it meets; in a cell only disks that hold one of its four corners matter for the
-near optimum, so a cell's distinct colours are at most four times the optimum.  Cells whose colour count does
-not pass a known depth are skipped.  What remains of a cell is solved exactly by a kernel.
+near optimum, so a cell's distinct colours are at most four times the optimum.  In some grid an optimal place on
+a circle is near its cell's centre: disks that come nowhere near, circles that do not pass there, and cells whose
+colours do not pass a known depth are skipped.  What remains of a cell is solved exactly by a kernel.
+
+``strips_exact`` has neither grid nor corner filter: vertical strips part the plane, and each holds the piece of
+the trapezoidal map between its walls.
 """
 
 from __future__ import annotations
@@ -16,16 +20,18 @@ from ..functions import geometry as G
 from .cell_kernels import KERNELS
 
 SIDE, DELTA = 1.0, 0.25
+NEAR = DELTA + 1e-6
 PROBES = 12
 CELL = ["g", "k0", "k1"]
 
 
-def corner_disks(points: DataFrame, radius: float, color: str = "color", mode: str = "thin", corners_only: bool = True) -> DataFrame:
-    """(g, k0, k1, c0, c1, hue[, c: corner]): unit disks of every cell that hold at least one of its corners."""
+def corner_disks(points: DataFrame, radius: float, color: str = "color", mode: str = "thin", near_only: bool = False) -> DataFrame:
+    """(g, k0, k1, c0, c1, hue): unit disks of every cell that hold a corner of it, or of those the ones that come near its centre."""
     disks = points.select((F.col("x").cast("double") / radius).alias("c0"), (F.col("y").cast("double") / radius).alias("c1"), F.col(color).alias("hue")).distinct()
     cells = G.ball_cells(disks, G.shifted_grids(SIDE, DELTA, 2, mode), SIDE, 2)
-    if not corners_only:
-        return cells.select(*CELL, "c0", "c1", "hue")
+    if near_only:
+        off = [F.col(f"s{i}") + (F.col(f"k{i}") + 0.5) * SIDE - F.col(f"c{i}") for i in range(2)]
+        cells = cells.where(off[0] * off[0] + off[1] * off[1] <= (1 + NEAR) ** 2)
     holds = lambda u, v: F.pow(F.col("s0") + (F.col("k0") + u) * SIDE - F.col("c0"), F.lit(2.0)) + F.pow(F.col("s1") + (F.col("k1") + v) * SIDE - F.col("c1"), F.lit(2.0)) <= 1 + G.TOL
     return cells.where(holds(0, 0) | holds(0, 1) | holds(1, 0) | holds(1, 1)).select(*CELL, "c0", "c1", "hue")
 
@@ -53,34 +59,56 @@ def output_sensitive(points: DataFrame, radius: float, color: str = "color", eng
     """The exact optimum: x, y, depth."""
     from ..plans.staging import staged
 
-    kernel = KERNELS[engine]
+    kernel, shifts = KERNELS[engine], dict(G.shifted_grids(SIDE, DELTA, 2, mode))
     if known is None:
         known = best_corner(points, radius, color)
-    disks = staged(corner_disks(points, radius, color, mode), "corner-disks")
+    disks = staged(corner_disks(points, radius, color, mode, near_only=prune), "corner-disks")
 
-    def solve(frame):
-        import numpy as np
-        import pandas as pd
+    def solved(rows, floor: int):
+        def solve(key, frame):
+            import pandas as pd
 
-        _, hue = np.unique(frame["hue"].to_numpy().astype(str), return_inverse=True)
-        depth, x, y = kernel(frame["c0"].to_numpy(), frame["c1"].to_numpy(), hue)
-        return pd.DataFrame({"depth": [depth], "x": [x * radius], "y": [y * radius]})
+            centre = tuple(shifts[int(key[0])][i] + (int(key[1 + i]) + 0.5) * SIDE for i in range(2))
+            depth, x, y = kernel(frame["c0"].to_numpy(), frame["c1"].to_numpy(), pd.factorize(frame["hue"])[0], floor, centre if prune else None, NEAR)
+            return pd.DataFrame({"depth": [depth], "x": [x * radius], "y": [y * radius]})
+
+        return rows.groupBy(*CELL).applyInPandas(solve, "depth long, x double, y double").orderBy(F.desc("depth"), "x", "y").limit(1).select("x", "y", "depth")
 
-    solved = lambda rows: rows.groupBy(*CELL).applyInPandas(solve, "depth long, x double, y double").orderBy(F.desc("depth"), "x", "y").limit(1).select("x", "y", "depth")
     if not prune:
-        return solved(disks)
+        return solved(disks, 0)
     # the most coloured cells first: what they reach rules out every cell that has no more colours
     colours = staged(cell_colours(disks), "cell-colours")
     top = colours.where(F.col("colors") >= max(1, known)).orderBy(F.desc("colors"), *CELL).limit(PROBES)
-    first = staged(solved(disks.join(F.broadcast(top.select(*CELL)), CELL, "left_semi")), "first-cells")
-    reached = (first.agg(F.max("depth")).first()[0]) or 0
-    rest = colours.where(F.col("colors") > max(reached, known - 1)).join(F.broadcast(top.select(*CELL)), CELL, "left_anti").select(*CELL)
-    return first.union(solved(disks.join(rest, CELL, "left_semi"))).orderBy(F.desc("depth"), "x", "y").limit(1)
+    first = staged(solved(disks.join(F.broadcast(top.select(*CELL)), CELL, "left_semi"), known - 1), "first-cells")
+    reached = max((first.agg(F.max("depth")).first()[0]) or 0, known - 1)
+    rest = colours.where(F.col("colors") > reached).join(F.broadcast(top.select(*CELL)), CELL, "left_anti").select(*CELL)
+    return first.union(solved(disks.join(rest, CELL, "left_semi"), reached)).orderBy(F.desc("depth"), "x", "y").limit(1)
+
+
+def strips_exact(points: DataFrame, radius: float, color: str = "color", engine: str = "trapezoid", width: float = 0.5) -> DataFrame:
+    """The first exact method, without grids or corners: (x, y, depth) from the map of all boundaries, strip by strip.
+
+    A disk goes to the strips of ``width`` radii that it meets, so a task holds the disks near one vertical line.
+    """
+    kernel = KERNELS[engine]
+    disks = points.select((F.col("x").cast("double") / radius).alias("c0"), (F.col("y").cast("double") / radius).alias("c1"), F.col(color).alias("hue")).distinct()
+    dealt = disks.withColumn("k0", F.explode(F.sequence(F.floor((F.col("c0") - 1) / width).cast("long"), F.floor((F.col("c0") + 1) / width).cast("long"))))
+
+    def solve(key, frame):
+        import pandas as pd
+
+        # a little beyond the walls, so that a place on one is seen from a face
+        centre, near = ((int(key[0]) + 0.5) * width, 0.0), width / 2 + 1e-6
+        depth, x, y = kernel(frame["c0"].to_numpy(), frame["c1"].to_numpy(), pd.factorize(frame["hue"])[0], 0, centre, near)
+        return pd.DataFrame({"depth": [depth], "x": [x * radius], "y": [y * radius]})
+
+    return dealt.groupBy("k0").applyInPandas(solve, "depth long, x double, y double").orderBy(F.desc("depth"), "x", "y").limit(1).select("x", "y", "depth")
 
 
 def keep_colours(points: DataFrame, rate: float, color: str = "color", seed: int = 0) -> DataFrame:
-    """Every colour with all its points, or none, by a hash: a filter next to the scan."""
-    return points.where(F.pmod(F.xxhash64(F.col(color), F.lit(seed)), F.lit(1 << 31)) < F.lit(int(min(1.0, rate) * (1 << 31))))
+    """Every colour with all its points, or none, by a hash that any engine has: a filter next to the scan."""
+    draw = F.conv(F.substring(F.md5(F.concat_ws("|", F.col(color).cast("string"), F.lit(str(seed)))), 1, 8), 16, 10).cast("long")
+    return points.where(draw < F.lit(int(min(1.0, rate) * (1 << 32))))
 
 
 def sampled(points: DataFrame, radius: float, eps: float, c1: float = 1.0, color: str = "color", seed: int = 0, branch: str = "auto", engine: str = "sweep", estimate: str = "corner") -> DataFrame:

@@ -80,11 +80,15 @@ def test_trapezoid_depths_are_visited_and_right(seed):
     rows = cloud(seed, 14, 4)
     x, y = np.array([r[0] for r in rows]), np.array([r[1] for r in rows])
     hue = np.unique([r[3] for r in rows], return_inverse=True)[1]
-    _, cells, links = cell_kernels.trapezoids(x, y, hue)
+    cells, links, met = cell_kernels.trapezoids(x, y, hue)
     depth = cell_kernels.propagate(len(cells), links)
     assert None not in depth  # every cell is reached
-    px, py = np.array([c[2][0] for c in cells]), np.array([c[2][1] for c in cells])
-    assert depth == cell_kernels.depth_of(px, py, x, y, hue).tolist()
+    px, py = np.array([c[0] for c in cells[1:]]), np.array([c[1] for c in cells[1:]])
+    assert depth[1:] == cell_kernels.depth_of(px, py, x, y, hue).tolist()
+    assert all(depth[b] - depth[a] == d for a, b, d in links)  # on every way round
+    # in general position an end or a crossing opens few cells: the map's size follows arcs and crossings
+    arcs = cell_kernels.exposed(x, y, hue)
+    assert len(cells) <= 3 * (len(cell_kernels.pieces_of(x, y, arcs)[0]) + len(met[0])) + 1
 
 
 @pytest.mark.parametrize("a,b", [(2.0, 1.0), (0.0, 0.0), (9.0, 9.0)])
