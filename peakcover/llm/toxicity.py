@@ -1,12 +1,15 @@
 """Toxicity scores from subword bags: character n-gram embeddings averaged to a document, then a linear softmax.
 
-A word's vector is the mean of the embeddings of its hashed character n-grams and of the word itself; a
-document's vector is the mean over its words.  Embeddings and softmax are trained together in numpy, so a
-misspelling that was never seen shares most n-gram vectors with the words it comes from.
+A word's vector is the weighted mean of the embeddings of its hashed character n-grams and of the word itself:
+an n-gram weighs the square of its smoothed log odds between the classes, so what says nothing of them, or is
+rare, hardly counts.  A document's vector is the weighted mean over its distinct words and 30 neutral ones; very
+frequent words weigh less.  Embeddings and softmax are trained together in numpy, so a misspelling that was never
+seen shares most n-gram vectors with the words it comes from.
 
-Training uses at most ``max_train`` labelled documents (the documented bound of the sample; their ids are
-chosen by a hash from the label table alone, up to a third of them toxic, with class weights that restore the
-true share).  Scoring reads every whole text.
+Training uses at most ``max_train`` labelled documents and ``max_bytes`` of text (the documented bounds of the
+sample; ids are chosen by a hash from the label table alone, up to a third of them toxic, with class weights that
+restore the true share; in the same order the texts are taken whole as long as they fit; one row for an id).
+Every word of a training text trains.  Scoring reads every whole text.
 
 Defined cases: null and wordless texts score the bias alone; documents without labels are scored like others;
 of several label rows for one id the highest counts; without labels of both classes every score is the share
@@ -18,7 +21,6 @@ from __future__ import annotations
 
 import re
 import zlib
-from array import array
 from collections import Counter
 
 from pyspark.sql import DataFrame
@@ -27,14 +29,13 @@ from pyspark.sql import types as T
 
 from . import common
 
-MAX_TRAIN = 4000
-BUCKETS = 1 << 16
+MAX_TRAIN, MAX_BYTES = 4000, 64 << 20
+BUCKETS = 1 << 18
 DIM = 8
-EPOCHS = 150
-RATE = 0.1
-GAIN = 300.0
-FLOOR = 1e-3
-MIN_DOCS = 8
+EPOCHS, BATCH = 6, 64
+RATE = 0.3
+GAIN = 20.0
+SMOOTHING = 30.0
 COMMON = 1e-3
 NEUTRAL = 30.0
 GRAMS = (3, 4, 5)
@@ -70,80 +71,87 @@ def gram_table(words: list[str], buckets: int = BUCKETS):
     return np.concatenate(owners), np.concatenate(grams)
 
 
-class Segments:
-    """Sums of gathered rows by segment, over entries that are sorted by segment."""
+def ranges(first, count):
+    """The integers first[i] .. first[i] + count[i] - 1 for all i, one after the other."""
+    import numpy as np
 
-    def __init__(self, segment, source, weight, n_segments: int):
-        import numpy as np
+    return np.repeat(first - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
 
-        order = np.argsort(segment, kind="stable")
-        self.source, self.weight = source[order], weight[order][:, None]
-        self.ids, self.starts = np.unique(segment[order], return_index=True)
-        self.n = n_segments
 
-    def __call__(self, rows):
-        import numpy as np
+def gram_weights(docs, starts, counts, gram, labels, weights, buckets: int, smoothing: float = SMOOTHING):
+    """For each bucket the square of its smoothed log odds: in how many documents of either class it occurs."""
+    import numpy as np
 
-        out = np.zeros((self.n, rows.shape[1]), dtype=np.float32)
-        if len(self.starts):
-            out[self.ids] = np.add.reduceat(rows[self.source] * self.weight, self.starts, axis=0)
-        return out
+    seen = np.zeros((2, buckets))
+    for words, y, w in zip(docs, labels, weights):
+        if len(words):
+            seen[y, np.unique(gram[ranges(starts[words], counts[words])])] += w
+    share = float((labels * weights).sum() / weights.sum())
+    odds = np.log((seen[1] + smoothing * share) / (seen[0] + smoothing * (1 - share))) - np.log(share / (1 - share))
+    return (odds * odds).astype(np.float32)
 
 
 def train(bags: list[tuple[str, list[int]]], labels, weights, seed: int = 7, dim: int = DIM, epochs: int | None = None, buckets: int = BUCKETS) -> dict:
     """The trained model (from each document's distinct words, joined by spaces, and their counts), folded to one number for each n-gram bucket (its pull towards toxic) and a bias."""
     import numpy as np
 
-    y, w = np.asarray(labels, dtype=np.int64), np.asarray(weights, dtype=np.float32)
+    y, class_weight = np.asarray(labels, dtype=np.int64), np.asarray(weights, dtype=np.float64)
     if len(set(y.tolist())) < 2:
-        share = float((y * w).sum() / w.sum()) if len(y) else 0.0
+        share = float((y * class_weight).sum() / class_weight.sum()) if len(y) else 0.0
         return {"pull": np.zeros(buckets, dtype=np.float32), "bias": 0.0, "constant": share, "common": {}}
-    vocabulary: dict[str, int] = {}
-    doc, word, part = [], [], []
-    # plain arrays all through: the driver holds a few numbers for each entry, not objects
-    spread, said = Counter(), Counter()
+    said = Counter()
     for joined, counts in bags:
-        for t, c in zip(joined.split(), counts):
-            spread[t] += 1
-            said[t] += c
+        said.update(dict(zip(joined.split(), counts)))
     mass = max(1, said.total())
     common_words = {t: COMMON / (COMMON + c / mass) for t, c in said.items() if c >= 1e-5 * mass}
+    vocabulary = {t: i for i, t in enumerate(said)}
     del said
-    doc, word, part = array("i"), array("i"), array("f")
-    for d, (joined, _) in enumerate(bags):
+    docs, parts = [], []
+    for joined, _ in bags:
         found = joined.split()
-        total = sum(common_words.get(t, 1.0) for t in found) + NEUTRAL
-        for t in found:
-            if spread[t] >= MIN_DOCS:
-                doc.append(d)
-                word.append(vocabulary.setdefault(t, len(vocabulary)))
-                part.append(common_words.get(t, 1.0) / total)
-    del spread
-    of, gram = (x.astype(np.int32) for x in gram_table(list(vocabulary), buckets))
-    share = (1 / np.bincount(of, minlength=len(vocabulary)))[of].astype(np.float32)
-    doc, word = (np.frombuffer(x, dtype=np.int32) for x in (doc, word))
-    part = np.frombuffer(part, dtype=np.float32)
-    n, v = len(bags), len(vocabulary)
-    to_words, to_docs = Segments(of, gram, share, v), Segments(doc, word, part, n)
-    from_docs, from_words = Segments(word, doc, part, v), Segments(gram, of, share, buckets)
+        part = np.array([common_words.get(t, 1.0) for t in found])
+        docs.append(np.array([vocabulary[t] for t in found], dtype=np.int32))
+        parts.append((part / (part.sum() + NEUTRAL)).astype(np.float32))
+    of, gram = gram_table(list(vocabulary), buckets)
+    gram = gram[np.argsort(of, kind="stable")].astype(np.int32)
+    counts = np.bincount(of, minlength=len(vocabulary))
+    starts = np.concatenate([[0], np.cumsum(counts)[:-1]])
+    del of, vocabulary
+    scale = gram_weights(docs, starts, counts, gram, y, class_weight, buckets)
     rng = np.random.default_rng(seed)
-    params = [rng.uniform(-0.01, 0.01, (buckets, dim)).astype(np.float32), rng.normal(0, 0.5, (dim, 2)).astype(np.float32), np.zeros((1, 2), dtype=np.float32)]
-    moment, speed = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
-    onehot = np.eye(2, dtype=np.float32)[y]
-    w = (w / w.sum())[:, None]
-    for step in range(1, (epochs or EPOCHS) + 1):
-        mean = to_docs(to_words(params[0])) * GAIN
-        logits = mean @ params[1] + params[2]
-        p = np.exp(logits - logits.max(axis=1, keepdims=True))
-        p /= p.sum(axis=1, keepdims=True)
-        pull = (p - onehot) * w
-        grads = [from_words(from_docs(pull @ params[1].T)) * GAIN, mean.T @ pull, pull.sum(axis=0, keepdims=True)]
-        for i, g in enumerate(grads):
-            moment[i] = 0.9 * moment[i] + 0.1 * g
-            speed[i] = 0.99 * speed[i] + 0.01 * g * g
-            params[i] -= RATE * (moment[i] / (1 - 0.9**step)) / (np.sqrt(speed[i] / (1 - 0.99**step)) + FLOOR)
-    way = params[1][:, 1] - params[1][:, 0]
-    return {"pull": (params[0] @ way * GAIN).astype(np.float32), "bias": float(params[2][0, 1] - params[2][0, 0]), "constant": None, "common": common_words}
+    table, way, bias = rng.uniform(-0.01, 0.01, (buckets, dim)).astype(np.float32), rng.normal(0, 0.5, (dim, 2)).astype(np.float32), np.zeros(2, dtype=np.float32)
+    past = [np.full_like(a, 1e-6) for a in (table, way, bias)]
+    # what does not change from epoch to epoch: each batch's words, their n-grams, and where sums begin
+    order = [d for d in rng.permutation(len(docs)).tolist() if len(docs[d])]
+    plans = []
+    for at in range(0, len(order), BATCH):
+        some = np.array(order[at : at + BATCH])
+        sizes = np.array([len(docs[d]) for d in some])
+        words, place = np.unique(np.concatenate([docs[d] for d in some]), return_inverse=True)
+        count = counts[words]
+        grams, local = np.unique(gram[ranges(starts[words], count)], return_inverse=True)
+        plans.append((some, np.cumsum(sizes) - sizes, np.repeat(np.arange(len(some)), sizes), place.astype(np.int32), np.concatenate([parts[d] for d in some])[:, None], grams, local.astype(np.int32), np.cumsum(count) - count, np.repeat(np.arange(len(words), dtype=np.int32), count), (1 / count).astype(np.float32)[:, None]))
+    class_weight = class_weight / class_weight.mean()
+    by = lambda rows, keys, n: np.stack([np.bincount(keys, weights=rows[:, k], minlength=n) for k in range(dim)], axis=1).astype(np.float32)
+    for _ in range(epochs or EPOCHS):
+        for some, doc_at, doc, place, part, grams, local, word_at, word, share in (plans[i] for i in rng.permutation(len(plans))):
+            weight = scale[grams][:, None]
+            vectors = np.add.reduceat((table[grams] * weight)[local], word_at, axis=0) * share
+            mean = np.add.reduceat(vectors[place] * part, doc_at, axis=0) * GAIN
+            logits = mean @ way + bias
+            pull = np.exp(logits - logits.max(axis=1, keepdims=True))
+            pull /= pull.sum(axis=1, keepdims=True)
+            pull[np.arange(len(some)), y[some]] -= 1
+            pull = (pull * (class_weight[some] / len(some))[:, None]).astype(np.float32)
+            to_words = by((pull @ way.T * GAIN)[doc] * part, place, len(share)) * share
+            steps = (by(to_words[word], local, len(grams)) * weight, mean.T @ pull, pull.sum(axis=0))
+            past[0][grams] += steps[0] * steps[0]
+            table[grams] -= RATE * steps[0] / np.sqrt(past[0][grams])
+            for i, a, rate in ((1, way, RATE * 0.3), (2, bias, RATE)):
+                past[i] += steps[i] * steps[i]
+                a -= rate * steps[i] / np.sqrt(past[i])
+    turn = way[:, 1] - way[:, 0]
+    return {"pull": (table @ turn * GAIN * scale).astype(np.float32), "bias": float(bias[1] - bias[0]), "constant": None, "common": common_words}
 
 
 def batches(words: list[str]):
@@ -191,8 +199,8 @@ def held_out(doc_id) -> F.Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit(""))) % 5 == 0
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "toxic", max_train: int = MAX_TRAIN) -> dict:
-    """Train on at most ``max_train`` labelled rows that are not held out."""
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "toxic", max_train: int = MAX_TRAIN, max_bytes: int = MAX_BYTES) -> dict:
+    """Train on at most ``max_train`` labelled rows, and ``max_bytes`` of their texts, that are not held out."""
     known = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull() & ~held_out(F.col(id_col))).groupBy(F.col(id_col).alias("id")).agg(F.max(F.col(label).cast("int")).alias("y"))
     sizes = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}
     quota = {1: min(sizes.get(1, 0), max_train // 3)}
@@ -203,17 +211,24 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
         return train([], [], [])
     spark = docs.sparkSession
     sample = F.broadcast(spark.createDataFrame([(r["id"], r["y"]) for r in chosen], "id long, y int"))  # max_train rows at most
-    picked = docs.select(F.col(id_col).alias("id"), F.col(text).alias("body")).join(sample, "id")
+    # one row for an id, so repeated ids add nothing
+    picked = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("body")).join(sample, "id").groupBy("id", "y").agg(F.min("body").alias("body"))
+    picked = common.staged(picked, "toxicity-sample")
+    total, fits = 0, []
+    for r in picked.select("id", F.octet_length("body").alias("b")).orderBy(*spread).collect():
+        if total + r["b"] <= max_bytes:
+            total += r["b"]
+            fits.append((r["id"],))
+    held = F.broadcast(spark.createDataFrame(fits, "id long"))
 
     def bags(frames):
         import pandas as pd
 
         for f in frames:
-            counts = [Counter(words_of(t if isinstance(t, str) else "")) for t in f["body"]]
+            counts = [Counter(words_of(t)) for t in f["body"]]
             yield pd.DataFrame({"id": f["id"], "y": f["y"], "words": [" ".join(c) for c in counts], "counts": [list(c.values()) for c in counts]})
 
-    rows = picked.mapInPandas(bags, "id long, y int, words string, counts array<int>").collect()
-    rows = sorted(rows, key=lambda r: (r["id"], r["words"]))
+    rows = sorted(picked.join(held, "id").mapInPandas(bags, "id long, y int, words string, counts array<int>").collect(), key=lambda r: r["id"])
     weight = {y: sizes[y] / quota[y] for y in (0, 1) if quota[y]}
     return train([(r["words"], r["counts"]) for r in rows], [r["y"] for r in rows], [weight[r["y"]] for r in rows])
 
