@@ -22,6 +22,8 @@ def shared_root(spark: SparkSession) -> str:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = held.get() if held.isDefined() else None
     if not root:
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors see")
         root = "file://" + tempfile.mkdtemp(prefix="peakcover-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
