@@ -11,8 +11,10 @@ compared, unless their distances to the pivot (the Jaccard distance is a metric)
 out.  No link between different sets of a bucket is lost, and no pair leaves a task unless it is a link.
 
 Defined cases: texts without words (null, empty) have no shingles and link with nothing; texts below
-``width`` words are one shingle; rows with a null id are returned with a null component and kept; rows that
-share an id count as linked; ties have no effect; an empty table gives no rows.
+``width`` words are one shingle; very long texts are read whole, their signatures in slices; rows with a null id
+are returned with a null component and kept; rows that share an id count as linked, and however often an id
+repeats, each of its different texts is handled once; ties have no effect; an empty table gives no rows; input
+columns other than id and text play no part, whatever their names.
 """
 
 from __future__ import annotations
@@ -82,7 +84,7 @@ def band_keys(best, bands: int = BANDS):
 
 
 def signatures(docs: DataFrame, id_col: str, text: str, width: int = WIDTH, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """doc_id, n_shingles, digest of the set, band keys (none without shingles)."""
+    """doc_id, hash of the text, n_shingles, digest of the set, band keys (none without shingles)."""
     import hashlib
 
     added = [("n_shingles", T.LongType()), ("digest", T.BinaryType()), ("bands", T.ArrayType(T.LongType()))]
@@ -96,7 +98,7 @@ def signatures(docs: DataFrame, id_col: str, text: str, width: int = WIDTH, band
 
         return lambda texts: zip(*map(one, texts))
 
-    source = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("body"))
+    source = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"))
     return common.extend_rows(source, added, compute, ["body"]).drop("body")
 
 
@@ -173,21 +175,40 @@ def settle(frame, percent: int = PERCENT):
     return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
 
 
-def link_classes(classes: DataFrame, docs: DataFrame, id_col: str, text: str, width: int, percent: int) -> DataFrame:
-    """Components (node, comp) of the classes (rep, n, bands) that have a link."""
+def class_sets(docs: DataFrame, needed: DataFrame, id_col: str, text: str, width: int) -> DataFrame:
+    """(rep, set) of the needed classes (rep, doc_id, h), from the text that their first document has."""
+    source = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"))
+    met = source.join(needed.hint("merge"), ["doc_id", "h"]).select("rep", "body")  # grows with the corpus: never broadcast
+
+    def run(batches):
+        import pyarrow as pa
+
+        last = None
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                reps, sets = [], []
+                for rep, body in zip(part.column(0).to_pylist(), part.column(1)):
+                    if rep != last:  # equal rows come one after the other, and one of them is enough
+                        reps.append(rep)
+                        sets.append(shingle_set(body.as_py(), width).tobytes())
+                    last = rep
+                yield pa.RecordBatch.from_arrays([pa.array(reps, pa.int64()), pa.array(sets, pa.binary())], names=["rep", "set"])
+
+    return met.mapInArrow(run, "rep long, set binary")
+
+
+def link_classes(classes: DataFrame, docs: DataFrame, id_col: str, text: str, width: int, percent: int, given: DataFrame | None = None) -> DataFrame:
+    """Components (node, comp) of the classes (rep, doc_id, h, n, bands) that have a link, one of their own or a given one."""
     buckets = classes.select("rep", "n", F.explode("bands").alias("key"))
     pivots = buckets.groupBy("key").agg(F.min("rep").alias("pivot"), F.count("*").alias("m")).where("m > 1")
     members = common.staged(buckets.join(pivots, "key").select("key", "rep", "n", "pivot", "m"), "minhash-members")
-    needed = members.select("rep").distinct()
-
-    def to_sets():
-        return lambda texts: ([shingle_set(t, width).tobytes() for t in texts],)
-
-    source = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text).alias("body")).join(needed.hint("merge"), "rep")  # grows with the corpus: never broadcast
-    sets = common.staged(common.extend_rows(source, [("set", T.BinaryType())], to_sets, ["body"]).drop("body"), "minhash-sets")
+    needed = classes.select("rep", "doc_id", "h").join(members.select("rep").distinct(), "rep", "left_semi")
+    sets = common.staged(class_sets(docs, needed, id_col, text, width), "minhash-sets")
     pairs = members.where("rep <> pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
     stars = common.staged(scored(pairs, sets, percent), "minhash-stars")
     links = stars.where("linked").select("a", "b")
+    links = links if given is None else links.union(given)
     comps = common.staged(connected(links), "minhash-comps")
     held = members.join(stars.select(F.col("a").alias("pivot"), F.col("b").alias("rep"), "d"), ["pivot", "rep"], "left").join(comps.select(F.col("node").alias("rep"), "comp"), "rep", "left")
     held = common.staged(held.select("key", "rep", "n", "m", F.expr("if(rep = pivot, 0D, d)").alias("d"), F.coalesce("comp", "rep").alias("comp")), "minhash-held")
@@ -210,11 +231,18 @@ def link_classes(classes: DataFrame, docs: DataFrame, id_col: str, text: str, wi
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = WIDTH, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept."""
     coded = common.staged(signatures(docs, id_col, text, width, bands, rows), "minhash-signatures")
-    classes = coded.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.any_value("n_shingles").alias("n"), F.any_value("bands").alias("bands"))
-    classes = common.staged(classes, "minhash-classes")
-    comps = link_classes(classes, docs, id_col, text, width, percent)
+    worded = coded.where("n_shingles > 0 AND doc_id IS NOT NULL")
+    classes = worded.groupBy("digest").agg(F.min(F.struct("doc_id", "h")).alias("first"), F.count("*").alias("copies"), F.any_value("n_shingles").alias("n"), F.any_value("bands").alias("bands"))
+    classes = common.staged(classes.select(F.monotonically_increasing_id().alias("rep"), "digest", "first.doc_id", "first.h", "copies", "n", "bands"), "minhash-classes")
+    # ids with several texts link these texts' classes
+    several = worded.groupBy("doc_id").agg(F.min("digest").alias("low"), F.max("digest").alias("high")).where("low <> high").select("doc_id")
+    of = worded.select("doc_id", "digest").distinct().join(several, "doc_id").join(classes.select("digest", "rep"), "digest").select("doc_id", "rep")
+    given = of.join(of.groupBy("doc_id").agg(F.min("rep").alias("a")), "doc_id").where("a <> rep").select("a", F.col("rep").alias("b"))
+    comps = link_classes(classes, docs, id_col, text, width, percent, None if several.isEmpty() else common.staged(given, "minhash-given"))
     # only classes of several documents or with links move a document's component
-    moved = classes.select("digest", "rep", "copies").join(comps.select(F.col("node").alias("rep"), "comp"), "rep", "left").where("copies > 1 OR comp IS NOT NULL").select("digest", F.coalesce("comp", "rep").alias("comp"))
+    held = classes.select("digest", "rep", "doc_id", "copies").join(comps.select(F.col("node").alias("rep"), "comp"), "rep", "left").where("copies > 1 OR comp IS NOT NULL")
+    least = held.where("comp IS NOT NULL").groupBy("comp").agg(F.min("doc_id").alias("least"))
+    moved = held.join(least, "comp", "left").select("digest", F.coalesce("least", "doc_id").alias("comp"))
     out = coded.select("doc_id", "n_shingles", "digest").join(moved, "digest", "left")
     component = F.expr("CASE WHEN doc_id IS NOT NULL THEN coalesce(comp, doc_id) END")
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.expr("doc_id = component_id"), F.lit(True)))
