@@ -2,10 +2,11 @@
 
 Words are runs of digits, ASCII letters (lower-cased) and non-ASCII bytes.  An item gives all its windows of
 ``width`` words, or one window when it is shorter.  A window of word hashes that is found in the set is
-verified word by word.  The set is broadcast when the benchmark is below ``broadcast_bytes``; beyond that,
-window hashes of both sides meet in a shuffle join, with the same result.
+verified word by word against the items it may come from.  The set, sorted hashes with places in the items'
+words, is broadcast when it takes at most ``index_bytes``, which is known before anything is collected; beyond
+that, window hashes of both sides meet in a shuffle join and are verified as well, with the same result.
 
-Defined cases: null or wordless texts have no words and no hits; wordless items have no windows; an item
+Defined cases: very long texts are read whole; null or wordless texts have no words and no hits; wordless items have no windows; an item
 without an id counts as the item ``null``; repeated items count once; repeated documents are judged row by
 row; an empty benchmark contaminates nothing.
 """
@@ -23,7 +24,9 @@ from . import common
 
 WORD = rb"[^\x00-\x2f\x3a-\x60\x7b-\x7f]+"
 WIDTH = 13
-BROADCAST_BYTES = 32 << 20
+INDEX_BYTES = 64 << 20
+#: What the index takes at most for a word: its bytes apart, its hash, a window's hash and place, an offset.
+WORD_COST = 96
 MULTIPLIER = 0x9E3779B97F4A7C15
 ADDED = [("n_words", T.LongType()), ("n_hit", T.LongType()), ("item_ids", T.ArrayType(T.StringType())), ("spans", T.ArrayType(T.ArrayType(T.LongType())))]
 
@@ -39,22 +42,42 @@ def windows_of(words: list[bytes], width: int) -> list[tuple[bytes, ...]]:
     return [tuple(words[i : i + n]) for i in range(len(words) - n + 1)]
 
 
+def word_hashes(words: list[bytes]):
+    import numpy as np
+    from xxhash import xxh64_intdigest
+
+    return np.fromiter(map(xxh64_intdigest, words), dtype=np.uint64, count=len(words))
+
+
 def build_index(items: list[tuple[object, str | None]], width: int = WIDTH) -> dict:
-    """vocabulary (word -> number from 1), and by window length the sorted hashes and the exact windows with their items."""
+    """names of the items, their words, the sorted word hashes, and by window length the sorted window hashes with their places."""
     import numpy as np
 
-    vocabulary: dict[bytes, int] = {}
-    exact: dict[int, dict[tuple[int, ...], set[str]]] = {}
+    names, texts, known, found = [], [], [], {}
     for item, text in items:
-        for window in windows_of(words_of(text), width):
-            key = tuple(vocabulary.setdefault(w, len(vocabulary) + 1) for w in window)
-            exact.setdefault(len(key), {}).setdefault(key, set()).add("null" if item is None else str(item))
-    hashes = {n: np.unique(window_hashes(np.array(list(found), dtype=np.uint64))) for n, found in exact.items()}
-    return {"vocabulary": vocabulary, "exact": exact, "hashes": hashes}
+        words = words_of(text)
+        if not words:
+            continue
+        hashes, size = word_hashes(words), min(width, len(words))
+        starts = np.arange(len(words) - size + 1)
+        at = found.setdefault(size, ([], [], []))
+        at[0].append(window_hashes(hashes[starts[:, None] + np.arange(size)]))
+        at[1].append(np.full(len(starts), len(names), dtype=np.int32))
+        at[2].append(starts.astype(np.int32))
+        known.append(np.unique(hashes))
+        names.append("null" if item is None else str(item))
+        # one string of words and where each begins
+        texts.append((b" ".join(words), np.cumsum([0, *(len(w) + 1 for w in words)], dtype=np.int32)))
+    windows = {}
+    for size, parts in found.items():
+        hashes, owner, start = (np.concatenate(p) for p in parts)
+        order = np.argsort(hashes, kind="stable")
+        windows[size] = (hashes[order], owner[order], start[order])
+    return {"names": names, "texts": texts, "words": np.unique(np.concatenate(known)) if known else np.zeros(0, np.uint64), "windows": windows}
 
 
 def window_hashes(table):
-    """One hash for each row of word numbers."""
+    """One hash for each row of word hashes."""
     import numpy as np
 
     with np.errstate(over="ignore"):
@@ -67,26 +90,30 @@ def window_hashes(table):
 
 def scan(words: list[bytes], index: dict) -> tuple[int, int, list[str], list[list[int]]]:
     """(words, words hit, sorted items, hit spans as [first word, end]) of one document."""
-    from itertools import repeat
-
     import numpy as np
 
     n = len(words)
-    ids = np.fromiter(map(index["vocabulary"].get, words, repeat(0)), dtype=np.uint64, count=n)
+    ids, known = word_hashes(words), index["words"]
     hit, items = np.zeros(n + 1, dtype=np.int32), set()
-    unknown = np.concatenate([[0], np.cumsum(ids == 0)])
-    for size, hashes in index["hashes"].items():
+    here = known[np.minimum(np.searchsorted(known, ids), len(known) - 1)] == ids if len(known) else np.zeros(n, dtype=bool)
+    unknown = np.concatenate([[0], np.cumsum(~here)])
+    for size, (hashes, owner, start) in index["windows"].items():
         if n < size:
             continue
         starts = np.flatnonzero(unknown[size:] == unknown[:-size])
         if not len(starts):
             continue
         tables = window_hashes(ids[starts[:, None] + np.arange(size)])
-        at = np.searchsorted(hashes, tables)
-        for i in starts[hashes[np.minimum(at, len(hashes) - 1)] == tables].tolist():
-            found = index["exact"][size].get(tuple(ids[i : i + size].tolist()))
-            if found:
-                items |= found
+        low, high = np.searchsorted(hashes, tables), np.searchsorted(hashes, tables, side="right")
+        for k in np.flatnonzero(low < high).tolist():
+            i = int(starts[k])
+            own, same = b" ".join(words[i : i + size]), False
+            for j in range(int(low[k]), int(high[k])):
+                text, offsets = index["texts"][owner[j]]
+                if text[offsets[start[j]] : offsets[start[j] + size] - 1] == own:
+                    items.add(index["names"][owner[j]])
+                    same = True
+            if same:
                 hit[i] += 1
                 hit[i + size] -= 1
     inside = np.cumsum(hit[:-1]) > 0
@@ -94,12 +121,14 @@ def scan(words: list[bytes], index: dict) -> tuple[int, int, list[str], list[lis
     return n, int(inside.sum()), sorted(items), edges.reshape(-1, 2).tolist()
 
 
-def scan_documents(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", width: int = WIDTH, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+def scan_documents(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", width: int = WIDTH, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """Every row of ``docs`` with n_words, n_hit, item_ids (sorted) and spans (word offsets)."""
     spark = docs.sparkSession
     items = benchmark.select(F.col(item).cast("string").alias("item"), F.col(item_text).cast("string").alias("body"))
-    bytes_in = items.agg(F.sum(F.coalesce(F.octet_length("body"), F.lit(0)) + 16)).first()[0] or 0
-    if bytes_in > broadcast_bytes:
+    # an upper bound of the index, from the numbers of bytes and words
+    words = F.size(F.regexp_extract_all("body", F.lit(r"[0-9A-Za-z\x{80}-\x{10ffff}]+"), F.lit(0)))
+    size = items.distinct().agg(F.sum(F.coalesce(F.octet_length("body") + words * WORD_COST, F.lit(0)) + 256)).first()[0] or 0
+    if size > index_bytes:
         return scan_by_join(docs, items, text, width)
     index = spark.sparkContext.broadcast(build_index([tuple(r) for r in items.distinct().collect()], width))
 
@@ -113,7 +142,8 @@ def scan_documents(docs: DataFrame, benchmark: DataFrame, text: str = "text", it
 def scan_by_join(docs: DataFrame, items: DataFrame, text: str, width: int = WIDTH) -> DataFrame:
     """The same result where the benchmark is too large to broadcast: windows of both sides meet by hash.
 
-    Texts stay where they are; only hashed windows move, those of documents with the place they start at.
+    Texts stay where they are; only hashed windows move, those of documents with the place they start at.  Hits
+    come back to their document with the item's words, and count if these stand there.
     """
     keyed = common.staged(docs.withColumn("__row", F.monotonically_increasing_id()), "decontaminate-docs")
     shapes = "size int, h1 long, h2 long"
@@ -131,10 +161,10 @@ def scan_by_join(docs: DataFrame, items: DataFrame, text: str, width: int = WIDT
             rows = []
             for it, body in zip(f["item"], f["body"]):
                 w = words_of(body)
-                rows += [(None if pd.isna(it) else it, s, a, b) for s, _, a, b in digests(w, [min(width, len(w))] if w else [])]
-            yield pd.DataFrame(rows, columns=["item", "size", "h1", "h2"])
+                rows += [(None if pd.isna(it) else it, s, a, b, b" ".join(w[i : i + s])) for s, i, a, b in digests(w, [min(width, len(w))] if w else [])]
+            yield pd.DataFrame(rows, columns=["item", "size", "h1", "h2", "words"])
 
-    windows = items.mapInPandas(item_windows, f"item string, {shapes}").select(F.coalesce("item", F.lit("null")).alias("item"), "size", "h1", "h2").distinct()
+    windows = items.mapInPandas(item_windows, f"item string, {shapes}, words binary").select(F.coalesce("item", F.lit("null")).alias("item"), "size", "h1", "h2", "words").distinct()
     windows = common.staged(windows, "decontaminate-windows")
     sizes = sorted(r[0] for r in windows.select("size").distinct().collect())
 
@@ -148,28 +178,31 @@ def scan_by_join(docs: DataFrame, items: DataFrame, text: str, width: int = WIDT
                     yield pd.DataFrame([(row, *x) for x in got[at : at + 50_000]], columns=["__row", "size", "at", "h1", "h2"])
 
     hits = keyed.select("__row", F.col(text).alias("body")).mapInPandas(doc_windows, "__row long, size int, at long, h1 long, h2 long").join(windows, ["size", "h1", "h2"])
-    per = hits.groupBy("__row").agg(F.sort_array(F.collect_set("item")).alias("item_ids"), F.collect_set(F.struct("at", "size")).alias("__hits"))
+    per = hits.groupBy("__row").agg(F.collect_set(F.struct("at", "size", "item", "words")).alias("__hits"))
     joined = keyed.join(per, "__row", "left").drop("__row")
 
     def compute():
-        def work(texts, found, hits):
+        def work(texts, hits):
             import numpy as np
 
             out = []
-            for t, names, spans in zip(texts, found, hits):
-                n = len(words_of(t))
+            for t, spans in zip(texts, hits):
+                words, names = words_of(t), set()
+                n = len(words)
                 mark = np.zeros(n + 1, dtype=np.int32)
                 for s in spans or []:
-                    mark[s["at"]] += 1
-                    mark[s["at"] + s["size"]] -= 1
+                    if b" ".join(words[s["at"] : s["at"] + s["size"]]) == bytes(s["words"]):
+                        names.add(s["item"])
+                        mark[s["at"]] += 1
+                        mark[s["at"] + s["size"]] -= 1
                 inside = np.cumsum(mark[:-1]) > 0
                 edges = np.flatnonzero(np.diff(np.concatenate([[0], inside.view(np.int8), [0]])))
-                out.append((n, int(inside.sum()), names or [], edges.reshape(-1, 2).tolist()))
+                out.append((n, int(inside.sum()), sorted(names), edges.reshape(-1, 2).tolist()))
             return zip(*out)
 
         return work
 
-    return common.extend_rows(joined, ADDED, compute, [text, "item_ids", "__hits"]).drop("__hits")
+    return common.extend_rows(joined, ADDED, compute, [text, "__hits"]).drop("__hits")
 
 
 CONTAMINATED = "n_hit > 0 AND 20 * n_hit >= n_words"

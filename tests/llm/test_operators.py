@@ -190,6 +190,19 @@ def test_minhash_odd_rows(spark):
     assert minhash.drop_near_duplicates(odd_docs(spark)).count() == 7
 
 
+def test_minhash_takes_repeated_ids_once(spark):
+    rng = random.Random(9)
+    base = [f"w{rng.randrange(500)}" for _ in range(200)]
+    near = " ".join(base[:100] + ["other"] + base[101:])
+    rows = [(5, " ".join(base))] * 2000 + [(7, near)] * 2000 + [(9, "of its own"), (9, " ".join(base[::-1])), (11, " ".join(base[::-1])), (12, "OF its  own"), (13, "alone")]
+    got = {(r["doc_id"], r["component_id"], r["kept"]) for r in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {(5, 5, True), (7, 5, False), (9, 9, True), (11, 9, False), (12, 9, False), (13, 13, True)}
+    # each class's set moves once, whatever the number of rows
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    needed = spark.createDataFrame([(1, 5), (2, 7)], "rep long, doc_id long").join(df.select("doc_id", F.xxhash64("text").alias("h")).distinct(), "doc_id")
+    assert minhash.class_sets(df.coalesce(1), needed, "doc_id", "text", 5).count() <= 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
 def test_components(spark):
     rng = random.Random(0)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(1000, 1060)]
@@ -214,7 +227,7 @@ def test_decontamination_forms_agree(spark):
     texts = [" ".join(rng.choice(words) for _ in range(rng.randrange(60))) for _ in range(30)] + [f"pre {items[k][1].upper()}! post" for k in (2, 3, 4, 5)] + [None, "", "ONLY-nulls_here"]
     d, b = docs(spark, texts), spark.createDataFrame(items, "item_id int, text string")
     one = {r["doc_id"]: r for r in decontaminate.scan_documents(d, b).collect()}
-    two = {r["doc_id"]: r for r in decontaminate.scan_documents(d, b, broadcast_bytes=0).collect()}
+    two = {r["doc_id"]: r for r in decontaminate.scan_documents(d, b, index_bytes=0).collect()}
     windows = [(str(i) if i is not None else "null", w) for i, t in items for w in decontaminate.windows_of(decontaminate.words_of(t), 13)]
     for i, t in enumerate(texts):
         w = decontaminate.words_of(t)
@@ -233,6 +246,19 @@ def test_decontamination_forms_agree(spark):
     assert decontaminate.scan_documents(odd_docs(spark), b.limit(0)).agg(F.sum("n_hit")).first()[0] == 0
 
 
+def test_decontamination_index_is_small_and_verified(monkeypatch):
+    rng = random.Random(1)
+    items = [(i, " ".join(f"word{rng.randrange(5000)}" for _ in range(300))) for i in range(100)]
+    index = decontaminate.build_index(items)
+    held = index["words"].nbytes + sum(a.nbytes for w in index["windows"].values() for a in w) + sum(len(t) + o.nbytes for t, o in index["texts"])
+    assert held <= sum(len(t) for _, t in items) + decontaminate.WORD_COST * 30_000
+    # with hashes that all collide, only words that stand there count
+    monkeypatch.setattr(decontaminate, "window_hashes", lambda table: np.zeros(len(table), dtype=np.uint64))
+    index = decontaminate.build_index(items[:3])
+    words = decontaminate.words_of(items[1][1])
+    assert decontaminate.scan(words[20:60], index)[1:3] == (40, ["1"]) and decontaminate.scan(words[20:26] + words[40:46], index)[1] == 0
+
+
 def test_toxicity_learns_and_handles_odd_rows(spark):
     rng = random.Random(5)
     plain = [f"{a}{b}" for a in ("lor", "ips", "dol", "sit", "ame") for b in ("em", "um", "or", "at", "is", "ol")]
