@@ -14,7 +14,8 @@ can have a link in a cell only if the plane between that cell and its own is no
 cosine; it is sent to those cells alone, and all products of two cells' vectors are taken, so none is lost.
 
 Blocks return for each vector the number of its links, and only the links that join components: the
-components a block's own links leave, as a star for each.  No pair list exists.
+components a block's own links leave, as a star for each.  No pair list exists.  Centroids meet their label's
+vectors in a join, a part of a large label at a time; small labels share a task, many at a time.
 
 Defined cases: a null label, a null or zero vector, and null or non-finite components link with nothing; rows
 with a null id take part as nothing and come back with a null component, kept; rows that share an id are one
@@ -36,6 +37,7 @@ SAMPLE = 4096
 MEAN_SHARD = 200
 MOST_BLOCK = 1500
 MEAN_CELL = 1500
+PART = 4096
 OVERLAP = 3
 DEGREE, ALPHA, BEAM = 32, 1.2, 32
 SLACK = 0.04
@@ -90,7 +92,7 @@ def build_lists(vectors, degree: int = DEGREE):
     return [np.unique(np.array([j for j in row if j >= 0] + back[i][: 2 * degree], dtype=np.int64)) for i, row in enumerate(lists.tolist())]
 
 
-def range_search(queries, vectors, lists, medoid: int, cosine: float = COSINE, slack: float = SLACK, beam: int = BEAM):
+def range_search(queries, vectors, lists, medoid: int, cosine: float = COSINE, slack: float = SLACK, beam: int | None = BEAM):
     """For each query the vectors reached in range: a boolean table (queries x vectors) of places to verify."""
     import numpy as np
 
@@ -103,7 +105,7 @@ def range_search(queries, vectors, lists, medoid: int, cosine: float = COSINE, s
     opened = np.zeros((q, n), dtype=bool)
     score[:, medoid] = queries @ vectors[medoid]
     rows = np.arange(q)
-    for step in range(min(n, beam)):
+    for _ in range(n if beam is None else min(n, beam)):
         # the nearest seen node that is not open yet; queries that have reached their range wait for the expansion
         todo = np.where(opened, -np.inf, score)
         best = todo.argmax(axis=1)
@@ -143,10 +145,13 @@ def prepared(vectors: DataFrame, id_col: str, vector: str, label: str) -> DataFr
     return rows.groupBy("label", "v").agg(F.min("id").alias("rep"), F.countDistinct("id").alias("copies"))
 
 
-def fit_centroids(classes: DataFrame, sample: int = SAMPLE, mean_shard: int = MEAN_SHARD, rounds: int = 6) -> dict:
-    """label -> centroids, by spherical k-means on at most ``sample`` vectors of each label, fitted on the executors."""
-    sizes = classes.groupBy("label").agg(F.count("*").alias("size"))
-    chosen = classes.join(sizes, "label").where(f"pmod(xxhash64(rep, 17), 1000000) * cast(size as double) < {sample} * 1000000D").select("label", "size", "rep", "v")
+def fit_centroids(classes: DataFrame, sizes: DataFrame, sample: int = SAMPLE, means: tuple[int, int] = (MEAN_SHARD, MEAN_CELL), rounds: int = 6) -> DataFrame:
+    """(label, fine, coarse) of the labels with more vectors than a shard, by spherical k-means on at most ``sample`` of each.
+
+    The sample of a label comes first in the order of a hash, so it needs no second pass.
+    """
+    large = sizes.where(f"size > {means[0]}")
+    chosen = classes.join(large, "label").where(f"pmod(xxhash64(rep, 17), 1000000) * cast(size as double) < {sample} * 1000000D").select("label", "size", "rep", "v")
 
     def fit(frame):
         import numpy as np
@@ -155,25 +160,23 @@ def fit_centroids(classes: DataFrame, sample: int = SAMPLE, mean_shard: int = ME
         frame = frame.sort_values("rep").head(2 * sample)
         x = np.stack(frame["v"].to_numpy()).astype(np.float64)
         x /= np.linalg.norm(x, axis=1, keepdims=True)
-        k = max(1, min(len(x), math.ceil(int(frame["size"].iloc[0]) / mean_shard)))
-        # below a thousand centroids for each sample: larger shards are dealt into blocks
-        k = min(k, max(1, len(x) // 4))
-        rng = np.random.default_rng(11)
-        c = x[rng.choice(len(x), k, replace=False)]
-        for _ in range(rounds):
-            near = (x @ c.T).argmax(axis=1)
-            for j in range(k):
-                part = x[near == j]
-                if len(part):
-                    m = part.sum(axis=0)
-                    c[j] = m / (np.linalg.norm(m) or 1)
-        return pd.DataFrame({"label": [frame["label"].iloc[0]] * k, "c": list(c)})
-
-    got = chosen.groupBy("label").applyInPandas(fit, "label string, c array<double>").collect()
-    out: dict[str, list] = {}
-    for r in got:
-        out.setdefault(r["label"], []).append(list(r["c"]))
-    return {k: sorted(v) for k, v in out.items()}
+        out = []
+        for mean in means:
+            k = max(1, min(len(x), math.ceil(int(frame["size"].iloc[0]) / mean)))
+            # below a thousand centroids for each sample: larger shards are dealt into blocks
+            k = min(k, max(1, len(x) // 4))
+            c = x[np.random.default_rng(11).choice(len(x), k, replace=False)]
+            for _ in range(rounds):
+                near = (x @ c.T).argmax(axis=1)
+                for j in range(k):
+                    part = x[near == j]
+                    if len(part):
+                        m = part.sum(axis=0)
+                        c[j] = m / (np.linalg.norm(m) or 1)
+            out.append(sorted(list(r) for r in c))
+        return pd.DataFrame({"label": [frame["label"].iloc[0]], "fine": [out[0]], "coarse": [out[1]]})
+
+    return common.staged(chosen.groupBy("label").applyInPandas(fit, "label string, fine array<array<double>>, coarse array<array<double>>"), "vector-centroids")
 
 
 def cells_in_reach(x, centroids, cosine: float = COSINE):
@@ -189,45 +192,44 @@ def cells_in_reach(x, centroids, cosine: float = COSINE):
     return own, scores[np.arange(len(x)), own][:, None] - scores <= math.sqrt(max(0.0, 1 - cosine * cosine)) * gaps[own] + 1e-9
 
 
-def assign(classes: DataFrame, centroids: dict, coarse: dict, overlap: int = OVERLAP, cosine: float = COSINE) -> DataFrame:
+def assign(classes: DataFrame, sizes: DataFrame, centroids: DataFrame, overlap: int = OVERLAP, cosine: float = COSINE, mean_shard: int = MEAN_SHARD) -> DataFrame:
     """One row for each class: label, rep, copies, v (unit), shards (ascending), cell, reach (cells, none where all share a shard)."""
-    shared = classes.sparkSession.sparkContext.broadcast((centroids, coarse))  # SAMPLE / 4 centroids a label at most
-
-    def deal(frames):
+    shape = "label string, rep long, copies long, v array<double>, shards array<int>, cell int, reach array<int>"
+    sized = classes.select("label", "rep", "copies", "v").join(sizes, "label")
+    # a small label is one shard, and needs no centroids
+    peak = sized.where(f"size <= {mean_shard}").withColumn("v", F.expr("transform(v, x -> x / array_max(transform(v, y -> abs(y))))"))
+    small = peak.select("label", "rep", "copies", F.expr("transform(v, x -> x / sqrt(aggregate(v, 0D, (t, y) -> t + y * y)))").alias("v"), F.expr("array(0)").alias("shards"), F.lit(0).alias("cell"), F.expr("cast(array() as array<int>)").alias("reach"))
+    parts = F.expr(f"cast(ceil(size / {PART}D) as int)")
+    dealt = sized.where(f"size > {mean_shard}").withColumn("part", F.pmod(F.xxhash64("rep", F.lit(5)), parts).cast("int"))
+    shared = centroids.join(sizes, "label").withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("size")
+
+    def deal(key, frame, found):
         import numpy as np
+        import pandas as pd
 
-        found, wide = ({k: np.array(v) for k, v in c.items()} for c in shared.value)
-        for f in frames:
-            if not len(f):
-                continue
-            units, shards, cells, reach = [None] * len(f), [None] * len(f), [0] * len(f), [[]] * len(f)
-            labels = f["label"].to_numpy()
-            for name in set(labels):
-                at = np.flatnonzero(labels == name)
-                x = np.stack(f["v"].to_numpy()[at]).astype(np.float64)
-                peak = np.abs(x).max(axis=1, keepdims=True)
-                x = x / peak
-                x /= np.linalg.norm(x, axis=1, keepdims=True)
-                c = found.get(name)
-                near = np.zeros((len(x), 1), int) if c is None else np.argsort(-(x @ c.T), axis=1, kind="stable")[:, :overlap]
-                for i, u, s in zip(at.tolist(), x, near.tolist()):
-                    units[i], shards[i] = u, sorted(s)
-                if c is None or len(c) <= overlap:
-                    continue
-                own, near = cells_in_reach(x, wide[name], cosine)
-                for i, o, row in zip(at.tolist(), own.tolist(), near):
-                    cells[i], reach[i] = o, np.flatnonzero(row).tolist()
-            yield f[["label", "rep", "copies"]].assign(v=units, shards=shards, cell=cells, reach=reach)
-
-    return classes.select("label", "rep", "copies", "v").mapInPandas(deal, "label string, rep long, copies long, v array<double>, shards array<int>, cell int, reach array<int>")
+        if not len(frame) or not len(found):
+            return pd.DataFrame({c.split()[0]: [] for c in shape.split(", ")})
+        fine, coarse = (np.array([list(r) for r in found[c].iloc[0]]) for c in ("fine", "coarse"))
+        x = np.stack(frame["v"].to_numpy()).astype(np.float64)
+        x = x / np.abs(x).max(axis=1, keepdims=True)
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+        shards = np.sort(np.argsort(-(x @ fine.T), axis=1, kind="stable")[:, :overlap], axis=1)
+        cells, reach = np.zeros(len(x), dtype=int), [[]] * len(x)
+        if len(fine) > overlap:
+            cells, near = cells_in_reach(x, coarse, cosine)
+            reach = [np.flatnonzero(row).tolist() for row in near]
+        return frame[["label", "rep", "copies"]].assign(v=list(x), shards=shards.tolist(), cell=cells, reach=reach)
+
+    large = dealt.groupBy("label", "part").cogroup(shared.groupBy("label", "part")).applyInPandas(deal, shape)
+    return small.unionByName(large)
 
 
 def apart(dealt: DataFrame, cosine: float, overlap: int, most: int) -> DataFrame:
     """Links between vectors that share no shard, in the form of the shards' own: a, b, others."""
     dealt = dealt.where("size(reach) > 0")
     cells = dealt.groupBy("label", "cell").agg(F.expr(f"cast(ceil(count(*) / {most}D) as int)").alias("blocks"))
-    own = dealt.join(F.broadcast(cells), ["label", "cell"]).withColumn("own", F.expr("cell * 1048576L + pmod(xxhash64(rep), blocks)"))
-    asked = own.select("label", "own", "rep", "copies", "v", "shards", F.explode("reach").alias("cell")).join(F.broadcast(cells), ["label", "cell"])
+    own = dealt.join(cells, ["label", "cell"]).withColumn("own", F.expr("cell * 1048576L + pmod(xxhash64(rep), blocks)"))
+    asked = own.select("label", "own", "rep", "copies", "v", "shards", F.explode("reach").alias("cell")).join(cells, ["label", "cell"])
     # a link's two ends reach each other's cells, so they meet in the group of their two blocks, once
     asked = asked.withColumn("to", F.expr("explode(transform(sequence(0, blocks - 1), b -> cell * 1048576L + b))"))
     pairs = asked.select("label", F.expr("least(own, to) AS low"), F.expr("greatest(own, to) AS high"), "own", "rep", "copies", "v", "shards")
@@ -277,25 +279,31 @@ def apart(dealt: DataFrame, cosine: float, overlap: int, most: int) -> DataFrame
 def links(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", cosine: float = COSINE, overlap: int = OVERLAP, most: int = MOST_BLOCK) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(classes: rep, copies; counts: rep, others; edges: a, b that span the links' components)."""
     classes = common.staged(prepared(vectors, id_col, vector, label), "vector-classes")
-    dealt = common.staged(assign(classes, fit_centroids(classes), fit_centroids(classes, mean_shard=MEAN_CELL), overlap, float(cosine)), "vector-shards")
+    labels = common.staged(classes.groupBy("label").agg(F.count("*").alias("size")), "vector-labels")
+    packs = 1 + (labels.where(f"size <= {MEAN_SHARD}").agg(F.sum("size")).first()[0] or 0) // PART
+    dealt = common.staged(assign(classes, labels, fit_centroids(classes, labels), overlap, float(cosine)), "vector-shards")
     members = dealt.drop("cell", "reach").withColumn("shard", F.explode("shards"))
     sizes = members.groupBy("label", "shard").agg(F.count("*").alias("size")).withColumn("blocks", F.expr(f"cast(ceil(size / {most}D) as int)"))
-    # the table of shards is as small as the centroids that are broadcast
-    placed = members.join(F.broadcast(sizes.select("label", "shard", "blocks")), ["label", "shard"]).withColumn("block", F.expr("cast(pmod(xxhash64(rep), blocks) as int)"))
+    placed = members.join(sizes.select("label", "shard", "blocks"), ["label", "shard"]).withColumn("block", F.expr("cast(pmod(xxhash64(rep), blocks) as int)"))
+    # one room is a block, or many labels of one shard each
+    placed = placed.join(labels, "label").withColumn("room", F.expr(f"if(size <= {MEAN_SHARD}, concat('s', pmod(xxhash64(label), {packs})), concat('l', shard, ':', block, ':', label))")).drop("size")
     placed = common.staged(placed, "vector-blocks")
 
-    def build(frame):
+    def build(room):
         import numpy as np
         import pandas as pd
 
-        frame = frame.sort_values("rep")
-        x, ids = np.stack(frame["v"].to_numpy()), frame["rep"].to_numpy()
-        return pd.DataFrame({"rep": ids, "near": [ids[row] for row in build_lists(x)]})
+        out = []
+        for _, frame in room.groupby(["label", "shard", "block"], sort=False):
+            frame = frame.sort_values("rep")
+            x, ids = np.stack(frame["v"].to_numpy()), frame["rep"].to_numpy()
+            out.append(pd.DataFrame({"rep": ids, "near": [ids[row] for row in build_lists(x)]}))
+        return pd.concat(out)
 
-    graphs = placed.groupBy("label", "shard", "block").applyInPandas(build, "rep long, near array<long>")
+    graphs = placed.groupBy("room").applyInPandas(build, "rep long, near array<long>")
     united = graphs.groupBy("rep").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near"))
     united = common.staged(united, "vector-graph")
-    base = placed.join(united, "rep").select("label", "shard", "block", "rep", "copies", "v", "shards", "near")
+    base = placed.join(united, "rep").select("room", "label", "shard", "block", "rep", "copies", "v", "shards", "near")
     base = common.staged(base, "vector-united")
     # vectors of other blocks of a shard ask there too, a slice of them at a time
     asking = placed.where("blocks > 1").withColumn("to", F.expr("explode(sequence(0, blocks - 1))")).where("to <> block")
@@ -353,13 +361,17 @@ def links(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding",
             lists.append(at[ids[at] == row])
         return x, lists, int((x @ x.sum(axis=0)).argmax())
 
-    def search(frame):
+    def search(room):
         import numpy as np
+        import pandas as pd
 
-        x, ids, copies, shards = prepare(frame)
-        y, lists, medoid = graph(frame)
-        inside = np.concatenate([range_search(x[i : i + 512], y, lists, medoid, threshold) for i in range(0, len(x), 512)])
-        return packed(ids, *answer(x, ids, shards, y, ids, copies, shards, inside, int(frame["shard"].iloc[0])))
+        out = []
+        for (_, shard, _), frame in room.groupby(["label", "shard", "block"], sort=False):
+            x, ids, copies, shards = prepare(frame)
+            y, lists, medoid = graph(frame)
+            inside = np.concatenate([range_search(x[i : i + 512], y, lists, medoid, threshold) for i in range(0, len(x), 512)])
+            out.append(packed(ids, *answer(x, ids, shards, y, ids, copies, shards, inside, int(shard))))
+        return pd.concat(out)
 
     def search_across(key, left, right):
         import numpy as np
@@ -374,9 +386,9 @@ def links(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding",
         return packed(asked, *answer(x, asked, shards, y, ids, weight, held, inside, int(key[1])))
 
     shape = "a long, b long, others long"
-    found = base.groupBy("label", "shard", "block").applyInPandas(search, shape)
+    found = base.groupBy("room").applyInPandas(search, shape)
     # a group is one pair of blocks, so its size is bounded however large the shard
-    targets = base.join(F.broadcast(sizes.where("blocks > 1").select("label", "shard", "blocks")), ["label", "shard"]).withColumn("block_from", F.expr("explode(sequence(0, blocks - 1))")).where("block_from <> block")
+    targets = base.join(sizes.where("blocks > 1").select("label", "shard", "blocks"), ["label", "shard"]).withColumn("block_from", F.expr("explode(sequence(0, blocks - 1))")).where("block_from <> block")
     asking = asking.select("label", "shard", F.col("to").alias("block"), F.col("block").alias("block_from"), "rep", "copies", "v", "shards")
     keys = ["label", "shard", "block", "block_from"]
     across = asking.groupBy(*keys).cogroup(targets.select(*keys, "rep", "copies", "v", "shards", "near").groupBy(*keys)).applyInPandas(search_across, shape)

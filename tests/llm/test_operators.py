@@ -512,6 +512,37 @@ def test_vector_graph_links_a_dense_group_of_many_shards(spark, most):
     assert [r["n_links"] for r in out] == ((unit @ unit.T >= 0.93).sum(axis=1) - 1).tolist()
 
 
+def test_vector_graph_recall_on_many_labels(spark):
+    """The audit: ids divisible by 50 against all rows, on 10,000 small labels and dense large ones, brute force beside it."""
+    rng = np.random.default_rng(7)
+    blocks = [(0, 1500, 0.21), (1, 900, 0.26)] + [(k, 3, 0.2) for k in range(2, 10_002)]
+    x, labels = [], []
+    for label, n, spread in blocks:
+        x.append(rng.normal(size=32) + rng.normal(size=(n, 32)) * spread)
+        labels += [label] * n
+    x = np.concatenate(x)
+    df = spark.createDataFrame([(i, v, l) for i, (v, l) in enumerate(zip(x.tolist(), labels))], "vec_id long, embedding array<double>, label int").repartition(8)
+    result = common.staged(vector_graph.near_duplicates(df), "test-vectors")
+    audit = vector_graph.recall(df, result).first()
+    assert audit["recall"] >= 0.9 and audit["true_links"] >= 5000
+    found = {r["vec_id"]: r["n_links"] for r in result.collect()}
+    unit, at, true, got = x / np.linalg.norm(x, axis=1, keepdims=True), 0, 0, 0
+    for _, n, _ in blocks:
+        near = (unit[at : at + n] @ unit[at : at + n].T >= 0.93).sum(axis=1) - 1
+        true, got = true + near.sum(), got + sum(found[at + i] for i in range(n))
+        at += n
+    assert true >= 50_000 and 0.9 * true <= got <= true
+
+
+def test_vector_graph_clashing_columns_and_null_ids(spark):
+    rows, df = vectors(spark)
+    odd = df.selectExpr("vec_id", "embedding", "label", "label AS rep", "'x' AS comp", "1 AS n_links", "2 AS room")
+    want = {r["vec_id"]: tuple(r) for r in vector_graph.near_duplicates(df).collect()}
+    got = vector_graph.near_duplicates(odd.union(odd.where("vec_id = 3").selectExpr("cast(null AS long)", "embedding", "label", "rep", "comp", "n_links", "room"))).collect()
+    assert {r["vec_id"]: tuple(r) for r in got if r["vec_id"] is not None} == want
+    assert [tuple(r) for r in got if r["vec_id"] is None] == [(None, 0, None, True)]
+
+
 def test_vector_graph_empty(spark):
     _, df = vectors(spark)
     assert vector_graph.near_duplicates(df.limit(0)).count() == 0
