@@ -47,7 +47,8 @@ VECTORS = f"""WITH RECURSIVE v AS (SELECT vec_id, label, CAST(embedding AS DOUBL
 
 def url_sql() -> str:
     """The rules, and the template tree level by level."""
-    from .url_templates import KINDS_DIFFER, LABELS_DIFFER, LEVELS, MOST_BRANCHES, PRIOR_WEIGHT, RULES, THRESHOLD
+    from .url_templates import BAD_WORDS, KINDS_DIFFER, LABELS_DIFFER, PRIOR_WEIGHT, RULES, THRESHOLD
+    from .url_templates import SQL_LEVELS as LEVELS
 
     ranked = sorted(RULES, key=lambda r: (-len(r[1] + r[2]), r[1] + r[2]))
     fits = lambda h, p: f"(host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}')"
@@ -60,18 +61,19 @@ def url_sql() -> str:
         return f"CASE WHEN {a} = 0 OR {b} = 0 THEN 0 ELSE ({cells}) / ({a} * {b}) END"
 
     sums = ("n", "labelled", "bad", "ends", "numbers", "words")
-    steps = [f"""m AS (SELECT page_id, host, path, {rule} AS rule, {said} AS said, regexp_replace(path, '[0-9]+', '#', 'g') AS shape FROM (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), '{UPPER}', '{LOWER}') AS host, regexp_extract(substr(rest, length(regexp_extract(rest, '^[^/?#]*')) + 1), '^[^?#]*') AS path FROM (SELECT page_id, coalesce(CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END, '') AS rest FROM pages)))""",
-        "n1 AS (SELECT host, shape, CAST(count(*) AS DOUBLE) AS n, CAST(count(said) AS DOUBLE) AS labelled, CAST(count(*) FILTER (said = 'block') AS DOUBLE) AS bad, string_split(shape, '/') AS segs, '' AS template FROM m GROUP BY host, shape)"]
+    listed = f"list_has_any(string_split_regex(host, '[.-]'), [{', '.join(repr(w) for w in BAD_WORDS)}])"
+    steps = [f"""m AS (SELECT page_id, host, path, {rule} AS rule, {said} AS said, CASE WHEN {said} IS NOT NULL THEN {said} WHEN {listed} THEN 'block' END AS taught, regexp_replace(path, '[0-9]+', '#', 'g') AS shape FROM (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), '{UPPER}', '{LOWER}') AS host, regexp_extract(substr(rest, length(regexp_extract(rest, '^[^/?#]*')) + 1), '^[^?#]*') AS path FROM (SELECT page_id, coalesce(CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END, '') AS rest FROM pages)))""",
+        "n1 AS (SELECT host, shape, CAST(count(*) AS DOUBLE) AS n, CAST(count(taught) AS DOUBLE) AS labelled, CAST(count(*) FILTER (taught = 'block') AS DOUBLE) AS bad, string_split(shape, '/') AS segs, '' AS template FROM m GROUP BY host, shape)"]
     for d in range(2, LEVELS + 2):
         labels = chi(("bad", "(labelled - bad)"), ("(all_bad - bad)", "(all_labelled - labelled - all_bad + bad)"))
         kinds = chi(("ends", "numbers", "words"), ("(all_ends - ends)", "(all_numbers - numbers)", "(all_words - words)"))
         steps += [f"h{d} AS (SELECT *, coalesce(segs[{d}], '') AS seg, CASE WHEN segs[{d + 1}] IS NULL THEN n ELSE 0 END AS ends, CASE WHEN contains(coalesce(segs[{d + 1}], ''), '#') THEN n ELSE 0 END AS numbers, n - CASE WHEN segs[{d + 1}] IS NULL THEN n ELSE 0 END - CASE WHEN contains(coalesce(segs[{d + 1}], ''), '#') THEN n ELSE 0 END AS words FROM n{d - 1})",
             f"b{d} AS (SELECT host, template, seg, {', '.join(f'sum({c}) AS {c}' for c in sums)} FROM h{d} GROUP BY host, template, seg)",
             f"p{d} AS (SELECT host, template, count(*) AS width, {', '.join(f'sum({c}) AS all_{c}' for c in sums)} FROM b{d} GROUP BY host, template)",
-            f"c{d} AS (SELECT host, template, seg, CASE WHEN seg = '' OR contains(seg, '#') OR width = 1 OR NOT (width > {MOST_BRANCHES} AND n * {MOST_BRANCHES} < all_n) AND ({labels} >= {LABELS_DIFFER} OR {kinds} >= {KINDS_DIFFER}) THEN seg ELSE '*' END AS out FROM b{d} JOIN p{d} USING (host, template))",
+            f"c{d} AS (SELECT host, template, seg, CASE WHEN seg = '' OR contains(seg, '#') OR width = 1 OR {labels} >= {LABELS_DIFFER} OR {kinds} >= {KINDS_DIFFER} THEN seg ELSE '*' END AS out FROM b{d} JOIN p{d} USING (host, template))",
             f"n{d} AS (SELECT host, shape, n, labelled, bad, segs, CASE WHEN len(segs) >= {d} THEN template || '/' || out ELSE template END AS template FROM h{d} JOIN c{d} USING (host, template, seg))"]
     last = f"n{LEVELS + 1}"
-    steps += [f"f AS (SELECT host, shape, n, labelled, bad, CASE WHEN len(segs) > {LEVELS + 1} THEN template || '/**' ELSE template END AS template FROM {last})",
+    steps += [f"f AS (SELECT host, shape, n, labelled, bad, template FROM {last})",
         "g AS (SELECT CASE WHEN coalesce(sum(labelled), 0) > 0 THEN sum(bad) / sum(labelled) ELSE 0 END AS share FROM f)",
         f"j AS (SELECT host, template, sum(labelled) > 0 AND (sum(bad) + {PRIOR_WEIGHT} * any_value(share)) / (sum(labelled) + {PRIOR_WEIGHT}) >= {THRESHOLD} AS rejected FROM f, g GROUP BY host, template)"]
     return f"WITH {', '.join(steps)} SELECT page_id, m.host, path, rule, coalesce(said, CASE WHEN rejected THEN 'block' ELSE 'allow' END) AS verdict FROM m LEFT JOIN f ON f.host = m.host AND f.shape = m.shape LEFT JOIN j ON j.host = f.host AND j.template = f.template"

@@ -8,6 +8,9 @@ bad urls, smoothed by the overall share, reaches ``threshold``.  Explicit rules
 
 Levels work on counts of distinct generalised paths, so a hot host is aggregated before anything is joined.
 
+Labels come with the urls (id, bad), or are weak ones: what an explicit rule says of a url, else bad where its
+host holds a word of a short list (as a whole, between dots and hyphens), else none.
+
 Defined cases: a null url, or one without ``://``, has an empty host and path and takes part as such; urls
 without labels count for the tree alone; a host without labels has the overall share; without any label
 nothing is rejected; repeated urls count as often as they occur; an empty table gives no rows.
@@ -22,9 +25,10 @@ from . import common
 
 #: Fixed rules of the contract: (verdict, host, path).
 RULES = (("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/"))
-#: Bounds of the SQL form alone, which gives the same rows on sf0.01 and sf0.1; the operator has none.
-LEVELS = 4
-MOST_BRANCHES = 50
+#: Fixed words of hosts whose urls are weakly labelled bad.
+BAD_WORDS = ("ads", "adult", "bet", "bets", "betting", "casino", "gambling", "payday", "pills", "poker", "porn", "spam", "viagra", "warez", "xxx")
+#: Levels that the SQL form writes out; the operator has no such bound.
+SQL_LEVELS = 6
 LABELS_DIFFER, KINDS_DIFFER = 6.63, 9.21
 PRIOR_WEIGHT = 5.0
 THRESHOLD = 0.5
@@ -50,6 +54,12 @@ def rule_for(host: str = "host", path: str = "path", rules=RULES) -> tuple[F.Col
     return (rule, verdict) if rules else (F.lit(None).cast("string"), F.lit(None).cast("string"))
 
 
+def weak_labels(host: str = "host", said: str = "__said", words=BAD_WORDS) -> F.Column:
+    """true, false or null: the rule's verdict, else whether the host holds a listed word."""
+    listed = F.arrays_overlap(F.split(host, "[.-]"), F.array(*(F.lit(w) for w in words))) if words else F.lit(False)
+    return F.when(F.col(said) == "block", True).when(F.col(said) == "allow", False).when(listed, True)
+
+
 def chi_square(own: list[str], rest: list[str]) -> str:
     """SQL for the chi-square statistic of two rows of counts."""
     a, b = f"({' + '.join(own)})", f"({' + '.join(rest)})"
@@ -96,13 +106,13 @@ def learn(urls: DataFrame, prior_weight: float = PRIOR_WEIGHT, threshold: float
 
 
 def judge(urls: DataFrame, rules=RULES, labels: DataFrame | None = None, url: str = "url", id_col: str = "page_id", **options) -> DataFrame:
-    """All rows with host, path, rule, template verdict.  Without labels (id, bad), what rules decide labels the tree."""
+    """All rows with host, path, rule, template, verdict; without labels (id, bad) the weak ones teach the tree."""
     parts = with_parts(urls, url)
     rule, said = rule_for(rules=rules)
     kept = [c for c in parts.columns if c not in ("rule", "verdict", "template")]
     marked = parts.select(*kept, rule.alias("rule"), said.alias("__said"))
     if labels is None:
-        taught = marked.select("host", "path", F.expr("CASE __said WHEN 'block' THEN true WHEN 'allow' THEN false END").alias("bad"))
+        taught = marked.select("host", "path", weak_labels().alias("bad"))
     else:
         known = labels.groupBy(F.col(id_col).alias("__id")).agg(F.max("bad").alias("bad"))
         taught = marked.join(known, F.col(id_col) == F.col("__id"), "left").select("host", "path", "bad")
