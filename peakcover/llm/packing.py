@@ -2,12 +2,13 @@
 
 Documents are encoded, an end id is appended, and whole windows are cut off first.  What is left of each
 document goes to a shard (a block of consecutive rows of one partition, bounded in tokens) with its own BM25
-inverted index over token ids.  The longest unused rest seeds a window; its highest weighted terms query the
-index, and the unused neighbours fill the window in order of score.  The neighbour that would overflow is cut,
+inverted index over token ids.  The longest unused rest seeds a window; its ``query_terms`` highest weighted terms
+(all with None) query the index, and the unused neighbours fill the window in order of score, as many as it takes
+(ranked ``NEIGHBOURS`` at first, all of them if these do not fill it).  The neighbour that would overflow is cut,
 and its rest stays in the shard.  So every window is full but the last of a shard, which is cut at powers of
 two: such sequences need no padding.  No row is shuffled, and sequence ids are unique by partition.
 
-Defined cases: a null text is empty and gives the end id alone; a null id is returned as null; repeated rows
+Defined cases: a very long text is encoded and cut whole, in a shard of its own size; a null text is empty and gives the end id alone; a null id is returned as null; repeated rows
 are packed one by one; an empty table gives no pieces; ties of score go to the earlier row.
 """
 
@@ -53,23 +54,24 @@ class Shard:
         self.first = np.searchsorted(self.item[order], np.arange(n + 1))
         self.unused = np.ones(n, dtype=bool)
 
-    def best(self, seed: int, count: int = NEIGHBOURS) -> list[int]:
+    def best(self, seed: int, count: int | None = NEIGHBOURS, query_terms: int | None = QUERY_TERMS) -> list[int]:
         """Unused items by descending score for the seed's highest weighted terms (ties: the earlier item)."""
         import numpy as np
 
-        at = self.by_item[self.first[seed] : min(self.first[seed] + QUERY_TERMS, self.first[seed + 1])]
+        last = self.first[seed + 1] if query_terms is None else min(self.first[seed] + query_terms, self.first[seed + 1])
+        at = self.by_item[self.first[seed] : last]
         scores = np.zeros(self.n, dtype=np.float32)
         for r in self.row[at].tolist():
             span = slice(self.begin[r], self.end[r])
             scores[self.item[span]] += self.weight[span]
         scores[~self.unused] = 0
         found = np.flatnonzero(scores)
-        if len(found) > count:
+        if count is not None and len(found) > count:
             found = found[np.argpartition(-scores[found], count)[:count]]
         return found[np.lexsort((found, -scores[found]))].tolist()
 
 
-def fill(sizes: list[int], shard: Shard, window: int = WINDOW) -> Iterator[list[tuple[int, int, int]]]:
+def fill(sizes: list[int], shard: Shard, window: int = WINDOW, query_terms: int | None = QUERY_TERMS) -> Iterator[list[tuple[int, int, int]]]:
     """Windows as lists of (item, offset in the item, length); all but the last are full."""
     import numpy as np
 
@@ -87,16 +89,20 @@ def fill(sizes: list[int], shard: Shard, window: int = WINDOW) -> Iterator[list[
         seed, pending = pending, None
         shard.unused[seed] = False
         row, room = [(seed, at[seed], left[seed])], window - left[seed]
-        near = shard.best(seed) if room else []
         spare = None
-        for x in near:
-            if left[x] <= room:
-                row.append((x, at[x], left[x]))
-                room -= left[x]
-                shard.unused[x] = False
-            elif spare is None:
-                spare = x
-            if not room:
+        for count in (NEIGHBOURS, None):
+            near = shard.best(seed, count, query_terms) if room else []
+            for x in near:
+                if left[x] <= room:
+                    row.append((x, at[x], left[x]))
+                    room -= left[x]
+                    shard.unused[x] = False
+                elif spare is None:
+                    spare = x
+                if not room:
+                    break
+            # one that overflows will be cut and fills the window; else all neighbours follow
+            if not room or spare is not None or len(near) < NEIGHBOURS:
                 break
         while room:
             if spare is None or not shard.unused[spare]:
@@ -139,7 +145,7 @@ def at_powers(row: list[tuple[int, int, int]], window: int) -> Iterator[list[tup
             out = []
 
 
-def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, end_id: int = 1, shard_tokens: int = SHARD_TOKENS, tokenizer: tuple[str, str | None] | None = None, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, end_id: int = 1, shard_tokens: int = SHARD_TOKENS, tokenizer: tuple[str, str | None] | None = None, with_ids: bool = False, query_terms: int | None = QUERY_TERMS) -> DataFrame:
     """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset[, ids as little-endian uint32]."""
     json_path, ranks = tokenizer or common.bpe_paths()
     fields = [T.StructField(id_col, docs.schema[id_col].dataType)] + [T.StructField(n, T.LongType()) for n in ("start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")]
@@ -160,7 +166,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", window: in
             rests = [(i, len(ids) - len(ids) % window) for i, (_, ids) in enumerate(block) if len(ids) % window]
             items = [block[i][1][s:] for i, s in rests]
             whole = ([(i, s, window)] for i, (_, ids) in enumerate(block) for s in range(0, len(ids) - window + 1, window))
-            mixed = ([(rests[x][0], rests[x][1] + s, n) for x, s, n in row] for row in fill([len(x) for x in items], Shard(items), window))
+            mixed = ([(rests[x][0], rests[x][1] + s, n) for x, s, n in row] for row in fill([len(x) for x in items], Shard(items), window, query_terms))
             rows = []
             for row in (*whole, *mixed):
                 for sequence in at_powers(row, window):
