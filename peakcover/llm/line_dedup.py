@@ -12,7 +12,8 @@ Defined cases: null texts stay null and have no lines; units neither start nor e
 only); an occurrence that overlaps the first one stays; rows
 with a null id are returned unchanged and remove nothing; rows that share an id are one document, and lines go
 only where the row's own lines match; a text all of whose lines go is empty; an empty table gives no rows;
-should two different texts ever share a hash, no occurrence of that hash is removed.
+should two different texts ever share a hash, no occurrence of that hash is removed; columns of any name pass
+through; passages below ``unit_bytes`` in all, and lines alone below ``solo_bytes``, stay (both are parameters).
 """
 
 from __future__ import annotations
@@ -92,15 +93,17 @@ def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **
     return met.select(*docs.columns, F.expr("transform(filter(__hits, x -> NOT x.stays), x -> named_struct('i', x.i, 'n', x.n))").alias("__gone"))
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
-    """All rows of ``docs``, the text without repeated lines, and n_lines, n_removed."""
-    marked = mark_repeats(docs, id_col, text, **sizes)
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", counts: tuple[str, str] = ("n_lines", "n_removed"), **sizes: int) -> DataFrame:
+    """All rows of ``docs``, the text without repeated lines, and two counts (n_lines, n_removed) in place of columns of their names."""
+    held = [c for c in docs.columns if c != text and c not in counts]
+    # columns of any name pass through as one
+    rest = F.struct(*(F.col(f"`{c}`") for c in held)).alias("__rest")
+    marked = mark_repeats(docs.select(F.col(f"`{id_col}`").alias("__doc"), F.col(f"`{text}`").alias("__text"), rest), "__doc", "__text", **sizes)
     places = "size(array_distinct(flatten(transform(__gone, g -> sequence(g.i, g.i + g.n - 1)))))"
     removed = F.expr(f"CASE WHEN size(__gone) > 0 THEN {places} ELSE 0 END").cast("long")
-    total = F.expr(f"CASE WHEN `{text}` IS NULL THEN 0 ELSE octet_length(`{text}`) - octet_length(replace(`{text}`, '\\n', '')) + 1 END").cast("long")
-    fresh = F.expr(f"CASE WHEN size(__gone) > 0 THEN {kept_text(f'`{text}`', '__gone')} ELSE `{text}` END")
-    kept = [F.col(c) for c in docs.columns if c not in (text, "n_lines", "n_removed")]
-    return marked.select(*kept, fresh.alias(text), total.alias("n_lines"), removed.alias("n_removed"))
+    total = F.expr("CASE WHEN __text IS NULL THEN 0 ELSE octet_length(__text) - octet_length(replace(__text, '\\n', '')) + 1 END").cast("long")
+    fresh = F.expr(f"CASE WHEN size(__gone) > 0 THEN {kept_text('__text', '__gone')} ELSE __text END")
+    return marked.select(*(F.col("__rest").getField(c).alias(c) for c in held), fresh.alias(text), total.alias(counts[0]), removed.alias(counts[1]))
 
 
 def op10_line_dedup(spark, sf_dir: str) -> DataFrame:

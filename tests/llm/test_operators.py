@@ -67,6 +67,22 @@ def test_packing_holds_each_id_once(spark, window):
     assert packing.padding_share(packing.pack(docs(spark, texts), window=window), window).first()["padding"] == 0
 
 
+def test_packing_ranks_as_plain_bm25_and_sets_no_cap():
+    rng = random.Random(4)
+    items = [np.array([rng.randrange(40) for _ in range(rng.randrange(1, 9))], np.uint32) for _ in range(80)]
+    shard, mean = packing.Shard(items), np.mean([len(x) for x in items])
+    shard.unused[0] = False
+    df = collections.Counter(t for x in items for t in set(x.tolist()))
+    score = lambda x: sum(np.log1p((80 - df[t] + 0.5) / (df[t] + 0.5)) * list(x).count(t) * 2.2 / (list(x).count(t) + 1.2 * (0.25 + 0.75 * len(x) / mean)) for t in set(items[0].tolist()))
+    want = [i for i in sorted(range(1, 80), key=lambda i: (-round(score(items[i]), 4), i)) if score(items[i]) > 0]
+    got = shard.best(0, None, None)
+    assert set(got) == set(want) and [round(score(items[i]), 3) for i in got] == [round(score(items[i]), 3) for i in want]
+    # 200 neighbours of one token each, far more than are ranked at first, fill the window before any stranger
+    alike = [np.full(4, 7, np.uint32)] + [np.array([7], np.uint32)] * 200 + [np.array([8, 9, 10], np.uint32)] * 30
+    first = next(packing.fill([len(x) for x in alike], packing.Shard(alike), 150))
+    assert sum(n for i, _, n in first if i < 201) == 150
+
+
 def test_packing_prefers_lexical_neighbours():
     items = [np.array(x, np.uint32) for x in ([1, 2, 3, 4] * 3, [9, 9, 8, 7], [1, 2, 3, 5], [7, 8, 9, 6])]
     shard = packing.Shard(items)
@@ -331,6 +347,13 @@ def test_line_dedup_removes_short_passages_in_any_surroundings(spark):
     assert line_dedup.dedup_lines(docs(spark, ["\n".join(alone)])).first()["text"] == "\n".join(alone[:2])
 
 
+def test_line_dedup_passes_columns_of_any_name(spark):
+    text = "\n".join(f"a line of several words number {i}" for i in range(4))
+    d = spark.createDataFrame([(1, text, 5, "x", 0, 1, "y"), (2, text, 6, "x", 0, 1, "y")], "doc_id long, text string, `__hits` int, `__gone` string, n_removed int, h int, first string")
+    out = line_dedup.dedup_lines(d).orderBy("doc_id").collect()
+    assert [(r["text"], r["__hits"], r["__gone"], r["h"], r["first"], r["n_removed"]) for r in out] == [(text, 5, "x", 1, "y", 0), ("", 6, "x", 1, "y", 4)]
+
+
 def test_line_dedup_odd_rows(spark):
     d = odd_docs(spark)
     out = line_dedup.dedup_lines(d)
