@@ -19,17 +19,20 @@ def dims_of(dim: int) -> list[str]:
     return [f"c{i}" for i in range(dim)]
 
 
-def to_dual(points: DataFrame, radius: float, coords: list[str] | None = None, pos: str | None = None, dim: int = 2) -> DataFrame:
-    """Balls of radius 1: columns c0.. in place of the coordinates, the rest kept; weights must not be negative."""
+def to_dual(points: DataFrame, radius: float, coords: list[str] | None = None, pos: str | None = None, dim: int = 2, weight: str = "w") -> DataFrame:
+    """Balls of radius 1: columns c0.. in place of the coordinates, the rest kept.
+
+    A negative weight in the column ``weight`` fails the job where it is read, without a pass of its own.
+    """
     values = [F.col(c) for c in coords] if coords else [F.get(pos, F.lit(i)) for i in range(dim)]
-    kept = [c for c in points.columns if c not in (coords or [pos])]
+    kept = [F.when(F.col(c) < 0, F.raise_error(F.lit("negative weights: ball methods take none"))).otherwise(F.col(c)).alias(c) if c == weight else F.col(c) for c in points.columns if c not in (coords or [pos])]
     return points.select(*kept, *((v.cast("double") / radius).alias(f"c{i}") for i, v in enumerate(values)))
 
 
 def shifted_grids(side: float, delta: float, dim: int, mode: str = "thin") -> list[tuple[int, tuple[float, ...]]]:
-    """(grid, shift vector): with ``paper`` steps of delta/sqrt(dim) an axis, with ``thin`` half as many, evenly spaced, with ``one`` none."""
+    """(grid, shift vector): with ``paper`` steps of delta/sqrt(dim) an axis, with ``thin`` half as many, evenly spaced, with ``two`` two, with ``one`` none."""
     per = side * math.sqrt(dim) / delta
-    count = 1 if mode == "one" else max(1, math.ceil(round(per if mode == "paper" else per / 2, 9)))
+    count = {"one": 1, "two": 2}[mode] if mode in ("one", "two") else max(1, math.ceil(round(per if mode == "paper" else per / 2, 9)))
     return list(enumerate(tuple(side * z / count for z in v) for v in itertools.product(range(count), repeat=dim)))
 
 
@@ -50,29 +53,46 @@ def ball_cells(balls: DataFrame, grids: list, side: float, dim: int) -> DataFram
     return out.where(gap <= 1 + TOL)
 
 
-def uniform(seed: int, g: Column, k: list[Column], j: Column, salt: int = 0) -> Column:
-    """A number in [0, 1) that depends on its keys alone, whichever task asks."""
-    return F.pmod(F.xxhash64(F.lit(seed), g, *k, j, F.lit(salt)), F.lit(MODULUS)) / F.lit(float(MODULUS))
+def with_draws(rows: DataFrame, dim: int, seed) -> DataFrame:
+    """``rows`` with ``__h``, a number below the modulus made of seed, grid, cell and sample in plain 64-bit arithmetic.
+
+    Any engine can make it: the seed and the grid, then by axis the square of what is there, so that neighbours differ.
+    """
+    out = rows.withColumn("__h", F.pmod((seed if isinstance(seed, Column) else F.lit(seed)).cast("long") * 48271 + F.col("g") + 1, F.lit(MODULUS)))
+    h = F.col("__h")
+    for i in range(dim):
+        out = out.withColumn("__h", F.pmod(h * h + 48271 * h + F.col(f"k{i}") + 1_000_003 * (i + 1), F.lit(MODULUS)))
+    return out.withColumn("__h", F.pmod(h * h + 69621 * h + F.col("j") + 7, F.lit(MODULUS)))
+
+
+def draw(salt: int = 0) -> Column:
+    """A number in [0, 1) from ``__h``."""
+    h = F.col("__h")
+    return F.pmod(F.pmod(h * h + 48271 * h + 11 + salt, F.lit(MODULUS)) * 69621, F.lit(MODULUS)) / F.lit(float(MODULUS))
+
 
+def sphere_samples(cells: DataFrame, t, side: float, dim: int, sampler: str = "equispaced", seed=0) -> DataFrame:
+    """``cells`` once for each sample j with its place q0.. on the cell's circumscribed sphere.
 
-def sphere_samples(cells: DataFrame, t: int, side: float, dim: int, sampler: str = "equispaced", seed: int = 0) -> DataFrame:
-    """``cells`` once for each sample j with its place q0.. on the cell's circumscribed sphere."""
+    Their number ``t`` and the seed may be columns, as each epoch has its own.
+    """
     radius = side * math.sqrt(dim) / 2
-    count = 2 if dim == 1 else t
-    out = cells.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(count - 1).cast("long"))))
-    keys = [F.col(f"k{i}") for i in range(dim)]
+    count = F.lit(2) if dim == 1 else t if isinstance(t, Column) else F.lit(t)
+    out = cells.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), count.cast("long") - 1)))
+    if dim > 2 or sampler == "uniform":
+        out = with_draws(out, dim, seed)
     if dim == 1:
         ways = [F.when(F.col("j") == 0, -1.0).otherwise(1.0)]
     elif dim == 2:
-        turn = F.col("j") / F.lit(float(t)) if sampler == "equispaced" else uniform(seed, F.col("g"), keys, F.col("j"))
+        turn = F.col("j") / count.cast("double") if sampler == "equispaced" else draw()
         ways = [F.cos(2 * math.pi * turn), F.sin(2 * math.pi * turn)]
     else:
-        normal = [F.sqrt(-2 * F.log(uniform(seed, F.col("g"), keys, F.col("j"), 2 * i + 1) + 1e-12)) * F.cos(2 * math.pi * uniform(seed, F.col("g"), keys, F.col("j"), 2 * i + 2)) for i in range(dim)]
+        normal = [F.sqrt(-2 * F.log(draw(2 * i + 1) + 1e-12)) * F.cos(2 * math.pi * draw(2 * i + 2)) for i in range(dim)]
         out = out.withColumns({f"u{i}": v for i, v in enumerate(normal)})
         norm = F.sqrt(sum((F.col(f"u{i}") * F.col(f"u{i}") for i in range(dim)), F.lit(0.0)))
         ways = [F.col(f"u{i}") / norm for i in range(dim)]
     out = out.withColumns({f"q{i}": F.col(f"s{i}") + (F.col(f"k{i}") + 0.5) * side + radius * w for i, w in enumerate(ways)})
-    return out.drop(*(f"u{i}" for i in range(dim)))
+    return out.drop("__h", *(f"u{i}" for i in range(dim)))
 
 
 def cap_fraction(eps: float, dim: int) -> float:

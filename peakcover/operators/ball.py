@@ -53,10 +53,10 @@ def plan(eps: float, dim: int = 2, n: int = 2, samples: int | None = None, rule:
     return BallPlan(eps, dim, samples or G.sample_budget(n, eps, c, rule, dim), mode, chosen, seed)
 
 
-def sample_hits(balls: DataFrame, p: BallPlan, keep: list[str]) -> DataFrame:
-    """(g, k.., j, keep..): a row for each sample inside a ball."""
+def sample_hits(balls: DataFrame, p: BallPlan, keep: list[str], t=None, seed=None) -> DataFrame:
+    """(g, k.., j, keep..): a row for each sample inside a ball; number and seed of the samples may be columns."""
     cells = G.ball_cells(balls, p.grids, p.side, p.dim)
-    hits = G.sphere_samples(cells, p.samples, p.side, p.dim, p.sampler, p.seed)
+    hits = G.sphere_samples(cells, p.samples if t is None else t, p.side, p.dim, p.sampler, p.seed if seed is None else seed)
     away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
     return hits.where(away <= 1 + G.TOL).select(*p.cell, "j", *keep)
 
@@ -92,25 +92,30 @@ def colour_depth_by_order(balls: DataFrame, p: BallPlan, color: str = "color") -
 
 def cell_bounds(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
     """No sample of a cell is deeper than the weight of the balls that meet it."""
-    return G.ball_cells(balls, p.grids, p.side, p.dim).groupBy(*p.cell).agg(F.sum(weight).alias("bound"), F.count("*").alias("balls"))
+    return G.ball_cells(balls, p.grids, p.side, p.dim).groupBy(*p.cell).agg(F.sum(weight).alias("bound"))
+
+
+PROBES = 32
 
 
 def pruned_depth(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
     """Sample depths in the cells that can hold the best: bounds first, then samples where the bound reaches a known depth.
 
-    The known depth is the deepest sample of the cell with the largest bound, one number that crosses the driver.
+    Bounds are sums by cell, so only partial sums are shuffled.  The known depth is the deepest sample of the cells
+    with the largest bounds, one number that crosses the driver; then cells are listed again, and only those that
+    can still hold the best get samples.
     """
     from ..plans.staging import staged
 
-    cells = staged(G.ball_cells(balls, p.grids, p.side, p.dim), "ball-cells")
-    bounds = cells.groupBy(*p.cell).agg(F.sum(weight).alias("bound"))
-    top = bounds.orderBy(F.desc("bound"), *p.cell).limit(1)
+    bounds = staged(cell_bounds(balls, p, weight), "cell-bounds")
     away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
-    deepen = lambda rows: G.sphere_samples(rows, p.samples, p.side, p.dim, p.sampler, p.seed).where(away <= 1 + G.TOL).groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))
-    known = deepen(cells.join(F.broadcast(top.select(*p.cell)), p.cell, "left_semi")).agg(F.max("depth")).first()[0]
-    if known is None:
-        return deepen(cells)
-    return deepen(cells.join(bounds.where(F.col("bound") >= known).select(*p.cell), p.cell, "left_semi"))
+
+    def deepen(cells):
+        rows = G.ball_cells(balls, p.grids, p.side, p.dim).join(cells.select(*p.cell), p.cell, "left_semi")
+        return G.sphere_samples(rows, p.samples, p.side, p.dim, p.sampler, p.seed).where(away <= 1 + G.TOL).groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))
+
+    known = deepen(F.broadcast(bounds.orderBy(F.desc("bound"), *p.cell).limit(PROBES))).agg(F.max("depth")).first()[0]
+    return deepen(bounds if known is None else bounds.where(F.col("bound") >= F.lit(known)))
 
 
 def deepest(depths: DataFrame, p: BallPlan, k: int = 1) -> DataFrame:
@@ -133,24 +138,50 @@ def true_depth(best: DataFrame, balls: DataFrame, p: BallPlan, weight: str | Non
     return met.groupBy(*keys).agg(F.sum(weight).alias("depth"))
 
 
-def static_ball(points: DataFrame, radius: float, eps: float = 0.4, dim: int = 2, coords=("x", "y"), pos: str | None = None, color: str | None = None, samples: int | None = 16, prune: bool = False, k: int = 1, **options) -> DataFrame:
-    """The deepest-sample placement: place (q0.. scaled back), recorded and true depth, grid, cell and sample."""
+def few_colours(balls: DataFrame, color: str, most: int = 63) -> bool:
+    return balls.select(color).distinct().limit(most + 1).count() <= most
+
+
+def static_ball(points: DataFrame, radius: float, eps: float = 0.4, dim: int = 2, coords=("x", "y"), pos: str | None = None, color: str | None = None, samples: int | None = 16, prune: bool = False, k: int = 1, collapse: bool = True, **options) -> DataFrame:
+    """The deepest-sample placement: place (q0.. scaled back), recorded and true depth, grid, cell and sample.
+
+    Balls of equal place (and colour) are one, which loses nothing; with at most 63 colours each is a bit.
+    """
     names = None if pos else list(coords)[:dim]
+    at = [f"c{i}" for i in range(dim)]
     balls = G.to_dual(points, radius, names, pos, dim)
+    if collapse:
+        balls = balls.select(*at, color).distinct() if color else G.collapse(balls, at)
     p = plan(eps, dim, samples=samples, **options)
-    depths = colour_depth(balls, p, color) if color else pruned_depth(balls, p) if prune else sample_depth(balls, p)
+    if color:
+        depths = colour_depth_by_bits(balls, p, color) if few_colours(balls, color) else colour_depth(balls, p, color)
+    else:
+        depths = pruned_depth(balls, p) if prune else sample_depth(balls, p)
     best = true_depth(deepest(depths, p, k), balls, p, color=color)
     return best.withColumns({f"q{i}": F.col(f"q{i}") * radius for i in range(p.dim)})
 
 
-def own_cell_depth(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
+def own_cell_depth(balls: DataFrame, p: BallPlan, weight: str = "w", color: str | None = None) -> DataFrame:
     """Sample depths in the cells that hold a point, for dimensions where a ball meets too many cells to list.
 
     Samples and balls meet by the unit cells of their first two coordinates.
     """
-    grids = G.with_grids(balls.select(*(f"c{i}" for i in range(p.dim))), p.grids)
+    at, what = [f"c{i}" for i in range(p.dim)], color or weight
+    grids = G.with_grids(balls.select(*at).distinct(), p.grids)
     cells = grids.withColumns({f"k{i}": F.floor((F.col(f"c{i}") - F.col(f"s{i}")) / p.side).cast("long") for i in range(p.dim)}).select(*p.cell, *(f"s{i}" for i in range(p.dim))).distinct()
     samples = G.sphere_samples(cells, p.samples, p.side, p.dim, p.sampler, p.seed).select(*p.cell, "j", *(f"q{i}" for i in range(p.dim)))
-    met = G.within_join(samples, balls.select(*(f"c{i}" for i in range(p.dim)), weight), 1.0, ("q0", "q1"), ("c0", "c1"))
+    met = G.within_join(samples, balls.select(*at, what), 1.0, ("q0", "q1"), ("c0", "c1"))
     away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
-    return met.where(away <= 1 + G.TOL).groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))
+    hits = met.where(away <= 1 + G.TOL)
+    if color:
+        return hits.select(*p.cell, "j", color).distinct().groupBy(*p.cell, "j").agg(F.count("*").alias("depth"))
+    return hits.groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))
+
+
+def around_points(balls: DataFrame, dim: int, reach: float, color: str | None = None, weight: str = "w") -> DataFrame:
+    """(top): the most within ``reach`` of a ball's centre.  With 1 a real depth, with 2 a bound that no place passes."""
+    own = balls.select(*(F.col(f"c{i}").alias(f"a{i}") for i in range(dim))).distinct().withColumn("__q", F.monotonically_increasing_id())
+    near = sum((F.pow(F.col(f"a{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(dim)), F.lit(0.0)) <= reach * reach * (1 + G.TOL)
+    met = G.within_join(own, balls.select(*(f"c{i}" for i in range(dim)), color or weight), reach, ("a0", "a1"), ("c0", "c1")).where(near)
+    per = met.select("__q", color).distinct().groupBy("__q").agg(F.count("*").alias("n")) if color else met.groupBy("__q").agg(F.sum(weight).alias("n"))
+    return per.agg(F.max("n").alias("top"))

@@ -23,22 +23,34 @@ def live_sizes(log: DataFrame) -> DataFrame:
     return prefix_sums(log.select("round", "sign"), ["round"], {"live": "sign"}).select("round", "live")
 
 
-def assign_epochs(log: DataFrame) -> DataFrame:
+SCAN_ROUNDS = 1 << 16
+
+
+def assign_epochs(log: DataFrame, rounds: int = SCAN_ROUNDS) -> DataFrame:
     """(epoch, start, base): an epoch ends when the size leaves [base/2, 2 base]; its successor's base is the size then.
 
-    One small query over the size column finds each boundary; sizes of one partition run never come to the driver.
+    The sizes are cut into blocks of ``rounds`` rounds.  The driver knows each block's least and greatest size, and
+    reads a block (that many numbers at most) only if the running epoch ends in it, however many end there.
     """
-    sizes = staged(live_sizes(log), "live-sizes")
     spark = log.sparkSession
-    first = sizes.orderBy("round").first()
-    if first is None:
-        return spark.createDataFrame([], "epoch int, start long, base long")
-    rows, now = [], (first["round"], max(1, first["live"]))
-    while now:
-        rows.append((len(rows), now[0], now[1]))
-        out = sizes.where((F.col("round") > now[0]) & ((F.col("live") * 2 < now[1]) | (F.col("live") > 2 * now[1]))).agg(F.min(F.struct("round", "live"))).first()[0]
-        now = (out["round"], max(1, out["live"])) if out else None
-    return spark.createDataFrame(rows, "epoch int, start long, base long")
+    sizes = staged(live_sizes(log), "live-sizes")
+    ranges = sizes.groupBy(F.expr(f"round div {rounds}").alias("b")).agg(F.min("live").alias("low"), F.max("live").alias("high")).orderBy("b").collect()  # one row a block
+    found, base = [], None
+    for r in ranges:
+        if base is not None and r["low"] * 2 >= base and r["high"] <= 2 * base:
+            continue
+        block = sizes.where(F.col("round").between(r["b"] * rounds, (r["b"] + 1) * rounds - 1)).orderBy("round").collect()
+        for x in block:
+            if base is None or x["live"] * 2 < base or x["live"] > 2 * base:
+                base = max(1, x["live"])
+                found.append((len(found), x["round"], base))
+    return spark.createDataFrame(found, "epoch int, start long, base long")
+
+
+def epoch_ends(epochs: DataFrame) -> DataFrame:
+    """Epochs with ``until``, the round the next one starts at (null for the last)."""
+    after = epochs.select((F.col("epoch") - 1).alias("epoch"), F.col("start").alias("until"))
+    return epochs.join(after, "epoch", "left")
 
 
 def lifetimes(log: DataFrame) -> DataFrame:
@@ -46,19 +58,32 @@ def lifetimes(log: DataFrame) -> DataFrame:
     return log.groupBy("id").agg(F.first("x").alias("x"), F.first("y").alias("y"), F.first("w").alias("w"), F.min(F.expr("if(op = 'insert', round, NULL)")).alias("born"), F.max(F.expr("if(op = 'delete', round, NULL)")).alias("died"))
 
 
-def with_epochs(log: DataFrame, epochs: DataFrame) -> DataFrame:
-    """The log's rows with their epoch, and at each epoch's start the standing balls once more as inserts."""
-    ends = epochs.withColumn("until", F.lead("start").over(Window.partitionBy(F.lit(0)).orderBy("epoch")))  # one row an epoch
-    own = log.join(F.broadcast(ends), (F.col("round") >= F.col("start")) & (F.col("until").isNull() | (F.col("round") < F.col("until")))).select("epoch", "round", "x", "y", "w", "sign")
-    lives = lifetimes(log).join(F.broadcast(ends), (F.col("born") < F.col("start")) & (F.col("died").isNull() | (F.col("died") >= F.col("start"))))
-    return own.union(lives.select("epoch", (F.col("start")).alias("round"), "x", "y", "w", F.lit(1).alias("sign")))
+def with_epochs(log: DataFrame, epochs: DataFrame, width: int = 1024) -> DataFrame:
+    """The log's rows with their epoch and its base, and at each epoch's start the standing balls once more as inserts.
 
+    Rounds meet epochs, and lifetimes meet starts, in buckets of ``width`` rounds: equi-joins whatever their number.
+    """
+    top = log.agg(F.max("round")).first()[0] or 0
+    ends = epoch_ends(epochs)
+    bucket = lambda c: F.expr(f"{c} div {width}")
+    spans = ends.withColumn("b", F.explode(F.sequence(bucket("start"), F.expr(f"(coalesce(until - 1, {top}L)) div {width}"))))
+    own = log.withColumn("b", bucket("round")).join(spans, "b").where("round >= start AND (until IS NULL OR round < until)").select("epoch", "base", "round", "x", "y", "w", "sign")
+    lives = lifetimes(log).withColumn("b", F.explode(F.sequence(bucket("born"), F.expr(f"coalesce(died, {top}L) div {width}"))))
+    lives = lives.join(epochs.withColumn("b", bucket("start")), "b").where("born < start AND (died IS NULL OR died >= start)")
+    return own.union(lives.select("epoch", "base", F.col("start").alias("round"), "x", "y", "w", F.lit(1).alias("sign")))
 
-def sample_changes(log: DataFrame, radius: float, p: BallPlan, keys: list[str] | None = None) -> DataFrame:
+
+def epoch_samples(eps: float, c: float = 1.0) -> F.Column:
+    """The samples of a cell in an epoch: c ln(base) / eps^2, one at least."""
+    return F.greatest(F.lit(1), F.ceil(F.lit(c / eps**2) * F.log(F.greatest(F.col("base"), F.lit(2)).cast("double")))).cast("int")
+
+
+def sample_changes(log: DataFrame, radius: float, p: BallPlan, keys: list[str] | None = None, t=None, seed=None) -> DataFrame:
     """(keys.., g, k.., j, round, dw): what each round changes at each sample."""
     keys = keys or []
-    balls = G.to_dual(log.select(*keys, "round", "x", "y", (F.col("w") * F.col("sign")).alias("dw")), radius, ["x", "y"])
-    return sample_hits(balls, p, [*keys, "round", "dw"]).groupBy(*keys, *p.cell, "j", "round").agg(F.sum("dw").alias("dw"))
+    extra = [] if t is None else ["base"]
+    balls = G.to_dual(log.select(*keys, *extra, "round", "x", "y", (F.col("w") * F.col("sign")).alias("dw")), radius, ["x", "y"])
+    return sample_hits(balls, p, [*keys, "round", "dw"], t, seed).groupBy(*keys, *p.cell, "j", "round").agg(F.sum("dw").alias("dw"))
 
 
 def dyadic(ranges: DataFrame, levels: int) -> DataFrame:
@@ -81,12 +106,17 @@ def round_best(log: DataFrame, radius: float, p: BallPlan) -> DataFrame:
     return asked.join(blocks, ["level", "block"], "left").groupBy("round", "live").agg(F.coalesce(F.max("depth"), F.lit(0)).cast("long").alias("depth"))
 
 
-def replay(log: DataFrame, radius: float, p: BallPlan) -> DataFrame:
-    """(epoch, round, depth): the same with epochs, each starting from the standing balls on samples of its own."""
+def replay(log: DataFrame, radius: float, p: BallPlan, budget: float | None = None) -> DataFrame:
+    """(epoch, round, depth): the same with epochs, each starting from the standing balls on samples of its own.
+
+    With a budget c every epoch draws new samples, seeded by its number, c ln(base) / eps^2 for a cell; without one
+    the plan's samples serve all epochs.
+    """
     rows = with_epochs(log, assign_epochs(log))
     total = log.agg(F.max("round")).first()[0] or 0
     levels = max(1, math.ceil(math.log2(total + 2)))
-    changes = sample_changes(rows, radius, p, ["epoch"])
+    fresh = {} if budget is None else {"t": epoch_samples(p.eps, budget), "seed": F.col("epoch")}
+    changes = sample_changes(rows, radius, p, ["epoch"], **fresh)
     touch = Window.partitionBy("epoch", *p.cell, "j").orderBy("round")
     last = rows.groupBy("epoch").agg((F.max("round") + 1).alias("stop"))
     held = changes.withColumn("depth", F.sum("dw").over(touch.rowsBetween(Window.unboundedPreceding, 0))).withColumn("next", F.lead("round").over(touch)).join(F.broadcast(last), "epoch")
@@ -112,10 +142,10 @@ def depth_after(log: DataFrame, until: int, radius: float, p: BallPlan) -> DataF
     return sample_depth(G.to_dual(rows, radius, ["x", "y"]), p).where("depth <> 0")
 
 
-def epoch_stats(log: DataFrame, radius: float, p: BallPlan) -> DataFrame:
+def epoch_stats(log: DataFrame, radius: float, p: BallPlan, budget: float | None = None) -> DataFrame:
     """(epoch, updates, resampled, touched): work of an epoch, the standing balls it starts with included."""
-    epochs = assign_epochs(log)
-    rows = with_epochs(log, epochs)
-    touched = sample_changes(rows, radius, p, ["epoch"]).groupBy("epoch").agg(F.count("*").alias("touched"))
+    rows = with_epochs(log, assign_epochs(log))
+    fresh = {} if budget is None else {"t": epoch_samples(p.eps, budget), "seed": F.col("epoch")}
+    touched = sample_changes(rows, radius, p, ["epoch"], **fresh).groupBy("epoch").agg(F.count("*").alias("touched"))
     sizes = rows.groupBy("epoch").agg(F.count("*").alias("rows"), F.countDistinct("round").alias("updates"))
     return sizes.join(touched, "epoch", "left").select("epoch", "updates", (F.col("rows") - F.col("updates")).alias("resampled"), F.coalesce("touched", F.lit(0)).alias("touched"))
