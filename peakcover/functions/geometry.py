@@ -62,7 +62,8 @@ def with_draws(rows: DataFrame, dim: int, seed) -> DataFrame:
     h = F.col("__h")
     for i in range(dim):
         out = out.withColumn("__h", F.pmod(h * h + 48271 * h + F.col(f"k{i}") + 1_000_003 * (i + 1), F.lit(MODULUS)))
-    return out.withColumn("__h", F.pmod(h * h + 69621 * h + F.col("j") + 7, F.lit(MODULUS)))
+    # the row number times zero keeps the optimizer from writing the steps out anew wherever a filter uses a draw
+    return out.withColumn("__h", F.pmod(h * h + 69621 * h + F.col("j") + 7, F.lit(MODULUS)) + F.monotonically_increasing_id() * 0)
 
 
 def draw(salt: int = 0) -> Column:

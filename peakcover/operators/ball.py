@@ -53,9 +53,21 @@ def plan(eps: float, dim: int = 2, n: int = 2, samples: int | None = None, rule:
     return BallPlan(eps, dim, samples or G.sample_budget(n, eps, c, rule, dim), mode, chosen, seed)
 
 
+def gathered(balls: DataFrame, dim: int, side: float = 4.0, shares: int = 16) -> DataFrame:
+    """``balls`` with near ones in one task, before each becomes many rows, so that partial sums are worth making.
+
+    It moves a row for each ball, not for each sample; a dense place is dealt out in ``shares``.
+    """
+    if balls.isStreaming:
+        return balls
+    n = int(balls.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    at = [F.floor(F.col(f"c{i}") / side) for i in range(min(dim, 2))]
+    return balls.repartition(n, *at, F.pmod(F.xxhash64(*(f"c{i}" for i in range(dim))), F.lit(shares)))
+
+
 def sample_hits(balls: DataFrame, p: BallPlan, keep: list[str], t=None, seed=None) -> DataFrame:
     """(g, k.., j, keep..): a row for each sample inside a ball; number and seed of the samples may be columns."""
-    cells = G.ball_cells(balls, p.grids, p.side, p.dim)
+    cells = G.ball_cells(gathered(balls, p.dim), p.grids, p.side, p.dim)
     hits = G.sphere_samples(cells, p.samples if t is None else t, p.side, p.dim, p.sampler, p.seed if seed is None else seed)
     away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
     return hits.where(away <= 1 + G.TOL).select(*p.cell, "j", *keep)
@@ -92,7 +104,7 @@ def colour_depth_by_order(balls: DataFrame, p: BallPlan, color: str = "color") -
 
 def cell_bounds(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
     """No sample of a cell is deeper than the weight of the balls that meet it."""
-    return G.ball_cells(balls, p.grids, p.side, p.dim).groupBy(*p.cell).agg(F.sum(weight).alias("bound"))
+    return G.ball_cells(gathered(balls, p.dim), p.grids, p.side, p.dim).groupBy(*p.cell).agg(F.sum(weight).alias("bound"))
 
 
 PROBES = 32
@@ -111,7 +123,7 @@ def pruned_depth(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
     away = sum((F.pow(F.col(f"q{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(p.dim)), F.lit(0.0))
 
     def deepen(cells):
-        rows = G.ball_cells(balls, p.grids, p.side, p.dim).join(cells.select(*p.cell), p.cell, "left_semi")
+        rows = G.ball_cells(gathered(balls, p.dim), p.grids, p.side, p.dim).join(cells.select(*p.cell), p.cell, "left_semi")
         return G.sphere_samples(rows, p.samples, p.side, p.dim, p.sampler, p.seed).where(away <= 1 + G.TOL).groupBy(*p.cell, "j").agg(F.sum(weight).alias("depth"))
 
     known = deepen(F.broadcast(bounds.orderBy(F.desc("bound"), *p.cell).limit(PROBES))).agg(F.max("depth")).first()[0]
@@ -167,7 +179,7 @@ def own_cell_depth(balls: DataFrame, p: BallPlan, weight: str = "w", color: str
     Samples and balls meet by the unit cells of their first two coordinates.
     """
     at, what = [f"c{i}" for i in range(p.dim)], color or weight
-    grids = G.with_grids(balls.select(*at).distinct(), p.grids)
+    grids = G.with_grids(gathered(balls.select(*at).distinct(), p.dim), p.grids)
     cells = grids.withColumns({f"k{i}": F.floor((F.col(f"c{i}") - F.col(f"s{i}")) / p.side).cast("long") for i in range(p.dim)}).select(*p.cell, *(f"s{i}" for i in range(p.dim))).distinct()
     samples = G.sphere_samples(cells, p.samples, p.side, p.dim, p.sampler, p.seed).select(*p.cell, "j", *(f"q{i}" for i in range(p.dim)))
     met = G.within_join(samples, balls.select(*at, what), 1.0, ("q0", "q1"), ("c0", "c1"))
@@ -180,6 +192,8 @@ def own_cell_depth(balls: DataFrame, p: BallPlan, weight: str = "w", color: str
 
 def around_points(balls: DataFrame, dim: int, reach: float, color: str | None = None, weight: str = "w") -> DataFrame:
     """(top): the most within ``reach`` of a ball's centre.  With 1 a real depth, with 2 a bound that no place passes."""
+    if dim == 1:  # a line in the plane
+        balls, dim = balls.withColumn("c1", F.lit(0.0)), 2
     own = balls.select(*(F.col(f"c{i}").alias(f"a{i}") for i in range(dim))).distinct().withColumn("__q", F.monotonically_increasing_id())
     near = sum((F.pow(F.col(f"a{i}") - F.col(f"c{i}"), F.lit(2.0)) for i in range(dim)), F.lit(0.0)) <= reach * reach * (1 + G.TOL)
     met = G.within_join(own, balls.select(*(f"c{i}" for i in range(dim)), color or weight), reach, ("a0", "a1"), ("c0", "c1")).where(near)

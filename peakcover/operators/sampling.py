@@ -22,9 +22,9 @@ def object_sample(points: DataFrame, radius: float, eps: float, guess: float, c1
     """Keep a point with probability growing with its weight (about log n / eps^2 in the best disk), weights divided by it."""
     n = max(2, points.count())
     lam = c1 * math.log(n) / (eps**2 * max(1.0, guess))
-    draw = F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 31)) / F.lit(float(1 << 31))
+    draw = F.conv(F.substring(F.md5(F.concat_ws("|", F.col("id").cast("string"), F.lit(str(seed)))), 1, 8), 16, 10).cast("long")
     chance = F.least(F.lit(1.0), lam * F.col("w"))
-    kept = points.withColumn("p", chance).where(draw < F.col("p")).withColumn("w", F.col("w") / F.col("p")).drop("p")
+    kept = points.withColumn("p", chance).where(draw < F.floor(F.col("p") * float(1 << 32))).withColumn("w", F.col("w") / F.col("p")).drop("p")
     return _scored(kept, points, radius)
 
 

@@ -259,6 +259,69 @@ def exact_ball3(spark, d):
     return exact_disk.exact_ball3(V.emb_pts(spark, d, 3), 0.1)
 
 
+def draws_sql(dim: int, seed: str, salt: int = 0) -> str:
+    """The portable draw of a sample, in SQL: columns h0.. named on the way."""
+    m = G.MODULUS
+    mod = lambda e: f"((({e}) % {m}) + {m}) % {m}"
+    steps = [f"{mod(f'CAST({seed} AS BIGINT) * 48271 + g + 1')} AS h0"]
+    steps += [f"{mod(f'h{i} * h{i} + 48271 * h{i} + k{i} + {1_000_003 * (i + 1)}')} AS h{i + 1}" for i in range(dim)]
+    steps.append(f"{mod(f'h{dim} * h{dim} + 69621 * h{dim} + j + 7')} AS hh")
+    return ", ".join(steps) + f", {draw_sql(salt)}"
+
+
+def draw_sql(salt: int = 0) -> str:
+    return f"((((hh * hh + 48271 * hh + {11 + salt}) % {G.MODULUS}) * 69621) % {G.MODULUS}) / {float(G.MODULUS)!r}::DOUBLE"
+
+
+def space_sql(balls: str, dim: int, eps: float, t: int, mode: str, own: bool, what: str = "sum(w)", seeds: str = "0", factor: str = "TRUE") -> str:
+    """CTEs up to ``best``: samples of balls (w, color, c0..) in any dimension, drawn on spheres, by seed if there are several."""
+    side = 2 * eps / dim**0.5
+    axes, d = range(dim), f"{side!r}::DOUBLE"
+    grids = ", ".join("(" + ", ".join([str(g), *(f"{x!r}::DOUBLE" for x in v)]) + ")" for g, v in G.shifted_grids(side, eps**2, dim, mode))
+    names = ", ".join(["g", *(f"s{i}" for i in axes)])
+    cell = ", ".join(["g", *(f"k{i}" for i in axes)])
+    near = " + ".join(f"pow(q{i} - c{i}, 2)" for i in axes)
+    steps = [f"b AS MATERIALIZED ({balls})", f"r AS (SELECT b.*, h.* FROM b, (VALUES {grids}) AS h({names}))"]
+    if own:
+        steps.append(f"m AS (SELECT DISTINCT {names}, " + ", ".join(f"CAST(floor((c{i} - s{i}) / {d}) AS BIGINT) AS k{i}" for i in axes) + " FROM r)")
+    else:
+        last = "r"
+        for i in axes:
+            steps.append(f"e{i} AS (SELECT *, unnest(range(CAST(floor((c{i} - s{i} - 1) / {d}) AS BIGINT), CAST(floor((c{i} - s{i} + 1) / {d}) AS BIGINT) + 1)) AS k{i} FROM {last})")
+            last = f"e{i}"
+        gap = " + ".join(f"pow(greatest(s{i} + k{i} * {d} - c{i}, 0.0, c{i} - s{i} - (k{i} + 1) * {d}), 2)" for i in axes)
+        steps.append(f"m AS (SELECT DISTINCT {cell}, " + ", ".join(f"s{i}" for i in axes) + f" FROM {last} WHERE {gap} <= 1 + 1e-9)")
+    if dim == 1:
+        ways, drawn_at = ["CASE WHEN j = 0 THEN -1.0 ELSE 1.0 END"], "j"
+    elif dim == 2:
+        ways, drawn_at = ["cos(2 * pi() * u)", "sin(2 * pi() * u)"], draws_sql(dim, "seed") + " AS u"
+    else:
+        normals = ", ".join(f"sqrt(-2 * ln({draw_sql(2 * i + 1)} + 1e-12)) * cos(2 * pi() * {draw_sql(2 * i + 2)}) AS u{i}" for i in axes)
+        norm = "sqrt(" + " + ".join(f"u{i} * u{i}" for i in axes) + ")"
+        ways, drawn_at = [f"u{i} / {norm}" for i in axes], draws_sql(dim, "seed") + f" AS u, {normals}"
+    count = 2 if dim == 1 else t
+    steps += [f"j AS (SELECT *, unnest(range({count})) AS j FROM m, (SELECT unnest([{seeds}]) AS seed))", f"a AS (SELECT *, {drawn_at} FROM j)".replace(", j FROM j", " FROM j")]
+    steps.append(f"q AS MATERIALIZED (SELECT seed, {cell}, j, " + ", ".join(f"s{i} + (k{i} + 0.5) * {d} + {side * dim**0.5 / 2!r}::DOUBLE * {w} AS q{i}" for i, w in enumerate(ways)) + " FROM a)")
+    # the first coordinates meet by unit cells, so that no join is on inequalities alone
+    reach = lambda c, z, back: f"unnest(range(CAST(floor({c}) AS BIGINT) - {back}, CAST(floor({c}) AS BIGINT) + {back + 1})) AS {z}"
+    steps.append(f"y AS (SELECT *, {reach('c0', 'z0', 1)} FROM b)")
+    steps.append(f"f AS (SELECT seed, {cell}, j, " + ", ".join(f"any_value(q{i}) AS q{i}" for i in axes) + f", CAST({what} AS BIGINT) AS recorded FROM q JOIN y ON z0 = CAST(floor(q0) AS BIGINT) WHERE {near} <= 1 + 1e-9 GROUP BY seed, {cell}, j)")
+    steps.append(f"best AS (SELECT * FROM f QUALIFY row_number() OVER (PARTITION BY seed ORDER BY recorded DESC, {cell}, j) = 1)")
+    return ", ".join(steps)
+
+
+def bounds_sql(dim: int, what: str) -> str:
+    """The most around a ball's centre within 1 and within 2."""
+    near = " + ".join(f"pow(x.c{i} - b.c{i}, 2)" for i in range(dim))
+    one = lambda reach: f"(SELECT max(n) FROM (SELECT {what} AS n FROM (SELECT DISTINCT {', '.join(f'c{i}' for i in range(dim))} FROM b) AS x JOIN b ON {near} <= {reach * reach} * (1 + 1e-9) GROUP BY {', '.join(f'x.c{i}' for i in range(dim))}))"
+    return f"CAST({one(1)} AS BIGINT) AS centred, CAST({one(2)} AS BIGINT) AS bound"
+
+
+def space_query(balls: str, dim: int, eps: float, t: int, mode: str, own: bool, what: str = "sum(w)") -> str:
+    near = " + ".join(f"pow(q{i} - c{i}, 2)" for i in range(dim))
+    return f"WITH {space_sql(balls, dim, eps, t, mode, own, what)} SELECT recorded, CAST((SELECT {what} FROM b WHERE {near} <= 1 + 1e-9) AS BIGINT) AS depth, {bounds_sql(dim, what)} FROM best"
+
+
 # -- deepest-sample balls --------------------------------------------------------------------------------------
 
 
@@ -396,12 +459,50 @@ def colored_sampled_exact_branch(spark, d):
     return colored_disk.sampled(V.part_pts(spark, d), RADIUS, 0.5, branch="exact").select("branch", "depth")
 
 
-@query("SELECT 'sample' AS branch, true AS within, true AS above_kept")
+def events_best(spark, d) -> int:
+    return colored_disk.output_sensitive(V.event_pts(spark, d), 120).first()["depth"]
+
+
+EVENT_COLOURS = disk_sql(S["event_pts"], 120, "count(DISTINCT p.color)").replace("SELECT DISTINCT x, y FROM c)", "SELECT x, y FROM c)")
+
+
+def drawn(color: str, seed: int = 0) -> str:
+    """The portable draw of a colour, in SQL: a number below 2^32."""
+    return f"CAST('0x' || substr(md5(CAST({color} AS VARCHAR) || '|{seed}'), 1, 8) AS BIGINT)"
+
+
+def kept_sql(points: str, lam: str, seed: int = 0) -> str:
+    return f"SELECT * FROM ({points}) WHERE {drawn('color', seed)} < CAST(floor(least(1.0, {lam}) * 4294967296) AS BIGINT)"
+
+
+def lam_sql(points: str, corners: str, eps: float, c1: float) -> str:
+    return f"(SELECT {c1} * ln((SELECT count(*) FROM ({points}))) / {eps * eps} / max(best) FROM ({corners}))"
+
+
+@query()
 def colored_sampled_sample_branch(spark, d):
-    """The sampled branch keeps (1 - eps) of the optimum, and never reports less than what it kept."""
-    points = V.event_pts(spark, d)
-    best = colored_disk.output_sensitive(points, 120).first()["depth"]
-    return colored_disk.sampled(points, 120, 0.5, 1.0, branch="sample").select("branch", (F.col("depth") >= 0.5 * best).alias("within"), (F.col("depth") >= F.col("depth_kept")).alias("above_kept"))
+    """The sampled branch on trajectories: rate, kept disks, and whether (1 - eps) of the optimum is kept."""
+    best = events_best(spark, d)
+    return colored_disk.sampled(V.event_pts(spark, d), 120, 0.5, 1.0, branch="sample").select("branch", "lam", "kept_disks", "depth_kept", "depth", F.lit(best).cast("long").alias("optimum"), (F.col("depth") >= 0.5 * best).alias("within"))
+
+
+@query(f"SELECT 'exact' AS branch, depth, depth AS optimum FROM ({COLOURS_SQL})")
+def colored_sampled_auto(spark, d):
+    """25 colours are fewer than the sampling level, so the branch chosen is the exact one."""
+    points = V.part_pts(spark, d)
+    best = union_arcs.coloured_arc_sweep(points, RADIUS).select(F.col("depth").cast("long").alias("optimum"))
+    return colored_disk.sampled(points, RADIUS, 0.5).select("branch", "depth").crossJoin(F.broadcast(best))
+
+
+@query(f"SELECT 'exact' AS branch, depth FROM ({KINDS_SQL})")
+def colored_sampled_ball_estimate(spark, d):
+    """The estimate from deepest samples in place of cell corners."""
+    points = V.part_pts(spark, d).withColumn("color", F.col("kind"))
+    return colored_disk.sampled(points, RADIUS, 0.5, estimate="ball").select("branch", "depth")
+
+
+for _engine in ("slab", "trapezoid"):
+    named(f"colored_strips_{_engine}", lambda spark, d, e=_engine: depth_only(colored_disk.strips_exact(V.part_pts(spark, d), RADIUS, engine=e)), COLOURS_SQL)
 
 
 UNIT_GRIDS = ", ".join(f"({g}, {s[0]!r}::DOUBLE, {s[1]!r}::DOUBLE)" for g, s in G.shifted_grids(1.0, 0.25, 2))
@@ -441,6 +542,25 @@ def union_arc_count(spark, d):
     return union_arcs.union_arcs(union_arcs.disks_of(V.part_pts(spark, d)), RADIUS).groupBy(F.col("hue").alias("color")).agg(F.count("*").alias("arcs"))
 
 
+@query(ARCS_SQL.replace("SELECT color, count(*) AS arcs FROM w", f"SELECT color, CAST(sum(CASE WHEN reach < pi() THEN 1 ELSE 0 END + CASE WHEN lo > pi() THEN 1 ELSE 0 END) AS BIGINT) AS pieces FROM w"))
+def monotone_arc_count(spark, d):
+    """The pieces of the unions' boundaries that do not turn in x."""
+    arcs = union_arcs.union_arcs(union_arcs.disks_of(V.part_pts(spark, d)), RADIUS)
+    return union_arcs.monotone_arcs(arcs).groupBy(F.col("hue").alias("color")).agg(F.count("*").alias("pieces"))
+
+
+def crossings_sql(points: str, color: str = "color") -> str:
+    """(a, b, crossings, disks): places where exposed arcs of two colours cross, by the formulas."""
+    arcs = ARCS_SQL.replace(S["part_pts"], points).replace("color", color).split(" SELECT " + color + ", count(*)")[0].rstrip()
+    on = lambda t, lo, hi: " OR ".join(f"{t}{k} BETWEEN {lo} - 1e-7 AND {hi} + 1e-7" for k in ("", " + 2 * pi()", " - 2 * pi()"))
+    return f"""{arcs}, e AS (SELECT id, reach AS lo, lo AS hi FROM w WHERE lo - reach > 1e-9),
+    x AS (SELECT a.id AS i, b.id AS o, least(a.{color}, b.{color}) AS a, greatest(a.{color}, b.{color}) AS b, s, atan2(b.y - a.y, b.x - a.x) AS mid, sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) AS dd FROM d AS a JOIN d AS b ON a.{color} < b.{color}, (VALUES (-1), (1)) AS t(s) WHERE (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) BETWEEN 1e-9 AND {4 * RADIUS * RADIUS}),
+    z AS (SELECT i, o, a, b, s, (mid + s * acos(least(1.0, dd / {2 * RADIUS})) + 4 * pi()) % (2 * pi()) AS ai, (mid + pi() - s * acos(least(1.0, dd / {2 * RADIUS})) + 4 * pi()) % (2 * pi()) AS ao FROM x WHERE s > 0 OR dd < {2 * RADIUS} * (1 - 1e-12)),
+    m AS (SELECT {color}, count(*) AS n FROM d GROUP BY 1),
+    k AS (SELECT a, b, count(*) AS crossings FROM (SELECT DISTINCT i, o, s, a, b FROM z JOIN e AS p ON p.id = i AND ({on('ai', 'p.lo', 'p.hi')}) JOIN e AS q ON q.id = o AND ({on('ao', 'q.lo', 'q.hi')})) GROUP BY a, b)
+    SELECT a, b, crossings, p.n + q.n AS disks FROM k JOIN m AS p ON p.{color} = a JOIN m AS q ON q.{color} = b"""
+
+
 # -- updates and streams ---------------------------------------------------------------------------------------
 
 from ..functions import measures  # noqa: E402
@@ -452,7 +572,35 @@ LOG_SQL = S["update_log"].replace("ts, value, 1 AS sign", f"(epoch_us(ts) - epoc
 event_plan = ball.plan(EVENT_EPS, samples=EVENT_SAMPLES)
 
 
-@query()
+EPOCHS_CTE = f"""s AS MATERIALIZED (SELECT round, CAST(sum(sign) OVER (ORDER BY round) AS BIGINT) AS live FROM ({LOG_SQL})),
+    e AS (SELECT 0 AS epoch, CAST(round AS BIGINT) AS start, greatest(1, live) AS base FROM s WHERE round = (SELECT min(round) FROM s) UNION ALL
+      SELECT epoch + 1, round, greatest(1, live) FROM (SELECT epoch, s.round, live, row_number() OVER (ORDER BY s.round) AS k FROM e JOIN s ON s.round > e.start AND (2 * live < base OR live > 2 * base)) WHERE k = 1)"""
+BUDGET = 0.1
+
+
+def epoch_rows_sql() -> str:
+    """The log's rows by epoch, and the standing balls at each start."""
+    return f"""WITH RECURSIVE {EPOCHS_CTE}, u AS (SELECT *, lead(start) OVER (ORDER BY epoch) AS until FROM e),
+    l AS (SELECT id, any_value(x) AS x, any_value(y) AS y, min(round) FILTER (sign = 1) AS born, max(round) FILTER (sign = -1) AS died FROM ({LOG_SQL}) GROUP BY id),
+    o AS (SELECT epoch, base, round, x, y, sign FROM ({LOG_SQL}) JOIN u ON round >= start AND (until IS NULL OR round < until) UNION ALL SELECT epoch, base, start, x, y, 1 FROM l JOIN u ON born < start AND (died IS NULL OR died >= start)),
+    v AS (SELECT *, greatest(1, CAST(ceil({BUDGET / EVENT_EPS**2!r}::DOUBLE * ln(greatest(base, 2))) AS BIGINT)) AS t FROM o)"""
+
+
+def epoch_changes_sql() -> str:
+    """What each round changes at each sample of its epoch."""
+    side = 2 * EVENT_EPS / 2**0.5
+    grids = ", ".join(f"({g}, {x[0]!r}::DOUBLE, {x[1]!r}::DOUBLE)" for g, x in G.shifted_grids(side, EVENT_EPS**2, 2))
+    gap = lambda c, h, k: f"pow(greatest({h} + {k} * {side!r}::DOUBLE - {c}, 0.0, {c} - {h} - ({k} + 1) * {side!r}::DOUBLE), 2)"
+    cells = lambda c, h: f"unnest(range(CAST(floor(({c} - {h} - 1) / {side!r}::DOUBLE) AS BIGINT), CAST(floor(({c} - {h} + 1) / {side!r}::DOUBLE) AS BIGINT) + 1))"
+    place = lambda i, f: f"pow(s{i} + (k{i} + 0.5) * {side!r}::DOUBLE + {EVENT_EPS!r}::DOUBLE * {f}(2 * pi() * u) - c{i}, 2)"
+    return f"""{epoch_rows_sql()}, r AS (SELECT epoch, t, round, sign, CAST(x AS DOUBLE) / {EVENT_RADIUS} AS c0, CAST(y AS DOUBLE) / {EVENT_RADIUS} AS c1, h.* FROM v, (VALUES {grids}) AS h(g, s0, s1)),
+    k AS (SELECT *, {cells('c0', 's0')} AS k0 FROM r), m AS (SELECT *, {cells('c1', 's1')} AS k1 FROM k),
+    q AS (SELECT *, unnest(range(t)) AS j FROM m WHERE {gap('c0', 's0', 'k0')} + {gap('c1', 's1', 'k1')} <= 1 + 1e-9),
+    a AS (SELECT *, {draws_sql(2, 'epoch')} AS u FROM q),
+    c AS (SELECT epoch, g, k0, k1, j, round, sum(sign) AS dw FROM a WHERE {place(0, 'cos')} + {place(1, 'sin')} <= 1 + 1e-9 GROUP BY ALL)"""
+
+
+@query(f"WITH RECURSIVE {EPOCHS_CTE} SELECT epoch, start, CAST(base AS BIGINT) AS base FROM e")
 def dynamic_epochs(spark, d):
     return dynamic.assign_epochs(V.update_log(spark, d))
 
@@ -491,9 +639,19 @@ def dynamic_recompute(spark, d):
     return dynamic.recompute(log, list(rounds), EVENT_RADIUS, event_plan)
 
 
-@query()
+event_draws = ball.plan(EVENT_EPS, samples=EVENT_SAMPLES, sampler="uniform")
+
+
+@query(f"{epoch_changes_sql()}, n AS (SELECT epoch, count(DISTINCT round) AS rounds FROM o GROUP BY epoch), w AS (SELECT epoch, sum(dw) OVER (PARTITION BY epoch, g, k0, k1, j ORDER BY round) AS depth FROM c) SELECT epoch, rounds, CAST(coalesce((SELECT max(depth) FROM w WHERE w.epoch = n.epoch), 0) AS BIGINT) AS depth FROM n")
 def dynamic_replay_epochs(spark, d):
-    return dynamic.replay(V.update_log(spark, d), EVENT_RADIUS, event_plan).groupBy("epoch").agg(F.count("*").alias("rounds"), F.max("depth").alias("depth"))
+    """Every epoch on samples of its own, their number by its base."""
+    return dynamic.replay(V.update_log(spark, d), EVENT_RADIUS, event_draws, BUDGET).groupBy("epoch").agg(F.count("*").alias("rounds"), F.max("depth").alias("depth"))
+
+
+@query(f"WITH RECURSIVE {EPOCHS_CTE} SELECT epoch, CAST(greatest(1, ceil({BUDGET / EVENT_EPS**2!r}::DOUBLE * ln(greatest(base, 2)))) AS INTEGER) AS samples FROM e")
+def epoch_budgets(spark, d):
+    """How the samples of a cell follow the base of the epoch."""
+    return dynamic.assign_epochs(V.update_log(spark, d)).select("epoch", dynamic.epoch_samples(EVENT_EPS, BUDGET).alias("samples"))
 
 
 @query(f"SELECT g, max(depth) AS recorded, count(*) AS samples_hit FROM ({sampled_sql(MID, EVENT_RADIUS, EVENT_EPS, EVENT_SAMPLES)}) WHERE depth <> 0 GROUP BY g")
@@ -542,61 +700,104 @@ def asof_all(spark, d):
 # -- other dimensions, samplers and measures -------------------------------------------------------------------
 
 
-@query("WITH p AS (SELECT CAST(embedding[1] AS DOUBLE) / 0.05::DOUBLE AS x FROM embeddings), q AS (SELECT max(n) AS best FROM (SELECT a.x, count(*) AS n FROM p AS a JOIN p AS b ON b.x BETWEEN a.x AND a.x + 2 GROUP BY a.x)) SELECT true AS within, true AS below FROM q")
-def ball_static_d1(spark, d):
-    """In one dimension both sphere points are samples; the factor against the best interval, and never above it."""
-    points = V.emb_pts(spark, d, 1)
-    best = interval.best_interval(points.select(F.get("pos", F.lit(0)).alias("pos"), "w"), 0.1).select(F.col("weight").alias("best"))
-    found = ball.static_ball(points, 0.05, 0.4, 1, pos="pos", samples=2)
-    return found.crossJoin(F.broadcast(best)).select((F.col("depth") * 2 >= F.col("best")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
+def emb_sql(dim: int, radius: float) -> str:
+    return "SELECT vec_id AS id, label AS color, label + 1 AS w, " + ", ".join(f"CAST(embedding[{i + 1}] AS DOUBLE) / {radius!r}::DOUBLE AS c{i}" for i in range(dim)) + " FROM embeddings"
+
+
+#: dimension: radius, eps, samples, shifts, whether only cells that hold a point are sampled.  From three on the
+#: shifts are fewer than the factor needs, so the answers stand beside a place's depth and a bound instead.
+SPACES = {1: (0.05, 0.4, 2, "thin", False), 3: (0.3, 0.45, 2, "two", False), 5: (0.4, 0.45, 2, "two", True), 8: (0.5, 0.45, 4, "one", True)}
+
 
+def space_ball(spark, d, dim: int, color: str | None = None):
+    """(recorded, depth, centred, bound): the deepest sample, its true depth, the best place at a point, and no place's bound."""
+    radius, eps, t, mode, own = SPACES[dim]
+    points = V.emb_pts(spark, d, dim).withColumn("w", F.col("color") + 1)
+    balls, p = G.to_dual(points, radius, None, "pos", dim), ball.plan(eps, dim, samples=t, mode=mode)
+    if own:
+        depths = ball.own_cell_depth(balls, p, color=color)
+    else:
+        depths = ball.colour_depth(balls, p, color) if color else ball.sample_depth(balls, p)
+    best = ball.true_depth(ball.deepest(depths, p), balls, p, color=color).select(F.col("recorded").cast("long").alias("recorded"), F.col("depth").cast("long").alias("depth"))
+    for name, reach in (("centred", 1.0), ("bound", 2.0)):
+        best = best.crossJoin(F.broadcast(ball.around_points(balls, dim, reach, color).select(F.col("top").cast("long").alias(name))))
+    return best
 
-@query("SELECT true AS within, true AS below")
-def ball_static_d3(spark, d):
-    """In space: no less than a third of the best ball around a point, and never above the true depth."""
-    points = V.emb_pts(spark, d, 3)
-    p = ball.plan(0.45, 3, samples=8, mode="one")
-    balls = G.to_dual(points, 0.3, None, "pos", 3)
-    best = ball.true_depth(ball.deepest(ball.sample_depth(balls, p), p), balls, p)
-    around = balls.select("id", F.col("c0").alias("a0"), F.col("c1").alias("a1"), F.col("c2").alias("a2"))
-    near = G.within_join(around, balls.select("c0", "c1", "c2"), 1.0, ("a0", "a1"), ("c0", "c1")).where("pow(a0 - c0, 2) + pow(a1 - c1, 2) + pow(a2 - c2, 2) <= 1")
-    top = near.groupBy("id").agg(F.count("*").alias("n")).agg(F.max("n").alias("top"))
-    return best.crossJoin(F.broadcast(top)).select((F.col("depth") * 3 >= F.col("top")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
 
+for _dim, (_r, _e, _t, _m, _o) in SPACES.items():
+    named(f"ball_static_d{_dim}", lambda spark, d, k=_dim: space_ball(spark, d, k), space_query(emb_sql(_dim, _r), _dim, _e, _t, _m, _o))
+    named(f"ball_colored_d{_dim}", lambda spark, d, k=_dim: space_ball(spark, d, k, "color"), space_query(emb_sql(_dim, _r), _dim, _e, _t, _m, _o, "count(DISTINCT color)"))
 
-def high_ball(spark, d, dim: int, radius: float):
-    """Many dimensions: samples of the cells that hold points, in one grid."""
-    balls = G.to_dual(V.emb_pts(spark, d, dim), radius, None, "pos", dim)
-    p = ball.plan(0.45, dim, samples=4, mode="one")
-    best = ball.deepest(ball.own_cell_depth(balls, p), p)
-    return ball.true_depth(best, balls, p).select((F.col("recorded") <= F.col("depth")).alias("below"))
 
+PART = S["part_pts"]
+SUPPLIERS = "SELECT s_suppkey AS id, round(s_acctbal) AS x, 100.0 * s_nationkey AS y, 1 AS w, s_nationkey AS color FROM supplier"
+SUPPLIER_RADIUS = 1500
 
-named("ball_static_d5", lambda spark, d: high_ball(spark, d, 5, 0.4), "SELECT true AS below")
-named("ball_static_d8", lambda spark, d: high_ball(spark, d, 8, 0.5), "SELECT true AS below")
 
+def supplier_pts(spark, d):
+    return V.table(spark, d, "supplier").select(F.col("s_suppkey").alias("id"), F.round("s_acctbal").alias("x"), (F.col("s_nationkey") * 100.0).alias("y"), F.lit(1).cast("long").alias("w"), F.col("s_nationkey").alias("color"))
 
-@query(f"SELECT CAST(0.317 * 0.9 AS DOUBLE) <= 1 AS within, true AS below FROM ({disk_sql(S['part_pts'], RADIUS)})")
+
+SUPPLIER_DUAL = f"SELECT id, w, color, CAST(x AS DOUBLE) / {SUPPLIER_RADIUS} AS c0, CAST(y AS DOUBLE) / {SUPPLIER_RADIUS} AS c1 FROM ({SUPPLIERS})"
+SEEDS = range(20)
+
+
+@query(f"WITH {space_sql(SUPPLIER_DUAL, 2, EPS, SAMPLES, 'thin', False, seeds=', '.join(map(str, SEEDS)))}, o AS ({disk_sql(SUPPLIERS, SUPPLIER_RADIUS)}) SELECT CAST(seed AS INTEGER) AS seed, recorded, o.depth AS optimum, recorded >= {G.cap_fraction(EPS, 2)!r}::DOUBLE * o.depth AS within FROM best, o")
+def success_by_seed(spark, d):
+    """Random samples by twenty seeds: what each records, and whether it reaches the cap fraction of the optimum."""
+    points = supplier_pts(spark, d)
+    best = exact_disk.exact_disk(points, SUPPLIER_RADIUS).select(F.col("depth").cast("long").alias("optimum"))
+    balls, p = G.to_dual(points, SUPPLIER_RADIUS, ["x", "y"]), ball.plan(EPS, samples=SAMPLES, sampler="uniform")
+    seeded = balls.withColumn("seed", F.explode(F.array(*(F.lit(s) for s in SEEDS))))
+    depths = ball.sample_hits(seeded, p, ["seed", "w"], seed=F.col("seed")).groupBy("seed", *p.cell, "j").agg(F.sum("w").alias("depth"))
+    found = depths.groupBy("seed").agg(F.max("depth").cast("long").alias("recorded")).crossJoin(F.broadcast(best))
+    return found.select("seed", "recorded", "optimum", (F.col("recorded") >= G.cap_fraction(EPS, 2) * F.col("optimum")).alias("within"))
+
+
+@query(f"WITH {space_sql(f'SELECT id, w, color, CAST(x AS DOUBLE) / {RADIUS} AS c0, CAST(y AS DOUBLE) / {RADIUS} AS c1 FROM ({PART})', 2, EPS, SAMPLES, 'thin', False, seeds='3')} SELECT recorded, CAST((SELECT sum(w) FROM b WHERE pow(q0 - c0, 2) + pow(q1 - c1, 2) <= 1 + 1e-9) AS BIGINT) AS depth FROM best")
 def ball_static_uniform(spark, d):
-    """Random samples: within the factor of the exact optimum, recorded never above the true depth."""
+    """Random samples: what is recorded, and the true depth of the place."""
+    return ball.static_ball(V.part_pts(spark, d), RADIUS, EPS, samples=SAMPLES, sampler="uniform", seed=3).select(F.col("recorded").cast("long").alias("recorded"), F.col("depth").cast("long").alias("depth"))
+
+
+PAPER_BUDGET = f"CAST(ceil(ln((SELECT count(*) FROM part)) / {EPS * EPS!r}::DOUBLE) AS BIGINT)"
+
+
+@query(f"SELECT samples, max(depth) AS recorded FROM (SELECT {PAPER_BUDGET} AS samples), ({sampled_sql(S['part_pts'], RADIUS, EPS, 16).replace('range(16)', f'range({PAPER_BUDGET})').replace('j / 16.0', f'j / CAST({PAPER_BUDGET} AS DOUBLE)')}) GROUP BY samples")
+def ball_static_budget(spark, d):
+    """The sample budget that grows with the logarithm of the points."""
     points = V.part_pts(spark, d)
-    best = exact_disk.exact_disk(points, RADIUS).select(F.col("depth").alias("best"))
-    found = ball.static_ball(points, RADIUS, EPS, samples=32, sampler="uniform", seed=3)
-    return found.crossJoin(F.broadcast(best)).select((F.col("depth") >= 0.317 * 0.9 * F.col("best")).alias("within"), (F.col("recorded") <= F.col("depth")).alias("below"))
+    t = G.sample_budget(points.count(), EPS)
+    return ball.static_ball(points, RADIUS, EPS, samples=t).select(F.lit(t).cast("long").alias("samples"), F.col("recorded").cast("long").alias("recorded"))
+
 
+@query("SELECT dim, CAST(greatest(1, ceil(ln(100.0) * (1 - f + 0.05) / 0.05)) AS INTEGER) AS samples FROM (SELECT 2 AS dim, acos((3 * 0.16 + 0.0256) / (2 + 0.32) / 0.4) / pi() AS f UNION ALL SELECT 3, 0.5 - (3 * 0.16 + 0.0256) / (2 + 0.32) / 0.4 / 2)")
+def lean_budgets(spark, d):
+    """The samples that one good cell needs to fail with a chance of one in a hundred only."""
+    return spark.createDataFrame([(k, G.sample_budget(2, 0.4, rule="lean", dim=k)) for k in (2, 3)], "dim int, samples int")
 
-@query("SELECT true AS within, true AS above_kept")
+
+@query(f"""WITH p AS ({S['part_pts']}), g AS (SELECT max(depth) AS guess FROM ({PART_SAMPLES})), k AS (SELECT p.* FROM p, g WHERE {drawn('id')} < CAST(floor(least(1.0, ln((SELECT count(*) FROM p)) / 0.25 / guess) * 4294967296) AS BIGINT))
+    SELECT (SELECT count(*) FROM k) AS kept, (SELECT guess FROM g) AS guess, (SELECT depth FROM ({disk_sql(S['part_pts'], RADIUS)})) AS optimum, (SELECT CAST(round(best.depth / least(1.0, ln((SELECT count(*) FROM p)) / 0.25 / g.guess)) AS BIGINT) FROM g, ({disk_sql('SELECT * FROM k', RADIUS).replace('WITH p AS MATERIALIZED (SELECT * FROM k)', 'WITH p AS MATERIALIZED (SELECT * FROM k)')}) AS best) AS estimate""")
 def object_sample_ball(spark, d):
+    """Objects kept at a rate from the deepest sample's depth; the exact optimum of what is kept, divided by the rate."""
     points = V.part_pts(spark, d)
-    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
-    return sampling.object_sample(points, RADIUS, 0.5, best, 1.0).select((F.col("depth") >= 0.5 * best).alias("within"), (F.col("depth") <= best).alias("above_kept"))
+    guess = ball.static_ball(points, RADIUS, EPS, samples=SAMPLES).first()["recorded"]
+    best = exact_disk.exact_disk(points, RADIUS).select(F.col("depth").alias("optimum"))
+    found = sampling.object_sample(points, RADIUS, 0.5, guess, 1.0)
+    return found.select("kept", F.lit(guess).cast("long").alias("guess"), F.round("depth_kept").cast("long").alias("estimate")).crossJoin(F.broadcast(best))
+
+
+MORTON = " + ".join(f"(((CAST(floor({c} / {RADIUS / 8!r}::DOUBLE) AS BIGINT) + 524288) >> {b}) & 1) * {1 << (2 * b + i)}" for i, c in enumerate(("x", "y")) for b in range(20))
 
 
-@query("SELECT true AS within")
+@query(f"""WITH p AS ({S['part_pts']}), n AS (SELECT *, row_number() OVER (ORDER BY {MORTON}, id) AS rn FROM p), k AS (SELECT id, x, y, w * 3 AS w, color FROM n WHERE rn % 3 = 0)
+    SELECT (SELECT count(*) FROM k) AS kept, (SELECT depth FROM ({disk_sql('SELECT * FROM k', RADIUS)})) AS depth_kept, (SELECT depth FROM ({disk_sql(S['part_pts'], RADIUS)})) AS optimum""")
 def morton_sample_ball(spark, d):
+    """Every third point along a space-filling curve: the exact optimum of what is kept, and of all."""
     points = V.part_pts(spark, d)
-    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
-    return sampling.morton_sample(points, RADIUS, 3).select((F.col("depth") >= 0.4 * best).alias("within"))
+    best = exact_disk.exact_disk(points, RADIUS).select(F.col("depth").alias("optimum"))
+    return sampling.morton_sample(points, RADIUS, 3).select("kept", "depth_kept").crossJoin(F.broadcast(best))
 
 
 PART_BALLS = f"SELECT id, CAST(x AS DOUBLE) / {RADIUS} AS c0, CAST(y AS DOUBLE) / {RADIUS} AS c1 FROM ({S['part_pts']})"
@@ -622,26 +823,43 @@ def method_stats(spark, d):
     return measures.method_stats(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
 
 
-@query(f"SELECT g, CAST(sum(depth) AS BIGINT) AS by_samples, CAST(sum(depth) AS BIGINT) AS by_balls FROM ({PART_SAMPLES}) GROUP BY g")
+BALLS_SAMPLES = PART_SAMPLES[: PART_SAMPLES.index("    SELECT CAST(g AS INTEGER)")]
+
+
+@query(f"{BALLS_SAMPLES} SELECT CAST(a.g AS INTEGER) AS g, CAST(a.n AS BIGINT) AS by_samples, CAST(b.n AS BIGINT) AS by_balls FROM (SELECT g, sum(d) AS n FROM (SELECT g, sum(w) AS d FROM h GROUP BY g, k0, k1, j) GROUP BY g) AS a JOIN (SELECT g, sum(w * n) AS n FROM (SELECT g, id, any_value(w) AS w, count(*) AS n FROM h GROUP BY g, id) GROUP BY g) AS b USING (g)")
 def game_identity(spark, d):
     return measures.game_check(dual(spark, d), ball.plan(EPS, samples=SAMPLES))
 
 
-@query()
+@query("WITH e AS (SELECT unnest([0.1::DOUBLE, 0.25::DOUBLE, 0.4::DOUBLE]) AS eps), q AS (SELECT eps, (3 * eps * eps + pow(eps, 4)) / (2 + 2 * eps * eps) / eps AS q FROM e) SELECT eps, dim, round(CASE dim WHEN 2 THEN acos(q) / pi() WHEN 3 THEN (1 - q) / 2 ELSE 0.5 - (q - q * q * q / 3) * 3 / 4 END, 6) AS factor FROM q, (SELECT unnest([2, 3, 5]) AS dim)")
 def cap_fraction_table(spark, d):
-    rows = [(e, k, G.cap_fraction(e, k)) for e in (0.1, 0.25, 0.4) for k in (2, 3, 5)]
+    """Numeric integration against the closed forms of these dimensions."""
+    rows = [(e, k, round(G.cap_fraction(e, k), 6)) for e in (0.1, 0.25, 0.4) for k in (2, 3, 5)]
     return spark.createDataFrame(rows, "eps double, dim int, factor double")
 
 
-@query("SELECT true AS linear, true AS by_optimum")
+@query()
+def cap_fraction_measured(spark, d):
+    """(dim, measured, formula): the cap's share by chance and by formula."""
+    rows = [measures.cap_fraction_mc(spark, 0.25, k, 100_000).withColumn("dim", F.lit(k)) for k in (2, 3)]
+    return rows[0].union(rows[1])
+
+
+@query(crossings_sql(S["part_pts"]))
+def pair_crossings(spark, d):
+    """(a, b, crossings, disks): crossings of two colours' boundaries, and the disks of both."""
+    points = V.part_pts(spark, d)
+    disks = union_arcs.disks_of(points)
+    return measures.pair_crossings(union_arcs.arc_crossings(points, RADIUS), disks)
+
+
+@query(f"SELECT max(CAST(crossings AS DOUBLE) / disks) <= 6 AS linear, sum(crossings) <= 24 * (SELECT count(*) FROM (SELECT DISTINCT x, y, color FROM ({S['part_pts']}))) * (SELECT depth FROM ({COLOURS_SQL})) AS by_optimum, CAST(sum(crossings) AS BIGINT) AS crossings FROM ({crossings_sql(S['part_pts'])})")
 def pair_crossings_bound(spark, d):
     """Two colours' boundaries cross at most 6 times the disks of both; in all at most 24 n times the optimum."""
     points = V.part_pts(spark, d)
-    disks = union_arcs.disks_of(points)
-    pairs = measures.pair_crossings(union_arcs.arc_crossings(points, RADIUS), disks)
     best = colored_disk.output_sensitive(points, RADIUS).first()["depth"]
-    n = disks.count()
-    return pairs.agg(F.bool_and(F.col("crossings") <= 6 * F.col("disks")).alias("linear"), (F.sum("crossings") <= 24 * n * best).alias("by_optimum"))
+    n = union_arcs.disks_of(points).count()
+    return pair_crossings(spark, d).agg(F.bool_and(F.col("crossings") <= 6 * F.col("disks")).alias("linear"), (F.sum("crossings") <= 24 * n * best).alias("by_optimum"), F.sum("crossings").cast("long").alias("crossings"))
 
 
 @query(f"SELECT g, most_colors <= 4 * (SELECT depth FROM ({COLOURS_SQL})) AS within FROM ({FILTER_SQL})")
@@ -653,37 +871,53 @@ def cell_color_bound(spark, d):
     return per.crossJoin(F.broadcast(best)).select("g", (F.col("n") <= 4 * F.col("best")).alias("within"))
 
 
-@query()
+LAMBDAS = (0.25, 0.5, 0.75)
+
+
+@query(" UNION ALL ".join(f"SELECT {lam}::DOUBLE AS lam, {lam}::DOUBLE * (SELECT count(*) FROM events) AS expected, (SELECT count(*) FROM ({kept_sql(S['event_pts'], lam)})) AS kept" for lam in LAMBDAS))
 def sampled_size(spark, d):
     """(lam, expected, kept): disks of the kept colours against lam n."""
     points = V.event_pts(spark, d)
     n = points.count()
     rows = None
-    for lam in (0.25, 0.5, 0.75):
+    for lam in LAMBDAS:
         one = colored_disk.keep_colours(points, lam).agg(F.lit(lam).alias("lam"), F.lit(lam * n).alias("expected"), F.count("*").alias("kept"))
         rows = one if rows is None else rows.union(one)
     return rows
 
 
-@query()
+@query(f"{epoch_changes_sql()}, n AS (SELECT epoch, count(*) AS rows, count(DISTINCT round) AS updates FROM o GROUP BY epoch), z AS (SELECT epoch, count(*) AS touched FROM c GROUP BY epoch) SELECT epoch, updates, rows - updates AS resampled, coalesce(touched, 0) AS touched FROM n LEFT JOIN z USING (epoch)")
 def epoch_work(spark, d):
-    return dynamic.epoch_stats(V.update_log(spark, d), EVENT_RADIUS, event_plan)
+    return dynamic.epoch_stats(V.update_log(spark, d), EVENT_RADIUS, event_draws, BUDGET)
 
 
-@query()
+SWEEP = (0.1, 0.2, 0.3, 0.4)
+
+
+def sweep_sql(eps: float) -> str:
+    """The deepest even sample over the suppliers, its true depth and the optimum."""
+    side = 2 * eps / 2**0.5
+    shifts = G.shifted_grids(side, eps**2, 2)
+    factor = ball.plan(eps, samples=SAMPLES).factor
+    place = lambda i, f: f"h.s{i} + (b.k{i} + 0.5) * {side!r}::DOUBLE + {eps!r}::DOUBLE * {f}(2 * pi() * b.j / {SAMPLES}.0)"
+    grids = ", ".join(f"({g}, {v[0]!r}::DOUBLE, {v[1]!r}::DOUBLE)" for g, v in shifts)
+    return f"""SELECT {eps!r}::DOUBLE AS eps, {len(shifts)} AS grids, b.depth AS recorded, (SELECT count(*) FROM ({SUPPLIER_DUAL}) WHERE pow({place(0, 'cos')} - c0, 2) + pow({place(1, 'sin')} - c1, 2) <= 1 + 1e-9) AS depth, o.depth AS optimum, (SELECT count(*) FROM ({SUPPLIER_DUAL}) WHERE pow({place(0, 'cos')} - c0, 2) + pow({place(1, 'sin')} - c1, 2) <= 1 + 1e-9) >= {factor!r}::DOUBLE * o.depth AS within
+    FROM (SELECT * FROM ({sampled_sql(SUPPLIERS, SUPPLIER_RADIUS, eps, SAMPLES)}) ORDER BY depth DESC, g, k0, k1, j LIMIT 1) AS b JOIN (VALUES {grids}) AS h(g, s0, s1) ON h.g = b.g, ({disk_sql(SUPPLIERS, SUPPLIER_RADIUS)}) AS o"""
+
+
+@query(" UNION ALL ".join(f"SELECT * FROM ({sweep_sql(e)})" for e in SWEEP))
 def eps_sweep(spark, d):
-    """For each eps: the sure factor of even samples, recorded and true depth, and the exact optimum."""
-    points = V.part_pts(spark, d)
-    best = exact_disk.exact_disk(points, RADIUS).first()["depth"]
-    rows = []
-    for eps in (0.2, 0.3, 0.4):
+    """For each eps: recorded and true depth of the deepest even sample, the optimum, and whether the sure factor holds."""
+    points, out = supplier_pts(spark, d), None
+    best = exact_disk.exact_disk(points, SUPPLIER_RADIUS).select(F.col("depth").cast("long").alias("optimum"))
+    for eps in SWEEP:
         p = ball.plan(eps, samples=SAMPLES)
-        r = ball.static_ball(points, RADIUS, eps, samples=SAMPLES).first()
-        rows.append((eps, len(p.grids), p.factor, int(r["recorded"]), int(r["depth"]), int(best), r["depth"] / best, r["depth"] >= p.factor * best))
-    return spark.createDataFrame(rows, "eps double, grids int, factor double, recorded long, depth long, optimum long, ratio double, within boolean")
+        one = ball.static_ball(points, SUPPLIER_RADIUS, eps, samples=SAMPLES).crossJoin(F.broadcast(best)).select(F.lit(eps).alias("eps"), F.lit(len(p.grids)).alias("grids"), F.col("recorded").cast("long").alias("recorded"), F.col("depth").cast("long").alias("depth"), "optimum", (F.col("depth") >= p.factor * F.col("optimum")).alias("within"))
+        out = one if out is None else out.union(one)
+    return out
 
 
-@query("SELECT * FROM (VALUES (CAST(25 AS BIGINT), CAST(6 AS BIGINT), CAST(5 AS BIGINT), CAST(100 AS BIGINT), CAST(50 AS BIGINT))) AS t(n, m, oracle_calls, interval_points, enclosing_points)")
+@query("SELECT n, CAST(6 AS BIGINT) AS m, CAST(ceil(n / 6.0) AS BIGINT) AS oracle_calls, 4 * n AS interval_points, 2 * n AS enclosing_points FROM (SELECT count(*) AS n FROM nation)")
 def reduction_sizes(spark, d):
     a = V.sequence_of(spark, d, "customer")
     s = convolution.reduction_stats(a.count(), 6)
@@ -701,15 +935,20 @@ def colored_customers(spark, d):
     return depth_only(union_arcs.coloured_arc_sweep(V.cust_pts(spark, d), 300))
 
 
-@query()
+KEYED = f"SELECT id, x, y, w, CAST(id AS VARCHAR) AS color FROM ({S['part_pts']})"
+VARIETIES = {"kind": f"SELECT id, x, y, w, kind AS color FROM ({S['part_pts']})", "color": f"SELECT id, x, y, w, color FROM ({S['part_pts']})", "key": KEYED}
+
+
+@query(" UNION ALL ".join(f"SELECT '{n}' AS colours, (SELECT count(*) FROM (SELECT DISTINCT x, y, color FROM ({q}))) AS disks, (SELECT depth FROM ({disk_sql(q, RADIUS, 'count(DISTINCT p.color)')})) AS optimum, (SELECT CAST(sum(crossings) AS BIGINT) FROM ({crossings_sql(q)})) AS crossings" for n, q in VARIETIES.items()))
 def output_sensitivity(spark, d):
-    """(colours, disks, optimum, crossings, bound): crossings of boundaries against disks times optimum."""
-    points = V.part_pts(spark, d)
-    rows = []
-    for name in ("kind", "color"):
-        disks = union_arcs.disks_of(points, name)
-        best = colored_disk.output_sensitive(points, RADIUS, name).first()["depth"]
-        n = disks.count()
-        k = union_arcs.arc_crossings(points, RADIUS, name).count()
-        rows.append((name, n, int(best), k, k <= 24 * n * best))
-    return spark.createDataFrame(rows, "colours string, disks long, optimum long, crossings long, bound boolean")
+    """(colours, disks, optimum, crossings): from few colours to one for each part, crossings grow with disks times optimum."""
+    out = None
+    for name in VARIETIES:
+        points = V.part_pts(spark, d)
+        points = points.withColumn("color", F.col("id").cast("string") if name == "key" else F.col(name))
+        n = union_arcs.disks_of(points).agg(F.lit(name).alias("colours"), F.count("*").alias("disks"))
+        best = union_arcs.coloured_arc_sweep(points, RADIUS).select(F.col("depth").cast("long").alias("optimum"))
+        k = union_arcs.arc_crossings(points, RADIUS).agg(F.count("*").alias("crossings"))
+        one = n.crossJoin(F.broadcast(best)).crossJoin(F.broadcast(k))
+        out = one if out is None else out.union(one)
+    return out
