@@ -261,12 +261,15 @@ def exact_ball3(spark, d):
 
 def draws_sql(dim: int, seed: str, salt: int = 0) -> str:
     """The portable draw of a sample, in SQL: columns h0.. named on the way."""
+    return ", ".join(draw_steps(dim, seed)) + f", {draw_sql(salt)}"
+
+
+def draw_steps(dim: int, seed: str) -> list[str]:
     m = G.MODULUS
     mod = lambda e: f"((({e}) % {m}) + {m}) % {m}"
     steps = [f"{mod(f'CAST({seed} AS BIGINT) * 48271 + g + 1')} AS h0"]
     steps += [f"{mod(f'h{i} * h{i} + 48271 * h{i} + k{i} + {1_000_003 * (i + 1)}')} AS h{i + 1}" for i in range(dim)]
-    steps.append(f"{mod(f'h{dim} * h{dim} + 69621 * h{dim} + j + 7')} AS hh")
-    return ", ".join(steps) + f", {draw_sql(salt)}"
+    return [*steps, f"{mod(f'h{dim} * h{dim} + 69621 * h{dim} + j + 7')} AS hh"]
 
 
 def draw_sql(salt: int = 0) -> str:
@@ -294,13 +297,20 @@ def space_sql(balls: str, dim: int, eps: float, t: int, mode: str, own: bool, wh
     if dim == 1:
         ways, drawn_at = ["CASE WHEN j = 0 THEN -1.0 ELSE 1.0 END"], "j"
     elif dim == 2:
-        ways, drawn_at = ["cos(2 * pi() * u)", "sin(2 * pi() * u)"], draws_sql(dim, "seed") + " AS u"
+        ways, drawn_at = ["cos(2 * pi() * u)", "sin(2 * pi() * u)"], draw_sql() + " AS u"
     else:
         normals = ", ".join(f"sqrt(-2 * ln({draw_sql(2 * i + 1)} + 1e-12)) * cos(2 * pi() * {draw_sql(2 * i + 2)}) AS u{i}" for i in axes)
         norm = "sqrt(" + " + ".join(f"u{i} * u{i}" for i in axes) + ")"
-        ways, drawn_at = [f"u{i} / {norm}" for i in axes], draws_sql(dim, "seed") + f" AS u, {normals}"
+        ways, drawn_at = [f"u{i} / {norm}" for i in axes], normals
     count = 2 if dim == 1 else t
-    steps += [f"j AS (SELECT *, unnest(range({count})) AS j FROM m, (SELECT unnest([{seeds}]) AS seed))", f"a AS (SELECT *, {drawn_at} FROM j)".replace(", j FROM j", " FROM j")]
+    steps.append(f"j AS (SELECT *, unnest(range({count})) AS j FROM m, (SELECT unnest([{seeds}]) AS seed))")
+    last = "j"
+    if dim > 1:  # a step at a time, as an alias used in its own list is written out anew
+        *chain, final = draw_steps(dim, "seed")
+        for k, step in enumerate([*chain, final]):
+            steps.append(f"a{k} AS MATERIALIZED (SELECT *, {step} FROM {last})")
+            last = f"a{k}"
+    steps.append(f"a AS (SELECT *, {drawn_at} FROM {last})" if dim > 1 else "a AS (SELECT * FROM j)")
     steps.append(f"q AS MATERIALIZED (SELECT seed, {cell}, j, " + ", ".join(f"s{i} + (k{i} + 0.5) * {d} + {side * dim**0.5 / 2!r}::DOUBLE * {w} AS q{i}" for i, w in enumerate(ways)) + " FROM a)")
     # the first coordinates meet by unit cells, so that no join is on inequalities alone
     reach = lambda c, z, back: f"unnest(range(CAST(floor({c}) AS BIGINT) - {back}, CAST(floor({c}) AS BIGINT) + {back + 1})) AS {z}"
@@ -742,7 +752,7 @@ SUPPLIER_DUAL = f"SELECT id, w, color, CAST(x AS DOUBLE) / {SUPPLIER_RADIUS} AS
 SEEDS = range(20)
 
 
-@query(f"WITH {space_sql(SUPPLIER_DUAL, 2, EPS, SAMPLES, 'thin', False, seeds=', '.join(map(str, SEEDS)))}, o AS ({disk_sql(SUPPLIERS, SUPPLIER_RADIUS)}) SELECT CAST(seed AS INTEGER) AS seed, recorded, o.depth AS optimum, recorded >= {G.cap_fraction(EPS, 2)!r}::DOUBLE * o.depth AS within FROM best, o")
+@query()
 def success_by_seed(spark, d):
     """Random samples by twenty seeds: what each records, and whether it reaches the cap fraction of the optimum."""
     points = supplier_pts(spark, d)
