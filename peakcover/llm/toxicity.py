@@ -75,7 +75,7 @@ def ranges(first, count):
     """The integers first[i] .. first[i] + count[i] - 1 for all i, one after the other."""
     import numpy as np
 
-    return np.repeat(first - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
+    return np.repeat(first - (np.cumsum(count) - count), count) + np.arange(count.sum())
 
 
 def gram_weights(docs, starts, counts, gram, labels, weights, buckets: int, smoothing: float = SMOOTHING):
@@ -112,11 +112,14 @@ def train(bags: list[tuple[str, list[int]]], labels, weights, seed: int = 7, dim
         part = np.array([common_words.get(t, 1.0) for t in found])
         docs.append(np.array([vocabulary[t] for t in found], dtype=np.int32))
         parts.append((part / (part.sum() + NEUTRAL)).astype(np.float32))
-    of, gram = gram_table(list(vocabulary), buckets)
-    gram = gram[np.argsort(of, kind="stable")].astype(np.int32)
-    counts = np.bincount(of, minlength=len(vocabulary))
-    starts = np.concatenate([[0], np.cumsum(counts)[:-1]])
-    del of, vocabulary
+    grams, counts = [], []
+    for part in batches(list(vocabulary)):  # a part at a time, as the driver's memory is bounded
+        of, gram = gram_table(part, buckets)
+        grams.append(gram[np.argsort(of, kind="stable")].astype(np.int32))
+        counts.append(np.bincount(of, minlength=len(part)).astype(np.int32))
+    gram, counts = np.concatenate(grams), np.concatenate(counts)
+    starts = np.cumsum(counts, dtype=np.int64) - counts
+    del of, vocabulary, grams
     scale = gram_weights(docs, starts, counts, gram, y, class_weight, buckets)
     rng = np.random.default_rng(seed)
     table, way, bias = rng.uniform(-0.01, 0.01, (buckets, dim)).astype(np.float32), rng.normal(0, 0.5, (dim, 2)).astype(np.float32), np.zeros(2, dtype=np.float32)
