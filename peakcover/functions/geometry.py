@@ -62,8 +62,7 @@ def with_draws(rows: DataFrame, dim: int, seed) -> DataFrame:
     h = F.col("__h")
     for i in range(dim):
         out = out.withColumn("__h", F.pmod(h * h + 48271 * h + F.col(f"k{i}") + 1_000_003 * (i + 1), F.lit(MODULUS)))
-    # the row number times zero keeps the optimizer from writing the steps out anew wherever a filter uses a draw
-    return out.withColumn("__h", F.pmod(h * h + 69621 * h + F.col("j") + 7, F.lit(MODULUS)) + F.monotonically_increasing_id() * 0)
+    return out.withColumn("__h", F.pmod(h * h + 69621 * h + F.col("j") + 7, F.lit(MODULUS)))
 
 
 def draw(salt: int = 0) -> Column:
@@ -92,7 +91,9 @@ def sphere_samples(cells: DataFrame, t, side: float, dim: int, sampler: str = "e
         out = out.withColumns({f"u{i}": v for i, v in enumerate(normal)})
         norm = F.sqrt(sum((F.col(f"u{i}") * F.col(f"u{i}") for i in range(dim)), F.lit(0.0)))
         ways = [F.col(f"u{i}") / norm for i in range(dim)]
-    out = out.withColumns({f"q{i}": F.col(f"s{i}") + (F.col(f"k{i}") + 0.5) * side + radius * w for i, w in enumerate(ways)})
+    # the row number times zero keeps the optimizer from writing all steps out anew inside a filter on a place
+    still = F.monotonically_increasing_id() * F.lit(0.0) if dim > 2 or (dim == 2 and sampler == "uniform") else F.lit(0.0)
+    out = out.withColumns({f"q{i}": F.col(f"s{i}") + (F.col(f"k{i}") + 0.5) * side + radius * w + still for i, w in enumerate(ways)})
     return out.drop("__h", *(f"u{i}" for i in range(dim)))
 
 
