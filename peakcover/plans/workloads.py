@@ -311,11 +311,13 @@ def space_sql(balls: str, dim: int, eps: float, t: int, mode: str, own: bool, wh
             steps.append(f"a{k} AS MATERIALIZED (SELECT *, {step} FROM {last})")
             last = f"a{k}"
     steps.append(f"a AS (SELECT *, {drawn_at} FROM {last})" if dim > 1 else "a AS (SELECT * FROM j)")
-    steps.append(f"q AS MATERIALIZED (SELECT seed, {cell}, j, " + ", ".join(f"s{i} + (k{i} + 0.5) * {d} + {side * dim**0.5 / 2!r}::DOUBLE * {w} AS q{i}" for i, w in enumerate(ways)) + " FROM a)")
+    steps.append(f"q AS MATERIALIZED (SELECT seed, {cell}, j, {', '.join(f's{i}' for i in axes)}, " + ", ".join(f"s{i} + (k{i} + 0.5) * {d} + {side * dim**0.5 / 2!r}::DOUBLE * {w} AS q{i}" for i, w in enumerate(ways)) + " FROM a)")
+    # a ball counts where it meets the cell, though its samples lie a little outside; cells of points count all balls
+    meets = "" if own else " AND " + " + ".join(f"pow(greatest(s{i} + k{i} * {d} - c{i}, 0.0, c{i} - s{i} - (k{i} + 1) * {d}), 2)" for i in axes) + " <= 1 + 1e-9"
     # the first coordinates meet by unit cells, so that no join is on inequalities alone
     reach = lambda c, z, back: f"unnest(range(CAST(floor({c}) AS BIGINT) - {back}, CAST(floor({c}) AS BIGINT) + {back + 1})) AS {z}"
     steps.append(f"y AS (SELECT *, {reach('c0', 'z0', 1)} FROM b)")
-    steps.append(f"f AS (SELECT seed, {cell}, j, " + ", ".join(f"any_value(q{i}) AS q{i}" for i in axes) + f", CAST({what} AS BIGINT) AS recorded FROM q JOIN y ON z0 = CAST(floor(q0) AS BIGINT) WHERE {near} <= 1 + 1e-9 GROUP BY seed, {cell}, j)")
+    steps.append(f"f AS (SELECT seed, {cell}, j, " + ", ".join(f"any_value(q{i}) AS q{i}" for i in axes) + f", CAST({what} AS BIGINT) AS recorded FROM q JOIN y ON z0 = CAST(floor(q0) AS BIGINT) WHERE {near} <= 1 + 1e-9{meets} GROUP BY seed, {cell}, j)")
     steps.append(f"best AS (SELECT * FROM f QUALIFY row_number() OVER (PARTITION BY seed ORDER BY recorded DESC, {cell}, j) = 1)")
     return ", ".join(steps)
 
@@ -752,7 +754,7 @@ SUPPLIER_DUAL = f"SELECT id, w, color, CAST(x AS DOUBLE) / {SUPPLIER_RADIUS} AS
 SEEDS = range(20)
 
 
-@query()
+@query(f"WITH {space_sql(SUPPLIER_DUAL, 2, EPS, SAMPLES, 'thin', False, seeds=', '.join(map(str, SEEDS)))}, o AS ({disk_sql(SUPPLIERS, SUPPLIER_RADIUS)}) SELECT CAST(seed AS INTEGER) AS seed, recorded, o.depth AS optimum, recorded >= {G.cap_fraction(EPS, 2)!r}::DOUBLE * o.depth AS within FROM best, o")
 def success_by_seed(spark, d):
     """Random samples by twenty seeds: what each records, and whether it reaches the cap fraction of the optimum."""
     points = supplier_pts(spark, d)
