@@ -1,15 +1,101 @@
 """Exact rectangles and boxes: weighted, unweighted and coloured, one or many sizes.
 
-The best closed rectangle can be moved until its left and lower edges pass through covered points.  For every
-left point the points within reach meet it through an equi-join on cells, and a RANGE frame over the other axis
-gives what each lower edge covers.  Weights must not be negative.
+The best closed rectangle can be moved until its left and lower edges pass through covered points.  The sweeps send
+every point to the few cells in which such a corner can lie and solve each cell in n log n steps; the coloured one
+first turns each colour into disjoint ranges.  A cell of more than ``most`` points is split, and what covers a part
+of it wholly is added up before the shuffle.  The forms by frames need no kernel: for every left point the points
+within reach meet it through an equi-join on cells, so they cost the number of near pairs.  Weights must not be
+negative.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import range_kernels
+
+#: Cells are this much smaller than the sides, so that a range always holds an end of its cell.
+SHRINK = 1 - 2.0**-20
+#: Rows of small cells that are solved at once.
+AT_ONCE = 50_000
+
+
+def _span(c: str, side: float, lo: str, hi: str, by=1) -> dict:
+    """The first and last cell (of a ``by``-th of a side) in which an edge can lie that reaches ``c``."""
+    step = max(side, 1e-9) * SHRINK
+    return {lo: F.floor((F.col(c) - side) * by / step - 2.0**-30).cast("long"), hi: F.floor(F.col(c) * by / step).cast("long")}
+
+
+def _corners(points: DataFrame, a: float, b: float, most: int, value: str, whole) -> DataFrame:
+    """(by, fx, fy, x, y, own_x, own_y, value): the rows of each cell; x and y are null for what covers it wholly."""
+    rows = points.withColumns(_span("x", a, "x0", "x1") | _span("y", b, "y0", "y1"))
+    rows = rows.withColumn("cx", F.explode(F.sequence("x0", "x1"))).withColumn("cy", F.explode(F.sequence("y0", "y1"))).drop("x0", "x1", "y0", "y1")
+    hot = rows.groupBy("cx", "cy").agg(F.count("*").alias("n")).where(F.col("n") > most).select("cx", "cy", F.ceil(F.lit(4) * F.col("n") / most).cast("long").alias("by"))
+    rows = rows.join(hot, ["cx", "cy"], "left").withColumn("by", F.coalesce("by", F.lit(1).cast("long")))
+    rows = rows.withColumns(_span("x", a, "x0", "x1", F.col("by")) | _span("y", b, "y0", "y1", F.col("by")))
+    for c in "xy":  # parts of the cell; a part between the ends of a range is covered wholly
+        rows = rows.withColumn(f"f{c}", F.explode(F.expr(f"sequence(least(greatest({c}0, c{c} * by), c{c} * by + by - 1), greatest(least({c}1, c{c} * by + by - 1), c{c} * by))")))
+        rows = rows.withColumn(f"own_{c}", F.expr(f"f{c} = greatest(least({c}1, c{c} * by + by - 1), c{c} * by) AND floor({c} / {max(a if c == 'x' else b, 1e-9) * SHRINK!r}D) = c{c}"))
+        rows = rows.withColumn(f"in_{c}", F.expr(f"{c}0 < f{c} AND f{c} < {c}1"))
+    cell = ["by", "fx", "fy"]
+    part = rows.where("NOT (in_x AND in_y)").select(*cell, "x", "y", "own_x", "own_y", value)
+    none = F.lit(None).cast("double")
+    full = whole(rows.where("in_x AND in_y"), cell).select(*cell, none.alias("x"), none.alias("y"), F.lit(False).alias("own_x"), F.lit(False).alias("own_y"), value)
+    return part.unionByName(full)
+
+
+def _by_cells(batches: Iterator[pd.DataFrame], cell: list[str]) -> Iterator[pd.DataFrame]:
+    """Whole cells from sorted batches, many small ones together."""
+    held, n, key = [], 0, None
+    for pdf in batches:
+        if not len(pdf):
+            continue
+        if n >= AT_ONCE:
+            cut = int((pdf[cell] != key).any(axis=1).to_numpy().argmax()) if (pdf[cell].iloc[-1] != key).any() else len(pdf)
+            if cut < len(pdf):
+                yield pd.concat([*held, pdf.iloc[:cut]])
+                held, n, pdf = [], 0, pdf.iloc[cut:]
+        held.append(pdf)
+        n += len(pdf)
+        key = pdf[cell].iloc[-1]
+    if held:
+        yield pd.concat(held)
+
+
+def _swept(rows: DataFrame, a: float, b: float, value: str, coloured: bool, kind: str) -> DataFrame:
+    """(x0, y0, depth) of the best cell; one row from each partition meets in the last step."""
+    cell = ["by", "fx", "fy"]
+
+    def solve(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in _by_cells(batches, cell):
+            number = pdf.groupby(cell, sort=False).ngroup().to_numpy()
+            held = pd.factorize(pdf[value], use_na_sentinel=False)[0] if coloured else pdf[value].to_numpy()
+            best = range_kernels.solve_cells(number, *(pdf[c].to_numpy(np.float64) for c in "xy"), pdf.own_x.to_numpy(bool), pdf.own_y.to_numpy(bool), held, a, b, coloured)
+            if best:
+                yield pd.DataFrame({"depth": [best[0]], "x": [best[1]], "y": [best[2]]})
+
+    got = rows.repartition(*cell).sortWithinPartitions(*cell).mapInPandas(solve, f"depth {kind}, x double, y double")
+    return got.agg(F.max(F.struct("depth", (-F.col("x")).alias("bx"), (-F.col("y")).alias("by"))).alias("m")).where("m IS NOT NULL").select((-F.col("m.bx")).alias("x0"), (-F.col("m.by")).alias("y0"), F.col("m.depth").alias("depth"))
+
+
+def exact_rectangle(points: DataFrame, a: float, b: float, most: int = 200_000) -> DataFrame:
+    """(x0, y0, weight) of the best a x b rectangle, in n log n steps a cell."""
+    base = points.groupBy(F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y")).agg(F.sum("w").alias("w"))
+    rows = _corners(base, a, b, most, "w", lambda r, cell: r.groupBy(*cell).agg(F.sum("w").alias("w")))
+    return _swept(rows, a, b, "w", False, base.schema["w"].dataType.simpleString()).withColumnRenamed("depth", "weight")
+
+
+def coloured_rectangle(points: DataFrame, a: float, b: float, color: str = "color", most: int = 200_000) -> DataFrame:
+    """(x0, y0, colors) of the a x b rectangle with most distinct colours (a null is none), in n log n steps a cell."""
+    base = points.select(F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), F.col(color).alias("hue")).where("hue IS NOT NULL").distinct()
+    rows = _corners(base, a, b, most, "hue", lambda r, cell: r.select(*cell, "hue").distinct())
+    return _swept(rows, a, b, "hue", True, "long").withColumnRenamed("depth", "colors")
+
 
 def _beside(points: DataFrame, a: float, b: float, keep: list[str]) -> DataFrame:
     """(i, xi, yi, y, keep..): for every point those at most a to its right and b above or below."""
@@ -19,21 +105,21 @@ def _beside(points: DataFrame, a: float, b: float, keep: list[str]) -> DataFrame
     return left.join(right, ["cx", "cy"]).where((F.col("x") >= F.col("xi")) & (F.col("x") <= F.col("xi") + a) & (F.abs(F.col("y") - F.col("yi")) <= b)).drop("cx", "cy")
 
 
-def exact_rectangle(points: DataFrame, a: float, b: float) -> DataFrame:
-    """(x0, y0, weight) of the best a x b rectangle."""
+def rectangle_by_frames(points: DataFrame, a: float, b: float) -> DataFrame:
+    """(x0, y0, weight) of the best a x b rectangle, with a RANGE frame for each left point."""
     base = points.groupBy("x", "y").agg(F.min("id").alias("id"), F.sum("w").alias("w"))
     frame = Window.partitionBy("i").orderBy("y").rangeBetween(0, int(b) if float(b).is_integer() else b)
     swept = _beside(base, a, b, ["w"]).withColumn("s", F.sum("w").over(frame)).where("y <= yi")
     return swept.agg(F.max(F.struct("s", (-F.col("xi")).alias("bx"), (-F.col("y")).alias("by"))).alias("m")).where("m IS NOT NULL").select((-F.col("m.bx")).alias("x0"), (-F.col("m.by")).alias("y0"), F.col("m.s").cast("long").alias("weight"))
 
 
-def coloured_rectangle(points: DataFrame, a: float, b: float, color: str = "color") -> DataFrame:
-    """(x0, y0, colors) of the a x b rectangle with most distinct colours.
+def coloured_by_islands(points: DataFrame, a: float, b: float, color: str = "color") -> DataFrame:
+    """(x0, y0, colors) of the a x b rectangle with most distinct colours, by frames.
 
     For a left point, each colour's lower edges that reach one of its points form islands; their starts and ends
     are summed along the axis, so no set of colours is kept.
     """
-    base = points.select("x", "y", color).distinct().withColumn("id", F.xxhash64("x", "y"))
+    base = points.select("x", "y", color).where(F.col(color).isNotNull()).distinct().withColumn("id", F.xxhash64("x", "y"))
     left = base.groupBy("x", "y").agg(F.min("id").alias("id"))
     met = _coloured_beside(left, base, a, b, color)
     # a lower edge y0 reaches the colour's point y for y0 in [y - b, y]
@@ -73,22 +159,27 @@ def rectangle_by_candidates(points: DataFrame, a: float, b: float) -> DataFrame:
     return met.groupBy("x0", "y0").agg(F.sum("w").alias("s")).agg(F.coalesce(F.max("s"), F.lit(0)).cast("long").alias("weight"))
 
 
-def exact_box3(points: DataFrame, sides: tuple[float, float, float]) -> DataFrame:
-    """The best closed box in space: lower edges of the first two axes through two points, the third by a RANGE frame."""
-    a, b, c = sides
-    base = points.select("id", *(F.get("pos", F.lit(i)).alias(n) for i, n in enumerate("xyz")), "w")
-    cell = lambda df, names, tag: df.withColumns({f"{tag}{i}": F.floor(F.col(n) / s).cast("long") for i, (n, s) in enumerate(zip(names, sides))})
-
-    def near(left, names, right, other):
-        l, r = cell(left, names, "k"), cell(right, other, "o")
-        for i in range(3):
-            r = r.withColumn(f"k{i}", F.explode(F.sequence(F.col(f"o{i}") - 1, F.col(f"o{i}") + 1)))
-        return l.join(r, ["k0", "k1", "k2"]).drop(*(f"{t}{i}" for t in "ko" for i in range(3)))
-
-    first = base.select(F.col("id").alias("i"), F.col("x").alias("x0"), F.col("y").alias("yi"), F.col("z").alias("zi"))
-    second = base.select(F.col("id").alias("j"), F.col("x").alias("xj"), F.col("y").alias("y0"), F.col("z").alias("zj"))
-    corner = near(first, ("x0", "yi", "zi"), second, ("xj", "y0", "zj")).where(f"xj >= x0 AND xj <= x0 + {a}D AND y0 <= yi AND y0 >= yi - {b}D AND abs(zi - zj) <= {c}D")
-    third = base.select(F.col("x"), F.col("y"), F.col("z"), "w")
-    met = near(corner.select("i", "j", "x0", "yi", "zi", "y0"), ("x0", "yi", "zi"), third, ("x", "y", "z")).where(f"x >= x0 AND x <= x0 + {a}D AND y >= y0 AND y <= y0 + {b}D AND abs(z - zi) <= {c}D")
-    frame = f"OVER (PARTITION BY i, j ORDER BY z RANGE BETWEEN CURRENT ROW AND {c}D FOLLOWING)"
-    return met.withColumn("s", F.expr(f"sum(w) {frame}")).agg(F.coalesce(F.max("s"), F.lit(0)).cast("long").alias("weight"))
+def exact_box(points: DataFrame, sides: tuple[float, ...], most: int = 50_000) -> DataFrame:
+    """(weight,) of the best closed box in any dimension from two: a baseline, n ** (d - 1) log n in the worst cell.
+
+    A cell of the box's size is covered by one box, so the heaviest gives a depth to beat, and cells that cannot beat it are
+    left out before the kernel.  A cell of more than ``most`` points that could beat it is refused.
+    """
+    axes = range(len(sides))
+    keys = [f"k{i}" for i in axes]
+    base = points.groupBy(*(F.get("pos", F.lit(i)).cast("double").alias(f"p{i}") for i in axes)).agg(F.sum("w").alias("w"))
+    rows = base
+    reached = base.withColumns({f"k{i}": _span(f"p{i}", side, "lo", "hi")["hi"] for i, side in enumerate(sides)}).groupBy(*keys).agg(F.sum("w").alias("held")).agg(F.max("held").alias("known"))  # one row
+    for i, side in enumerate(sides):
+        rows = rows.withColumns(_span(f"p{i}", side, "lo", "hi")).withColumn(f"k{i}", F.explode(F.sequence("lo", "hi"))).withColumn(f"own{i}", F.col(f"k{i}") == F.col("hi")).drop("lo", "hi")
+    rows = rows.join(rows.groupBy(*keys).agg(F.sum("w").alias("held")).crossJoin(F.broadcast(reached)).where("held > known").drop("held"), keys)
+
+    def solve(pdf: pd.DataFrame) -> pd.DataFrame:
+        if len(pdf) > most:
+            raise ValueError(f"a cell holds {len(pdf)} points, more than {most}")
+        at, own = pdf[[f"p{i}" for i in axes]].to_numpy(np.float64), pdf[[f"own{i}" for i in axes]].to_numpy(bool)
+        return pd.DataFrame({"weight": [range_kernels.best_box(at, own, pdf.w.to_numpy(), list(sides), pdf.known.iloc[0])]})
+
+    kind = base.schema["w"].dataType.simpleString()
+    found = rows.groupBy(*keys).applyInPandas(solve, f"weight {kind}").union(reached)
+    return found.agg(F.coalesce(F.max("weight"), F.lit(0).cast(kind)).alias("weight"))

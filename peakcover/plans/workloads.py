@@ -230,6 +230,22 @@ def rectangle_candidates(spark, d):
     return rectangle.rectangle_by_candidates(V.part_pts(spark, d), 40, 40)
 
 
+@query(rectangle_sql(S["part_pts"], 40, 40))
+def rectangle_frames(spark, d):
+    return rectangle.rectangle_by_frames(V.part_pts(spark, d), 40, 40).select("weight")
+
+
+@query(rectangle_sql(S["part_pts"], 40, 40))
+def rectangle_split_cells(spark, d):
+    """Cells split from 20 points on, as very dense ones are."""
+    return rectangle.exact_rectangle(V.part_pts(spark, d), 40, 40, most=20).select("weight")
+
+
+@query(rectangle_sql(S["part_pts"], 40, 40, "count(DISTINCT p.color)", "colors"))
+def rectangle_islands(spark, d):
+    return rectangle.coloured_by_islands(V.part_pts(spark, d), 40, 40).select("colors")
+
+
 @query(rectangle_sql(S["part_pts"], 40, 40, "count(DISTINCT p.color)", "colors"))
 def rectangle_colored(spark, d):
     return rectangle.coloured_rectangle(V.part_pts(spark, d), 40, 40).select("colors")
@@ -251,7 +267,24 @@ EMB3 = "SELECT vec_id AS id, CAST(embedding[1] AS DOUBLE) AS x, CAST(embedding[2
 
 @query(f"WITH p AS MATERIALIZED ({EMB3}), e AS (SELECT a.x, b.y, c.z FROM p AS a JOIN p AS b ON b.x BETWEEN a.x AND a.x + {BOX}::DOUBLE AND b.y BETWEEN a.y - {BOX}::DOUBLE AND a.y JOIN p AS c ON c.x BETWEEN a.x AND a.x + {BOX}::DOUBLE AND c.y BETWEEN b.y AND b.y + {BOX}::DOUBLE AND c.z BETWEEN greatest(a.z, b.z) - {BOX}::DOUBLE AND least(a.z, b.z)) SELECT CAST(max(v) AS BIGINT) AS weight FROM (SELECT e.x, e.y, e.z, count(*) AS v FROM (SELECT DISTINCT * FROM e) AS e JOIN p ON p.x BETWEEN e.x AND e.x + {BOX}::DOUBLE AND p.y BETWEEN e.y AND e.y + {BOX}::DOUBLE AND p.z BETWEEN e.z AND e.z + {BOX}::DOUBLE GROUP BY 1, 2, 3)")
 def exact_box3(spark, d):
-    return rectangle.exact_box3(V.emb_pts(spark, d, 3), (BOX, BOX, BOX))
+    return rectangle.exact_box(V.emb_pts(spark, d, 3), (BOX, BOX, BOX))
+
+
+BOX4 = 0.1
+EMB4 = "SELECT CAST(embedding[1] AS DOUBLE) AS x, CAST(embedding[2] AS DOUBLE) AS y, CAST(embedding[3] AS DOUBLE) AS z, CAST(embedding[4] AS DOUBLE) AS u FROM embeddings"
+
+
+def reach4(low: str, axis: str, at: str) -> str:
+    return f"{at}.{axis} BETWEEN {low} AND {low} + {BOX4}::DOUBLE"
+
+
+@query(f"""WITH p AS MATERIALIZED ({EMB4}),
+    e2 AS (SELECT a.x AS x, b.y AS y, a.z AS az, b.z AS bz, a.u AS au, b.u AS bu FROM p AS a JOIN p AS b ON {reach4("a.x", "x", "b")} AND {reach4("b.y", "y", "a")}),
+    e3 AS (SELECT e.x, e.y, c.z, e.au, e.bu, c.u AS cu FROM e2 AS e JOIN p AS c ON {reach4("e.x", "x", "c")} AND {reach4("e.y", "y", "c")} AND e.az BETWEEN c.z AND c.z + {BOX4}::DOUBLE AND e.bz BETWEEN c.z AND c.z + {BOX4}::DOUBLE),
+    e4 AS (SELECT DISTINCT e.x, e.y, e.z, o.u FROM e3 AS e JOIN p AS o ON {reach4("e.x", "x", "o")} AND {reach4("e.y", "y", "o")} AND {reach4("e.z", "z", "o")} AND e.au BETWEEN o.u AND o.u + {BOX4}::DOUBLE AND e.bu BETWEEN o.u AND o.u + {BOX4}::DOUBLE AND e.cu BETWEEN o.u AND o.u + {BOX4}::DOUBLE)
+    SELECT CAST(max(v) AS BIGINT) AS weight FROM (SELECT count(*) AS v FROM e4 AS e JOIN p ON {reach4("e.x", "x", "p")} AND {reach4("e.y", "y", "p")} AND {reach4("e.z", "z", "p")} AND {reach4("e.u", "u", "p")} GROUP BY e.x, e.y, e.z, e.u)""")
+def exact_box4(spark, d):
+    return rectangle.exact_box(V.emb_pts(spark, d, 4), (BOX4,) * 4)
 
 
 @query()

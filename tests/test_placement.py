@@ -7,7 +7,7 @@ import pytest
 
 from peakcover.functions import geometry as G
 from peakcover.functions import measures
-from peakcover.operators import ball, cell_kernels, colored_disk, dynamic, exact_disk, rectangle, union_arcs
+from peakcover.operators import ball, cell_kernels, colored_disk, dynamic, exact_disk, range_kernels, rectangle, union_arcs
 from peakcover.operators.ordering import numbered, prefix_sums
 from peakcover.sources import views as V
 
@@ -91,16 +91,58 @@ def test_trapezoid_depths_are_visited_and_right(seed):
     assert len(cells) <= 3 * (len(cell_kernels.pieces_of(x, y, arcs)[0]) + len(met[0])) + 1
 
 
-@pytest.mark.parametrize("a,b", [(2.0, 1.0), (0.0, 0.0), (9.0, 9.0)])
-def test_rectangles(spark, a, b):
-    rows = cloud(5, 25, 4, True)
-    p = points(spark, rows)
+def best_rectangle(rows, a, b):
     best = colours = 0
     for x0, y0 in itertools.product({r[0] for r in rows}, {r[1] for r in rows}):
         inside = [r for r in rows if x0 <= r[0] <= x0 + a and y0 <= r[1] <= y0 + b]
         best, colours = max(best, sum(r[2] for r in inside)), max(colours, len({r[3] for r in inside}))
-    assert rectangle.exact_rectangle(p, a, b).first()["weight"] == best
-    assert rectangle.coloured_rectangle(p, a, b).first()["colors"] == colours
+    return best, colours
+
+
+@pytest.mark.parametrize("a,b,most", [(2.0, 1.0, 200_000), (0.0, 0.0, 200_000), (9.0, 9.0, 200_000), (9.0, 4.0, 6), (2.0, 3.0, 3)])
+def test_rectangles(spark, a, b, most):
+    rows = cloud(5, 25, 4, True)
+    p = points(spark, rows + rows[:3])  # repeated rows add weight and no colour
+    best, colours = best_rectangle(rows + rows[:3], a, b)
+    found = rectangle.exact_rectangle(p, a, b, most).first()
+    assert found["weight"] == best == rectangle.rectangle_by_frames(p, a, b).first()["weight"]
+    assert best == sum(r[2] for r in rows + rows[:3] if found["x0"] <= r[0] <= found["x0"] + a and found["y0"] <= r[1] <= found["y0"] + b)
+    found = rectangle.coloured_rectangle(p, a, b, most=most).first()
+    assert found["colors"] == colours == rectangle.coloured_by_islands(p, a, b).first()["colors"]
+    assert colours == len({r[3] for r in rows if found["x0"] <= r[0] <= found["x0"] + a and found["y0"] <= r[1] <= found["y0"] + b})
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_many_cells_at_once(seed):
+    rng = random.Random(seed)
+    a, b = rng.choice([(1.0, 1.0), (0.3, 0.7), (1.0, 0.1)])
+    cells, at, best, colours = [], [], 0, 0
+    for cell in range(rng.randint(1, 4)):  # each cell is of the sides' size, and is met from it and from beyond
+        rows = [(rng.choice([rng.random() * 2 * a, rng.randint(0, 8) * a / 4]), rng.choice([rng.random() * 2 * b, rng.randint(0, 8) * b / 4]), rng.randint(0, 5), rng.randint(0, 4)) for _ in range(rng.randint(1, 30))]
+        at += [(cell, *r) for r in rows]
+        xs, ys = {r[0] for r in rows if r[0] < a * 0.999}, {r[1] for r in rows if r[1] < b * 0.999}
+        for x0, y0 in itertools.product(xs, ys):
+            inside = [r for r in rows if x0 <= r[0] <= x0 + a and y0 <= r[1] <= y0 + b]
+            best, colours = max(best, sum(r[2] for r in inside)), max(colours, len({r[3] for r in inside}))
+    cell, x, y, w, hue = (np.array(v) for v in zip(*at))
+    for value, want, coloured in ((w, best, False), (hue, colours, True)):
+        found = range_kernels.solve_cells(cell, x, y, x < a * 0.999, y < b * 0.999, value, a, b, coloured)
+        assert (found[0] if found else 0) == want
+
+
+@pytest.mark.parametrize("dim", [2, 3, 4])
+def test_boxes(spark, dim):
+    rng = random.Random(dim)
+    rows = [[rng.randint(0, 6) / 2 for _ in range(dim)] for _ in range(14)]
+    sides = tuple(1.0 + 0.5 * (i % 2) for i in range(dim))
+    p = spark.createDataFrame([(i, r, i % 3) for i, r in enumerate(rows)], "id long, pos array<double>, w long")
+    best = 0
+    for low in itertools.product(*({r[i] for r in rows} for i in range(dim))):
+        best = max(best, sum(k % 3 for k, r in enumerate(rows) if all(l <= v <= l + s for l, v, s in zip(low, r, sides))))
+    assert rectangle.exact_box(p, sides).first()["weight"] == best
+    assert rectangle.exact_box(p.limit(0), sides).first()["weight"] == 0
+    with pytest.raises(Exception, match="a cell holds"):
+        rectangle.exact_box(p, (99.0,) * dim, most=3).collect()
 
 
 def test_empty_inputs(spark):
