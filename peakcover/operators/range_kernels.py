@@ -147,23 +147,28 @@ def solve_cells(cell, x, y, own_x, own_y, value, a: float, b: float, coloured: b
     return depth, float(xs[t]), float(ys[leaf])
 
 
+def _slabs(v: np.ndarray, w: np.ndarray, edges: np.ndarray, side: float):
+    """(order, begin, end, held): the rows in order of v, and for each lower edge its run of them and its weight."""
+    order = np.argsort(v, kind="stable")
+    total = np.concatenate([[0], np.cumsum(w[order])])
+    begin, end = np.searchsorted(v[order], edges, "left"), np.searchsorted(v[order], edges + side, "right")
+    return order, begin, end, total[end] - total[begin]
+
+
 def best_box(at: np.ndarray, own: np.ndarray, w: np.ndarray, sides: list[float], known=0):
     """The most weight in a box whose lower edges are coordinates of ``own`` rows of the cell, if above ``known``.
 
-    All axes but two are fixed one lower edge after the other, the heaviest slab first; the last two are swept.
+    All axes but two are fixed one lower edge after the other, the heaviest slab first; the last two are swept, unless
+    an axis alone shows that ``known`` is not passed.
     """
-    if len(sides) == 2:
-        none = np.zeros(len(w), np.int64)
-        if not own[:, 0].any() or not own[:, 1].any():
+    for i, side in enumerate(sides):
+        edges = np.unique(at[own[:, i], i])
+        if not len(edges) or _slabs(at[:, i], w, edges, side)[3].max() <= known:
             return known
-        got = solve_cells(none, at[:, 0], at[:, 1], own[:, 0], own[:, 1], w, sides[0], sides[1], False)
+    if len(sides) == 2:
+        got = solve_cells(np.zeros(len(w), np.int64), at[:, 0], at[:, 1], own[:, 0], own[:, 1], w, sides[0], sides[1], False)
         return known if got is None else max(known, got[0])
-    order = np.argsort(at[:, 0], kind="stable")
-    v = at[order, 0]
-    total = np.concatenate([[0], np.cumsum(w[order])])
-    edges = np.unique(at[own[:, 0], 0])
-    begin, end = np.searchsorted(v, edges, "left"), np.searchsorted(v, edges + sides[0], "right")
-    held = total[end] - total[begin]
+    order, begin, end, held = _slabs(at[:, 0], w, np.unique(at[own[:, 0], 0]), sides[0])
     for i in np.argsort(-held, kind="stable"):
         if held[i] <= known:
             break

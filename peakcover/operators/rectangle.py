@@ -181,5 +181,6 @@ def exact_box(points: DataFrame, sides: tuple[float, ...], most: int = 50_000) -
         return pd.DataFrame({"weight": [range_kernels.best_box(at, own, pdf.w.to_numpy(), list(sides), pdf.known.iloc[0])]})
 
     kind = base.schema["w"].dataType.simpleString()
-    found = rows.groupBy(*keys).applyInPandas(solve, f"weight {kind}").union(reached)
+    parts = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # few bytes, much work: not to be coalesced
+    found = rows.repartition(parts, *keys).groupBy(*keys).applyInPandas(solve, f"weight {kind}").union(reached)
     return found.agg(F.coalesce(F.max("weight"), F.lit(0).cast(kind)).alias("weight"))

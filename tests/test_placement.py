@@ -141,8 +141,11 @@ def test_boxes(spark, dim):
         best = max(best, sum(k % 3 for k, r in enumerate(rows) if all(l <= v <= l + s for l, v, s in zip(low, r, sides))))
     assert rectangle.exact_box(p, sides).first()["weight"] == best
     assert rectangle.exact_box(p.limit(0), sides).first()["weight"] == 0
+    assert rectangle.exact_box(p, (99.0,) * dim, most=3).first()["weight"] == sum(k % 3 for k in range(14))  # one cell, known without the kernel
+    apart = spark.createDataFrame([(i, [v] * dim, 1) for i, v in enumerate((0.8, 0.9, 1.1, 1.2))], "id long, pos array<double>, w long")
+    assert rectangle.exact_box(apart, (1.0,) * dim).first()["weight"] == 4  # no cell holds more than two of them
     with pytest.raises(Exception, match="a cell holds"):
-        rectangle.exact_box(p, (99.0,) * dim, most=3).collect()
+        rectangle.exact_box(apart, (1.0,) * dim, most=3).collect()
 
 
 def test_empty_inputs(spark):
