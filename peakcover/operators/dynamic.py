@@ -138,8 +138,8 @@ def recompute(log: DataFrame, rounds: list[int], radius: float, p: BallPlan) ->
 
 def depth_after(log: DataFrame, until: int, radius: float, p: BallPlan) -> DataFrame:
     """Sample depths after the log's rounds up to ``until``."""
-    rows = log.where(F.col("round") <= until).select("x", "y", (F.col("w") * F.col("sign")).alias("w"))
-    return sample_depth(G.to_dual(rows, radius, ["x", "y"]), p).where("depth <> 0")
+    rows = log.where(F.col("round") <= until).select("x", "y", (F.col("w") * F.col("sign")).alias("dw"))
+    return sample_depth(G.to_dual(rows, radius, ["x", "y"]).withColumnRenamed("dw", "w"), p).where("depth <> 0")
 
 
 def epoch_stats(log: DataFrame, radius: float, p: BallPlan, budget: float | None = None) -> DataFrame:

@@ -27,8 +27,8 @@ def unrepeated(updates: DataFrame, delay: str = "3 days") -> DataFrame:
 
 def sample_sums(updates: DataFrame, radius: float, p: BallPlan) -> DataFrame:
     """Streaming aggregate (g, k.., j, depth); state is one number for each sample that an update has touched."""
-    rows = updates.select("x", "y", (F.col("w") * F.expr("if(op = 'insert', 1, -1)")).alias("w"))
-    return sample_hits(G.to_dual(rows, radius, ["x", "y"]), p, ["w"]).groupBy(*p.cell, "j").agg(F.sum("w").alias("depth"))
+    rows = updates.select("x", "y", (F.col("w") * F.expr("if(op = 'insert', 1, -1)")).alias("dw"))
+    return sample_hits(G.to_dual(rows, radius, ["x", "y"]), p, ["dw"]).groupBy(*p.cell, "j").agg(F.sum("dw").alias("depth"))
 
 
 def run(updates: DataFrame, radius: float, p: BallPlan, path: str, available_now: bool = True):
