@@ -72,3 +72,24 @@ def threshold_check(points: DataFrame, kept: DataFrame, best: DataFrame, radius:
     shallow = G.depth_at(at.select("q_id", "x", "y"), kept, radius, "color").agg(F.coalesce(F.max("depth"), F.lit(0)).alias("shallow_kept"))
     top = G.depth_at(best.select(F.lit(0).cast("long").alias("q_id"), "x", "y"), kept, radius * (1 + 4e-7), "color").select(F.col("depth").alias("best_kept"))
     return top.crossJoin(shallow).withColumn("level", F.lit(float(level))).withColumn("splits", F.expr("best_kept > level AND shallow_kept < level"))
+
+
+def task_volumes(df: DataFrame) -> DataFrame:
+    """(stages, input_bytes, shuffle_written, shuffle_read, spilled, cpu_ms) of one run of ``df``, whose rows are thrown away.
+
+    Read from the driver's record of the stages that this run adds; runs beside it in the same session count too.
+    """
+    sc = df.sparkSession.sparkContext
+    held = sc._jsc.sc()
+
+    def stages() -> dict:
+        held.listenerBus().waitUntilEmpty()
+        found = held.statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
+        return {(s.stageId(), s.attemptId()): s for s in (found.apply(i) for i in range(found.size()))}
+
+    before = stages().keys()
+    df.write.format("noop").mode("overwrite").save()
+    new = [s for k, s in stages().items() if k not in before]
+    total = lambda *of: sum(getattr(s, f)() for s in new for f in of)
+    row = (sum(s.status().toString() == "COMPLETE" for s in new), total("inputBytes"), total("shuffleWriteBytes"), total("shuffleReadBytes"), total("memoryBytesSpilled", "diskBytesSpilled"), total("executorCpuTime") // 1_000_000)
+    return df.sparkSession.createDataFrame([row], "stages long, input_bytes long, shuffle_written long, shuffle_read long, spilled long, cpu_ms long")

@@ -287,6 +287,14 @@ def exact_box4(spark, d):
     return rectangle.exact_box(V.emb_pts(spark, d, 4), (BOX4,) * 4)
 
 
+@query()
+def rectangle_volumes(spark, d):
+    """Shuffle, spill and CPU of the sweep and of the frames; volumes are measured, so no SQL states them."""
+    pts = V.part_pts(spark, d)
+    rows = [measures.task_volumes(f(pts, 40, 40)).select(F.lit(f.__name__).alias("method"), "*") for f in (rectangle.exact_rectangle, rectangle.rectangle_by_frames)]
+    return rows[0].union(rows[1])
+
+
 @query()
 def exact_ball3(spark, d):
     return exact_disk.exact_ball3(V.emb_pts(spark, d, 3), 0.1)

@@ -148,6 +148,14 @@ def test_boxes(spark, dim):
         rectangle.exact_box(apart, (1.0,) * dim, most=3).collect()
 
 
+def test_task_volumes(spark):
+    one = measures.task_volumes(spark.range(1000, numPartitions=2)).first()
+    assert (one["stages"], one["shuffle_written"], one["shuffle_read"], one["spilled"]) == (1, 0, 0, 0)
+    few, many = (measures.task_volumes(spark.range(n).repartition(4)).first() for n in (1000, 50_000))
+    assert few["stages"] >= 2 and few["shuffle_written"] == few["shuffle_read"] > 0
+    assert many["shuffle_written"] > 10 * few["shuffle_written"]
+
+
 def test_empty_inputs(spark):
     p = points(spark, []).limit(0)
     assert exact_disk.exact_disk(p, 1.0).count() == 0
