@@ -137,8 +137,9 @@ def monotone_step(a: DataFrame, b: DataFrame) -> int:
 
 def by_monotone(a: DataFrame, b: DataFrame, oracle=minplus_monotone) -> DataFrame:
     step = monotone_step(a, b)
-    falling = [s.select("i", (F.col("v") - step * F.col("i")).alias("v")) for s in (a, b)]
-    return oracle(*falling).select("k", (F.col("value") + step * F.col("k")).alias("value"))
+    rise = lambda c: F.lit(step).cast("long") * F.col(c)  # noqa: E731  # in longs: a step below 2^31 times an int index may pass it
+    falling = [s.select("i", (F.col("v") - rise("i")).alias("v")) for s in (a, b)]
+    return oracle(*falling).select("k", (F.col("value") + rise("k")).alias("value"))
 
 
 def enclosing_instance(a: DataFrame, b: DataFrame) -> tuple[DataFrame, int, int]:

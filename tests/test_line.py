@@ -68,6 +68,11 @@ def test_convolutions_and_chains(spark, seed):
         assert got(C.minplus_via_intervals(sa, sb, 4, guards)) == want
 
 
+def test_monotone_steps_beyond_ints(spark):
+    a, b = [0, 2_000_000_000, 5, -3, 8], [7, -1, 4, 2, 0]
+    assert got(C.by_monotone(seq(spark, a), seq(spark, b))) == conv(a, b, min)
+
+
 def test_literal_guards_can_swallow_a_side(spark):
     a, b = [0, 0], [0, 10]
     ks = C.all_indices(seq(spark, a))
