@@ -71,6 +71,7 @@ def test_convolutions_and_chains(spark, seed):
 def test_monotone_steps_beyond_ints(spark):
     a, b = [0, 2_000_000_000, 5, -3, 8], [7, -1, 4, 2, 0]
     assert got(C.by_monotone(seq(spark, a), seq(spark, b))) == conv(a, b, min)
+    assert got(C.minplus_via_enclosing(seq(spark, a), seq(spark, b))) == conv(a, b, min)
 
 
 def test_literal_guards_can_swallow_a_side(spark):
