@@ -12,7 +12,8 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import geometry as G
+from . import cell_kernels as kernels
+from . import tiled
 from .exact_disk import TURN, WIDEN, neighbours
 
 THIN = 1e-9
@@ -72,22 +73,90 @@ def deepest_place(found: DataFrame, disks: DataFrame) -> DataFrame:
     return found.select("x", "y", "depth").union(alone).orderBy(F.desc("depth"), "x", "y").limit(1)
 
 
+def unit_disks(points: DataFrame, radius: float, color: str) -> DataFrame:
+    """(c0, c1, hue): the disks of ``disks_of`` that have a colour, as unit disks."""
+    return points.where(F.col(color).isNotNull()).select(*((F.col(c).cast("double") / radius).alias(n) for c, n in (("x", "c0"), ("y", "c1"))), F.col(color).alias("hue")).distinct()
+
+
+def other_islands(x, y, hue, i, j):
+    """(circle, lo, hi): around each circle i every other colour's merged angles, of the pairs given."""
+    import numpy as np
+
+    i, j = i[hue[i] != hue[j]], j[hue[i] != hue[j]]
+    lo, hi, which = kernels.covered(x[j] - x[i], y[j] - y[i], WIDEN)
+    circle, rank = np.unique(i, return_inverse=True)
+    colours = int(hue.max()) + 1
+    key, lo, hi = kernels.merged(rank[which] * colours + hue[j[which]], lo, hi)
+    return circle[key // colours], lo, hi
+
+
+def most_spans(key, lo, hi):
+    """(depth, angle, key): 1 + the most spans over one angle of one key, starts before ends."""
+    import numpy as np
+
+    angle, kind, keys = np.concatenate([lo, hi]), np.repeat([0, 1], len(lo)), np.tile(key, 2)
+    turn = np.lexsort((kind, angle, keys))
+    depth = 1 + np.cumsum(1 - 2 * kind[turn])
+    top = int(depth.argmax())
+    return int(depth[top]), angle[turn[top]], keys[turn[top]]
+
+
+def own_arcs(x, y, hue, own, pairs):
+    """Arrays (disk, lo, hi): the arcs of these circles that no other disk of the colour covers, of the pairs given."""
+    import numpy as np
+
+    owners, los, his = [own, own], [np.full(len(own), -1.0), np.full(len(own), TURN)], [np.zeros(len(own)), np.full(len(own), TURN + 1)]
+    for i, j in pairs:
+        i, j = i[hue[i] == hue[j]], j[hue[i] == hue[j]]
+        lo, hi, which = kernels.covered(x[j] - x[i], y[j] - y[i])
+        owners.append(i[which])
+        los.append(lo)
+        his.append(hi)
+    owner, lo, hi = kernels.merged(np.concatenate(owners), np.concatenate(los), np.concatenate(his))
+    gap = (owner[1:] == owner[:-1]) & (lo[1:] - hi[:-1] > THIN)
+    return owner[:-1][gap], hi[:-1][gap], lo[1:][gap]
+
+
+def _swept(points: DataFrame, radius: float, color: str, clip: bool) -> DataFrame:
+    def solve(x, y, mine, frame):
+        import numpy as np
+        import pandas as pd
+
+        hue, own, best = pd.factorize(frame["hue"])[0], np.flatnonzero(mine), None
+        for i, j in tiled.near(x, y, own):
+            if not (hue[i] != hue[j]).any():
+                continue
+            circle, lo, hi = other_islands(x, y, hue, i, j)
+            key = circle
+            arcs = own_arcs(x, y, hue, np.unique(circle), [(i, j)]) if clip else None
+            if clip:  # every island of a circle with every arc of it
+                first, last = np.searchsorted(arcs[0], circle), np.searchsorted(arcs[0], circle, "right")
+                n = last - first
+                island = np.repeat(np.arange(len(n)), n)
+                arc = np.repeat(first - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(n.sum())
+                met = (hi[island] >= arcs[1][arc]) & (lo[island] <= arcs[2][arc])
+                island, key = island[met], arc[met]
+                lo, hi = np.maximum(lo[island], arcs[1][key]), np.minimum(hi[island], arcs[2][key])
+            if len(lo):
+                depth, turn, k = most_spans(key, lo, hi)
+                if best is None or depth > best[0]:
+                    c = arcs[0][k] if clip else k
+                    best = (depth, float(x[c] + math.cos(turn)) * radius, float(y[c] + math.sin(turn)) * radius)
+                    if depth > hue.max():  # all colours that the share knows: no place has more
+                        break
+        return best
+
+    return tiled.around(unit_disks(points, radius, color), solve, "depth long, x double, y double", ["hue"])
+
+
 def coloured_by_circles(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
     """The straightforward exact method: around every circle, all other colours' islands."""
-    disks = disks_of(points, color)
-    spans = covered(disks, radius, False, WIDEN)
-    merged = islands(spans, ["i", "hue", "other", "x", "y"])
-    return deepest_place(sweep(merged, ["i"], radius), disks)
+    return deepest_place(_swept(points, radius, color, False), disks_of(points, color))
 
 
 def coloured_arc_sweep(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
     """The same along exposed arcs only: each other colour's islands are clipped to the arc."""
-    disks = disks_of(points, color)
-    arcs = union_arcs(disks, radius)
-    merged = islands(covered(disks, radius, False, WIDEN).select("i", "other", "lo", "hi"), ["i", "other"])
-    met = arcs.select("i", "x", "y", F.col("lo").alias("a"), F.col("hi").alias("b")).join(merged, "i").where("hi >= a AND lo <= b")
-    clipped = met.select("i", "a", "x", "y", F.greatest("lo", "a").alias("lo"), F.least("hi", "b").alias("hi"))
-    return deepest_place(sweep(clipped, ["i", "a"], radius), disks)
+    return deepest_place(_swept(points, radius, color, True), disks_of(points, color))
 
 
 def arc_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
@@ -109,10 +178,41 @@ def arc_crossings(points: DataFrame, radius: float, color: str = "color") -> Dat
 
 def coloured_by_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
     """The form whose work follows the number of crossings: they and one start for each arc are the candidates."""
-    from ..plans.staging import staged
 
-    disks = disks_of(points, color)
-    starts = union_arcs(disks, radius).select((F.col("x") + radius * F.cos("lo")).alias("x"), (F.col("y") + radius * F.sin("lo")).alias("y"))
-    places = staged(arc_crossings(points, radius, color).select("x", "y").union(starts).withColumn("q_id", F.monotonically_increasing_id()), "crossings")
-    found = G.depth_at(places, disks.withColumnRenamed("hue", "color"), radius * (1 + 1e-9), "color")
-    return deepest_place(found, disks)
+    def solve(x, y, mine, frame):
+        import numpy as np
+        import pandas as pd
+
+        hue, own = pd.factorize(frame["hue"])[0], np.flatnonzero(mine)
+        met = np.zeros(len(x), dtype=bool)  # arcs of the followed circles and of what they can cross
+        met[own] = True
+        for _, j in tiled.near(x, y, own):
+            met[j] = True
+        # an arc of a disk outside of the share may be covered by disks that the task lacks: never too short, so no crossing is lost
+        disk, lo, hi = own_arcs(x, y, hue, np.flatnonzero(met), tiled.near(x, y, np.flatnonzero(met)))
+        starts, ends = lo + kernels.APART * disk, hi + kernels.APART * disk
+        ours = mine[disk]
+        best = tiled.deepest(x[disk[ours]] + np.cos(lo[ours]), y[disk[ours]] + np.sin(lo[ours]), x, y, hue, True)
+
+        def on_arc(i, px, py):
+            turn = np.mod(np.arctan2(py - y[i], px - x[i]), TURN)
+            ok = np.zeros(len(i), dtype=bool)
+            for full in (0.0, TURN, -TURN):
+                k = np.searchsorted(starts, turn + full + WIDEN + kernels.APART * i, "right") - 1
+                ok |= (k >= 0) & (disk[k] == i) & (ends[k] >= turn + full - WIDEN + kernels.APART * i)
+            return ok
+
+        for i, j in tiled.near(x, y, own):
+            if best[0] > hue.max():  # all colours that the share knows: no place has more
+                break
+            apart = (hue[i] != hue[j]) & ((x[i] != x[j]) | (y[i] != y[j])) & ((i < j) | ~mine[j])
+            i, j = i[apart], j[apart]
+            if not len(i):
+                continue
+            px, py = tiled.crossing_places(x, y, i, j)
+            ok = on_arc(np.tile(i, 2), px, py) & on_arc(np.tile(j, 2), px, py)
+            best = max(best, tiled.deepest(px[ok], py[ok], x, y, hue, True), key=lambda b: b[0])
+        return (best[0], best[1] * radius, best[2] * radius) if best[0] else None
+
+    found = tiled.around(unit_disks(points, radius, color), solve, "depth long, x double, y double", ["hue"])
+    return deepest_place(found, disks_of(points, color))
