@@ -64,13 +64,30 @@ def candidates(points: DataFrame, radius: float) -> DataFrame:
 
 
 def disk_by_candidates(points: DataFrame, radius: float, kind: str = "weight", color: str = "color") -> DataFrame:
-    """The brute-force optimum: every candidate's depth."""
-    from ..plans.staging import staged
+    """The brute-force optimum: every candidate's depth, counted by tiles, so that neither candidates nor pairs are rows."""
+    from . import tiled
+
+    coloured = kind == "color"
+    weight = {"color": F.col(color), "weight": F.col("w"), "count": F.lit(1)}[kind]
+    rows = points.select(*((F.col(c).cast("double") / radius).alias(n) for c, n in (("x", "c0"), ("y", "c1"))), weight.alias("value"))
+    rows = rows.where("value IS NOT NULL").distinct() if coloured else rows.groupBy("c0", "c1").agg(F.sum("value").alias("value"))
+
+    def solve(x, y, mine, frame):
+        import numpy as np
+        import pandas as pd
 
-    places = staged(candidates(points, radius), "disk-candidates")
-    # candidates lie on boundaries: a tolerance far above rounding and far below any gap between points
-    found = G.depth_at(places, points, radius * (1 + 1e-9), kind, color)
-    return found.agg(F.coalesce(F.max("depth"), F.lit(0)).alias("depth"), F.count("*").alias("candidates"))
+        value = pd.factorize(frame["value"])[0] if coloured else frame["value"].to_numpy()
+        place = np.append(True, (np.diff(x) != 0) | (np.diff(y) != 0))  # of colours at one place, one is followed
+        own = np.flatnonzero(mine & place)
+        best, n = tiled.deepest(x[own], y[own], x, y, value, coloured), len(own)
+        for i, j in tiled.near(x, y, own):
+            keep = place[j] & (i < j)
+            px, py = tiled.crossing_places(x, y, i[keep], j[keep])
+            best, n = max(best, tiled.deepest(px, py, x, y, value, coloured), key=lambda b: b[0]), n + len(px)
+        return best[0], n
+
+    found = tiled.around(rows, solve, "depth long, candidates long", ["value"])
+    return found.agg(F.coalesce(F.max("depth"), F.lit(0)).alias("depth"), F.coalesce(F.sum("candidates"), F.lit(0)).alias("candidates"))
 
 
 def batched_disk(points: DataFrame, radii: dict[int, float]) -> DataFrame:
