@@ -314,3 +314,13 @@ def test_round_queries_give_every_round(spark):
     again = dynamic.recompute(views.update_log(spark, d), some, workloads.EVENT_RADIUS, workloads.event_plan)
     assert {r["round"]: r["depth"] for r in again.collect()} == {r: got[r] for r in some}
     assert {r["round"]: r["depth"] for r in workloads.asof_all(spark, d).collect()} == {r: got[r] for r in range(777, total, 777)}
+
+
+def test_depth_at_meets_equal_points_once_and_broadcasts_nothing(spark):
+    rows = [(x, 0, 2, c) for x in (0, 1, 5) for c in "aab"]
+    p = points(spark, rows)
+    for kind, near, far in (("weight", 12, 6), ("count", 6, 3), ("color", 2, 2)):
+        found = G.depth_at(p.select(p.id.alias("q_id"), "x", "y"), p, 1.0, kind)
+        got = {r["q_id"]: r["depth"] for r in found.collect()}
+        assert got == {i: far if x == 5 else near for i, (x, *_) in enumerate(rows)}
+        assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
