@@ -67,20 +67,31 @@ def smallest_enclosing(points: DataFrame, ks: list[int]) -> DataFrame:
     return best.select("k", "b.lo", "b.hi", "b.length")
 
 
-MOST_ALL_K = 20_000
+def enclosing_all_k(points: DataFrame, most: int | None = None) -> DataFrame:
+    """(k, length) for every k: quadratic steps by nature; a caller may name the ``most`` points it takes.
 
-
-def enclosing_all_k(points: DataFrame, most: int = MOST_ALL_K) -> DataFrame:
-    """(k, length) for every k: quadratic by nature, so a table of more than ``most`` points is refused.
-
-    All starts of one k are met by place, so each task holds k-ranges, never all pairs.
+    Tasks hold the sorted positions (eight bytes each) and take every so manieth k, so that all have the same work;
+    a k is one subtraction of the positions from themselves k - 1 places on, and no pair is ever a row.
     """
     n = points.count()
-    if n > most:
+    if most is not None and n > most:
         raise ValueError(f"{n} points give {n * n // 2} intervals; name the k to ask for")
-    places = numbered(points.select("pos"), ["pos"], "rn")
-    ends = places.select(F.col("rn").alias("e"), F.col("pos").alias("hi"))
-    return places.join(ends, F.col("e") >= F.col("rn")).groupBy((F.col("e") - F.col("rn") + 1).alias("k")).agg(F.min(F.col("hi") - F.col("pos")).alias("length"))
+    kind = dict(points.dtypes)["pos"]
+    line = points.agg(F.sort_array(F.collect_list("pos")).alias("line"))
+    deals = max(1, min(n, 4 * int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+
+    def solve(batches):
+        import numpy as np
+        import pandas as pd
+
+        for pdf in batches:
+            for deal, at in zip(pdf["deal"], pdf["line"]):
+                at = np.asarray(at)
+                ks = np.arange(deal + 1, len(at) + 1, deals)
+                yield pd.DataFrame({"k": ks, "length": [(at[k - 1 :] - at[: len(at) - k + 1]).min() for k in ks.tolist()]})
+
+    dealt = points.sparkSession.range(0, deals, 1, deals).select(F.col("id").alias("deal"))
+    return dealt.crossJoin(F.broadcast(line)).mapInPandas(solve, f"k long, length {kind}")
 
 
 def interval_profile(points: DataFrame, parts: int | None = None) -> DataFrame:

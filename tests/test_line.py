@@ -1,6 +1,7 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 
 from peakcover.operators import convolution as C
 from peakcover.operators import interval as I
@@ -42,6 +43,14 @@ def test_enclosing(spark):
         I.enclosing_all_k(line(spark, rows), most=5)
 
 
+def test_every_k_of_a_long_line(spark):
+    """More points than once were refused."""
+    n = 20_500
+    found = I.enclosing_all_k(spark.range(n).select((F.col("id") * F.col("id")).alias("pos"), F.lit(1).cast("long").alias("w")))
+    assert found.count() == n
+    assert {r["k"]: r["length"] for r in found.where("k IN (1, 2, 3, 20500)").collect()} == {1: 0, 2: 1, 3: 4, n: (n - 1) ** 2}
+
+
 def seq(spark, values):
     return spark.createDataFrame(list(enumerate(values)), "i int, v long")
 
