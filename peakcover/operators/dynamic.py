@@ -1,21 +1,20 @@
 """Deepest samples under inserts and deletes: epochs, replay of a whole log, and recomputation to compare with.
 
-An update adds (or takes off) its weight at every sample inside its ball.  The depth of a sample between two of
-its updates is cut into dyadic blocks of rounds, each block keeps its deepest sample, and a round takes the best
-of the blocks that hold it: every round's answer from two shuffles, with no pass in order.
+An update adds (or takes off) its weight at every sample inside its ball.  Tiles of the plane follow their own updates in
+order and tell between which rounds their deepest sample stays; a round takes the best of the tiles.  What is
+shuffled is an update for each tile that it reaches, and a piece for each change of a tile's best.
 """
 
 from __future__ import annotations
 
-import math
-
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 from ..plans.staging import staged
 from .ball import BallPlan, sample_depth, sample_hits
 from .ordering import prefix_sums
+from .tile_depths import overlaid, pieces
 
 
 def live_sizes(log: DataFrame) -> DataFrame:
@@ -61,16 +60,20 @@ def lifetimes(log: DataFrame) -> DataFrame:
 def with_epochs(log: DataFrame, epochs: DataFrame, width: int = 1024) -> DataFrame:
     """The log's rows with their epoch and its base, and at each epoch's start the standing balls once more as inserts.
 
-    Rounds meet epochs, and lifetimes meet starts, in buckets of ``width`` rounds: equi-joins whatever their number.
+    Rounds meet epochs in buckets of ``width`` rounds, an equi-join whatever their number; lifetimes meet starts by the
+    numbers of the epochs, so that only rows of the result are made.
     """
     top = log.agg(F.max("round")).first()[0] or 0
     ends = epoch_ends(epochs)
     bucket = lambda c: F.expr(f"{c} div {width}")
     spans = ends.withColumn("b", F.explode(F.sequence(bucket("start"), F.expr(f"(coalesce(until - 1, {top}L)) div {width}"))))
-    own = log.withColumn("b", bucket("round")).join(spans, "b").where("round >= start AND (until IS NULL OR round < until)").select("epoch", "base", "round", "x", "y", "w", "sign")
-    lives = lifetimes(log).withColumn("b", F.explode(F.sequence(bucket("born"), F.expr(f"coalesce(died, {top}L) div {width}"))))
-    lives = lives.join(epochs.withColumn("b", bucket("start")), "b").where("born < start AND (died IS NULL OR died >= start)")
-    return own.union(lives.select("epoch", "base", F.col("start").alias("round"), "x", "y", "w", F.lit(1).alias("sign")))
+    own = log.withColumn("b", bucket("round")).join(F.broadcast(spans), "b").where("round >= start AND (until IS NULL OR round < until)")
+    # a ball stands at the starts of the epochs after that of its insert, up to that of its delete
+    lives = own.groupBy("id").agg(F.first("x").alias("x"), F.first("y").alias("y"), F.first("w").alias("w"), F.min(F.expr("if(op = 'insert', epoch, NULL)")).alias("came"), F.max(F.expr("if(op = 'delete', epoch, NULL)")).alias("went"))
+    last = epochs.agg(F.max("epoch").alias("newest"))
+    lives = lives.crossJoin(F.broadcast(last)).withColumn("went", F.coalesce("went", "newest")).where("came < went").withColumn("epoch", F.explode(F.expr("sequence(came + 1, went)")))
+    lives = lives.join(F.broadcast(epochs), "epoch").select("epoch", "base", F.col("start").alias("round"), "x", "y", "w", F.lit(1).alias("sign"))
+    return own.select("epoch", "base", "round", "x", "y", "w", "sign").union(lives)
 
 
 def epoch_samples(eps: float, c: float = 1.0) -> F.Column:
@@ -94,16 +97,15 @@ def dyadic(ranges: DataFrame, levels: int) -> DataFrame:
     return cut.where("lo < hi").withColumn("block", F.explode(both)).drop("size", "lo", "hi")
 
 
+def changes_of(rows: DataFrame, *keys) -> DataFrame:
+    return rows.select(*keys, F.col("round").cast("long").alias("round"), "x", "y", (F.col("w") * F.col("sign")).cast("long").alias("dw"))
+
+
 def round_best(log: DataFrame, radius: float, p: BallPlan) -> DataFrame:
     """(round, live, depth): the deepest sample after every round (0 where nothing stands)."""
     total = log.agg(F.max("round")).first()[0] or 0
-    levels = max(1, math.ceil(math.log2(total + 2)))
-    touch = Window.partitionBy(*p.cell, "j").orderBy("round")
-    changes = sample_changes(log, radius, p)
-    held = changes.withColumn("depth", F.sum("dw").over(touch.rowsBetween(Window.unboundedPreceding, 0))).withColumn("b", F.coalesce(F.lead("round").over(touch), F.lit(total + 1))).where("depth > 0")
-    blocks = dyadic(held.select("depth", F.col("round").alias("a"), "b"), levels).groupBy("level", "block").agg(F.max("depth").alias("depth"))
-    asked = live_sizes(log).withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(levels)))).withColumn("block", F.expr("round div shiftleft(1L, level)"))
-    return asked.join(blocks, ["level", "block"], "left").groupBy("round", "live").agg(F.coalesce(F.max("depth"), F.lit(0)).cast("long").alias("depth"))
+    spans = pieces(changes_of(log), radius, p, []).withColumn("b", F.coalesce("b", F.lit(total + 1)))
+    return live_sizes(log).join(overlaid(spans, []), "round", "left").select("round", "live", F.coalesce("depth", F.lit(0)).cast("long").alias("depth"))
 
 
 def replay(log: DataFrame, radius: float, p: BallPlan, budget: float | None = None) -> DataFrame:
@@ -112,28 +114,23 @@ def replay(log: DataFrame, radius: float, p: BallPlan, budget: float | None = No
     With a budget c every epoch draws new samples, seeded by its number, c ln(base) / eps^2 for a cell; without one
     the plan's samples serve all epochs.
     """
-    rows = with_epochs(log, assign_epochs(log))
-    total = log.agg(F.max("round")).first()[0] or 0
-    levels = max(1, math.ceil(math.log2(total + 2)))
+    rows = staged(with_epochs(log, assign_epochs(log)), "epoch-rows")
     fresh = {} if budget is None else {"t": epoch_samples(p.eps, budget), "seed": F.col("epoch")}
-    changes = sample_changes(rows, radius, p, ["epoch"], **fresh)
-    touch = Window.partitionBy("epoch", *p.cell, "j").orderBy("round")
     last = rows.groupBy("epoch").agg((F.max("round") + 1).alias("stop"))
-    held = changes.withColumn("depth", F.sum("dw").over(touch.rowsBetween(Window.unboundedPreceding, 0))).withColumn("next", F.lead("round").over(touch)).join(F.broadcast(last), "epoch")
-    ranges = held.where("depth > 0").select("epoch", "depth", F.col("round").alias("a"), F.coalesce("next", "stop").alias("b"))
-    blocks = dyadic(ranges, levels).groupBy("epoch", "level", "block").agg(F.max("depth").alias("depth"))
-    asked = rows.select("epoch", "round").distinct().withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(levels)))).withColumn("block", F.expr("round div shiftleft(1L, level)"))
-    return asked.join(blocks, ["epoch", "level", "block"], "left").groupBy("epoch", "round").agg(F.coalesce(F.max("depth"), F.lit(0)).cast("long").alias("depth"))
+    keys = ["epoch"] if budget is None else ["epoch", "base"]
+    spans = pieces(changes_of(rows, *keys), radius, p, keys, **fresh).join(F.broadcast(last), "epoch").withColumn("b", F.coalesce("b", "stop"))
+    asked = rows.select("epoch", F.col("round").cast("long").alias("round")).distinct()
+    return asked.join(overlaid(spans.drop("base", "stop"), ["epoch"]), ["epoch", "round"], "left").select("epoch", "round", F.coalesce("depth", F.lit(0)).cast("long").alias("depth"))
 
 
 def recompute(log: DataFrame, rounds: list[int], radius: float, p: BallPlan) -> DataFrame:
-    """(round, depth) from scratch at the given rounds: the standing balls of each, all over again."""
+    """(round, depth) from scratch at the given rounds: the standing balls of each, all over again; equal balls as one."""
     spark = log.sparkSession
-    asked = spark.createDataFrame([(int(r),) for r in rounds], "round long")
-    alive = lifetimes(log).join(F.broadcast(asked), (F.col("born") <= F.col("round")) & (F.col("died").isNull() | (F.col("died") > F.col("round"))))
-    balls = G.to_dual(alive.select("round", "x", "y", "w"), radius, ["x", "y"])
-    depths = sample_hits(balls, p, ["round", "w"]).groupBy("round", *p.cell, "j").agg(F.sum("w").alias("depth")).groupBy("round").agg(F.max("depth").alias("depth"))
-    return asked.join(depths, "round", "left").select("round", F.coalesce("depth", F.lit(0)).cast("long").alias("depth"))
+    asked = spark.createDataFrame([(int(r),) for r in rounds], "asked long")
+    alive = lifetimes(log).join(F.broadcast(asked), (F.col("born") <= F.col("asked")) & (F.col("died").isNull() | (F.col("died") > F.col("asked"))))
+    balls = alive.groupBy("asked", "x", "y").agg(F.sum("w").cast("long").alias("dw")).withColumn("round", F.lit(0).cast("long"))
+    depths = pieces(balls, radius, p, ["asked"]).groupBy("asked").agg(F.max("depth").alias("depth"))
+    return asked.join(depths, "asked", "left").select(F.col("asked").alias("round"), F.coalesce("depth", F.lit(0)).cast("long").alias("depth"))
 
 
 def depth_after(log: DataFrame, until: int, radius: float, p: BallPlan) -> DataFrame:
@@ -144,8 +141,20 @@ def depth_after(log: DataFrame, until: int, radius: float, p: BallPlan) -> DataF
 
 def epoch_stats(log: DataFrame, radius: float, p: BallPlan, budget: float | None = None) -> DataFrame:
     """(epoch, updates, resampled, touched): work of an epoch, the standing balls it starts with included."""
-    rows = with_epochs(log, assign_epochs(log))
+    rows = staged(with_epochs(log, assign_epochs(log)), "epoch-rows")
     fresh = {} if budget is None else {"t": epoch_samples(p.eps, budget), "seed": F.col("epoch")}
-    touched = sample_changes(rows, radius, p, ["epoch"], **fresh).groupBy("epoch").agg(F.count("*").alias("touched"))
+    # a round but an epoch's first has one ball, so its samples are counted where they are made; equal balls are counted once
+    opening = rows.join(F.broadcast(rows_starts(rows)), "epoch")
+    dual = lambda df, *keep: G.to_dual(df, radius, ["x", "y"]).select("epoch", "base", "c0", "c1", *keep)
+    later = dual(opening.where("round > first").groupBy("epoch", "base", "x", "y").agg(F.count("*").alias("n")), "n")
+    many = sample_hits(later, p, ["epoch", "n"], **fresh).groupBy("epoch").agg(F.sum("n").alias("touched"))
+    first = dual(opening.where("round = first").select("epoch", "base", "x", "y").distinct())
+    once = sample_hits(first, p, ["epoch"], **fresh).distinct().groupBy("epoch").agg(F.count("*").alias("touched"))
+    touched = many.union(once).groupBy("epoch").agg(F.sum("touched").alias("touched"))
     sizes = rows.groupBy("epoch").agg(F.count("*").alias("rows"), F.countDistinct("round").alias("updates"))
     return sizes.join(touched, "epoch", "left").select("epoch", "updates", (F.col("rows") - F.col("updates")).alias("resampled"), F.coalesce("touched", F.lit(0)).alias("touched"))
+
+
+def rows_starts(rows: DataFrame) -> DataFrame:
+    """(epoch, first): the round of each epoch in which standing balls come in, its first."""
+    return rows.groupBy("epoch").agg(F.min("round").alias("first"))
