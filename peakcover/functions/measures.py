@@ -50,10 +50,20 @@ def game_check(balls: DataFrame, p: BallPlan, weight: str = "w") -> DataFrame:
 
 def cap_fraction_mc(spark, eps: float, dim: int, n: int = 200_000, seed: int = 1) -> DataFrame:
     """(measured, formula): the share of a sphere of radius eps inside a unit ball through the point eps^2 off its centre."""
-    rows = spark.range(n).select(*(F.randn(seed + i).alias(f"u{i}") for i in range(dim)))
+    return _cap_share(spark.range(n).select(*(F.randn(seed + i).alias(f"u{i}") for i in range(dim))), eps, dim)
+
+
+def cap_fraction_drawn(items: DataFrame, eps: float, dim: int) -> DataFrame:
+    """The same with a direction for each row of ``items``, drawn from the hash of the row."""
+    unit = lambda salt: (F.pmod(F.xxhash64(*items.columns, F.lit(salt)), F.lit(1 << 53)) + 0.5) / float(1 << 53)
+    rows = items.select(*((F.sqrt(-2 * F.log(unit(2 * i))) * F.cos(2 * math.pi * unit(2 * i + 1))).alias(f"u{i}") for i in range(dim)))
+    return _cap_share(rows, eps, dim)
+
+
+def _cap_share(rows: DataFrame, eps: float, dim: int) -> DataFrame:
     norm = F.sqrt(sum((F.col(f"u{i}") ** 2 for i in range(dim)), F.lit(0.0)))
-    # the ball's boundary passes through (eps^2, 0..), its centre lies on the other side
-    away = (eps * F.col("u0") / norm - (eps**2 - 1) - 0.0) ** 2 + sum(((eps * F.col(f"u{i}") / norm) ** 2 for i in range(1, dim)), F.lit(0.0))
+    # the ball's boundary passes through (eps^2, 0..), and the sphere's centre lies outside of it
+    away = (eps * F.col("u0") / norm - (eps**2 + 1)) ** 2 + sum(((eps * F.col(f"u{i}") / norm) ** 2 for i in range(1, dim)), F.lit(0.0))
     return rows.select((away <= 1).cast("double").alias("inside")).agg(F.avg("inside").alias("measured")).withColumn("formula", F.lit(G.cap_fraction(eps, dim)))
 
 
