@@ -124,20 +124,32 @@ def train(bags: list[tuple[str, list[int]]], labels, weights, seed: int = 7, dim
     rng = np.random.default_rng(seed)
     table, way, bias = rng.uniform(-0.01, 0.01, (buckets, dim)).astype(np.float32), rng.normal(0, 0.5, (dim, 2)).astype(np.float32), np.zeros(2, dtype=np.float32)
     past = [np.full_like(a, 1e-6) for a in (table, way, bias)]
-    # what does not change from epoch to epoch: each batch's words, their n-grams, and where sums begin
+    # what does not change from epoch to epoch: each batch's words; their n-grams are looked up anew, as the driver's memory is bounded
     order = [d for d in rng.permutation(len(docs)).tolist() if len(docs[d])]
     plans = []
     for at in range(0, len(order), BATCH):
         some = np.array(order[at : at + BATCH])
         sizes = np.array([len(docs[d]) for d in some])
         words, place = np.unique(np.concatenate([docs[d] for d in some]), return_inverse=True)
+        plans.append((some, np.cumsum(sizes) - sizes, np.repeat(np.arange(len(some)), sizes), place.astype(np.int32), np.concatenate([parts[d] for d in some])[:, None], words))
+    del docs, parts
+    slot = np.zeros(buckets, dtype=np.int32)
+
+    def grams_of(words):
+        """(n-grams, each word's n-grams as places among them, where a word's begin, the word of each, share of each)."""
         count = counts[words]
-        grams, local = np.unique(gram[ranges(starts[words], count)], return_inverse=True)
-        plans.append((some, np.cumsum(sizes) - sizes, np.repeat(np.arange(len(some)), sizes), place.astype(np.int32), np.concatenate([parts[d] for d in some])[:, None], grams, local.astype(np.int32), np.cumsum(count) - count, np.repeat(np.arange(len(words), dtype=np.int32), count), (1 / count).astype(np.float32)[:, None]))
+        found = gram[ranges(starts[words], count)]
+        seen = np.zeros(buckets, dtype=bool)
+        seen[found] = True
+        grams = np.flatnonzero(seen)
+        slot[grams] = np.arange(len(grams), dtype=np.int32)
+        return grams, slot[found], np.cumsum(count) - count, np.repeat(np.arange(len(words), dtype=np.int32), count), (1 / count).astype(np.float32)[:, None]
+
     class_weight = class_weight / class_weight.mean()
     by = lambda rows, keys, n: np.stack([np.bincount(keys, weights=rows[:, k], minlength=n) for k in range(dim)], axis=1).astype(np.float32)
     for _ in range(epochs or EPOCHS):
-        for some, doc_at, doc, place, part, grams, local, word_at, word, share in (plans[i] for i in rng.permutation(len(plans))):
+        for some, doc_at, doc, place, part, words in (plans[i] for i in rng.permutation(len(plans))):
+            grams, local, word_at, word, share = grams_of(words)
             weight = scale[grams][:, None]
             vectors = np.add.reduceat((table[grams] * weight)[local], word_at, axis=0) * share
             mean = np.add.reduceat(vectors[place] * part, doc_at, axis=0) * GAIN
@@ -233,7 +245,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
 
     rows = sorted(picked.join(held, "id").mapInPandas(bags, "id long, y int, words string, counts array<int>").collect(), key=lambda r: r["id"])
     weight = {y: sizes[y] / quota[y] for y in (0, 1) if quota[y]}
-    return train([(r["words"], r["counts"]) for r in rows], [r["y"] for r in rows], [weight[r["y"]] for r in rows])
+    model = train([(r["words"], r["counts"]) for r in rows], [r["y"] for r in rows], [weight[r["y"]] for r in rows])
+    del rows
+    common.give_back()
+    return model
 
 
 def score(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
