@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
+from . import branch
 
 WIDEN = 1e-7
 TURN = 2 * math.pi
@@ -99,50 +100,32 @@ def batched_disk(points: DataFrame, radii: dict[int, float]) -> DataFrame:
     return out
 
 
-MOST_BALLS = 5_000
+def exact_ball3(points: DataFrame, radius: float, most: int | None = None) -> DataFrame:
+    """The best closed ball in space, by branch and bound over its centre in cells of the radius; a caller may name the ``most`` points it takes.
 
+    A ball covers any cube of side 2 r / sqrt(3), so the fullest gives a depth to beat.
+    """
+    if most is not None and points.count() > most:
+        raise ValueError(f"more than {most} points")
+    base = points.groupBy(*(F.get("pos", F.lit(i)).alias(c) for i, c in enumerate("xyz"))).agg(F.count("*").alias("w")).dropna()
+    inner = 2 * radius / 3**0.5 * (1 - 1e-9)
+    known = base.groupBy(*(F.floor(F.col(c) / inner) for c in "xyz")).agg(F.sum("w").alias("held")).agg(F.max("held")).first()[0] or 0
+    rows, far = base, F.lit(0.0)
+    for c in "xyz":
+        rows = rows.withColumn(f"k{c}", F.explode(F.sequence(*((F.floor(F.col(c) / radius + s * (1 + 1e-9)).cast("long")) for s in (-1, 1)))))
+        far = far + F.pow(F.greatest(F.abs(F.col(c) - (F.col(f"k{c}") + 0.5) * radius) - radius / 2, F.lit(0.0)), F.lit(2.0))
+    rows = rows.where(far <= radius * radius * (1 + 1e-8))
 
-def exact_ball3(points: DataFrame, radius: float, most: int = MOST_BALLS) -> DataFrame:
-    """The best closed ball in space by all centres, pairs' nearest circle points and triple crossings; small inputs only."""
-    if points.count() > most:
-        raise ValueError(f"more than {most} points; this baseline is cubic in near neighbours")
-    base = points.select("id", *(F.get("pos", F.lit(i)).alias(c) for i, c in enumerate("xyz")))
-    cell = lambda df, names, tag: df.withColumns({f"{tag}{a}": F.floor(F.col(n) / (2 * radius)).cast("long") for a, n in zip("xyz", names)})
-
-    def near(left, right, names, other):
-        a = cell(left, names, "__c")
-        b = cell(right, other, "__o")
-        for axis in "xyz":
-            b = b.withColumn(f"__c{axis}", F.explode(F.sequence(F.col(f"__o{axis}") - 1, F.col(f"__o{axis}") + 1)))
-        away = sum((F.pow(F.col(n) - F.col(o), F.lit(2.0)) for n, o in zip(names, other)), F.lit(0.0))
-        return a.join(b, ["__cx", "__cy", "__cz"]).where(away <= 4 * radius * radius * (1 + G.TOL)).drop(*(f"__{t}{a}" for t in "co" for a in "xyz"))
-
-    second = base.select(F.col("id").alias("id2"), F.col("x").alias("x2"), F.col("y").alias("y2"), F.col("z").alias("z2"))
-    third = base.select(F.col("id").alias("id3"), F.col("x").alias("x3"), F.col("y").alias("y3"), F.col("z").alias("z3"))
-    pairs = near(base, second, "xyz", ("x2", "y2", "z2")).where("id < id2")
-    triples = near(pairs, third, "xyz", ("x3", "y3", "z3")).where("id2 < id3")
-
-    def solve(frames):
+    def solve(frame, key, known, share: int | None, nodes: int | None):
         import numpy as np
-        import pandas as pd
 
-        for f in frames:
-            a, b, c = (f[[f"x{s}", f"y{s}", f"z{s}"]].to_numpy() for s in ("", "2", "3"))
-            u, v = b - a, c - a
-            n = np.cross(u, v)
-            nn = (n * n).sum(1)
-            ok = nn > 1e-18
-            a, u, v, n, nn = a[ok], u[ok], v[ok], n[ok], nn[ok]
-            centre = a + (np.cross(n, u) * (v * v).sum(1)[:, None] + np.cross(v, n) * (u * u).sum(1)[:, None]) / (2 * nn)[:, None]
-            rest = radius * radius - ((centre - a) ** 2).sum(1)
-            ok = rest >= -1e-12
-            step = n[ok] * np.sqrt(np.maximum(rest[ok], 0) / nn[ok])[:, None]
-            yield pd.DataFrame(np.concatenate([centre[ok] + step, centre[ok] - step]), columns=["qx", "qy", "qz"])
-
-    middle = pairs.select(*(((F.col(c) + F.col(c + "2")) / 2).alias("q" + c) for c in "xyz"))
-    places = base.select(*(F.col(c).alias("q" + c) for c in "xyz")).union(middle).union(triples.mapInPandas(solve, "qx double, qy double, qz double")).withColumn("q", F.monotonically_increasing_id())
-    from ..plans.staging import staged
-
-    places = staged(places, "ball3-candidates")
-    met = near(places, base, ("qx", "qy", "qz"), ("x", "y", "z")).where(sum((F.pow(F.col("q" + c) - F.col(c), F.lit(2.0)) for c in "xyz"), F.lit(0.0)) <= radius * radius * (1 + 1e-9))
-    return met.groupBy("q").agg(F.count("*").alias("depth")).agg(F.coalesce(F.max("depth"), F.lit(0)).alias("depth"))
+        p, w, centre = frame[list("xyz")].to_numpy(np.float64), frame["w"].to_numpy(), (np.array(key, np.float64) + 0.5) * radius
+        if share is None:
+            return branch.best_ball(p, w, radius, centre, radius / 2, known, nodes)
+        for part in range(share, 64, branch.SHARES):  # a share has every so manieth of the cell's 64 parts
+            at = centre + (np.array([part >> 4, part >> 2 & 3, part & 3]) - 1.5) * radius / 4
+            known = branch.best_ball(p, w, radius, at, radius / 8, known)
+        return known
+
+    best = branch.best_of_cells(rows, ["kx", "ky", "kz"], known, solve, "long")
+    return points.sparkSession.range(1).select(F.lit(best).cast("long").alias("depth"))

@@ -324,3 +324,33 @@ def test_depth_at_meets_equal_points_once_and_broadcasts_nothing(spark):
         got = {r["q_id"]: r["depth"] for r in found.collect()}
         assert got == {i: far if x == 5 else near for i, (x, *_) in enumerate(rows)}
         assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_branch_and_bound_finds_what_brute_force_finds(monkeypatch):
+    from peakcover.operators import branch, range_kernels
+
+    rng = np.random.default_rng(3)
+    for t in range(60):
+        dim, n = int(rng.integers(2, 5)), int(rng.integers(1, 40))
+        at = rng.integers(0, 8, (n, dim)) / 2 if t % 2 else rng.random((n, dim)) * 3
+        own, w, sides = rng.random((n, dim)) < 0.7, rng.integers(0, 4, n), [1.0 + 0.5 * (i % 2) for i in range(dim)]
+        monkeypatch.setattr(branch, "TRIED", (1, 50, 1000, 1 << 18)[t % 4])
+        assert branch.best_box(at, own, w, sides) == range_kernels.best_box(at, own, w, sides)
+    for t in range(60):
+        n, radius = int(rng.integers(1, 16)), 1.0 if t % 4 < 2 else 0.75
+        p = rng.integers(0, 4, (n, 3)).astype(float) if t % 2 else rng.random((n, 3)) * 2.5
+        w = rng.integers(1, 4, n)
+        monkeypatch.setattr(branch, "FEW", (0, 3, 12)[t % 3])
+        places = np.concatenate([p, branch._crossings(p, radius)])
+        assert branch.best_ball(p, w, radius, [1.5] * 3, 4.0) == ((((places[:, None] - p) ** 2).sum(2) <= radius * radius * branch.TOUCH) @ w).max()
+
+
+def test_balls_in_space_beyond_the_old_bound(spark):
+    rng = np.random.default_rng(8)
+    p = rng.normal(size=(5200, 3)) * 0.3
+    rows = spark.createDataFrame([(i, r) for i, r in enumerate(p.tolist())], "id long, pos array<double>")
+    at_points = max(int((((p - c) ** 2).sum(1) <= 0.04).sum()) for c in p)
+    assert exact_disk.exact_ball3(rows, 0.2).first()["depth"] >= at_points
+    assert exact_disk.exact_ball3(rows.limit(0), 0.2).first()["depth"] == 0
+    with pytest.raises(ValueError):
+        exact_disk.exact_ball3(rows, 0.2, most=5000)
