@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import range_kernels
+from . import branch, range_kernels
 
 #: Cells are this much smaller than the sides, so that a range always holds an end of its cell.
 SHRINK = 1 - 2.0**-20
@@ -159,28 +159,26 @@ def rectangle_by_candidates(points: DataFrame, a: float, b: float) -> DataFrame:
     return met.groupBy("x0", "y0").agg(F.sum("w").alias("s")).agg(F.coalesce(F.max("s"), F.lit(0)).cast("long").alias("weight"))
 
 
-def exact_box(points: DataFrame, sides: tuple[float, ...], most: int = 50_000) -> DataFrame:
-    """(weight,) of the best closed box in any dimension from two: a baseline, n ** (d - 1) log n in the worst cell.
+def exact_box(points: DataFrame, sides: tuple[float, ...], most: int | None = None) -> DataFrame:
+    """(weight,) of the best closed box in any dimension from two, by branch and bound in cells of the box's size.
 
     A cell of the box's size is covered by one box, so the heaviest gives a depth to beat, and cells that cannot beat it are
-    left out before the kernel.  A cell of more than ``most`` points that could beat it is refused.
+    left out before the kernel.  A caller may name the ``most`` points that a cell which could beat it takes.
     """
     axes = range(len(sides))
     keys = [f"k{i}" for i in axes]
-    base = points.groupBy(*(F.get("pos", F.lit(i)).cast("double").alias(f"p{i}") for i in axes)).agg(F.sum("w").alias("w"))
+    base = points.groupBy(*(F.get("pos", F.lit(i)).cast("double").alias(f"p{i}") for i in axes)).agg(F.sum("w").alias("w")).dropna()
+    kind = base.schema["w"].dataType.simpleString()
+    reached = base.withColumns({f"k{i}": _span(f"p{i}", side, "lo", "hi")["hi"] for i, side in enumerate(sides)}).groupBy(*keys).agg(F.sum("w").alias("held")).agg(F.max("held")).first()[0] or 0
     rows = base
-    reached = base.withColumns({f"k{i}": _span(f"p{i}", side, "lo", "hi")["hi"] for i, side in enumerate(sides)}).groupBy(*keys).agg(F.sum("w").alias("held")).agg(F.max("held").alias("known"))  # one row
     for i, side in enumerate(sides):
         rows = rows.withColumns(_span(f"p{i}", side, "lo", "hi")).withColumn(f"k{i}", F.explode(F.sequence("lo", "hi"))).withColumn(f"own{i}", F.col(f"k{i}") == F.col("hi")).drop("lo", "hi")
-    rows = rows.join(rows.groupBy(*keys).agg(F.sum("w").alias("held")).crossJoin(F.broadcast(reached)).where("held > known").drop("held"), keys)
 
-    def solve(pdf: pd.DataFrame) -> pd.DataFrame:
-        if len(pdf) > most:
-            raise ValueError(f"a cell holds {len(pdf)} points, more than {most}")
+    def solve(pdf: pd.DataFrame, key, known, share: int | None, nodes: int | None):
         at, own = pdf[[f"p{i}" for i in axes]].to_numpy(np.float64), pdf[[f"own{i}" for i in axes]].to_numpy(bool)
-        return pd.DataFrame({"weight": [range_kernels.best_box(at, own, pdf.w.to_numpy(), list(sides), pdf.known.iloc[0])]})
+        if share is not None:
+            own[:, 0] &= np.isin(at[:, 0], np.array_split(np.unique(at[own[:, 0], 0]), branch.SHARES)[share])
+        return branch.best_box(at, own, pdf.w.to_numpy(), sides, known, nodes)
 
-    kind = base.schema["w"].dataType.simpleString()
-    parts = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # few bytes, much work: not to be coalesced
-    found = rows.repartition(parts, *keys).groupBy(*keys).applyInPandas(solve, f"weight {kind}").union(reached)
-    return found.agg(F.coalesce(F.max("weight"), F.lit(0).cast(kind)).alias("weight"))
+    best = branch.best_of_cells(rows, keys, reached, solve, kind, most)
+    return points.sparkSession.range(1).select(F.lit(best).cast(kind).alias("weight"))
