@@ -333,9 +333,16 @@ def test_branch_and_bound_finds_what_brute_force_finds(monkeypatch):
     for t in range(60):
         dim, n = int(rng.integers(2, 5)), int(rng.integers(1, 40))
         at = rng.integers(0, 8, (n, dim)) / 2 if t % 2 else rng.random((n, dim)) * 3
-        own, w, sides = rng.random((n, dim)) < 0.7, rng.integers(0, 4, n), [1.0 + 0.5 * (i % 2) for i in range(dim)]
+        own, w, sides = np.ones((n, dim), bool), rng.integers(0, 4, n), [1.0 + 0.5 * (i % 2) for i in range(dim)]
         monkeypatch.setattr(branch, "TRIED", (1, 50, 1000, 1 << 18)[t % 4])
         assert branch.best_box(at, own, w, sides) == range_kernels.best_box(at, own, w, sides)
+        at, w, own = at[:8], w[:8], rng.random((min(n, 8), dim)) < 0.7
+        every, held = [0], [0]  # over all places, and over those where each lower edge is a coordinate of a row inside
+        for low in itertools.product(*(np.unique(at[own[:, i], i]) for i in range(dim))):
+            inside = ((at >= low) & (at <= np.add(low, sides))).all(1)
+            every.append(w[inside].sum())
+            held += [every[-1]] if all((inside & own[:, i] & (at[:, i] == v)).any() for i, v in enumerate(low)) else []
+        assert max(held) <= branch.best_box(at, own, w, sides) <= max(every)
     for t in range(60):
         n, radius = int(rng.integers(1, 16)), 1.0 if t % 4 < 2 else 0.75
         p = rng.integers(0, 4, (n, 3)).astype(float) if t % 2 else rng.random((n, 3)) * 2.5
