@@ -361,3 +361,21 @@ def test_balls_in_space_beyond_the_old_bound(spark):
     assert exact_disk.exact_ball3(rows.limit(0), 0.2).first()["depth"] == 0
     with pytest.raises(ValueError):
         exact_disk.exact_ball3(rows, 0.2, most=5000)
+
+
+def test_coloured_branches_find_what_the_sweep_finds(spark):
+    from peakcover.operators import branch
+
+    rng = np.random.default_rng(5)
+    for t in range(40):
+        n = int(rng.integers(1, 60))
+        x, y = (rng.integers(0, 9, n) / 2 if t % 2 else rng.random(n) * 4 for _ in range(2))
+        hue = rng.integers(0, 12, n)
+        got = branch.most_colours(x, y, hue, (2.0, 2.0), 4.0)
+        assert got[0] == cell_kernels.sweep_kernel(x, y, hue)[0]
+        assert len(set(hue[(x - got[1]) ** 2 + (y - got[2]) ** 2 <= 1 + 1e-8])) == got[0]
+        assert branch.most_colours(x, y, hue, (2.0, 2.0), 4.0, got[0])[0] == got[0]
+    rows = [(i, float(a), float(b), int(h)) for i, (a, b, h) in enumerate(zip(rng.random(200) * 9, rng.random(200) * 9, rng.integers(0, 30, 200)))]
+    p = spark.createDataFrame(rows, "id long, x double, y double, color long")
+    assert colored_disk.output_sensitive(p, 1.5, engine="branch").first()["depth"] == cell_kernels.sweep_kernel(*(np.array(v) for v in zip(*((a / 1.5, b / 1.5, h) for _, a, b, h in rows))))[0]
+    assert colored_disk.output_sensitive(p.limit(0), 1.5, engine="branch").collect() == []
