@@ -14,7 +14,7 @@ from ..functions import geometry as G
 from ..plans.staging import staged
 from .ball import BallPlan, sample_depth, sample_hits
 from .ordering import prefix_sums
-from .tile_depths import overlaid, pieces
+from .tile_depths import overlaid, pieces, standing
 
 
 def live_sizes(log: DataFrame) -> DataFrame:
@@ -125,11 +125,8 @@ def replay(log: DataFrame, radius: float, p: BallPlan, budget: float | None = No
 
 def recompute(log: DataFrame, rounds: list[int], radius: float, p: BallPlan) -> DataFrame:
     """(round, depth) from scratch at the given rounds: the standing balls of each, all over again; equal balls as one."""
-    spark = log.sparkSession
-    asked = spark.createDataFrame([(int(r),) for r in rounds], "asked long")
-    alive = lifetimes(log).join(F.broadcast(asked), (F.col("born") <= F.col("asked")) & (F.col("died").isNull() | (F.col("died") > F.col("asked"))))
-    balls = alive.groupBy("asked", "x", "y").agg(F.sum("w").cast("long").alias("dw")).withColumn("round", F.lit(0).cast("long"))
-    depths = pieces(balls, radius, p, ["asked"]).groupBy("asked").agg(F.max("depth").alias("depth"))
+    asked = log.sparkSession.createDataFrame([(int(r),) for r in rounds], "asked long")
+    depths = standing(lifetimes(log), rounds, radius, p).groupBy("asked").agg(F.max("depth").alias("depth"))
     return asked.join(depths, "asked", "left").select(F.col("asked").alias("round"), F.coalesce("depth", F.lit(0)).cast("long").alias("depth"))
 
 

@@ -2,7 +2,7 @@
 
 A tile owns the cells whose lower corner lies in it.  Its task takes the updates in order, keeps one depth a sample, and
 emits the rounds between which its deepest sample stays as it is.  The pieces of all tiles are laid over each other
-in chunks of rounds.
+in chunks of rounds.  ``standing`` takes no round from another: a tile adds up the balls of each asked round anew.
 """
 
 from __future__ import annotations
@@ -14,8 +14,9 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 
-#: Side of a tile in radii, updates handled at once, rounds of a chunk.
+#: Side of a tile in radii, updates handled at once, rounds of a chunk; asked rounds that a task adds up.
 SIDE, AT_ONCE, CHUNK = 2.0, 512, 1 << 14
+ASKED = 128
 
 
 def tile_samples(p, t0: int, t1: int, t: int, seed: int):
@@ -48,6 +49,26 @@ def tile_samples(p, t0: int, t1: int, t: int, seed: int):
     return s0 + k0 * p.side, s1 + k1 * p.side, q0, q1
 
 
+def to_tiles(balls: DataFrame, p) -> DataFrame:
+    """Balls (c0, c1, ..) once for each tile (t0, t1) with a cell that they can meet."""
+    for i in range(2):
+        low, high = F.col(f"c{i}") - (1 + p.side + 1e-6), F.col(f"c{i}") + (1 + 1e-6)
+        balls = balls.withColumn(f"t{i}", F.explode(F.sequence(F.floor(low / SIDE).cast("long"), F.floor(high / SIDE).cast("long"))))
+    return balls
+
+
+def held_samples(place, side: float, x, y):
+    """(balls, cells, samples): which samples of the tile's cells are inside the balls at (x, y)."""
+    import numpy as np
+
+    low0, low1, q0, q1 = place
+    x, y = x[:, None], y[:, None]
+    gap = np.maximum(np.maximum(low0 - x, x - low0 - side), 0.0) ** 2 + np.maximum(np.maximum(low1 - y, y - low1 - side), 0.0) ** 2
+    inside = (q0 - x[:, :, None]) ** 2 + (q1 - y[:, :, None]) ** 2 <= 1 + G.TOL
+    inside &= (gap <= 1 + G.TOL)[:, :, None]
+    return inside
+
+
 def pieces(rows: DataFrame, radius: float, p, keys: list[str], t=None, seed=None) -> DataFrame:
     """(keys.., a, b, depth) of rows (keys.., round, x, y, dw): a tile's deepest sample from round a until before b (null: for good)."""
     kinds = dict(rows.dtypes)
@@ -55,9 +76,7 @@ def pieces(rows: DataFrame, radius: float, p, keys: list[str], t=None, seed=None
         raise ValueError("tiles are made in the plane")
     balls = G.to_dual(rows, radius, ["x", "y"])
     balls = balls.select(*keys, "round", "dw", "c0", "c1", (F.lit(p.samples) if t is None else t).cast("int").alias("t"), (F.lit(p.seed) if seed is None else seed).cast("long").alias("seed"))
-    for i in range(2):
-        low, high = F.col(f"c{i}") - (1 + p.side + 1e-6), F.col(f"c{i}") + (1 + 1e-6)
-        balls = balls.withColumn(f"t{i}", F.explode(F.sequence(F.floor(low / SIDE).cast("long"), F.floor(high / SIDE).cast("long"))))
+    balls = to_tiles(balls, p)
     tile = [*keys, "t", "seed", "t0", "t1"]
     names = [*keys, "a", "b", "depth"]
 
@@ -87,13 +106,9 @@ def pieces(rows: DataFrame, radius: float, p, keys: list[str], t=None, seed=None
                     key = tuple(tiles[at])
                     place = tile_samples(p, int(key[-2]), int(key[-1]), int(key[-4]), int(key[-3]))
                     now, held = np.zeros(place[2].size, np.int64), (rounds[at], 0)
-                low0, low1, q0, q1 = place
                 for b in range(at, end, AT_ONCE):
                     e = min(end, b + AT_ONCE)
-                    x, y = c0[b:e, None], c1[b:e, None]
-                    gap = np.maximum(np.maximum(low0 - x, x - low0 - p.side), 0.0) ** 2 + np.maximum(np.maximum(low1 - y, y - low1 - p.side), 0.0) ** 2
-                    inside = (q0 - x[:, :, None]) ** 2 + (q1 - y[:, :, None]) ** 2 <= 1 + G.TOL
-                    inside &= (gap <= 1 + G.TOL)[:, :, None]
+                    inside = held_samples(place, p.side, c0[b:e], c1[b:e])
                     depth = np.cumsum(inside.reshape(e - b, -1) * dw[b:e, None], axis=0) + now
                     now = depth[-1]
                     r, d = np.append(held[0], rounds[b:e]), np.append(held[1], depth.max(axis=1))
@@ -134,3 +149,62 @@ def overlaid(spans: DataFrame, keys: list[str]) -> DataFrame:
 
     parts = int(spans.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return cut.repartition(parts, *keys, "chunk").groupBy(*keys, "chunk").applyInPandas(run, ", ".join([*(f"{k} {kinds[k]}" for k in keys), "round long", "depth long"]))
+
+
+def standing(balls: DataFrame, rounds: list[int], radius: float, p) -> DataFrame:
+    """(asked, depth): of every tile and asked round the deepest sample of balls (x, y, w, born, died), if it has a depth.
+
+    A ball is sent once to a tile for each ``ASKED`` rounds that it stands in, and met with the samples there.  For every
+    round the weights of its own standing balls are then added up at every sample, as one product of matrices.
+    """
+    import numpy as np
+
+    if p.dim != 2:
+        raise ValueError("tiles are made in the plane")
+    rounds = sorted({int(r) for r in rounds})
+    blocks = balls.sparkSession.createDataFrame([(at // ASKED, rounds[at], rounds[min(at + ASKED, len(rounds)) - 1]) for at in range(0, len(rounds), ASKED)], "block long, first long, last long")
+    rows = balls.join(F.broadcast(blocks), (F.col("born") <= F.col("last")) & (F.col("died").isNull() | (F.col("died") > F.col("first"))))
+    never = np.iinfo(np.int64).max
+    rows = rows.select("block", "x", "y", F.col("w").cast("long").alias("dw"), F.col("born").cast("long").alias("born"), F.coalesce("died", F.lit(never)).cast("long").alias("died"))
+    rows = to_tiles(G.to_dual(rows, radius, ["x", "y"]), p)
+    tile = ["block", "t0", "t1"]
+
+    def run(batches):
+        import pandas as pd
+
+        key, place, asked, depth = None, None, None, None
+
+        def out():
+            top = depth.max(axis=1)
+            return pd.DataFrame({"asked": asked[top > 0], "depth": top[top > 0]})
+
+        for pdf in batches:
+            tiles = pdf[tile].to_numpy()
+            cuts = np.flatnonzero(np.append(True, (tiles[1:] != tiles[:-1]).any(axis=1))) if len(pdf) else []
+            dw, born, died, c0, c1 = (pdf[c].to_numpy() for c in ("dw", "born", "died", "c0", "c1"))
+            for at, end in zip(cuts, np.append(cuts[1:], len(pdf))):
+                if tuple(tiles[at]) != key:
+                    if key is not None:
+                        yield out()
+                    key = tuple(tiles[at])
+                    place = tile_samples(p, int(key[1]), int(key[2]), p.samples, p.seed)
+                    asked = np.array(rounds[int(key[0]) * ASKED : (int(key[0]) + 1) * ASKED], np.int64)
+                    depth = np.zeros((len(asked), place[2].size), np.int64)
+                for b in range(at, end, AT_ONCE):
+                    one = slice(b, min(int(end), b + AT_ONCE))
+                    lo, hi = np.searchsorted(asked, [born[one].min(), died[one].max()])
+                    if lo == hi:
+                        continue
+                    x, y, w = c0[one], c1[one], dw[one]
+                    kind = np.float32 if np.abs(w).sum() < 1 << 24 else np.float64 if float(np.abs(w.astype(float)).sum()) < 1 << 53 else np.int64  # sums are exact
+                    starts = np.flatnonzero(np.append(True, (np.diff(x) != 0) | (np.diff(y) != 0)))  # equal balls as one
+                    stand = (born[one] <= asked[lo:hi, None]) & (died[one] > asked[lo:hi, None])
+                    weights = np.add.reduceat(stand * w.astype(kind), starts, axis=1)
+                    inside = held_samples(place, p.side, x[starts], y[starts]).reshape(len(starts), -1)
+                    depth[lo:hi] += (weights @ inside.astype(kind)).astype(np.int64)
+        if key is not None:
+            yield out()
+
+    parts = 4 * int(balls.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = rows.repartition(parts, *tile).sortWithinPartitions(*tile, "c0", "c1")
+    return dealt.mapInPandas(run, "asked long, depth long")
