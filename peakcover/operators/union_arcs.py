@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from . import cell_kernels as kernels
 from . import tiled
+from .colored_disk import by_branches
 from .exact_disk import TURN, WIDEN, neighbours
 
 THIN = 1e-9
@@ -176,43 +177,60 @@ def arc_crossings(points: DataFrame, radius: float, color: str = "color") -> Dat
     return place.dropDuplicates(["i", "o", "side"])
 
 
-def coloured_by_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
-    """The form whose work follows the number of crossings: they and one start for each arc are the candidates."""
+def node_pairs(x, y):
+    """Batches (own, i, j) of a node's disks and the pairs of one of them and another at most two radii away."""
+    import numpy as np
 
-    def solve(x, y, mine, frame):
-        import numpy as np
-        import pandas as pd
+    step = max(1, kernels.PAIRS // max(1, len(x)))
+    for at in range(0, len(x), step):
+        own = np.arange(at, min(at + step, len(x)))
+        i, j = np.nonzero((x[own, None] - x[None]) ** 2 + (y[own, None] - y[None]) ** 2 <= 4 * (1 + 1e-9))
+        i = own[i]
+        yield own, i[i != j], j[i != j]
 
-        hue, own = pd.factorize(frame["hue"])[0], np.flatnonzero(mine)
-        met = np.zeros(len(x), dtype=bool)  # arcs of the followed circles and of what they can cross
-        met[own] = True
-        for _, j in tiled.near(x, y, own):
-            met[j] = True
-        # an arc of a disk outside of the share may be covered by disks that the task lacks: never too short, so no crossing is lost
-        disk, lo, hi = own_arcs(x, y, hue, np.flatnonzero(met), tiled.near(x, y, np.flatnonzero(met)))
-        starts, ends = lo + kernels.APART * disk, hi + kernels.APART * disk
-        ours = mine[disk]
-        best = tiled.deepest(x[disk[ours]] + np.cos(lo[ours]), y[disk[ours]] + np.sin(lo[ours]), x, y, hue, True)
-
-        def on_arc(i, px, py):
-            turn = np.mod(np.arctan2(py - y[i], px - x[i]), TURN)
-            ok = np.zeros(len(i), dtype=bool)
-            for full in (0.0, TURN, -TURN):
-                k = np.searchsorted(starts, turn + full + WIDEN + kernels.APART * i, "right") - 1
-                ok |= (k >= 0) & (disk[k] == i) & (ends[k] >= turn + full - WIDEN + kernels.APART * i)
-            return ok
 
-        for i, j in tiled.near(x, y, own):
-            if best[0] > hue.max():  # all colours that the share knows: no place has more
-                break
-            apart = (hue[i] != hue[j]) & ((x[i] != x[j]) | (y[i] != y[j])) & ((i < j) | ~mine[j])
-            i, j = i[apart], j[apart]
-            if not len(i):
-                continue
-            px, py = tiled.crossing_places(x, y, i, j)
-            ok = on_arc(np.tile(i, 2), px, py) & on_arc(np.tile(j, 2), px, py)
-            best = max(best, tiled.deepest(px[ok], py[ok], x, y, hue, True), key=lambda b: b[0])
-        return (best[0], best[1] * radius, best[2] * radius) if best[0] else None
+def within(px, py, node):
+    import numpy as np
+
+    return (np.abs(px - node[0]) <= node[2]) & (np.abs(py - node[1]) <= node[2])
+
+
+def crossed_arcs(x, y, hue, node):
+    """(depth, x, y) of the best of a node's candidates: the starts of exposed arcs in it, and the crossings of two colours' arcs."""
+    import numpy as np
+
+    order = np.lexsort((y, x))
+    x, y, hue = x[order], y[order], hue[order]
+    disk, lo, hi = own_arcs(x, y, hue, np.arange(len(x)), (p[1:] for p in node_pairs(x, y)))
+    starts, ends = lo + kernels.APART * disk, hi + kernels.APART * disk
+
+    def on_arc(i, px, py):
+        turn = np.mod(np.arctan2(py - y[i], px - x[i]), TURN)
+        ok = np.zeros(len(i), dtype=bool)
+        for full in (0.0, TURN, -TURN):
+            k = np.searchsorted(starts, turn + full + WIDEN + kernels.APART * i, "right") - 1
+            ok |= (k >= 0) & (disk[k] == i) & (ends[k] >= turn + full - WIDEN + kernels.APART * i)
+        return ok
+
+    px, py = x[disk] + np.cos(lo), y[disk] + np.sin(lo)
+    ok = within(px, py, node)
+    best = tiled.deepest(px[ok], py[ok], x, y, hue, True)
+    if not len(disk):  # all circles are covered here
+        return None
+    for _, i, j in node_pairs(x, y):
+        apart = (hue[i] != hue[j]) & ((x[i] != x[j]) | (y[i] != y[j])) & (i < j)
+        px, py = tiled.crossing_places(x, y, i[apart], j[apart])
+        i, j = np.tile(i[apart], 2), np.tile(j[apart], 2)
+        ok = within(px, py, node)
+        i, j, px, py = i[ok], j[ok], px[ok], py[ok]
+        ok = on_arc(i, px, py) & on_arc(j, px, py)
+        best = max(best, tiled.deepest(px[ok], py[ok], x, y, hue, True), key=lambda b: b[0])
+    return best if best[0] else None
+
+
+def coloured_by_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
+    """The form whose work follows the number of crossings: they and one start for each arc are the candidates.
 
-    found = tiled.around(unit_disks(points, radius, color), solve, "depth long, x double, y double", ["hue"])
-    return deepest_place(found, disks_of(points, color))
+    The plane is halved into nodes; crossings are made where some place may still pass the best known.
+    """
+    return deepest_place(by_branches(points, radius, color, crossed_arcs), disks_of(points, color))
