@@ -91,13 +91,15 @@ def other_islands(x, y, hue, i, j):
     return circle[key // colours], lo, hi
 
 
-def most_spans(key, lo, hi):
-    """(depth, angle, key): 1 + the most spans over one angle of one key, starts before ends."""
+def most_spans(key, lo, hi, place=None):
+    """(depth, angle, key): 1 + the most spans over one angle of one key, starts before ends; ``place(key, angle)`` tells which starts count."""
     import numpy as np
 
     angle, kind, keys = np.concatenate([lo, hi]), np.repeat([0, 1], len(lo)), np.tile(key, 2)
     turn = np.lexsort((kind, angle, keys))
     depth = 1 + np.cumsum(1 - 2 * kind[turn])
+    if place is not None:
+        depth = np.where((kind[turn] == 0) & place(keys[turn], angle[turn]), depth, 0)
     top = int(depth.argmax())
     return int(depth[top]), angle[turn[top]], keys[turn[top]]
 
@@ -118,7 +120,9 @@ def own_arcs(x, y, hue, own, pairs):
     return owner[:-1][gap], hi[:-1][gap], lo[1:][gap]
 
 
-def _swept(points: DataFrame, radius: float, color: str, clip: bool) -> DataFrame:
+def coloured_by_circles(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
+    """The straightforward exact method: around every circle, all other colours' islands."""
+
     def solve(x, y, mine, frame):
         import numpy as np
         import pandas as pd
@@ -128,36 +132,68 @@ def _swept(points: DataFrame, radius: float, color: str, clip: bool) -> DataFram
             if not (hue[i] != hue[j]).any():
                 continue
             circle, lo, hi = other_islands(x, y, hue, i, j)
-            key = circle
-            arcs = own_arcs(x, y, hue, np.unique(circle), [(i, j)]) if clip else None
-            if clip:  # every island of a circle with every arc of it
-                first, last = np.searchsorted(arcs[0], circle), np.searchsorted(arcs[0], circle, "right")
-                n = last - first
-                island = np.repeat(np.arange(len(n)), n)
-                arc = np.repeat(first - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(n.sum())
-                met = (hi[island] >= arcs[1][arc]) & (lo[island] <= arcs[2][arc])
-                island, key = island[met], arc[met]
-                lo, hi = np.maximum(lo[island], arcs[1][key]), np.minimum(hi[island], arcs[2][key])
-            if len(lo):
-                depth, turn, k = most_spans(key, lo, hi)
-                if best is None or depth > best[0]:
-                    c = arcs[0][k] if clip else k
-                    best = (depth, float(x[c] + math.cos(turn)) * radius, float(y[c] + math.sin(turn)) * radius)
-                    if depth > hue.max():  # all colours that the share knows: no place has more
-                        break
+            depth, turn, c = most_spans(circle, lo, hi)
+            if best is None or depth > best[0]:
+                best = (depth, float(x[c] + math.cos(turn)) * radius, float(y[c] + math.sin(turn)) * radius)
+                if depth > hue.max():  # all colours that the share knows: no place has more
+                    break
         return best
 
-    return tiled.around(unit_disks(points, radius, color), solve, "depth long, x double, y double", ["hue"])
+    found = tiled.around(unit_disks(points, radius, color), solve, "depth long, x double, y double", ["hue"])
+    return deepest_place(found, disks_of(points, color))
 
 
-def coloured_by_circles(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
-    """The straightforward exact method: around every circle, all other colours' islands."""
-    return deepest_place(_swept(points, radius, color, False), disks_of(points, color))
+def node_pairs(x, y):
+    """Batches (own, i, j) of a node's disks and the pairs of one of them and another at most two radii away."""
+    import numpy as np
+
+    step = max(1, kernels.PAIRS // max(1, len(x)))
+    for at in range(0, len(x), step):
+        own = np.arange(at, min(at + step, len(x)))
+        i, j = np.nonzero((x[own, None] - x[None]) ** 2 + (y[own, None] - y[None]) ** 2 <= 4 * (1 + 1e-9))
+        i = own[i]
+        yield own, i[i != j], j[i != j]
+
+
+def within(px, py, node):
+    import numpy as np
+
+    return (np.abs(px - node[0]) <= node[2]) & (np.abs(py - node[1]) <= node[2])
+
+
+def swept_arcs(x, y, hue, node):
+    """(depth, x, y) of the best place in a node by sweeps along the exposed arcs in it, each other colour's islands clipped to the arc."""
+    import numpy as np
+
+    best = None
+    for own, i, j in node_pairs(x, y):
+        disk, first, last = own_arcs(x, y, hue, own, [(i, j)])
+        circle, lo, hi = other_islands(x, y, hue, i, j) if (hue[i] != hue[j]).any() else (i[:0], first[:0], first[:0])
+        # every island of a circle with every arc of it
+        at = np.searchsorted(disk, circle)
+        n = np.searchsorted(disk, circle, "right") - at
+        island = np.repeat(np.arange(len(n)), n)
+        arc = np.repeat(at - np.append(0, np.cumsum(n)[:-1])[: len(n)], n) + np.arange(n.sum())
+        met = (hi[island] >= first[arc]) & (lo[island] <= last[arc])
+        island, arc = island[met], arc[met]
+        # the arc's own colour is a span over all of it
+        lo, hi = np.append(np.maximum(lo[island], first[arc]), first), np.append(np.minimum(hi[island], last[arc]), last)
+        if not len(lo):
+            continue
+        where = lambda k, turn: within(x[disk[k]] + np.cos(turn), y[disk[k]] + np.sin(turn), node)
+        depth, turn, k = most_spans(np.append(arc, np.arange(len(disk))), lo, hi, where)
+        if depth and (best is None or depth - 1 > best[0]):
+            best = (depth - 1, float(x[disk[k]] + math.cos(turn)), float(y[disk[k]] + math.sin(turn)))
+    return best
 
 
 def coloured_arc_sweep(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
-    """The same along exposed arcs only: each other colour's islands are clipped to the arc."""
-    return deepest_place(_swept(points, radius, color, True), disks_of(points, color))
+    """The same along exposed arcs only: each other colour's islands are clipped to the arc.
+
+    The plane is halved into nodes; a colour that covers all of a node is counted and needs no arcs there, and nodes that
+    cannot pass the best place known are left out.  In the others all arcs are swept.
+    """
+    return deepest_place(by_branches(points, radius, color, swept_arcs), disks_of(points, color))
 
 
 def arc_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
@@ -177,24 +213,6 @@ def arc_crossings(points: DataFrame, radius: float, color: str = "color") -> Dat
     return place.dropDuplicates(["i", "o", "side"])
 
 
-def node_pairs(x, y):
-    """Batches (own, i, j) of a node's disks and the pairs of one of them and another at most two radii away."""
-    import numpy as np
-
-    step = max(1, kernels.PAIRS // max(1, len(x)))
-    for at in range(0, len(x), step):
-        own = np.arange(at, min(at + step, len(x)))
-        i, j = np.nonzero((x[own, None] - x[None]) ** 2 + (y[own, None] - y[None]) ** 2 <= 4 * (1 + 1e-9))
-        i = own[i]
-        yield own, i[i != j], j[i != j]
-
-
-def within(px, py, node):
-    import numpy as np
-
-    return (np.abs(px - node[0]) <= node[2]) & (np.abs(py - node[1]) <= node[2])
-
-
 def crossed_arcs(x, y, hue, node):
     """(depth, x, y) of the best of a node's candidates: the starts of exposed arcs in it, and the crossings of two colours' arcs."""
     import numpy as np
@@ -231,6 +249,6 @@ def crossed_arcs(x, y, hue, node):
 def coloured_by_crossings(points: DataFrame, radius: float, color: str = "color") -> DataFrame:
     """The form whose work follows the number of crossings: they and one start for each arc are the candidates.
 
-    The plane is halved into nodes; crossings are made where some place may still pass the best known.
+    In nodes as in ``coloured_arc_sweep``: crossings are made where some place may still pass the best known.
     """
     return deepest_place(by_branches(points, radius, color, crossed_arcs), disks_of(points, color))
